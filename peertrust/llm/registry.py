@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
-from . import substring_dedup
+from . import bpe_transducer, lim_packing, pii_feistel, substring_dedup
 
 QUERIES = {
     "op1_substring_dedup": substring_dedup.query,
+    "op6_bpe_transducer": bpe_transducer.query,
+    "op7_pii_feistel": pii_feistel.query,
+    "op10_lim_packing": lim_packing.query,
 }
 
 ORACLE_SQL = {

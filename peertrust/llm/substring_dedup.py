@@ -20,6 +20,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -121,15 +122,13 @@ def _without(unit: str):
     sep = UNITS[unit]
 
     @F.pandas_udf("string")
-    def without(text: "pd.Series", gone: "pd.Series") -> "pd.Series":  # noqa: F821
+    def without(text: pd.Series, gone: pd.Series) -> pd.Series:
         def one(t, g):
             if t is None or g is None or not len(g):
                 return t
             drop = set(g)
             return sep.join([p for i, p in enumerate(t.split(sep)) if i not in drop])
 
-        import pandas as pd
-
         return pd.Series([one(t, g) for t, g in zip(text, gone, strict=True)], dtype=object)
 
     return without
