@@ -6,13 +6,13 @@ edge carries how many words come before it, so the numbers met on a path add up
 to the word's place in the table of outputs.  The automaton is a handful of sorted
 arrays in one file, which every executor writes once to its own scratch folder and
 memory-maps; all distinct words of a chunk of text walk it at once, a byte per
-step.  Words outside the lexicon are merged exactly, rank by rank, and memoised in
-a bounded table.  The lexicon is a matter of speed only: any lexicon gives the
+step.  Words outside the lexicon are merged exactly, rank by rank, all words of a
+chunk in step.  The lexicon is a matter of speed only: any lexicon gives the
 same ids.
 
 Sizes: the lexicon has at most ``LEXICON_WORDS`` entries, each partition reports
-at most ``PARTITION_WORDS`` candidates for it, and a worker memoises at most
-``MEMO_WORDS`` other words.
+at most ``PARTITION_WORDS`` candidates for it; a worker holds the distinct words of
+one chunk of text.
 
 Defined results: a null text is empty and has no tokens; very long words are
 merged with a heap, in ``n log n``.
@@ -25,6 +25,7 @@ import heapq
 import io
 import json
 import os
+import re
 import tempfile
 import unicodedata
 from collections import Counter
@@ -41,14 +42,25 @@ from .common import id_and_text, slices
 
 LEXICON_WORDS = 40_000
 PARTITION_WORDS = 4_096
-MEMO_WORDS = 150_000
 _COUNTER_LIMIT = 200_000
+#: Text whose distinct words are encoded together.
+CHUNK_BYTES = 8 << 20
 _END = "</w>"
 #: Unicode White_Space, as the tokenizer's pattern engine has it (fixed values).
 _SPACE = "\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
 #: The tokenizer file's own pattern, with that white space.
 _WORD = regex.compile(rf"'s|'t|'re|'ve|'m|'ll|'d|\p{{L}}+|\p{{N}}|[^{_SPACE}\p{{L}}\p{{N}}]+")
-_WORD_ASCII = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-z]+|[0-9]|[^\t-\r a-z0-9]+", regex.ASCII)
+
+
+def _latin1_word() -> re.Pattern:
+    """The same pattern for texts of Latin-1 letters only, in the faster engine."""
+    kinds = {c: unicodedata.category(c)[0] for c in map(chr, range(256))}
+    letters, numbers = ("".join(re.escape(c) for c, k in kinds.items() if k == x) for x in "LN")
+    return re.compile(rf"'s|'t|'re|'ve|'m|'ll|'d|[{letters}]+|[{numbers}]|[^\t-\r \x85\xa0{letters}{numbers}]+")
+
+
+_WORD_ASCII = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-z]+|[0-9]|[^\t-\r a-z0-9]+")
+_WORD_LATIN1 = _latin1_word()
 
 
 def default_tokenizer() -> str:
@@ -65,6 +77,41 @@ def byte_letters() -> list[str]:
     return [chr(b) if b in plain else chr(next(spare)) for b in range(256)]
 
 
+class KeyTable:
+    """Open addressing over 32-bit keys, for whole arrays of lookups."""
+
+    def __init__(self, keys: np.ndarray, values: np.ndarray, missing: int):
+        bits = max(4, int(4 * max(1, len(keys))).bit_length())
+        self.shift, self.mask, self.missing = np.uint32(32 - bits), np.uint32((1 << bits) - 1), missing
+        self.values = np.full(1 << bits, missing, np.int32)
+        self.keys = np.zeros(1 << bits, np.uint32)
+        self.used = np.zeros(1 << bits, bool)
+        keys, values = keys.astype(np.uint32), values.astype(np.int32)
+        slot, todo = self._slot(keys), np.arange(len(keys))
+        while len(todo):
+            free = todo[~self.used[slot[todo]]]
+            at, first = np.unique(slot[free], return_index=True)
+            self.keys[at], self.values[at], self.used[at] = keys[free[first]], values[free[first]], True
+            todo = todo[self.keys[slot[todo]] != keys[todo]]
+            slot[todo] = slot[todo] + np.uint32(1) & self.mask
+
+    def _slot(self, keys: np.ndarray) -> np.ndarray:
+        return keys * np.uint32(2654435769) >> self.shift
+
+    def find(self, keys: np.ndarray) -> np.ndarray:
+        slot = self._slot(keys)
+        same = self.keys[slot] == keys
+        out = np.where(same, self.values[slot], np.int32(self.missing))
+        todo = np.flatnonzero(~same & self.used[slot])
+        while len(todo):
+            slot_t = slot[todo] + np.uint32(1) & self.mask
+            slot[todo] = slot_t
+            same = self.keys[slot_t] == keys[todo]
+            out[todo[same]] = self.values[slot_t[same]]
+            todo = todo[~same & self.used[slot_t]]
+        return out
+
+
 class MergeTable:
     """Vocabulary and merge ranks of a tokenizer file; encodes single words."""
 
@@ -76,10 +123,16 @@ class MergeTable:
         self.tokens = {i: t for t, i in self.vocab.items()} | {i: t for t, i in self.special.items()}
         ids = self.vocab
         merges = (m if isinstance(m, list) else m.split(" ") for m in spec["model"]["merges"])
-        self.ranks = {(ids[a], ids[b]): (rank, ids[a + b]) for rank, (a, b) in enumerate(merges)}
+        merges = [(ids[a], ids[b], ids[a + b]) for a, b in merges]
+        self.rank_of = {(a, b): rank for rank, (a, b, _) in enumerate(merges)}
+        self.merged, self.none = [c for _, _, c in merges], len(merges)
+        triples = np.array(merges, np.int64).reshape(-1, 3)
+        self._ranks = KeyTable(triples[:, 0] << 16 | triples[:, 1], np.arange(len(merges)), self.none)
+        self._merged = triples[:, 2].astype(np.int32)
         letters = byte_letters()
         self.inner = [ids[c] for c in letters]
         self.final = [ids[c + _END] for c in letters]
+        self._inner, self._final = np.array(self.inner, np.int32), np.array(self.final, np.int32)
         self.split_special = regex.compile("(" + "|".join(map(regex.escape, self.special)) + ")") if self.special else None
 
     def word(self, word: str) -> list[int]:
@@ -88,36 +141,102 @@ class MergeTable:
         symbols.append(self.final[data[-1]])
         return self._short(symbols) if len(symbols) <= 24 else self._long(symbols)
 
+    def words(self, data: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        """The ids of many words, one after another, and how many each word has.
+
+        Words of like length are the rows of a matrix; a round merges the leftmost
+        pair of the least rank in every row."""
+        n = np.fromiter(map(len, data), np.int64, len(data))
+        buf = np.frombuffer(b"".join(data), np.uint8)
+        at, count = np.cumsum(n) - n, np.zeros(len(data), np.int64)
+        parts: list[tuple[np.ndarray, np.ndarray]] = []
+        for low, high in ((1, 6), (7, 10), (11, 14), (15, 24)):
+            rows = np.flatnonzero((n >= low) & (n <= high))
+            if len(rows):
+                symbols, alive = self._rounds(buf, at[rows], n[rows], high)
+                count[rows] = alive.sum(axis=1)
+                parts.append((rows, symbols[alive]))
+        rows = np.flatnonzero(n > 24)
+        if len(rows):
+            long = [self.word(data[i].decode()) for i in rows.tolist()]
+            count[rows] = [len(x) for x in long]
+            parts.append((rows, np.array(list(chain.from_iterable(long)), np.int32)))
+        start, out = np.cumsum(count) - count, np.zeros(int(count.sum()), np.int32)
+        for rows, flat in parts:
+            c = count[rows]
+            out[np.repeat(start[rows] - (np.cumsum(c) - c), c) + np.arange(int(c.sum()))] = flat
+        return out, count
+
+    def _rounds(self, buf: np.ndarray, at: np.ndarray, n: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray]:
+        column = np.arange(width)
+        letters = buf[np.minimum(at[:, None] + column, len(buf) - 1)]
+        last = column == (n - 1)[:, None]
+        symbols = np.where(last, self._final[letters], self._inner[letters])
+        alive = column < n[:, None]
+        after = np.where(last, width, column + 1).astype(np.int32) * np.ones((len(n), 1), np.int32)
+        before = (column - 1).astype(np.int32) * np.ones((len(n), 1), np.int32)
+        ranks = np.full((len(n), width), self.none, np.int32)
+        pairs = alive[:, 1:]
+        ranks[:, :-1][pairs] = self._find(symbols[:, :-1][pairs], symbols[:, 1:][pairs])
+        rows = np.arange(len(n))
+        while len(rows):
+            i = ranks[rows].argmin(axis=1)
+            best = ranks[rows, i]
+            go = best < self.none
+            rows, i, best = rows[go], i[go], best[go]
+            if not len(rows):
+                break
+            j = after[rows, i]
+            symbols[rows, i] = self._merged[best]
+            alive[rows, j] = False
+            ranks[rows, j] = self.none
+            k = after[rows, j]
+            after[rows, i] = k
+            more = np.flatnonzero(k < width)
+            before[rows[more], k[more]] = i[more]
+            ranks[rows, i] = self.none
+            ranks[rows[more], i[more]] = self._find(symbols[rows[more], i[more]], symbols[rows[more], k[more]])
+            h = before[rows, i]
+            less = np.flatnonzero(h >= 0)
+            ranks[rows[less], h[less]] = self._find(symbols[rows[less], h[less]], symbols[rows[less], i[less]])
+        return symbols, alive
+
+    def _find(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+        return self._ranks.find(a.astype(np.uint32) << np.uint32(16) | b.astype(np.uint32))
+
     def _short(self, symbols: list[int]) -> list[int]:
-        ranks = self.ranks
-        while len(symbols) > 1:
-            best = None
-            for i, pair in enumerate(zip(symbols, symbols[1:])):  # noqa: B905
-                found = ranks.get(pair)
-                if found is not None and (best is None or found[0] < best[0]):
-                    best, at = found, i
-            if best is None:
+        get, none = self.rank_of.get, self.none
+        ranks = [get(pair, none) for pair in zip(symbols, symbols[1:])]  # noqa: B905
+        while ranks:
+            best = min(ranks)
+            if best == none:
                 break
-            symbols[at : at + 2] = (best[1],)
+            i = ranks.index(best)
+            symbols[i : i + 2] = (self.merged[best],)
+            del ranks[i]
+            if i < len(ranks):
+                ranks[i] = get((symbols[i], symbols[i + 1]), none)
+            if i:
+                ranks[i - 1] = get((symbols[i - 1], symbols[i]), none)
         return symbols
 
     def _long(self, symbols: list[int]) -> list[int]:
-        n, ranks = len(symbols), self.ranks
+        n, rank_of = len(symbols), self.rank_of
         left, right = list(range(-1, n - 1)), list(range(1, n + 1))
-        queue = [(*r, i) for i in range(n - 1) if (r := ranks.get((symbols[i], symbols[i + 1])))]
+        queue = [(r, i) for i in range(n - 1) if (r := rank_of.get((symbols[i], symbols[i + 1]))) is not None]
         heapq.heapify(queue)
         while queue:
-            rank, merged, i = heapq.heappop(queue)
+            rank, i = heapq.heappop(queue)
             j = right[i]
-            if symbols[i] < 0 or j >= n or ranks.get((symbols[i], symbols[j])) != (rank, merged):
+            if symbols[i] < 0 or j >= n or rank_of.get((symbols[i], symbols[j])) != rank:
                 continue
-            symbols[i], symbols[j] = merged, -1
+            symbols[i], symbols[j] = self.merged[rank], -1
             right[i] = right[j]
             if right[j] < n:
                 left[right[j]] = i
             for a in (left[i], i):
-                if a >= 0 and (b := right[a]) < n and (r := ranks.get((symbols[a], symbols[b]))):
-                    heapq.heappush(queue, (*r, a))
+                if a >= 0 and (b := right[a]) < n and (r := rank_of.get((symbols[a], symbols[b]))) is not None:
+                    heapq.heappush(queue, (r, a))
         return [s for s in symbols if s >= 0]
 
 
@@ -137,7 +256,13 @@ def words_of(text: str, table: MergeTable) -> list[str]:
         if len(parts) > 1:
             return [w for i, part in enumerate(parts) for w in ((part,) if i % 2 else words_of(part, table))]
     text = normal(text)
-    return (_WORD_ASCII if text.isascii() else _WORD).findall(text)
+    if text.isascii():
+        return _WORD_ASCII.findall(text)
+    try:
+        text.encode("latin-1")
+    except UnicodeEncodeError:
+        return _WORD.findall(text)
+    return _WORD_LATIN1.findall(text)
 
 
 # --- the automaton -------------------------------------------------------------
@@ -189,11 +314,11 @@ def compile_lexicon(entries: dict[bytes, list[int]]) -> dict[str, np.ndarray]:
     return {
         "start": np.array([start]),
         "keys": np.array(keys, np.int64),
-        "targets": np.array(targets, np.int64),
-        "passed": np.array(passed, np.int64),
+        "targets": np.array(targets, np.int32),
+        "passed": np.array(passed, np.int32),
         "final": np.array([f for f, _ in states], bool),
-        "bounds": np.concatenate([[0], np.cumsum([len(x) for x in outputs], dtype=np.int64)]).astype(np.int64),
-        "ids": np.array(list(chain.from_iterable(outputs)), np.int64),
+        "bounds": np.concatenate([[0], np.cumsum([len(x) for x in outputs], dtype=np.int64)]).astype(np.int32),
+        "ids": np.array(list(chain.from_iterable(outputs)), np.int32),
     }
 
 
@@ -227,40 +352,35 @@ class Lexicon:
         for name, (at, kind, n) in head.items():
             at += 8 + size
             setattr(self, name, mapped[at : at + n * np.dtype(kind).itemsize].view(kind))
+        self._edge = KeyTable(np.asarray(self.keys), np.arange(len(self.keys)), -1)
 
-    def find(self, words: list[str]) -> np.ndarray:
+    def find(self, data: list[bytes]) -> np.ndarray:
         """The place of each word in the table of outputs, or -1."""
-        data = [w.encode() for w in words]
         n = np.fromiter(map(len, data), np.int64, len(data))
         buf = np.frombuffer(b"".join(data), np.uint8)
-        at = np.concatenate([[0], np.cumsum(n)[:-1]]) if len(n) else n
+        at = np.cumsum(n) - n
         state, place = np.full(len(n), int(self.start[0])), np.zeros(len(n), np.int64)
         lanes = np.flatnonzero(n > 0)
         state[n == 0] = -1
         step = 0
-        while len(lanes) and len(self.keys):
-            key = state[lanes] * 256 + buf[at[lanes] + step]
-            e = np.minimum(np.searchsorted(self.keys, key), len(self.keys) - 1)
-            ok = self.keys[e] == key
+        while len(lanes):
+            e = self._edge.find((state[lanes] * 256 + buf[at[lanes] + step]).astype(np.uint32))
+            ok = e >= 0
             state[lanes[~ok]] = -1
             lanes, e = lanes[ok], e[ok]
             state[lanes] = self.targets[e]
             place[lanes] += self.passed[e]
             step += 1
             lanes = lanes[n[lanes] > step]
-        if not len(self.keys):
-            state[:] = -1
         good = state >= 0
         good[good] = self.final[state[good]]
         return np.where(good, place, -1)
 
-    def outputs(self, places: np.ndarray) -> list[list[int]]:
-        b = self.bounds
-        flat = self.ids.tolist() if len(places) * 4 > len(b) else None
-        if flat is not None:
-            lo, hi = b[places].tolist(), b[places + 1].tolist()
-            return [flat[x:y] for x, y in zip(lo, hi, strict=True)]
-        return [self.ids[b[p] : b[p + 1]].tolist() for p in places]
+    def outputs(self, places: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The ids of the words at ``places``, one after another, and their counts."""
+        first = self.bounds[places].astype(np.int64)
+        count = self.bounds[places + 1] - first
+        return self.ids[np.repeat(first - (np.cumsum(count) - count), count) + np.arange(int(count.sum()))], count
 
 
 class Encoder:
@@ -269,27 +389,38 @@ class Encoder:
     def __init__(self, path: str, blob: bytes | None):
         self.table = MergeTable(path)
         self.lexicon = Lexicon(blob) if blob else None
-        self.memo: dict[str, list[int]] = {}
+        self.id_text = {i: str(i) for i in self.table.tokens}
+
+    def flat_ids(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """The ids of the words, one after another, and the bounds of each word."""
+        data, special = [w.encode() for w in words], self.table.special
+        count = np.zeros(len(words), np.int64)
+        parts = []
+        rest = np.arange(len(words))
+        if self.lexicon is not None:
+            places = self.lexicon.find(data)
+            hit, rest = np.flatnonzero(places >= 0), np.flatnonzero(places < 0)
+            ids, n = self.lexicon.outputs(places[hit])
+            count[hit] = n
+            parts.append((hit, ids))
+        named = [i for i in rest.tolist() if words[i] in special] if any(map(set(words).__contains__, special)) else []
+        if named:
+            count[named] = 1
+            parts.append((np.array(named), np.array([special[words[i]] for i in named], np.int32)))
+            rest = np.setdiff1d(rest, named)
+        ids, n = self.table.words([data[i] for i in rest.tolist()])
+        count[rest] = n
+        parts.append((rest, ids))
+        start, out = np.cumsum(count) - count, np.zeros(int(count.sum()), np.int32)
+        for rows, ids in parts:
+            c = count[rows]
+            out[np.repeat(start[rows] - (np.cumsum(c) - c), c) + np.arange(int(c.sum()))] = ids
+        return out, np.concatenate([[0], np.cumsum(count)])
 
     def ids_of(self, words: Iterable[str]) -> dict[str, list[int]]:
-        words, special = list(words), self.table.special
-        out: dict[str, list[int]] = {}
-        if self.lexicon is not None and words:
-            places = self.lexicon.find(words)
-            hit = np.flatnonzero(places >= 0)
-            out.update(zip([words[i] for i in hit.tolist()], self.lexicon.outputs(places[hit]), strict=True))
-            words = [words[i] for i in np.flatnonzero(places < 0).tolist()]
-        memo = self.memo
-        for w in words:
-            ids = memo.get(w)
-            if ids is None:
-                ids = [special[w]] if w in special else self.table.word(w)
-                if len(memo) >= MEMO_WORDS:
-                    memo.clear()
-                if len(w) <= 64:
-                    memo[w] = ids
-            out[w] = ids
-        return out
+        words = list(words)
+        flat, edge = (x.tolist() for x in self.flat_ids(words))
+        return {w: flat[a:b] for w, a, b in zip(words, edge, edge[1:], strict=False)}
 
     def encode(self, text: str) -> list[int]:
         words = words_of(text or "", self.table)
@@ -322,7 +453,7 @@ def frequent_words(docs: DataFrame, path: str, limit: int = LEXICON_WORDS) -> Da
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table, seen = MergeTable(path), Counter()
         for batch in batches:
-            for part in slices(batch, "text"):
+            for part in slices(batch, "text", CHUNK_BYTES):
                 for text in part.column(0).to_pylist():
                     seen.update(words_of(text, table))
                 if len(seen) > _COUNTER_LIMIT:
@@ -353,7 +484,7 @@ def encode_documents(docs: DataFrame, path: str | None = None, lexicon: bytes |
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc = encoder(path, shared.value)
         for batch in batches:
-            for part in slices(batch, "text"):
+            for part in slices(batch, "text", CHUNK_BYTES):
                 words = [words_of(t, enc.table) for t in part.column(1).to_pylist()]
                 known = enc.ids_of(dict.fromkeys(chain.from_iterable(words)))
                 ids = [[i for w in ws for i in known[w]] for ws in words]
@@ -386,10 +517,10 @@ def encoding_digests(docs: DataFrame, path: str | None = None, lexicon: bytes |
         enc = encoder(path, shared.value)
         tokens = enc.table.tokens
         for batch in batches:
-            for part in slices(batch, "text"):
+            for part in slices(batch, "text", CHUNK_BYTES):
                 words = [words_of(t, enc.table) for t in part.column(1).to_pylist()]
                 known = enc.ids_of(dict.fromkeys(chain.from_iterable(words)))
-                as_ids = {w: " ".join(map(str, ids)) for w, ids in known.items()}
+                as_ids = {w: " ".join([enc.id_text[i] for i in ids]) for w, ids in known.items()}
                 as_text = {w: " ".join([tokens[i] for i in ids]) for w, ids in known.items()}
                 n, a, b = [], [], []
                 for ws in words:

@@ -33,7 +33,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_schema
 from pyspark.sql.types import LongType, StructField, StructType
 
-from .bpe_transducer import build_lexicon, default_tokenizer, encoder, words_of
+from .bpe_transducer import CHUNK_BYTES, build_lexicon, default_tokenizer, encoder, words_of
 from .common import id_and_text, saved, slices
 
 CAPACITY = 2048
@@ -124,10 +124,12 @@ def token_pieces(docs: DataFrame, path: str | None = None, lexicon: bytes | None
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc = encoder(path, shared.value)
         for batch in batches:
-            for part in slices(batch, "text"):
+            for part in slices(batch, "text", CHUNK_BYTES):
                 words = [words_of(t, enc.table) for t in part.column(1).to_pylist()]
-                known = enc.ids_of(dict.fromkeys(chain.from_iterable(words)))
-                raw = {w: np.array(ids, "<u4").tobytes() for w, ids in known.items()}
+                distinct = list(dict.fromkeys(chain.from_iterable(words)))
+                flat, edge = enc.flat_ids(distinct)
+                data = flat.astype("<u4").tobytes()
+                raw = {w: data[a:b] for w, a, b in zip(distinct, (4 * edge).tolist(), (4 * edge[1:]).tolist(), strict=False)}
                 ids, piece, start, length, crc = [], [], [], [], []
                 for doc_id, ws in zip(part.column(0).to_pylist(), words, strict=True):
                     data = b"".join(map(raw.__getitem__, ws)) + closing

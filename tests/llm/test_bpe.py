@@ -42,9 +42,9 @@ def test_automaton_is_minimal_and_numbers_its_words():
     arrays = bpe.compile_lexicon(words)
     assert len(arrays["final"]) == 7
     lex = bpe.Lexicon(bpe.packed(arrays))
-    found = lex.find(["tops", "stop", "to", "stopss", "", "taps"])
+    found = lex.find([b"tops", b"stop", b"to", b"stopss", b"", b"taps"])
     assert (found >= 0).tolist() == [True, True, False, False, False, True]
-    assert [lex.outputs(found[[i]])[0] for i in (0, 1, 5)] == [words[b"tops"], words[b"stop"], words[b"taps"]]
+    assert [lex.outputs(found[[i]])[0].tolist() for i in (0, 1, 5)] == [words[b"tops"], words[b"stop"], words[b"taps"]]
 
 
 def test_long_words_merge_as_short_ones_do():
@@ -52,7 +52,10 @@ def test_long_words_merge_as_short_ones_do():
     for word in ("internationalization", "aaaaaaaaaaaaaaaaaaaa", "thethethethe"):
         data = word.encode()
         symbols = [table.inner[b] for b in data[:-1]] + [table.final[data[-1]]]
-        assert table._long(list(symbols)) == table._short(list(symbols))
+        short = table._short(list(symbols))
+        assert table._long(list(symbols)) == short
+        ids, count = table.words([data, b"a", data])
+        assert ids.tolist() == [*short, *table.word("a"), *short] and count.tolist() == [len(short), 1, len(short)]
 
 
 def test_query_shape_and_edge_cases(spark, library):
