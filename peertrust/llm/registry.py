@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
-from . import bpe_transducer, lim_packing, pii_feistel, substring_dedup
+from . import bpe_transducer, flac_media, lim_packing, pii_feistel, substring_dedup, suffix_dedup
 
 QUERIES = {
     "op1_substring_dedup": substring_dedup.query,
+    "op3_suffix_dedup": suffix_dedup.query,
     "op6_bpe_transducer": bpe_transducer.query,
     "op7_pii_feistel": pii_feistel.query,
+    "op9_flac_media": flac_media.query,
     "op10_lim_packing": lim_packing.query,
 }
 
