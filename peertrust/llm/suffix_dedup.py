@@ -14,8 +14,8 @@ anchor form a segment.
     Within the chunk, equal segments go out once, and their later documents are
     marked as covered right there; so a passage that a third of the corpus repeats
     costs one entry a chunk.
-2.  A bucket groups its entries by gram.  Equal segments: all but those of the
-    smallest document are covered.  A gram with unlike segments may still share
+2.  A bucket groups its entries by gram.  Equal segments (96 bits of two hashes):
+    all but those of the smallest document are covered.  A gram with unlike segments may still share
     windows among them; one set of occurrences for each unlike segment goes on.
 3.  Those segments fetch their bytes and meet again, by gram, in a suffix sort:
     prefix polynomial hashes and binary search give common extensions, a mergesort
@@ -45,11 +45,13 @@ from .bytehash import HashedBytes, merge_sorted_suffixes, mix
 from .common import id_and_text, saved, slices, utf8
 
 LENGTH = 50
-GRAM = 20
+GRAM = 16
 #: Text bytes behind one bucket of grams, and of one group of documents.
-BUCKET_BYTES, GROUP_BYTES = 12 << 20, 8 << 20
+BUCKET_BYTES, GROUP_BYTES = 8 << 20, 4 << 20
 _PLACE_BITS = 28
-_BLOB = "to int, kind int, blob binary"
+#: ``to``: the group that a row goes to next; ``then``: the one after that.
+_BLOB = "to int, kind int, then int, blob binary"
+_CHUNK = 2 << 20
 
 
 # --- packing of number columns into binary rows ------------------------------------
@@ -103,11 +105,9 @@ def _split(to: np.ndarray) -> list[tuple[int, np.ndarray]]:
     return [(int(to[part[0]]), part) for part in np.split(order, cuts)]
 
 
-def _blobs(rows: list[tuple[int, int, bytes]]) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays(
-        [pa.array([r[0] for r in rows], pa.int32()), pa.array([r[1] for r in rows], pa.int32()), pa.array([r[2] for r in rows], pa.binary())],
-        names=["to", "kind", "blob"],
-    )
+def _blobs(rows: list[tuple[int, int, int, bytes]]) -> pa.RecordBatch:
+    kinds = (pa.int32(), pa.int32(), pa.int32(), pa.binary())
+    return pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], k) for i, k in enumerate(kinds)], names=["to", "kind", "then", "blob"])
 
 
 # --- the groups of documents ---------------------------------------------------------
@@ -164,7 +164,7 @@ def segments(text: HashedBytes, offsets: np.ndarray, length: int, gram: int) ->
 def _anchors(buckets: int, groups: int, length: int, gram: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in slices(batch, "text"):
+            for part in slices(batch, "text", _CHUNK):
                 ids = part.column(0).to_numpy(zero_copy_only=False)
                 part = part.take(pa.array(np.argsort(ids, kind="stable")))
                 ids = np.sort(ids)
@@ -187,50 +187,67 @@ def _anchors(buckets: int, groups: int, length: int, gram: int):
                 covered = np.flatnonzero(again)
                 for to, pick in _split(_group_numpy(doc[covered], groups)):
                     at = covered[pick]
-                    rows.append((to, 1, pack_columns(doc[at], [start[at].astype(np.uint32), windows[at].astype(np.uint16)])))
+                    rows.append((to % buckets, 1, to, pack_columns(doc[at], [start[at].astype(np.uint32), windows[at].astype(np.uint16)])))
                 fresh = np.flatnonzero(~again)
                 for to, pick in _split((key[fresh] % np.uint64(buckets)).astype(np.int64)):
                     at = fresh[pick]
-                    rows.append((to, 0, pack_columns(doc[at], _entry(key[at], whole[at], start[at], windows[at]))))
+                    rows.append((to, 0, to, pack_columns(doc[at], _entry(key[at], whole[at], start[at], windows[at]))))
                 yield _blobs(rows)
 
     return run
 
 
-_ENTRY = ["<u2", "<u4", "<u8", "<u4", "u1"]
+_ENTRY = ["<u2", "<u4", "<u2", "<u4", "<u4", "u1"]
 
 
 def _entry(key: np.ndarray, whole: np.ndarray, start: np.ndarray, windows: np.ndarray) -> list[np.ndarray]:
-    """The upper 48 bits of the gram's hash, the segment's hash, its place and width."""
-    return [(key >> np.uint64(48)).astype(np.uint16), (key >> np.uint64(16)).astype(np.uint32), whole, start.astype(np.uint32), windows.astype(np.uint8)]
+    """The upper 48 bits of the gram's and of the segment's hash, its place and width."""
+    halves = [x for h in (key, whole) for x in ((h >> np.uint64(48)).astype(np.uint16), (h >> np.uint64(16)).astype(np.uint32))]
+    return [*halves, start.astype(np.uint32), windows.astype(np.uint8)]
+
+
+def _joined(high: np.ndarray, low: np.ndarray) -> np.ndarray:
+    return high.astype(np.uint64) << np.uint64(32) | low
 
 
 def _meet(groups: int):
     def run(table: pa.Table) -> pa.Table:
-        parts = [unpack_columns(b.as_py(), _ENTRY)[:2] for b in table.column("blob")]
-        doc = np.concatenate([d for d, _ in parts])
-        high, low, whole, start, windows = (np.concatenate([c[i] for _, c in parts]) for i in range(5))
-        del parts
-        key = high.astype(np.uint64) << np.uint64(32) | low
+        kind, then = table.column("kind").to_pylist(), table.column("then").to_pylist()
+        entries = [b for b, k in zip(table.column("blob"), kind, strict=True) if k == 0]
+        rows = [(t, 1, t, b.as_py()) for b, k, t in zip(table.column("blob"), kind, then, strict=True) if k == 1]
+        if not entries:
+            return pa.Table.from_batches([_blobs(rows)])
+        key = np.concatenate([_joined(*unpack_columns(b.as_py(), _ENTRY)[1][:2]) for b in entries])
         order = np.argsort(key, kind="stable")
         k = key[order]
         twin = np.zeros(len(k) + 1, bool)
         twin[1:-1] = k[1:] == k[:-1]
-        order = order[twin[1:] | twin[:-1]]  # grams seen once share no window
-        order = order[np.lexsort((doc[order], whole[order], key[order]))]
+        keep = np.zeros(len(k), bool)
+        keep[order[twin[1:] | twin[:-1]]] = True  # grams seen once share no window
+        del order, k, twin
+        parts, at = [], 0
+        for b in entries:
+            doc, columns, _ = unpack_columns(b.as_py(), _ENTRY)
+            pick = np.flatnonzero(keep[at : at + len(doc)])
+            parts.append((doc[pick], *(c[pick] for c in columns)))
+            at += len(doc)
+        key = key[keep]
+        doc, _, _, high, low, start, windows = (np.concatenate([p[i] for p in parts]) for i in range(7))
+        whole = _joined(high, low)
+        del parts, high, low
+        order = np.lexsort((doc, whole, key))
         key, whole, doc, start, windows = key[order], whole[order], doc[order], start[order], windows[order]
-        rows = []
         if len(key):
             new_key = np.concatenate([[True], key[1:] != key[:-1]])
             new = new_key | np.concatenate([[True], whole[1:] != whole[:-1]])
             least = doc[np.flatnonzero(new)][np.cumsum(new) - 1]
             covered = np.flatnonzero(doc != least)
-            for kind, at in ((1, covered), (2, np.flatnonzero((doc == least) & _unlike(new_key, new)))):
+            for sort, at in ((1, covered), (2, np.flatnonzero((doc == least) & _unlike(new_key, new)))):
                 for to, pick in _split(_group_numpy(doc[at], groups)):
                     i = at[pick]
                     i = i[np.argsort(doc[i], kind="stable")]
                     columns = [start[i], windows[i].astype(np.uint16)]
-                    rows.append((to, kind, pack_columns(doc[i], columns if kind == 1 else [*columns, key[i]])))
+                    rows.append((to, sort, to, pack_columns(doc[i], columns if sort == 1 else [*columns, key[i]])))
         return pa.Table.from_batches([_blobs(rows)])
 
     return run
@@ -260,7 +277,7 @@ def _fetch(buckets: int, length: int):
             i = i[np.argsort(doc[i], kind="stable")]
             n = size[i]
             where = np.repeat(at[i] - (np.cumsum(n) - n), n) + np.arange(int(n.sum()))
-            rows.append((to, 0, pack_columns(doc[i], [start[i], windows[i], key[i]], buf[where].tobytes())))
+            rows.append((to, 0, to, pack_columns(doc[i], [start[i], windows[i], key[i]], buf[where].tobytes())))
         return pa.Table.from_batches([_blobs(rows)])
 
     return run
@@ -342,7 +359,7 @@ def _sort(groups: int, length: int):
             more = (place[closes] - place[opens]).astype(np.uint16)
             for to, pick in _split(_group_numpy(owner, groups)):
                 pick = pick[np.argsort(owner[pick], kind="stable")]
-                rows.append((to, 1, pack_columns(owner[pick], [first[pick].astype(np.uint32), more[pick]])))
+                rows.append((to, 1, to, pack_columns(owner[pick], [first[pick].astype(np.uint32), more[pick]])))
         return pa.Table.from_batches([_blobs(rows)])
 
     return run
@@ -400,14 +417,13 @@ def remove_shared_substrings(docs: DataFrame, length: int = LENGTH, with_texts:
     if length - gram + 1 > 256:
         raise ValueError("the length is at most 256 bytes more than its gram")
     anchors = rows.filter(F.col("doc_id").isNotNull() & (F.octet_length("text") >= length)).mapInArrow(_anchors(buckets, groups, length, gram), _BLOB)
-    anchors = saved(anchors)
-    met = saved(anchors.filter("kind = 0").groupBy("to").applyInArrow(_meet(groups), _BLOB))
+    met = saved(anchors.groupBy("to").applyInArrow(_meet(groups), _BLOB))
     # after this each document's group is met twice, by one and the same exchange
     grouped = rows.withColumn("to", _group_column(groups))
     wanted = met.filter("kind = 2")
     fetched = grouped.groupBy("to").cogroup(wanted.groupBy("to")).applyInArrow(_fetch(buckets, length), _BLOB)
     sorted_ranges = fetched.groupBy("to").applyInArrow(_sort(groups, length), _BLOB)
-    ranges = anchors.filter("kind = 1").unionByName(met.filter("kind = 1")).unionByName(sorted_ranges)
+    ranges = met.filter("kind = 1").unionByName(sorted_ranges)
     return grouped.groupBy("to").cogroup(ranges.groupBy("to")).applyInArrow(_cut(length, with_texts), _RESULT)
 
 
