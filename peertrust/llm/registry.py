@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
-from . import bpe_transducer, flac_media, lim_packing, pii_feistel, substring_dedup, suffix_dedup
+from . import bagminhash, bpe_transducer, flac_media, lim_packing, pii_feistel, substring_dedup, suffix_dedup, toxicity_ordinal
 
 QUERIES = {
     "op1_substring_dedup": substring_dedup.query,
     "op3_suffix_dedup": suffix_dedup.query,
+    "op5_bagminhash": bagminhash.query,
     "op6_bpe_transducer": bpe_transducer.query,
     "op7_pii_feistel": pii_feistel.query,
+    "op8_toxicity_ordinal": toxicity_ordinal.query,
     "op9_flac_media": flac_media.query,
     "op10_lim_packing": lim_packing.query,
 }
