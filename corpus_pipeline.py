@@ -1,15 +1,60 @@
-"""Corpus pipeline: quality, near-dedup, repeated lines, private data, packing."""
+"""Corpus pipeline: quality, near-dedup, repeated lines, private data, packing.
+
+Each stage takes ``(spark, docs, sf_dir)``, is written as Parquet and read again as
+the next one's ``docs``.  All but the last return the columns of ``documents``.
+"""
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import DataFrame, SparkSession
 
-STAGES = []
+from peertrust.llm import bagminhash, lim_packing, pii_feistel, quality_resampling, substring_dedup
+from peertrust.llm.common import saved
+
+
+def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that importance resampling draws stay."""
+    return quality_resampling.select_documents(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
+
+
+def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each near-duplicate class stays, the one with the smallest id."""
+    return bagminhash.keep_representatives(docs)
+
+
+def repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Lines that an earlier document or line has go."""
+    return substring_dedup.dedup_documents(docs)
+
+
+def private_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Personal data become pseudonyms of their format."""
+    return pii_feistel.pseudonymize_documents(docs)
+
+
+def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Pieces of at most 2048 tokens, with their sequence and place."""
+    return lim_packing.pack_documents(docs)
+
+
+STAGES: list[tuple[str, Callable[[SparkSession, DataFrame, str], DataFrame]]] = [
+    ("quality", quality),
+    ("near_duplicates", near_duplicates),
+    ("repeated_lines", repeated_lines),
+    ("private_data", private_data),
+    ("packing", packing),
+]
+
+#: Signatures, draws and packing are beyond SQL; tests compare with plain versions.
 ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    for _, stage in STAGES:
+    for name, stage in STAGES:
         docs = stage(spark, docs, sf_dir)
+        if name != STAGES[-1][0]:
+            docs = saved(docs)
     return docs

@@ -44,7 +44,7 @@ from .wordhash import tokens
 
 BUCKETS, SAMPLE_ROWS, TEMPERATURE, SEED = 1 << 14, 20_000, 0.05, 17
 #: Counts that a bucket is worth before it is counted: rare n-grams say little.
-PRIOR = 10.0
+PRIOR = 100.0
 _REPEAT = np.uint64(0xA0761D6478BD642F)
 _BINS = 4096
 
@@ -85,7 +85,7 @@ class Model:
     def scores(self, buf: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         text, bucket = ngrams(buf, offsets, len(self.ratio))
         n = len(offsets) - 1
-        return np.bincount(text, weights=self.ratio[bucket], minlength=n)[:n], np.bincount(text, minlength=n)[:n]
+        return np.bincount(text, weights=self.ratio[bucket], minlength=n)[:n].astype(np.float64), np.bincount(text, minlength=n)[:n]
 
 
 def parting_value(scores: np.ndarray, good: np.ndarray, default: float) -> float:

@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from . import bagminhash, bpe_transducer, flac_media, lim_packing, pii_feistel, substring_dedup, suffix_dedup, toxicity_ordinal
+from . import bagminhash, bpe_transducer, flac_media, lim_packing, pii_feistel, quality_resampling, substring_dedup, suffix_dedup, toxicity_ordinal
 
 QUERIES = {
     "op1_substring_dedup": substring_dedup.query,
     "op3_suffix_dedup": suffix_dedup.query,
+    "op4_quality_resampling": quality_resampling.query,
     "op5_bagminhash": bagminhash.query,
     "op6_bpe_transducer": bpe_transducer.query,
     "op7_pii_feistel": pii_feistel.query,

@@ -72,7 +72,7 @@ class OrdinalModel:
         telling = np.flatnonzero(self.weights[word])
         both = np.unique(text[telling] * len(self.weights) + word[telling])
         n = len(offsets) - 1
-        return np.bincount(both // len(self.weights), weights=self.weights[both % len(self.weights)], minlength=n)[:n]
+        return np.bincount(both // len(self.weights), weights=self.weights[both % len(self.weights)], minlength=n)[:n].astype(np.float64)
 
 
 def train(row: np.ndarray, word: np.ndarray, grade: np.ndarray, buckets: int = BUCKETS, rounds: int = _ROUNDS, l1: float = _L1) -> OrdinalModel:
