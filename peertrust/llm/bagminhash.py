@@ -37,7 +37,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .bytehash import mix
@@ -47,11 +47,13 @@ from .wordhash import runs, tokens
 SHINGLE, SIMILARITY = 5, 0.8
 BANDS, ROWS = 32, 4
 PLACES = BANDS * ROWS
-STAR_ROUNDS = 3
-#: Estimated likeness from which a pair is verified in the last step: six standard
+STAR_ROUNDS = 2
+#: Estimated likeness from which a pair is verified in the last step: five standard
 #: errors below the threshold.
-_MIGHT = SIMILARITY - 6 * (SIMILARITY * (1 - SIMILARITY) / PLACES) ** 0.5
+_MIGHT = SIMILARITY - 5 * (SIMILARITY * (1 - SIMILARITY) / PLACES) ** 0.5
 _BLOCK = 1024
+#: Members of buckets that one task compares by signature.
+_GROUP_ROWS = 20_000
 
 
 def shingle_multisets(buf: np.ndarray, offsets: np.ndarray, k: int = SHINGLE) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -132,17 +134,18 @@ def band_hashes(signature: np.ndarray, bands: int = BANDS) -> np.ndarray:
     return out
 
 
-def weighted_jaccard(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.ndarray]) -> float:
-    """Of two multisets, as ordered hashes and weights."""
-    common, i, j = np.intersect1d(a[0], b[0], assume_unique=True, return_indices=True)
-    least = int(np.minimum(a[1][i], b[1][j]).sum())
-    total = int(a[1].sum() + b[1].sum()) - least
-    return least / total if total else 0.0
-
-
-def _multiset(blob: bytes) -> tuple[np.ndarray, np.ndarray]:
-    n = len(blob) // 12
-    return np.frombuffer(blob, np.uint64, n), np.frombuffer(blob, np.uint32, n, 8 * n)
+def weighted_jaccard(a: np.ndarray, b: np.ndarray) -> float:
+    """Of two multisets, as ordered hashes that stand as often as they weigh."""
+    if not len(a) or not len(b):
+        return 0.0
+    both = np.concatenate([a, b])
+    order = np.argsort(both, kind="stable")
+    run = both[order]
+    edge = np.flatnonzero(np.concatenate([[True], run[1:] != run[:-1], [True]]))
+    ours = np.concatenate([[0], np.cumsum(order < len(a))])[edge]
+    ours = np.diff(ours)
+    least = int(np.minimum(ours, np.diff(edge) - ours).sum())
+    return least / (len(both) - least)
 
 
 # --- Spark ---------------------------------------------------------------------------
@@ -179,11 +182,11 @@ def signature_table(docs: DataFrame, k: int = SHINGLE) -> DataFrame:
 def _multisets(docs: DataFrame, k: int) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in slices(batch, "text"):
+            for part in slices(batch, "text", 2 << 20):
                 text, shingle, weight = shingle_multisets(*utf8(part.column(1)), k)
+                text, shingle = np.repeat(text, weight), np.repeat(shingle, weight)
                 edge = np.searchsorted(text, np.arange(part.num_rows + 1)).tolist()
-                w = weight.astype(np.uint32)
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array([shingle[a:b].tobytes() + w[a:b].tobytes() for a, b in zip(edge, edge[1:], strict=False)], pa.binary())], names=["id", "multiset"])
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array([shingle[a:b].tobytes() for a, b in zip(edge, edge[1:], strict=False)], pa.binary())], names=["id", "multiset"])
 
     return docs.mapInArrow(run, "id long, multiset binary")
 
@@ -193,7 +196,7 @@ def _verified(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            ok = [weighted_jaccard(_multiset(x), _multiset(y)) >= similarity for x, y in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True)]
+            ok = [weighted_jaccard(np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)) >= similarity for x, y in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True)]
             mask = pa.array(ok, pa.bool_())
             yield pa.RecordBatch.from_arrays([batch.column(0).filter(mask), batch.column(1).filter(mask)], names=["a", "b"])
 
@@ -222,25 +225,41 @@ def components(links: DataFrame) -> DataFrame:
             return labels
 
 
-def _suspects(table: pa.Table) -> pa.Table:
+def _suspects(similarity: float):
     """Pairs of one bucket that may reach the threshold though their components
-    differ, by signature, block by block."""
-    ids = table.column("rep").to_numpy()
-    order = np.argsort(ids, kind="stable")
-    ids, labels = ids[order], table.column("label").to_numpy()[order]
-    sig = np.frombuffer(b"".join(table.column("signature").to_pylist()), np.uint32).reshape(len(ids), -1)[order]
-    a, b = [], []
-    for i in range(0, len(ids), _BLOCK):
-        for j in range(i, len(ids), _BLOCK):
-            x, y = slice(i, i + _BLOCK), slice(j, j + _BLOCK)
-            same = np.zeros((len(ids[x]), len(ids[y])), np.int32)
-            for p in range(sig.shape[1]):
-                same += sig[x, p][:, None] == sig[y, p][None, :]
-            u, v = np.nonzero((same >= _MIGHT * sig.shape[1]) & (labels[x][:, None] != labels[y][None, :]))
-            keep = u + i < v + j
-            a.append(ids[u[keep] + i])
-            b.append(ids[v[keep] + j])
-    return pa.table({"a": np.concatenate(a).astype(np.int64), "b": np.concatenate(b).astype(np.int64)})
+    differ: by size, and by signature, block by block."""
+
+    def bucket(ids: np.ndarray, labels: np.ndarray, n: np.ndarray, sig: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        for i in range(0, len(ids), _BLOCK):
+            for j in range(i, len(ids), _BLOCK):
+                x, y = slice(i, i + _BLOCK), slice(j, j + _BLOCK)
+                ok = (labels[x][:, None] != labels[y][None, :]) & (np.arange(i, i + len(ids[x]))[:, None] < np.arange(j, j + len(ids[y]))[None, :])
+                ok &= (n[x][:, None] >= similarity * n[y][None, :]) & (n[y][None, :] >= similarity * n[x][:, None])
+                u, v = np.nonzero(ok)
+                if len(u) * 8 < ok.size:
+                    same = np.zeros(len(u), np.int32)
+                    for p in range(0, len(u), 1 << 14):
+                        q = slice(p, p + (1 << 14))
+                        same[q] = (sig[x][u[q]] == sig[y][v[q]]).sum(axis=1)
+                else:
+                    all_ = np.zeros(ok.shape, np.int32)
+                    for p in range(sig.shape[1]):
+                        all_ += sig[x, p][:, None] == sig[y, p][None, :]
+                    same = all_[u, v]
+                keep = same >= (_MIGHT + similarity - SIMILARITY) * sig.shape[1]
+                yield ids[u[keep] + i], ids[v[keep] + j]
+
+    def run(table: pa.Table) -> pa.Table:
+        key, ids, labels, n = (table.column(c).to_numpy() for c in ("key", "rep", "label", "n"))
+        order = np.lexsort((ids, key))
+        key, ids, labels, n = key[order], ids[order], labels[order], n[order]
+        sig = np.frombuffer(b"".join(table.column("signature").to_pylist()), np.uint32).reshape(len(ids), -1)[order]
+        edge = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1], [True]]))
+        pairs = [p for a, b in zip(edge[:-1].tolist(), edge[1:].tolist(), strict=True) for p in bucket(ids[a:b], labels[a:b], n[a:b], sig[a:b])]
+        both = np.unique(np.stack([np.concatenate([p[i] for p in pairs]) for i in (0, 1)], axis=1), axis=0)
+        return pa.table({"a": both[:, 0].astype(np.int64), "b": both[:, 1].astype(np.int64)})
+
+    return run
 
 
 def near_duplicate_classes(docs: DataFrame, similarity: float = SIMILARITY, k: int = SHINGLE) -> DataFrame:
@@ -250,29 +269,31 @@ def near_duplicate_classes(docs: DataFrame, similarity: float = SIMILARITY, k: i
     table = signature_table(docs, k).checkpoint()
     some = table.filter("n_shingles > 0")
     # equal multisets: one representative each
-    reps = some.groupBy("d1", "d2").agg(F.min("doc_id").alias("rep"), F.first(F.struct("bands", "signature")).alias("s")).select("rep", "s.bands", "s.signature").checkpoint()
-    bucket = reps.select("rep", F.explode("bands").alias("bucket"))
-    shared = bucket.groupBy("bucket").agg(F.min("rep").alias("center"), F.max("rep").alias("last")).filter("center < last")
-    rekeyed = shared.select(F.col("bucket").bitwiseXOR(F.lit(0x5DEECE66D)).alias("key"), "center")
-    members = bucket.select("rep", F.col("bucket").bitwiseXOR(F.lit(0x5DEECE66D)).alias("key")).join(rekeyed.hint("merge"), "key").select("key", "rep", "center").checkpoint()
+    reps = some.groupBy("d1", "d2").agg(F.min("doc_id").alias("rep"), F.first(F.struct("bands", "signature", "n_shingles")).alias("s")).select("rep", "s.bands", "s.signature", F.col("s.n_shingles").alias("n")).checkpoint()
+    bucket = reps.select("rep", "n", F.explode("bands").alias("bucket"))
+    shared = bucket.groupBy("bucket").agg(F.min(F.struct("rep", "n")).alias("center"), F.max("rep").alias("last")).filter("center.rep < last")
+    rekeyed = shared.select(F.col("bucket").bitwiseXOR(F.lit(0x5DEECE66D)).alias("key"), F.col("center.rep").alias("center"), F.col("center.n").alias("center_n"))
+    members = bucket.select("rep", "n", F.col("bucket").bitwiseXOR(F.lit(0x5DEECE66D)).alias("key")).join(rekeyed.hint("merge"), "key").select("key", "rep", "n", "center", "center_n").checkpoint()
     involved = members.select(F.col("rep").alias("_rep")).distinct()
     sets = _multisets(rows.join(involved, rows.doc_id == involved._rep, "left_semi").dropDuplicates(["doc_id"]), k).checkpoint()
 
-    pairs = members.filter("rep <> center").select(F.col("center").alias("a"), F.col("rep").alias("b")).distinct()
+    pairs = members.filter("rep <> center").filter(_near_sizes("n", "center_n", similarity)).select(F.col("center").alias("a"), F.col("rep").alias("b")).distinct()
     links = _verified(pairs, sets, similarity).checkpoint()
     labels = components(links)
     for i in range(1, STAR_ROUNDS):
         open_rows = _open(members, labels)
-        center = open_rows.groupBy("key").agg(F.min_by("rep", F.xxhash64("rep", "key", F.lit(i))).alias("c"))
+        center = open_rows.groupBy("key").agg(F.min_by(F.struct("rep", "n"), F.xxhash64("rep", "key", F.lit(i))).alias("c")).select("key", F.col("c.rep").alias("c"), F.col("c.n").alias("c_n"))
         c_label = labels.select(F.col("id").alias("c"), F.col("label").alias("found"))
-        center = center.join(c_label, "c", "left").select(F.col("key").bitwiseXOR(F.lit(i)).alias("k2"), "c", F.coalesce("found", "c").alias("c_label"))
-        pairs = open_rows.withColumn("k2", F.col("key").bitwiseXOR(F.lit(i))).join(center, "k2").filter("label <> c_label")
+        center = center.join(c_label, "c", "left").select(F.col("key").bitwiseXOR(F.lit(i)).alias("k2"), "c", "c_n", F.coalesce("found", "c").alias("c_label"))
+        pairs = open_rows.withColumn("k2", F.col("key").bitwiseXOR(F.lit(i))).join(center, "k2").filter("label <> c_label").filter(_near_sizes("n", "c_n", similarity))
         pairs = pairs.select(F.least("rep", "c").alias("a"), F.greatest("rep", "c").alias("b")).distinct()
         more = _verified(pairs, sets, similarity).checkpoint()
         links = links.union(more)
         labels = components(links)
     open_rows = _open(members, labels).join(reps.select("rep", "signature"), "rep")
-    pairs = open_rows.select("key", "rep", "label", "signature").groupBy("key").applyInArrow(_suspects, "a long, b long").distinct()
+    groups = max(1, open_rows.count() // _GROUP_ROWS * 4)
+    open_rows = open_rows.select("key", "rep", "label", "n", "signature").groupBy(F.pmod("key", F.lit(groups)).alias("group"))
+    pairs = open_rows.applyInArrow(_suspects(similarity), "a long, b long").distinct()
     links = links.union(_verified(pairs, sets, similarity)).checkpoint()
     labels = components(links)
 
@@ -288,9 +309,14 @@ def near_duplicate_classes(docs: DataFrame, similarity: float = SIMILARITY, k: i
     return known.unionByName(alone).unionByName(nameless)
 
 
+def _near_sizes(a: str, b: str, similarity: float) -> Column:
+    """Multisets of other sizes cannot be that alike."""
+    return (F.col(a) >= F.lit(similarity) * F.col(b)) & (F.col(b) >= F.lit(similarity) * F.col(a))
+
+
 def _open(members: DataFrame, labels: DataFrame) -> DataFrame:
     """Members of buckets that hold more than one component."""
-    rows = members.select("key", "rep").join(labels.select(F.col("id").alias("rep"), "label"), "rep", "left").select("key", "rep", F.coalesce("label", "rep").alias("label"))
+    rows = members.select("key", "rep", "n").join(labels.select(F.col("id").alias("rep"), "label"), "rep", "left").select("key", "rep", "n", F.coalesce("label", "rep").alias("label"))
     mixed = rows.groupBy("key").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).filter("lo < hi").select(F.col("key").bitwiseXOR(F.lit(77)).alias("k1"))
     return rows.withColumn("k1", F.col("key").bitwiseXOR(F.lit(77))).join(mixed, "k1", "left_semi").drop("k1")
 

@@ -88,15 +88,15 @@ class Model:
         return np.bincount(text, weights=self.ratio[bucket], minlength=n)[:n].astype(np.float64), np.bincount(text, minlength=n)[:n]
 
 
-def parting_value(scores: np.ndarray, good: np.ndarray, default: float) -> float:
-    """The score with the least sum of lost good and kept bad shares from it on:
-    the middle of the best gap."""
+def parting_value(scores: np.ndarray, good: np.ndarray, default: float, weight: float = 1.0) -> float:
+    """The score with the least sum of lost good and (``weight`` times) kept bad
+    shares from it on: the middle of the best gap."""
     s, y = np.asarray(scores), np.asarray(good).astype(bool)
     if not len(y) or y.all() or not y.any():
         return default
     order = np.argsort(s, kind="stable")
     s, y = s[order], y[order]
-    cost = np.concatenate([[0], np.cumsum(y) / y.sum()]) + 1 - np.concatenate([[0], np.cumsum(~y) / (~y).sum()])
+    cost = np.concatenate([[0], np.cumsum(y) / y.sum()]) + weight * (1 - np.concatenate([[0], np.cumsum(~y) / (~y).sum()]))
     edge = np.concatenate([[s[0] - 1], s, [s[-1] + 1]])
     gap = np.diff(edge)
     best = np.flatnonzero((cost <= cost.min() + 1e-12) & (gap > 0))

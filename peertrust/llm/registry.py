@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from . import bagminhash, bpe_transducer, flac_media, lim_packing, pii_feistel, quality_resampling, substring_dedup, suffix_dedup, toxicity_ordinal
+from . import bagminhash, bpe_transducer, flac_media, hilbert_ann, lim_packing, pii_feistel, quality_resampling, substring_dedup, suffix_dedup, toxicity_ordinal
 
 QUERIES = {
     "op1_substring_dedup": substring_dedup.query,
+    "op2_hilbert_ann": hilbert_ann.query,
     "op3_suffix_dedup": suffix_dedup.query,
     "op4_quality_resampling": quality_resampling.query,
     "op5_bagminhash": bagminhash.query,
@@ -18,4 +19,5 @@ QUERIES = {
 
 ORACLE_SQL = {
     "op1_substring_dedup": substring_dedup.ORACLE_SQL,
+    "op2_hilbert_ann": hilbert_ann.ORACLE_SQL,
 }
