@@ -21,7 +21,9 @@ Classes.
     in the buckets that still hold unlike components, so a group of thousands of
     copies costs a few links a member, never all pairs.
 4.  What then still shares a bucket without being of one component is compared by
-    signature, in blocks, and every pair that might reach the threshold is verified.
+    signature, in blocks; members that might reach the threshold with another
+    component are compared exactly, again in blocks, as products of incidence
+    matrices.  Only links that join components leave the task.
 
 A class is a component of documents linked at ``SIMILARITY`` or above, named by its
 smallest id.
@@ -225,39 +227,99 @@ def components(links: DataFrame) -> DataFrame:
             return labels
 
 
+def _buckets(table: pa.Table) -> Iterator[tuple[int, np.ndarray]]:
+    """Rows of each bucket of a group, by id."""
+    key, ids = table.column("key").to_numpy(), table.column("rep").to_numpy()
+    order = np.lexsort((ids, key))
+    edge = np.flatnonzero(np.concatenate([[True], key[order][1:] != key[order][:-1], [True]]))
+    for a, b in zip(edge[:-1].tolist(), edge[1:].tolist(), strict=True):
+        yield int(key[order[a]]), order[a:b]
+
+
+def _apart(labels: np.ndarray, n: np.ndarray, x: slice, y: slice, similarity: float) -> np.ndarray:
+    """Which pairs of two blocks are of unlike components and like sizes."""
+    ok = labels[x][:, None] != labels[y][None, :]
+    return ok & (n[x][:, None] >= similarity * n[y][None, :]) & (n[y][None, :] >= similarity * n[x][:, None])
+
+
 def _suspects(similarity: float):
-    """Pairs of one bucket that may reach the threshold though their components
-    differ: by size, and by signature, block by block."""
-
-    def bucket(ids: np.ndarray, labels: np.ndarray, n: np.ndarray, sig: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-        for i in range(0, len(ids), _BLOCK):
-            for j in range(i, len(ids), _BLOCK):
-                x, y = slice(i, i + _BLOCK), slice(j, j + _BLOCK)
-                ok = (labels[x][:, None] != labels[y][None, :]) & (np.arange(i, i + len(ids[x]))[:, None] < np.arange(j, j + len(ids[y]))[None, :])
-                ok &= (n[x][:, None] >= similarity * n[y][None, :]) & (n[y][None, :] >= similarity * n[x][:, None])
-                u, v = np.nonzero(ok)
-                if len(u) * 8 < ok.size:
-                    same = np.zeros(len(u), np.int32)
+    """``key, rep`` of members that, by signature, may reach the threshold with a
+    member of another component: one row a member, however many partners it has."""
+
+    def run(table: pa.Table) -> pa.Table:
+        ids, labels, n = (table.column(c).to_numpy() for c in ("rep", "label", "n"))
+        sig = np.frombuffer(b"".join(table.column("signature").to_pylist()), np.uint32).reshape(len(ids), -1)
+        least = (_MIGHT + similarity - SIMILARITY) * sig.shape[1]
+        keys, reps = [], []
+        for key, rows in _buckets(table):
+            l, m, g, hit = labels[rows], n[rows], sig[rows], np.zeros(len(rows), bool)
+            for i in range(0, len(rows), _BLOCK):
+                for j in range(i, len(rows), _BLOCK):
+                    x, y = slice(i, i + _BLOCK), slice(j, j + _BLOCK)
+                    u, v = np.nonzero(_apart(l, m, x, y, similarity))
                     for p in range(0, len(u), 1 << 14):
                         q = slice(p, p + (1 << 14))
-                        same[q] = (sig[x][u[q]] == sig[y][v[q]]).sum(axis=1)
-                else:
-                    all_ = np.zeros(ok.shape, np.int32)
-                    for p in range(sig.shape[1]):
-                        all_ += sig[x, p][:, None] == sig[y, p][None, :]
-                    same = all_[u, v]
-                keep = same >= (_MIGHT + similarity - SIMILARITY) * sig.shape[1]
-                yield ids[u[keep] + i], ids[v[keep] + j]
+                        like = (g[x][u[q]] == g[y][v[q]]).sum(axis=1) >= least
+                        hit[u[q][like] + i] = True
+                        hit[v[q][like] + j] = True
+            keys += [key] * int(hit.sum())
+            reps += ids[rows[hit]].tolist()
+        return pa.table({"key": pa.array(keys, pa.int64()), "rep": pa.array(reps, pa.int64())})
+
+    return run
+
+
+def overlaps(sets: list[np.ndarray], x: slice, y: slice) -> np.ndarray:
+    """Exact overlaps of all multisets of two blocks (ordered hashes that stand as
+    often as they weigh): a product of matrices whose columns are the occurrences
+    that more than one set has."""
+    part = [*sets[x], *sets[y]]
+    owner = np.repeat(np.arange(len(part)), [len(t) for t in part])
+    item = np.concatenate(part)
+    again = np.concatenate([[False], (item[1:] == item[:-1]) & (owner[1:] == owner[:-1])])
+    at = np.arange(len(item))
+    rank = at - np.maximum.accumulate(np.where(again, 0, at))  # the how-manieth of its hash in its set
+    item = mix(item ^ mix(rank.astype(np.uint64)))
+    kinds, column, count = np.unique(item, return_inverse=True, return_counts=True)
+    place = np.cumsum(count > 1) - 1
+    keep = count[column] > 1
+    owner, column = owner[keep], place[column[keep]]
+    n_x = len(sets[x])
+    out = np.zeros((n_x, len(part) - n_x), np.float32)
+    for c in range(0, int(place[-1]) + 1 if len(place) else 0, 4096):
+        here = (column >= c) & (column < c + 4096)
+        m = np.zeros((len(part), 4096), np.float32)
+        m[owner[here], column[here] - c] = 1
+        out += m[:n_x] @ m[n_x:].T
+    return np.rint(out)
+
+
+def _exact_links(similarity: float, block: int = 512):
+    """Links between unlike components of each bucket, verified on the multisets;
+    of links that join the same components, one."""
 
     def run(table: pa.Table) -> pa.Table:
-        key, ids, labels, n = (table.column(c).to_numpy() for c in ("key", "rep", "label", "n"))
-        order = np.lexsort((ids, key))
-        key, ids, labels, n = key[order], ids[order], labels[order], n[order]
-        sig = np.frombuffer(b"".join(table.column("signature").to_pylist()), np.uint32).reshape(len(ids), -1)[order]
-        edge = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1], [True]]))
-        pairs = [p for a, b in zip(edge[:-1].tolist(), edge[1:].tolist(), strict=True) for p in bucket(ids[a:b], labels[a:b], n[a:b], sig[a:b])]
-        both = np.unique(np.stack([np.concatenate([p[i] for p in pairs]) for i in (0, 1)], axis=1), axis=0)
-        return pa.table({"a": both[:, 0].astype(np.int64), "b": both[:, 1].astype(np.int64)})
+        ids, labels, n = (table.column(c).to_numpy() for c in ("rep", "label", "n"))
+        blobs = table.column("multiset")
+        a, b = [], []
+        for _, rows in _buckets(table):
+            sets = [np.frombuffer(blobs[int(r)].as_py(), np.uint64) for r in rows]
+            l, m = labels[rows].copy(), n[rows]
+            for i in range(0, len(rows), block):
+                for j in range(i, len(rows), block):
+                    x, y = slice(i, i + block), slice(j, j + block)
+                    ok = _apart(l, m, x, y, similarity)
+                    if not ok.any():
+                        continue
+                    both = overlaps(sets, x, y)
+                    ok &= both >= similarity * (m[x][:, None] + m[y][None, :] - both)
+                    for u, v in zip(*np.nonzero(ok), strict=True):
+                        lu, lv = l[u + i], l[v + j]
+                        if lu != lv:
+                            a.append(int(ids[rows[u + i]]))
+                            b.append(int(ids[rows[v + j]]))
+                            l[l == max(lu, lv)] = min(lu, lv)
+        return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
 
     return run
 
@@ -292,9 +354,10 @@ def near_duplicate_classes(docs: DataFrame, similarity: float = SIMILARITY, k: i
         labels = components(links)
     open_rows = _open(members, labels).join(reps.select("rep", "signature"), "rep")
     groups = max(1, open_rows.count() // _GROUP_ROWS * 4)
-    open_rows = open_rows.select("key", "rep", "label", "n", "signature").groupBy(F.pmod("key", F.lit(groups)).alias("group"))
-    pairs = open_rows.applyInArrow(_suspects(similarity), "a long, b long").distinct()
-    links = links.union(_verified(pairs, sets, similarity)).checkpoint()
+    group = F.pmod("key", F.lit(groups)).alias("group")
+    suspects = open_rows.select("key", "rep", "label", "n", "signature").groupBy(group).applyInArrow(_suspects(similarity), "key long, rep long").checkpoint()
+    rest = suspects.join(_open(members, labels), ["key", "rep"]).join(sets.withColumnRenamed("id", "rep"), "rep").select("key", "rep", "label", "n", "multiset")
+    links = links.union(rest.groupBy(group).applyInArrow(_exact_links(similarity), "a long, b long")).distinct().checkpoint()
     labels = components(links)
 
     # back to all rows: digests of representatives, in an exchange of their own

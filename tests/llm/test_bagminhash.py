@@ -73,3 +73,27 @@ def test_chains_edges_and_repeats(spark):
     kept = {r.doc_id for r in bag.keep_representatives(df).collect()}
     assert kept == {i for i, c in want.items() if i == c}
     assert bag.near_duplicate_classes(df.limit(0)).count() == 0
+
+
+def test_overlaps_of_blocks():
+    rng = np.random.default_rng(5)
+    sets = [np.sort(rng.integers(0, 30, rng.integers(1, 40)).astype(np.uint64)) for _ in range(9)]
+    got = bag.overlaps(sets, slice(0, 4), slice(2, 9))
+    for i, a in enumerate(sets[0:4]):
+        for j, b in enumerate(sets[2:9]):
+            assert got[i, j] == sum((Counter(a.tolist()) & Counter(b.tolist())).values())
+            union = len(a) + len(b) - got[i, j]
+            assert abs(bag.weighted_jaccard(a, b) - got[i, j] / union) < 1e-12
+
+
+def test_large_group_of_near_copies(spark):
+    rng = np.random.default_rng(8)
+    base = [f"w{i}" for i in range(100)]
+    docs = []
+    for i in range(300):
+        words = list(base)
+        for j in rng.choice(100, rng.integers(1, 7), replace=False):
+            words[j] = f"z{rng.integers(1 << 30)}"
+        docs.append((i, " ".join(words)))
+    df = spark.createDataFrame(docs, "doc_id long, text string")
+    assert {r.doc_id: r.class_id for r in bag.near_duplicate_classes(df).collect()} == classes(docs)
