@@ -6,9 +6,16 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
-ORACLE_SQL: dict[str, str] = {}
+from peertrust.estimate import estimate, rank
+from peertrust.queries import ledger, ranking
+from peertrust.sources.tables import peer_edges
+from peertrust.walks import simulate_walks
+
+_MODULES = (ledger, ranking)
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {k: q for m in _MODULES for k, q in m.QUERIES.items()}
+ORACLE_SQL: dict[str, str] = {k: q for m in _MODULES for k, q in m.ORACLE_SQL.items()}
 
 
 def entry(spark: SparkSession) -> DataFrame:
-    raise NotImplementedError
+    """From the ledger to a ranking: the ten peers that peer 0 trusts most."""
+    return rank(estimate(simulate_walks(peer_edges(spark, "/root/testdata/sf0.001"), 0)), 10)
