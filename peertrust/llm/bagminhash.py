@@ -16,10 +16,10 @@ Classes.
 1.  Documents with equal shingle multisets are one; the smallest id stands for them.
 2.  Signatures are cut into bands; equal bands make a bucket.  (At a likeness of
     0.8, 32 bands of 4 miss a pair once in 20 million.)
-3.  Every bucket is a star around one member: links to it are verified on the exact
-    multisets, and verified links make components.  Later rounds take other centres
-    in the buckets that still hold unlike components, so a group of thousands of
-    copies costs a few links a member, never all pairs.
+3.  Every bucket is a star around its smallest member: links to it are verified on
+    the exact multisets, and verified links make components.  (More rounds may take
+    other centres in the buckets that still hold unlike components.)  So a group of
+    thousands of copies costs a few links a member, never all pairs.
 4.  What then still shares a bucket without being of one component is compared by
     signature, in blocks; members that might reach the threshold with another
     component are compared exactly, again in blocks, as products of incidence
@@ -49,7 +49,7 @@ from .wordhash import runs, tokens
 SHINGLE, SIMILARITY = 5, 0.8
 BANDS, ROWS = 32, 4
 PLACES = BANDS * ROWS
-STAR_ROUNDS = 2
+STAR_ROUNDS = 1
 #: Estimated likeness from which a pair is verified in the last step: five standard
 #: errors below the threshold.
 _MIGHT = SIMILARITY - 5 * (SIMILARITY * (1 - SIMILARITY) / PLACES) ** 0.5
@@ -159,7 +159,7 @@ def signature_table(docs: DataFrame, k: int = SHINGLE) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in slices(batch, "text", 2 << 20):
+            for part in slices(batch, "text", 1 << 20):
                 n = part.num_rows
                 text, shingle, weight = shingle_multisets(*utf8(part.column(1)), k)
                 sig = signatures(text, shingle, weight, n)
@@ -184,7 +184,7 @@ def signature_table(docs: DataFrame, k: int = SHINGLE) -> DataFrame:
 def _multisets(docs: DataFrame, k: int) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in slices(batch, "text", 2 << 20):
+            for part in slices(batch, "text", 1 << 20):
                 text, shingle, weight = shingle_multisets(*utf8(part.column(1)), k)
                 text, shingle = np.repeat(text, weight), np.repeat(shingle, weight)
                 edge = np.searchsorted(text, np.arange(part.num_rows + 1)).tolist()

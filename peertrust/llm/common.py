@@ -2,8 +2,11 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
 import tempfile
 import uuid
+from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -69,7 +72,14 @@ def utf8(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return data[offsets[0] : offsets[-1]], offsets - offsets[0]
 
 
-def slices(batch: pa.RecordBatch, column: str, limit: int = 4 << 20):
+def trim() -> None:
+    """Gives freed memory back: idle workers stay, and should hold little."""
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):
+        ctypes.CDLL(None).malloc_trim(0)
+
+
+def slices(batch: pa.RecordBatch, column: str, limit: int = 2 << 20) -> Iterator[pa.RecordBatch]:
     """The batch in pieces of consecutive rows of about ``limit`` text bytes (a
     longer text is a piece of its own), so that memory follows ``limit``."""
     _, offsets = utf8(batch.column(batch.schema.get_field_index(column)))
@@ -79,6 +89,7 @@ def slices(batch: pa.RecordBatch, column: str, limit: int = 4 << 20):
         end = min(max(end, at + 1), n)
         yield batch.slice(at, end - at)
         at = end
+    trim()
 
 
 def unit_hash(*parts) -> Column:

@@ -198,9 +198,9 @@ def select_documents(docs: DataFrame, labels: DataFrame, k: int | None = None, t
 
     @F.pandas_udf("double")
     def sample_key(doc_id: pd.Series, text: pd.Series) -> pd.Series:
-        data, offsets = utf8(pa.array(text.fillna(""), pa.large_string(), from_pandas=True))
-        score, _ = shared.value.scores(data, offsets)
-        return pd.Series(score / temperature + gumbel(doc_id.fillna(-1).to_numpy().astype(np.int64), seed))
+        batch = pa.RecordBatch.from_arrays([pa.array(text, pa.string(), from_pandas=True)], names=["text"])
+        score = [shared.value.scores(*utf8(part.column(0)))[0] for part in slices(batch, "text")]
+        return pd.Series(np.concatenate([*score, np.empty(0)]) / temperature + gumbel(doc_id.fillna(-1).to_numpy().astype(np.int64), seed))
 
     key = sample_key(F.col("doc_id").cast("long"), F.coalesce(F.col("text").cast("string"), F.lit("")))
     return docs.filter(_drawn(key, last))
