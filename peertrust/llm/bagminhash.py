@@ -243,14 +243,14 @@ def _apart(labels: np.ndarray, n: np.ndarray, x: slice, y: slice, similarity: fl
 
 
 def _suspects(similarity: float):
-    """``key, rep`` of members that, by signature, may reach the threshold with a
-    member of another component: one row a member, however many partners it has."""
+    """``key, rep, label, n`` of members that, by signature, may reach the threshold
+    with a member of another component: one row a member, however many partners."""
 
     def run(table: pa.Table) -> pa.Table:
         ids, labels, n = (table.column(c).to_numpy() for c in ("rep", "label", "n"))
         sig = np.frombuffer(b"".join(table.column("signature").to_pylist()), np.uint32).reshape(len(ids), -1)
         least = (_MIGHT + similarity - SIMILARITY) * sig.shape[1]
-        keys, reps = [], []
+        keys, found = [], []
         for key, rows in _buckets(table):
             l, m, g, hit = labels[rows], n[rows], sig[rows], np.zeros(len(rows), bool)
             for i in range(0, len(rows), _BLOCK):
@@ -262,9 +262,10 @@ def _suspects(similarity: float):
                         like = (g[x][u[q]] == g[y][v[q]]).sum(axis=1) >= least
                         hit[u[q][like] + i] = True
                         hit[v[q][like] + j] = True
-            keys += [key] * int(hit.sum())
-            reps += ids[rows[hit]].tolist()
-        return pa.table({"key": pa.array(keys, pa.int64()), "rep": pa.array(reps, pa.int64())})
+            keys.append(np.full(int(hit.sum()), key, np.int64))
+            found.append(rows[hit])
+        pick = np.concatenate([*found, np.empty(0, np.int64)]).astype(np.int64)
+        return pa.table({"key": np.concatenate([*keys, np.empty(0, np.int64)]), "rep": ids[pick], "label": labels[pick], "n": n[pick]})
 
     return run
 
@@ -352,11 +353,12 @@ def near_duplicate_classes(docs: DataFrame, similarity: float = SIMILARITY, k: i
         more = _verified(pairs, sets, similarity).checkpoint()
         links = links.union(more)
         labels = components(links)
-    open_rows = _open(members, labels).join(reps.select("rep", "signature"), "rep")
+    open_rows = _open(members, labels).checkpoint()
     groups = max(1, open_rows.count() // _GROUP_ROWS * 4)
     group = F.pmod("key", F.lit(groups)).alias("group")
-    suspects = open_rows.select("key", "rep", "label", "n", "signature").groupBy(group).applyInArrow(_suspects(similarity), "key long, rep long").checkpoint()
-    rest = suspects.join(_open(members, labels), ["key", "rep"]).join(sets.withColumnRenamed("id", "rep"), "rep").select("key", "rep", "label", "n", "multiset")
+    signed = open_rows.join(reps.select("rep", "signature"), "rep").select("key", "rep", "label", "n", "signature")
+    suspects = signed.groupBy(group).applyInArrow(_suspects(similarity), "key long, rep long, label long, n long")
+    rest = suspects.join(sets.withColumnRenamed("id", "rep"), "rep").select("key", "rep", "label", "n", "multiset")
     links = links.union(rest.groupBy(group).applyInArrow(_exact_links(similarity), "a long, b long")).distinct().checkpoint()
     labels = components(links)
 
