@@ -115,8 +115,10 @@ def drop_seed_check(new: DataFrame, seed: int) -> None:
 
 def update_cost(before: DataFrame, after: DataFrame, gen: int) -> DataFrame:
     """One row: walks touched, hops redone, visits kept, and their share."""
-    fresh = after.filter(F.col("gen") == gen)
-    redone = fresh.agg(F.count(F.lit(1)).alias("redone"), F.count_distinct("walk_id").alias("touched"))
+    fresh = after.filter(F.col("gen") == gen).select("walk_id", "step", "node")
+    lost = before.join(after, ["walk_id", "gen", "step", "node"], "left_anti").select("walk_id")
+    touched = fresh.select("walk_id").union(lost).agg(F.count_distinct("walk_id").alias("touched"))
+    redone = fresh.agg(F.count(F.lit(1)).alias("redone")).join(touched, how="cross")
     totals = before.agg(F.count(F.lit(1)).alias("visits_before")).join(after.agg(F.count(F.lit(1)).alias("visits_after")), how="cross")
     kept = (F.col("visits_after") - F.col("redone")) / F.col("visits_after")
     return totals.join(redone, how="cross").select("touched", "redone", "visits_before", "visits_after", kept.alias("kept_share"))
