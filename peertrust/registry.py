@@ -7,12 +7,12 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from peertrust.estimate import estimate, rank
-from peertrust.operators import expressions, relational
+from peertrust.operators import expressions, extended, relational
 from peertrust.queries import detection, ledger, mechanisms, ranking, updates, workloads
 from peertrust.sources.tables import peer_edges
 from peertrust.walks import simulate_walks
 
-_MODULES = (ledger, ranking, updates, workloads, detection, mechanisms, workloads, relational, expressions)
+_MODULES = (ledger, ranking, updates, workloads, detection, mechanisms, workloads, relational, expressions, extended)
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {k: q for m in _MODULES for k, q in m.QUERIES.items()}
 ORACLE_SQL: dict[str, str] = {k: q for m in _MODULES for k, q in m.ORACLE_SQL.items()}
 

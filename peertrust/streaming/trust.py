@@ -50,9 +50,14 @@ def batches(transfers: DataFrame, by: str = "time", size: int = 1_000) -> DataFr
 
 
 class TrustStore:
-    """Pair nets, walks and scores, moved on a batch at a time."""
+    """Pair nets, walks and scores, moved on a batch at a time.
 
-    def __init__(self, spark: SparkSession, seed: int, n_walks: int = 300, alpha: float = 0.3, policy: str = "coupling", refresh: RefreshPolicy | None = None):
+    ``max_pairs`` bounds the work of an update: changes of more pairs wait for the
+    next ones, in hashed order, so load is even and walks always belong to one graph
+    (that of the pairs taken in so far)."""
+
+    def __init__(self, spark: SparkSession, seed: int, n_walks: int = 300, alpha: float = 0.3, policy: str = "coupling", refresh: RefreshPolicy | None = None, max_pairs: int | None = None):
+        self.max_pairs, self.waiting = max_pairs, None
         self.spark, self.seed, self.n_walks, self.alpha, self.policy = spark, seed, n_walks, alpha, policy
         self.refresh = refresh or RefreshPolicy()
         self.net, self.walks, self.batch, self.rebuilds = spark.createDataFrame([], "a long, b long, net long"), None, 0, 0
@@ -64,6 +69,13 @@ class TrustStore:
     def update(self, transfers: DataFrame) -> None:
         old = self.edges
         delta = net_by_pair(transfers)
+        if self.waiting is not None:
+            delta = self.waiting.union(delta).groupBy("a", "b").agg(F.sum("net").alias("net"))
+        if self.max_pairs is not None:
+            delta = cut(delta)
+            taken = cut(delta.orderBy(F.xxhash64("a", "b"), "a", "b").limit(self.max_pairs))
+            self.waiting = cut(delta.join(taken.select("a", "b"), ["a", "b"], "left_anti"))
+            delta = taken
         self.net = cut(self.net.union(delta).groupBy("a", "b").agg(F.sum("net").alias("net")))
         self.batch += 1
         if self.walks is None or self.refresh.due(self.batch):

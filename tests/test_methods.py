@@ -195,6 +195,24 @@ def test_stream_replay_and_state(spark, sf, tmp_path):
     assert key(graph.edges_from_net(spark.table("pair_nets"))) == key(peer_edges(spark, sf))
 
 
+def test_store_spreads_its_load(spark, sf):
+    from peertrust.sources.tables import interactions
+
+    x = cut(interactions(spark, sf))
+    store = trust.TrustStore(spark, 0, 20, max_pairs=40)
+    empty, sizes = x.limit(0), []
+    store.update(x)
+    while store.waiting.count():
+        sizes.append(store.edges.count())
+        store.update(empty)
+    assert sizes and max(np.diff([0, *sizes])) <= 40
+    key = lambda df: sorted(tuple(r) for r in df.select("src", "dst", "w").collect())
+    assert key(store.edges) == key(peer_edges(spark, sf))
+    hops = {(r.src, r.dst) for r in store.edges.collect()}
+    rows = store.walks.orderBy("walk_id", "step").collect()
+    assert all((a.node, b.node) in hops for a, b in zip(rows, rows[1:]) if a.walk_id == b.walk_id)
+
+
 def test_refresh_policy():
     p = incremental.RefreshPolicy(k=3, max_error=0.1)
     assert [p.due(i) for i in range(5)] == [False, False, False, True, False] and p.due(1, 0.2)
