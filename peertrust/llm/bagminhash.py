@@ -127,15 +127,6 @@ def _points(text: np.ndarray, shingle: np.ndarray, weight: np.ndarray, horizon:
             x, state = x[one] + _exponential(later), later
 
 
-def band_hashes(signature: np.ndarray, bands: int = BANDS) -> np.ndarray:
-    n, places = signature.shape
-    cut = signature.reshape(n, bands, places // bands)
-    out = np.broadcast_to(mix(np.arange(1, bands + 1, dtype=np.uint64)), (n, bands)).copy()
-    for j in range(cut.shape[2]):
-        out = mix(out ^ cut[:, :, j])
-    return out
-
-
 def weighted_jaccard(a: np.ndarray, b: np.ndarray) -> float:
     """Of two multisets, as ordered hashes that stand as often as they weigh."""
     if not len(a) or not len(b):
@@ -153,9 +144,15 @@ def weighted_jaccard(a: np.ndarray, b: np.ndarray) -> float:
 # --- Spark ---------------------------------------------------------------------------
 
 
+def bands() -> Column:
+    """A hash for each band: four places of the signature, and the band's number."""
+    width = 4 * ROWS
+    return F.transform(F.sequence(F.lit(0), F.lit(BANDS - 1)), lambda j: F.xxhash64(F.substr("signature", j * width + 1, F.lit(width)), j))
+
+
 def signature_table(docs: DataFrame, k: int = SHINGLE) -> DataFrame:
-    """``doc_id, n_shingles, d1, d2`` (digest of the multiset), ``bands, signature``
-    (32 bits of each place)."""
+    """``doc_id, n_shingles, d1, d2`` (digest of the multiset), ``signature`` (32 bits
+    of each place)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -169,16 +166,14 @@ def signature_table(docs: DataFrame, k: int = SHINGLE) -> DataFrame:
                 d1, d2 = np.zeros(n, np.uint64), np.zeros(n, np.uint64)
                 np.add.at(d1, text, item)
                 np.add.at(d2, text, other)
-                bands = band_hashes(sig).view(np.int64)
                 short = (mix(sig) >> np.uint64(32)).astype(np.uint32)
-                flat = pa.array(bands.reshape(-1), pa.int64())
                 yield pa.RecordBatch.from_arrays(
                     [part.column(0), pa.array(total), pa.array(d1.view(np.int64)), pa.array(d2.view(np.int64)),
-                     pa.ListArray.from_arrays(pa.array(np.arange(n + 1, dtype=np.int32) * BANDS), flat), pa.array([s.tobytes() for s in short], pa.binary())],
-                    names=["doc_id", "n_shingles", "d1", "d2", "bands", "signature"],
+                     pa.array([s.tobytes() for s in short], pa.binary())],
+                    names=["doc_id", "n_shingles", "d1", "d2", "signature"],
                 )
 
-    return id_and_text(docs).filter(F.col("doc_id").isNotNull()).mapInArrow(run, "doc_id long, n_shingles long, d1 long, d2 long, bands array<long>, signature binary")
+    return id_and_text(docs).filter(F.col("doc_id").isNotNull()).mapInArrow(run, "doc_id long, n_shingles long, d1 long, d2 long, signature binary")
 
 
 def _multisets(docs: DataFrame, k: int) -> DataFrame:
@@ -332,8 +327,8 @@ def near_duplicate_classes(docs: DataFrame, similarity: float = SIMILARITY, k: i
     table = signature_table(docs, k).checkpoint()
     some = table.filter("n_shingles > 0")
     # equal multisets: one representative each
-    reps = some.groupBy("d1", "d2").agg(F.min("doc_id").alias("rep"), F.first(F.struct("bands", "signature", "n_shingles")).alias("s")).select("rep", "s.bands", "s.signature", F.col("s.n_shingles").alias("n")).checkpoint()
-    bucket = reps.select("rep", "n", F.explode("bands").alias("bucket"))
+    reps = some.groupBy("d1", "d2").agg(F.min("doc_id").alias("rep"), F.first(F.struct("signature", "n_shingles")).alias("s")).select("rep", "s.signature", F.col("s.n_shingles").alias("n")).checkpoint()
+    bucket = reps.select("rep", "n", F.explode(bands()).alias("bucket"))
     shared = bucket.groupBy("bucket").agg(F.min(F.struct("rep", "n")).alias("center"), F.max("rep").alias("last")).filter("center.rep < last")
     rekeyed = shared.select(F.col("bucket").bitwiseXOR(F.lit(0x5DEECE66D)).alias("key"), F.col("center.rep").alias("center"), F.col("center.n").alias("center_n"))
     members = bucket.select("rep", "n", F.col("bucket").bitwiseXOR(F.lit(0x5DEECE66D)).alias("key")).join(rekeyed.hint("merge"), "key").select("key", "rep", "n", "center", "center_n").checkpoint()
