@@ -10,19 +10,20 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.functions import udtf
 
 from peertrust.functions.rng import RNG_SEED
 from peertrust.walks import Adjacency, local_edges, run_walks, step_cap
 
 
-@F.pandas_udf("long")
+@F.pandas_udf(T.LongType())
 def u32_udf(key: pd.Series) -> pd.Series:
     """The draw of a joined key; ``functions.rng.u32`` is the built-in form."""
     return key.map(lambda k: int(hashlib.md5(k.encode()).hexdigest()[:8], 16))
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def auroc_udaf(score: pd.Series, honest: pd.Series) -> float:
     """Area under the curve of one group, with midranks; NaN for one class."""
     ranks, n1 = score.rank(), int(honest.sum())
@@ -30,7 +31,7 @@ def auroc_udaf(score: pd.Series, honest: pd.Series) -> float:
     return float((ranks[honest].sum() - n1 * (n1 + 1) / 2) / (n1 * n0)) if n1 and n0 else float("nan")
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def kendall_udaf(a: pd.Series, b: pd.Series) -> float:
     """Kendall's tau-b of one group (all pairs of it: for short lists)."""
     x, y = a.to_numpy(float), b.to_numpy(float)
@@ -40,7 +41,7 @@ def kendall_udaf(a: pd.Series, b: pd.Series) -> float:
     return float((p * q).sum() / norm) if norm else float("nan")
 
 
-@udtf(returnType="cut: long, node: long, fpr: double, tpr: double")
+@udtf(returnType=T.StructType([T.StructField("cut", T.LongType()), T.StructField("node", T.LongType()), T.StructField("fpr", T.DoubleType()), T.StructField("tpr", T.DoubleType())]))
 class RocPoints:
     """Points of the curve of one partition of a table of ``node, is_honest, score``."""
 
