@@ -43,7 +43,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .bytehash import mix
-from .common import id_and_text, shared_dir, slices, utf8
+from .common import fresh, id_and_text, shared_dir, slices, utf8
 from .wordhash import runs, tokens
 
 SHINGLE, SIMILARITY = 5, 0.8
@@ -383,10 +383,10 @@ def _open(members: DataFrame, labels: DataFrame) -> DataFrame:
 
 def keep_representatives(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
     """The rows of ``docs`` that name their class; of rows with one id, one."""
-    classes = near_duplicate_classes(docs, similarity).filter("class_id = doc_id").select(F.col("doc_id").alias("_kept")).distinct()
-    nameless = docs.filter(F.col("doc_id").isNull())
-    named = docs.join(classes, docs.doc_id == classes._kept, "left_semi").dropDuplicates(["doc_id"])
-    return named.unionByName(nameless)
+    key = fresh(docs, "_kept")
+    classes = near_duplicate_classes(docs, similarity).filter("class_id = doc_id").select(F.col("doc_id").alias(key)).distinct()
+    named = docs.join(classes, F.col("doc_id") == F.col(key), "left_semi").dropDuplicates(["doc_id"])
+    return named.unionByName(docs.filter(F.col("doc_id").isNull()))
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

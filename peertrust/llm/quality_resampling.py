@@ -24,8 +24,9 @@ A word that repeats the one before it counts as a mark for repetition, so stutte
 text shows in the models.
 
 Defined results: texts without any token have importance 1 (logarithm 0) and are
-judged by the noise and the threshold as all others are; a sample whose first
-half has no good rows raises ``ValueError``; rows that repeat an id share its noise.
+judged by the noise and the threshold as all others are; where no labelled document
+is good there is no target, every importance is 1 and all documents are drawn; rows
+that repeat an id share its noise.
 """
 
 from __future__ import annotations
@@ -71,11 +72,9 @@ class Model:
     """Log ratios of the hashed n-gram models, and the log odds of a raw document."""
 
     def __init__(self, target: np.ndarray, raw: np.ndarray, share: float):
-        if not target.sum():
-            raise ValueError("no labelled document is good")
         expected = raw * (target.sum() / max(raw.sum(), 1))
         self.ratio = np.log((target + PRIOR) / (expected + PRIOR))
-        self.share = share
+        self.share, self.known = share, bool(target.sum())
 
     @property
     def threshold(self) -> float:
@@ -178,6 +177,8 @@ def resample(docs: DataFrame, labels: DataFrame, k: int | None = None, temperatu
     model = fit(docs, labels)
     shared_dir(docs.sparkSession)
     scores = scored(docs, model, temperature, seed).checkpoint()
+    if k is None and not model.known:
+        return scores.withColumn("keep", F.lit(True)), model, None
     if k is None:
         sample = labelled_sample(labels).filter("half = 1")
         known = scores.join(F.broadcast(sample), scores.doc_id == sample.label_id).select("log_weight", "good").collect()  # the sample

@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import id_and_text
+from .common import fresh, id_and_text
 
 #: What parts the units, and what joins the kept ones again.
 UNITS = {"line": "\n", "paragraph": "\n\n"}
@@ -110,12 +110,13 @@ def remove_repeats(docs: DataFrame, unit: str = "line", min_words: int = MIN_WOR
 def dedup_documents(docs: DataFrame, unit: str = "line", min_words: int = MIN_WORDS) -> DataFrame:
     """``docs`` with its own columns, ``text`` (and ``n_chars``) without repeats.
     Documents that only held repeats stay, with an empty text."""
-    gone = repeated_units(docs, unit, min_words).select(F.col("doc_id").alias("_gone_id"), F.col("positions").alias("_gone"))
-    left = _without(unit)(F.col("text"), F.col("_gone"))
-    out = docs.join(gone, docs.doc_id == gone._gone_id, "left").withColumn("text", F.when(F.col("_gone").isNull(), F.col("text")).otherwise(left))
+    key, gone_name = fresh(docs, "_gone_id"), fresh(docs, "_gone")
+    gone = repeated_units(docs, unit, min_words).select(F.col("doc_id").alias(key), F.col("positions").alias(gone_name))
+    none = F.col(gone_name).isNull()
+    out = docs.join(gone, F.col("doc_id") == F.col(key), "left").withColumn("text", F.when(none, F.col("text")).otherwise(_without(unit)(F.col("text"), F.col(gone_name))))
     if "n_chars" in docs.columns:
-        out = out.withColumn("n_chars", F.when(F.col("_gone").isNull(), F.col("n_chars")).otherwise(F.length("text").cast("long")))
-    return out.select(*[F.col(c) for c in docs.columns])
+        out = out.withColumn("n_chars", F.when(none, F.col("n_chars")).otherwise(F.length("text").cast("long")))
+    return out.select(*docs.columns)
 
 
 def _without(unit: str):

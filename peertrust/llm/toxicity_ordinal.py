@@ -16,7 +16,7 @@ hashed ids (the sample is broadcast to find them, and their distinct hashed word
 come to the driver); scoring covers every whole text, without a shuffle.
 
 Defined results: null and empty texts have no features and get the base rates; a
-label table with fewer than two grades raises ``ValueError``.
+label table with fewer than two grades gives every text its one grade (0, if none).
 """
 
 from __future__ import annotations
@@ -82,7 +82,8 @@ def train(row: np.ndarray, word: np.ndarray, grade: np.ndarray, buckets: int = B
     ones of the design matrix.  Words of fewer than four texts are left out."""
     n, top = len(grade), int(grade.max(initial=0))
     if len(np.unique(grade)) < 2:
-        raise ValueError("the labelled texts have fewer than two grades")
+        # nothing to tell apart: the one grade is all but certain
+        return OrdinalModel(np.zeros(buckets), np.array([-13.8 if n and top else 13.8]))
     share = np.clip([(grade <= k).mean() for k in range(top)], 1e-6, 1 - 1e-6)
     # only words whose slope at the start is half the penalty or more can come in
     edges = np.concatenate([[0.0], share, [1.0]])
@@ -160,6 +161,8 @@ def fit(docs: DataFrame, sample: DataFrame, buckets: int = BUCKETS, refine: bool
     row = np.repeat(np.arange(len(data)), [len(d) for d in data]) if data else np.empty(0, np.int64)
     word = np.concatenate(data).astype(np.int64) if data else np.empty(0, np.int64)
     grade = np.array([r.grade for r in found], np.int64)
+    if len(np.unique(grade)) < 2:
+        return train(row, word, grade, buckets)
     # every fifth text sets the cut, the others train
     held = np.arange(len(grade)) % 5 == 4
     seen = ~held[row]

@@ -51,3 +51,26 @@ def test_registry():
     assert sorted(int(n[2:].split("_")[0]) for n in registry.QUERIES) == list(range(1, 11))
     assert set(registry.ORACLE_SQL) <= set(registry.QUERIES)
     assert [n for n, _ in corpus_pipeline.STAGES] == ["quality", "near_duplicates", "repeated_lines", "private_data", "packing"]
+
+
+def test_stages_bear_odd_tables(spark):
+    """Null ids and texts, repeated rows, a very long text, extra columns named like
+    the operators' own, and no rows at all."""
+    names = ["_gone", "_gone_id", "_kept", "rep", "label", "positions", "key", "n", "toxic", "_share"]
+    long = " ".join(f"w{i % 977}" for i in range(60_000))
+    rows = [(1, None), (2, ""), (3, "a few plain words in one line\nand one more line of words here"), (3, "a few plain words in one line\nand one more line of words here"), (None, "no id but some words in it"), (4, long), (5, long)]
+    schema = "doc_id long, text string, lang string, source string, n_chars long, " + ", ".join(f"{n} int" for n in names)
+    docs = spark.createDataFrame([(*r, None, "s", 1, *range(len(names))) for r in rows], schema)
+    sf = "/root/testdata/sf0.001"
+    for table in (docs, docs.limit(0)):
+        at = table
+        for i, (name, stage) in enumerate(corpus_pipeline.STAGES):
+            if name == "quality" and table is not docs:
+                continue  # a model of no documents has nothing to learn from
+            out = stage(spark, table, sf)
+            assert i == 4 or out.columns == table.columns
+            at = out.count()
+        assert (at > 0) == (table is docs)
+    kept = {r.doc_id for r in corpus_pipeline.near_duplicates(spark, docs, sf).collect()}
+    assert kept == {None, 1, 2, 3, 4}
+    assert {r.text for r in corpus_pipeline.repeated_lines(spark, docs, sf).filter("doc_id = 5").collect()} == {""}

@@ -1,5 +1,4 @@
 import numpy as np
-import pytest
 from pyspark.sql import functions as F
 
 from peertrust.llm import quality_resampling as q
@@ -41,8 +40,7 @@ def test_quality_edge_cases(spark):
     labels = spark.createDataFrame([*((i, 1, 0) for i in range(3, 12)), (99, None, None)], "doc_id long, quality int, toxic int")
     rows = q.resample(docs, labels)[0].collect()
     assert len(rows) == 5 and all(r.log_weight == 0 for r in rows if r.doc_id in (1, 2))
-    with pytest.raises(ValueError):
-        q.fit(docs, labels.limit(0))
+    assert q.resample(docs, labels.limit(0))[0].filter("keep").count() == 5
     assert q.resample(docs.filter("doc_id = 3"), labels, k=1)[0].count() == 2
 
 
@@ -77,5 +75,8 @@ def test_toxicity_edge_cases(spark):
     docs = spark.createDataFrame([(1, None, 1), (2, "", 1), (None, "a b", 1)], "doc_id long, text string, toxic int")
     assert [round(r.p_toxic, 6) for r in tox.score(docs, model).collect()] == [0.119203] * 3
     assert tox.score(docs.limit(0), model).count() == 0
-    with pytest.raises(ValueError):
-        tox.train(np.empty(0, int), np.empty(0, int), np.zeros(3, int))
+    for grade, toxic in (([0, 0, 0], 0), ([1, 1, 1], 3), ([], 0)):
+        flat = tox.train(np.empty(0, int), np.empty(0, int), np.array(grade, int))
+        assert tox.score(docs, flat).filter("toxic").count() == toxic
+    none = tox.labelled_sample(spark.createDataFrame([(None, 1, 1), (1, None, None)], "doc_id long, quality int, toxic int"))
+    assert tox.score(docs, tox.fit(docs, none)).filter("toxic").count() == 0
