@@ -93,6 +93,7 @@ OPERATORS = {
         lambda spark, d: _reviews(spark, d).groupBy("lang").agg(F.round(fx.auroc_udaf("score", "is_honest"), 8).alias("auroc")),
         "SELECT lang, round(sum(CASE WHEN a.s > b.s THEN 1.0 WHEN a.s = b.s THEN 0.5 ELSE 0 END) / count(*), 8)::DOUBLE AS auroc FROM (SELECT lang, n_chars AS s FROM documents JOIN labels USING (doc_id) WHERE quality = 1) a JOIN (SELECT lang, n_chars AS s FROM documents JOIN labels USING (doc_id) WHERE quality <> 1) b USING (lang) GROUP BY lang",
     ),
+    "op_pandas_kendall": (lambda spark, d: load(spark, d, "part").groupBy("p_brand").agg(F.round(fx.kendall_udaf("p_size", "p_retailprice"), 8).alias("tau")), None),
     "op_auroc_by_group": (lambda spark, d: metrics.auroc(_reviews(spark, d), ["lang"]).withColumn("auroc", F.round("auroc", 8)), None),
     "op_table_function_roc": (
         _roc_table,

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from peertrust import estimate as est
-from peertrust import graph, locality, metrics, power, transition, walks
+from peertrust import doubling, graph, locality, metrics, power, transition, walks
 from peertrust.functions.rng import RNG_SEED, u32
 from peertrust.sources import tables as t
 
@@ -120,6 +120,7 @@ QUERIES = {
     "walks_visit_counts": lambda spark, d: est.visit_counts(_walks(spark, d)),
     "walks_confidence": lambda spark, d: _round(est.score_ci(_walks(spark, d)), "score", "se", "low", "high"),
     "walks_needed": lambda spark, d: spark.createDataFrame([(e, est.walks_for_error(e, 0.05, ALPHA)) for e in (0.1, 0.05, 0.01)], "eps double, n_walks long"),
+    "walks_doubling": lambda spark, d: _round(est.estimate(doubling.doubling_walks(t.peer_edges(spark, d), 4, 0.5, miss=1e-3), ["seed"]), "score"),
     "rank_top10": lambda spark, d: _round(est.rank(est.estimate(_walks(spark, d)), 10), "score"),
     "rank_choose_peer": lambda spark, d: _round(est.choose_peer(est.estimate(_walks(spark, d)), graph.nodes(t.peer_edges(spark, d)).filter("node % 3 = 1")), "score"),
     "locality_hops": lambda spark, d: locality.hop_distance(t.peer_edges(spark, d), SEED, 6),

@@ -213,6 +213,31 @@ def test_store_spreads_its_load(spark, sf):
     assert all((a.node, b.node) in hops for a, b in zip(rows, rows[1:]) if a.walk_id == b.walk_id)
 
 
+def test_doubling_has_the_law_of_walks(spark):
+    from peertrust.doubling import doubling_walks
+
+    e = edges(spark, (0, 1, 2), (1, 2, 3), (2, 0, 1), (1, 3, 1), (4, 0, 2), (0, 4, 1))
+    got = est.estimate(doubling_walks(e, 300, 0.4), ["seed"])
+    for seed in (0, 1):
+        mine = got.filter(F.col("seed") == seed).select("node", "score")
+        assert metrics.linf(mine, power.power_iteration(e, seed, 0.4, rounds=200)) < 0.05
+
+
+def test_stream_goes_on_where_it_stopped(spark, sf, tmp_path):
+    from peertrust.sources.files import stream_files
+    from peertrust.streaming.trust import EVENTS
+
+    events = spark.read.parquet(f"{sf}/events.parquet").repartition(4)
+    events.filter("event_id % 2 = 0").write.parquet(str(tmp_path / "in"))
+    run = lambda: stream_files(spark, str(tmp_path / "in"), EVENTS).writeStream.format("parquet").option("path", str(tmp_path / "out")).option("checkpointLocation", str(tmp_path / "state")).trigger(availableNow=True).start().awaitTermination()
+    run()
+    assert spark.read.parquet(str(tmp_path / "out")).count() == events.filter("event_id % 2 = 0").count()
+    events.filter("event_id % 2 = 1").write.mode("append").parquet(str(tmp_path / "in"))
+    run()
+    run()
+    assert spark.read.parquet(str(tmp_path / "out")).count() == events.count()
+
+
 def test_refresh_policy():
     p = incremental.RefreshPolicy(k=3, max_error=0.1)
     assert [p.due(i) for i in range(5)] == [False, False, False, True, False] and p.due(1, 0.2)
