@@ -10,15 +10,14 @@ from __future__ import annotations
 
 import numpy as np
 
-_MASK = np.uint64(0xFFFFFFFFFFFFFFFF)
-_BASE = 0x9E3779B97F4A7C15 | 1
-_INVERSE = pow(_BASE, -1, 1 << 64)
+BASE = 0x9E3779B97F4A7C15 | 1
+INVERSE = pow(BASE, -1, 1 << 64)
 #: A fixed random word for each byte value.
 LETTERS = np.random.Generator(np.random.PCG64(20_240_501)).integers(0, 1 << 64, 256, dtype=np.uint64)
 _powers: dict[int, np.ndarray] = {}
 
 
-def _powers_of(base: int, n: int) -> np.ndarray:
+def powers_of(base: int, n: int) -> np.ndarray:
     have = _powers.get(base)
     if have is None or len(have) < n:
         size = max(n, 1 << 16)
@@ -44,8 +43,8 @@ class HashedBytes:
         n = len(buf)
         self.buf = buf
         self.prefix = np.zeros(n + 1, np.uint64)
-        np.cumsum(LETTERS[buf] * _powers_of(_BASE, n + 1)[:n], out=self.prefix[1:])
-        self.inverse = _powers_of(_INVERSE, n + 1)
+        np.cumsum(LETTERS[buf] * powers_of(BASE, n + 1)[:n], out=self.prefix[1:])
+        self.inverse = powers_of(INVERSE, n + 1)
 
     def ranges(self, start: np.ndarray, end: np.ndarray) -> np.ndarray:
         """The hash of each ``buf[start:end]`` (not mixed)."""

@@ -1,117 +1,192 @@
-"""Substring dedup by line or paragraph hashing.
+"""Substring dedup by line or paragraph hashing, with sentences as the finer unit.
 
-Every text is cut into units (lines, or paragraphs parted by blank lines), each
-unit is normalised (white space folded, lower case) and hashed to 128 bits.  The
-earliest occurrence of a digest by ``(doc_id, position)`` stays; the others go.
+Every text is cut into units: lines (or paragraphs parted by blank lines), and the
+sentences in them.  A unit is normalised (white space folded, lower case) and hashed
+to 128 bits, as the polynomial of its hashed words.  The earliest occurrence of a
+digest by ``(doc_id, offset)`` stays; the others go.  A repeated line goes whole;
+from other lines their repeated sentences go, so a passage that was set into the
+middle of a line is found too.
 
 Plan.  Digests are counted with map-side combining, so a line that stands in a
 third of all documents reaches its reducer as one row per map task.  Only digests
 seen more than once go on.  They meet the occurrences in a sort-merge join whose
 two sides both have an exchange of their own (the keys are re-encoded after the
 count), which lets adaptive execution split the partition of a hot line.  Texts
-move once, to meet the positions that they lose.
+move once, to meet the ranges that they lose.
 
-Defined results: null texts are empty and lose nothing; units of fewer than
-``min_words`` words never count as repeats; rows that repeat a ``doc_id`` are the
-same document; rows without ``doc_id`` pass unchanged.
+Defined results: null texts are empty and lose nothing; lines of fewer than
+``MIN_WORDS`` words and sentences of fewer than ``MIN_SENTENCE`` never count as
+repeats; rows that repeat a ``doc_id`` are the same document; rows without
+``doc_id`` pass unchanged.  Offsets are those of the UTF-8 bytes of the original.
 """
 
 from __future__ import annotations
 
+import json
 from collections.abc import Iterator
 
+import numpy as np
 import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import fresh, id_and_text
+from .bytehash import BASE, INVERSE, HashedBytes, mix, powers_of
+from .common import fresh, id_and_text, slices, utf8
+from .wordhash import CLASSES, lowered
 
 #: What parts the units, and what joins the kept ones again.
 UNITS = {"line": "\n", "paragraph": "\n\n"}
-MIN_WORDS = 5
+MIN_WORDS, MIN_SENTENCE = 5, 8
+LINE, SENTENCE = 0, 1
 _REKEY = 0x5DEECE66D
-_OUT = "doc_id long, text string, n_units int, n_removed int, removed array<struct<unit:int,start:int,end:int>>"
+_STOPS = np.zeros(256, bool)
+_STOPS[[ord(c) for c in ".!?"]] = True
+_OUT = "doc_id long, text string, n_units int, n_removed int, removed array<struct<kind:int,start:int,end:int>>"
+
+
+def _runs(words: np.ndarray, first: np.ndarray, last: np.ndarray, salt: int) -> tuple[np.ndarray, np.ndarray]:
+    """Two independent digests of each run ``words[first:last]``, as signed numbers."""
+    out = []
+    for other in (0x5851F42D4C957F2D, 0x14057B7EF767814F):
+        h = mix(words ^ np.uint64(other + salt))
+        prefix = np.zeros(len(h) + 1, np.uint64)
+        np.cumsum(h * powers_of(BASE, len(h) + 1)[: len(h)], out=prefix[1:])
+        out.append(mix((prefix[last] - prefix[first]) * powers_of(INVERSE, len(h) + 1)[first]).view(np.int64))
+    return out[0], out[1]
+
+
+def unit_table(buf: np.ndarray, offsets: np.ndarray, unit: str, min_words: int, min_sentence: int) -> dict[str, np.ndarray]:
+    """``text, kind, start, end, h1, h2`` of the units that may be repeats; ``start``
+    and ``end`` count from the beginning of their text."""
+    n = len(buf)
+    low = lowered(buf)
+    solid = CLASSES["fields"][low] > 0
+    breaks = buf == 10
+    if unit == "paragraph":
+        # of a row of line breaks every second one ends a separator
+        index = np.arange(n)
+        run = index - np.maximum.accumulate(np.where(breaks, -1, index)) if n else index
+        breaks = breaks & (run % 2 == 0)
+    edge = np.zeros(n + 1, bool)
+    edge[offsets] = True
+    begin = np.flatnonzero(solid & (edge[:n] | ~np.concatenate([[False], solid[:-1]])))
+    end = np.flatnonzero(solid & (edge[1:] | ~np.concatenate([solid[1:], [False]]))) + 1
+    text = np.searchsorted(offsets, begin, side="right") - 1
+    words = mix(HashedBytes(low).ranges(begin, end))
+    # where lines lie: bounds of texts and separators
+    width = len(UNITS[unit])
+    line_end = np.concatenate([offsets[1:], np.flatnonzero(breaks) + 1 - width])
+    is_text_end = np.arange(len(line_end)) < len(offsets) - 1
+    order = np.lexsort((~is_text_end, line_end))  # a text ends before the next one's empty first line
+    line_end, is_text_end = line_end[order], is_text_end[order]
+    line = np.searchsorted(line_end, begin, side="right")
+    line_start = np.concatenate([[0], np.where(is_text_end, line_end, line_end + width)[:-1]]) if len(line_end) else line_end
+    new_line = np.concatenate([[True], (line[1:] != line[:-1]) | (text[1:] != text[:-1])]) if len(begin) else np.empty(0, bool)
+    new_sentence = new_line | np.concatenate([[False], _STOPS[low[end[:-1] - 1]]]) if len(begin) else new_line
+    parts = []
+    for kind, opens, least in ((LINE, np.flatnonzero(new_line), min_words), (SENTENCE, np.flatnonzero(new_sentence), min_sentence)):
+        closes = np.concatenate([opens[1:], [len(begin)]])[: len(opens)]
+        a, b = line_start[line[opens]], line_end[line[opens]]
+        if kind == SENTENCE:
+            inner = ~new_line[opens]
+            a = np.where(inner, begin[opens], a)
+            follows = np.concatenate([inner[1:], [False]])[: len(opens)]
+            b = np.where(follows, np.concatenate([begin[opens][1:], [n]])[: len(opens)], b)
+        keep = closes - opens >= least
+        h1, h2 = _runs(words, opens[keep], closes[keep], kind)
+        t = text[opens[keep]]
+        parts.append((t, np.full(len(t), kind), a[keep] - offsets[t], b[keep] - offsets[t], h1, h2))
+    return dict(zip(("text", "kind", "start", "end", "h1", "h2"), (np.concatenate(c) for c in zip(*parts, strict=True)), strict=True))
+
+
+def _digests(docs: DataFrame, unit: str, min_words: int, min_sentence: int) -> DataFrame:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part in slices(batch, "text"):
+                t = unit_table(*utf8(part.column(1)), unit, min_words, min_sentence)
+                ids = part.column(0).to_numpy(zero_copy_only=False)[t["text"]]
+                yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), *(pa.array(t[c].astype(np.int32)) for c in ("kind", "start", "end")), pa.array(t["h1"]), pa.array(t["h2"])], names=["doc_id", "kind", "start", "end", "h1", "h2"])
 
+    return docs.mapInArrow(run, "doc_id long, kind int, start int, end int, h1 long, h2 long")
 
-def _digests(docs: DataFrame, unit: str, min_words: int) -> DataFrame:
-    parts = docs.select("doc_id", F.posexplode(F.split("text", UNITS[unit], -1)).alias("pos", "unit"))
-    norm = F.trim(F.lower(F.regexp_replace("unit", r"\s+", " ")))
-    words = F.length(norm) - F.length(F.replace(norm, F.lit(" "), F.lit(""))) + 1
-    return (
-        parts.select("doc_id", "pos", norm.alias("norm"), words.alias("words"))
-        .filter((F.col("words") >= min_words) & (F.col("norm") != ""))
-        .select("doc_id", "pos", F.xxhash64("norm").alias("h1"), F.xxhash64(F.lit(unit), "norm").alias("h2"))
-    )
 
-
-def repeated_units(docs: DataFrame, unit: str = "line", min_words: int = MIN_WORDS) -> DataFrame:
-    """``doc_id`` and ``positions``: the units that an earlier occurrence repeats."""
-    docs = id_and_text(docs).filter(F.col("doc_id").isNotNull())
-    units = _digests(docs, unit, min_words)
+def repeated_units(docs: DataFrame, unit: str = "line", min_words: int = MIN_WORDS, min_sentence: int = MIN_SENTENCE) -> DataFrame:
+    """``doc_id`` and ``gone``: the units that an earlier occurrence repeats."""
+    units = _digests(id_and_text(docs).filter(F.col("doc_id").isNotNull()), unit, min_words, min_sentence)
     first = (
         units.groupBy("h1", "h2")
-        .agg(F.min(F.struct("doc_id", "pos")).alias("first"), F.count(F.lit(1)).alias("n"))
+        .agg(F.min(F.struct("doc_id", "start")).alias("first"), F.count(F.lit(1)).alias("n"))
         .filter("n > 1")
         .select((F.col("h1").bitwiseXOR(F.lit(_REKEY))).alias("k1"), (F.col("h2").bitwiseXOR(F.lit(_REKEY))).alias("k2"), "first")
     )
-    again = units.select("doc_id", "pos", (F.col("h1").bitwiseXOR(F.lit(_REKEY))).alias("k1"), (F.col("h2").bitwiseXOR(F.lit(_REKEY))).alias("k2"))
+    again = units.select("doc_id", "kind", "start", "end", (F.col("h1").bitwiseXOR(F.lit(_REKEY))).alias("k1"), (F.col("h2").bitwiseXOR(F.lit(_REKEY))).alias("k2"))
     return (
         again.join(first.hint("merge"), ["k1", "k2"])
-        .filter(F.struct("doc_id", "pos") != F.col("first"))
+        .filter(F.struct("doc_id", "start") != F.col("first"))
         .groupBy("doc_id")
-        .agg(F.sort_array(F.collect_set("pos")).alias("positions"))
+        .agg(F.sort_array(F.collect_set(F.struct("start", "kind", "end"))).alias("gone"))
     )
 
 
+def cut_units(text: str, gone: list[tuple[int, int, int]], sep: str) -> tuple[str, list[tuple[int, int, int]]]:
+    """The text without its ``(start, kind, end)`` units, and ``kind, start, end`` of
+    those cut; sentences of lines that go count with their line."""
+    data = text.encode()
+    width, at, out, lost, strip = len(sep), 0, [], [], False
+    for start, kind, end in sorted(gone):
+        if start < at or end > len(data):
+            continue  # in a line that is gone
+        lost.append((kind, start, end))
+        out.append(data[at:start])
+        at = end
+        if kind == LINE:
+            if end < len(data):
+                at += width
+            else:
+                strip = True  # the last line went, so the separator before it goes
+    out.append(data[at:])
+    left = b"".join(out)
+    if strip and left.endswith(sep.encode()):
+        left = left[:-width]
+    return left.decode(), lost
+
+
 def _rebuild(unit: str):
     sep = UNITS[unit]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            ids, kept, n_units, n_removed, spans = [], [], [], [], []
-            for doc_id, text, gone in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2).to_pylist(), strict=True):
-                ids.append(doc_id)
-                if not gone:
-                    kept.append(text)
-                    n_units.append(text.count(sep) + 1)
-                    n_removed.append(0)
-                    spans.append([])
-                    continue
-                parts, drop, at, left, lost = text.split(sep), set(gone), 0, [], []
-                for i, part in enumerate(parts):
-                    if i in drop:
-                        lost.append({"unit": i, "start": at, "end": at + len(part)})
-                    else:
-                        left.append(part)
-                    at += len(part) + len(sep)
-                kept.append(sep.join(left))
-                n_units.append(len(parts))
-                n_removed.append(len(lost))
-                spans.append(lost)
+            kept, n_units, spans = [], [], []
+            for text, gone in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist(), strict=True):
+                left, lost = cut_units(text, [(g["start"], g["kind"], g["end"]) for g in gone], sep) if gone else (text, [])
+                kept.append(left)
+                n_units.append(text.count(sep) + 1)
+                spans.append([{"kind": k, "start": a, "end": b} for k, a, b in lost])
             yield pa.RecordBatch.from_arrays(
-                [pa.array(ids, pa.int64()), pa.array(kept, pa.string()), pa.array(n_units, pa.int32()), pa.array(n_removed, pa.int32()),
-                 pa.array(spans, pa.list_(pa.struct([("unit", pa.int32()), ("start", pa.int32()), ("end", pa.int32())])))],
+                [batch.column(0), pa.array(kept, pa.string()), pa.array(n_units, pa.int32()), pa.array([len(s) for s in spans], pa.int32()),
+                 pa.array(spans, pa.list_(pa.struct([("kind", pa.int32()), ("start", pa.int32()), ("end", pa.int32())])))],
                 names=["doc_id", "text", "n_units", "n_removed", "removed"],
             )
 
     return run
 
 
-def remove_repeats(docs: DataFrame, unit: str = "line", min_words: int = MIN_WORDS) -> DataFrame:
+def remove_repeats(docs: DataFrame, unit: str = "line", min_words: int = MIN_WORDS, min_sentence: int = MIN_SENTENCE) -> DataFrame:
     """One row per row of ``docs``: the text without its repeated units, and the
-    removed units with their character offsets in the original text."""
-    gone = repeated_units(docs, unit, min_words).withColumnRenamed("doc_id", "gone_id")
+    removed units (``kind`` 0 line, 1 sentence) with their byte offsets in the
+    original text."""
+    gone = repeated_units(docs, unit, min_words, min_sentence).withColumnRenamed("doc_id", "gone_id")
     rows = id_and_text(docs)
-    joined = rows.join(gone, rows.doc_id == gone.gone_id, "left").select("doc_id", "text", "positions")
+    joined = rows.join(gone, rows.doc_id == gone.gone_id, "left").select("doc_id", "text", "gone")
     return joined.mapInArrow(_rebuild(unit), _OUT)
 
 
-def dedup_documents(docs: DataFrame, unit: str = "line", min_words: int = MIN_WORDS) -> DataFrame:
+def dedup_documents(docs: DataFrame, unit: str = "line", min_words: int = MIN_WORDS, min_sentence: int = MIN_SENTENCE) -> DataFrame:
     """``docs`` with its own columns, ``text`` (and ``n_chars``) without repeats.
     Documents that only held repeats stay, with an empty text."""
     key, gone_name = fresh(docs, "_gone_id"), fresh(docs, "_gone")
-    gone = repeated_units(docs, unit, min_words).select(F.col("doc_id").alias(key), F.col("positions").alias(gone_name))
+    gone = repeated_units(docs, unit, min_words, min_sentence).select(F.col("doc_id").alias(key), F.to_json("gone").alias(gone_name))
     none = F.col(gone_name).isNull()
     out = docs.join(gone, F.col("doc_id") == F.col(key), "left").withColumn("text", F.when(none, F.col("text")).otherwise(_without(unit)(F.col("text"), F.col(gone_name))))
     if "n_chars" in docs.columns:
@@ -125,10 +200,9 @@ def _without(unit: str):
     @F.pandas_udf("string")
     def without(text: pd.Series, gone: pd.Series) -> pd.Series:
         def one(t, g):
-            if t is None or g is None or not len(g):
+            if t is None or g is None:
                 return t
-            drop = set(g)
-            return sep.join([p for i, p in enumerate(t.split(sep)) if i not in drop])
+            return cut_units(t, [(x["start"], x["kind"], x["end"]) for x in json.loads(g)], sep)[0]
 
         return pd.Series([one(t, g) for t, g in zip(text, gone, strict=True)], dtype=object)
 
@@ -136,25 +210,30 @@ def _without(unit: str):
 
 
 def query(spark, sf_dir) -> DataFrame:
-    """``op1``: line dedup of all documents."""
+    """``op1``: line and sentence dedup of all documents."""
     out = remove_repeats(spark.read.parquet(f"{sf_dir}/documents.parquet"))
     return out.select("doc_id", "n_units", "n_removed", F.length("text").alias("n_kept_chars"), F.md5("text").alias("kept_md5"), "text",
                       F.to_json("removed").alias("removed"))
 
 
-_NORM = r"trim(lower(regexp_replace(unit, '\s+', ' ', 'g')))"
-ORACLE_SQL = f"""
+_NORM = r"trim(lower(regexp_replace({}, '\s+', ' ', 'g')))"
+_WORDS = "len({0}) - len(replace({0}, ' ', '')) + 1"
+ORACLE_SQL = rf"""
 WITH parts AS (
   SELECT doc_id, unnest(string_split(coalesce(text, ''), chr(10))) AS unit, generate_subscripts(string_split(coalesce(text, ''), chr(10)), 1) - 1 AS pos
   FROM documents),
-units AS (SELECT doc_id, pos, unit, {_NORM} AS norm FROM parts),
-ranked AS (SELECT *, row_number() OVER (PARTITION BY norm ORDER BY doc_id, pos) AS rn, len(norm) - len(replace(norm, ' ', '')) + 1 AS words,
-           sum(len(unit) + 1) OVER (PARTITION BY doc_id ORDER BY pos) - len(unit) - 1 AS start FROM units),
-marked AS (SELECT *, (rn > 1 AND norm <> '' AND words >= {MIN_WORDS}) AS gone FROM ranked),
-docs AS (
-  SELECT doc_id, CAST(count(*) AS INTEGER) AS n_units, CAST(count(*) FILTER (WHERE gone) AS INTEGER) AS n_removed,
-    coalesce(string_agg(unit, chr(10) ORDER BY pos) FILTER (WHERE NOT gone), '') AS text,
-    '[' || coalesce(string_agg('{{"unit":' || pos || ',"start":' || CAST(start AS BIGINT) || ',"end":' || CAST(start + len(unit) AS BIGINT) || '}}', ',' ORDER BY pos) FILTER (WHERE gone), '') || ']' AS removed
-  FROM marked GROUP BY doc_id)
-SELECT doc_id, n_units, n_removed, CAST(len(text) AS INTEGER) AS n_kept_chars, md5(text) AS kept_md5, text, removed FROM docs
+units AS (SELECT doc_id, pos, unit, {_NORM.format('unit')} AS norm, sum(strlen(unit) + 1) OVER (PARTITION BY doc_id ORDER BY pos) - strlen(unit) - 1 AS start FROM parts),
+lines AS (SELECT *, norm <> '' AND {_WORDS.format('norm')} >= {MIN_WORDS} AND row_number() OVER (PARTITION BY norm ORDER BY doc_id, pos) > 1 AS gone FROM units),
+pieces AS (SELECT doc_id, pos, gone, start AS line_start, string_split(regexp_replace(unit, '([.!?]\s+)', '\1' || chr(1), 'g'), chr(1)) AS list FROM lines),
+piece AS (SELECT doc_id, pos, gone, line_start, unnest(list) AS s, generate_subscripts(list, 1) AS i FROM pieces),
+sentence AS (SELECT *, {_NORM.format('s')} AS norm, line_start + sum(strlen(s)) OVER (PARTITION BY doc_id, pos ORDER BY i) - strlen(s) AS start FROM piece),
+marked AS (SELECT *, norm <> '' AND {_WORDS.format('norm')} >= {MIN_SENTENCE} AND row_number() OVER (PARTITION BY norm ORDER BY doc_id, start) > 1 AS cut FROM sentence),
+kept_lines AS (SELECT doc_id, pos, any_value(gone) AS gone, coalesce(string_agg(s, '' ORDER BY i) FILTER (WHERE NOT cut), '') AS line FROM marked GROUP BY doc_id, pos),
+lost AS (
+  SELECT doc_id, start, 0 AS kind, start + strlen(unit) AS stop FROM lines WHERE gone
+  UNION ALL SELECT doc_id, start, 1, start + strlen(s) FROM marked WHERE cut AND NOT gone),
+spans AS (SELECT doc_id, count(*) AS n, string_agg('{{"kind":' || kind || ',"start":' || CAST(start AS BIGINT) || ',"end":' || CAST(stop AS BIGINT) || '}}', ',' ORDER BY start) AS removed FROM lost GROUP BY doc_id),
+docs AS (SELECT doc_id, CAST(count(*) AS INTEGER) AS n_units, coalesce(string_agg(line, chr(10) ORDER BY pos) FILTER (WHERE NOT gone), '') AS text FROM kept_lines GROUP BY doc_id)
+SELECT doc_id, n_units, CAST(coalesce(n, 0) AS INTEGER) AS n_removed, CAST(len(text) AS INTEGER) AS n_kept_chars, md5(text) AS kept_md5, text, '[' || coalesce(removed, '') || ']' AS removed
+FROM docs LEFT JOIN spans USING (doc_id)
 """

@@ -1,23 +1,44 @@
 import json
+import re
 
 import pytest
 
 from peertrust.llm import substring_dedup as sub
 
 
-def plain(docs, sep="\n", min_words=sub.MIN_WORDS):
-    """Line by line, in order of ids."""
+def plain(docs, sep="\n", min_words=sub.MIN_WORDS, min_sentence=sub.MIN_SENTENCE):
+    """Unit by unit, in order of ids."""
     norm = lambda u: " ".join(u.lower().split())
     seen, out = {}, {}
     for doc_id, text in sorted(docs, key=lambda d: d[0]):
         left, gone, at = [], [], 0
-        for i, unit in enumerate((text or "").split(sep)):
-            key = norm(unit)
-            if len(key.split()) >= min_words and seen.setdefault(key, (doc_id, i)) != (doc_id, i):
-                gone.append((i, at, at + len(unit)))
-            else:
-                left.append(unit)
-            at += len(unit) + len(sep)
+        for unit in (text or "").split(sep):
+            key, size = norm(unit), len(unit.encode())
+            whole = len(key.split()) >= min_words and seen.setdefault((0, key), (doc_id, at)) != (doc_id, at)
+            if whole:
+                gone.append((0, at, at + size))
+            rest, inner = [], at
+            for piece in re.split(r"(?<=[.!?])(?=\s)", unit):
+                # white space goes with the sentence before it
+                lead = piece[: len(piece) - len(piece.lstrip())] if rest or inner > at else ""
+                if lead:
+                    rest[-1] += lead
+                    inner += len(lead.encode())
+                    piece = piece[len(lead) :]
+                rest.append(piece)
+                inner += len(piece.encode())
+            kept, inner = [], at
+            for piece in rest:
+                key, end = norm(piece), inner + len(piece.encode())
+                if len(key.split()) >= min_sentence and seen.setdefault((1, key), (doc_id, inner)) != (doc_id, inner):
+                    if not whole:
+                        gone.append((1, inner, end))
+                else:
+                    kept.append(piece)
+                inner = end
+            if not whole:
+                left.append("".join(kept))
+            at += size + len(sep)
         out[doc_id] = (sep.join(left), gone)
     return out
 
@@ -27,8 +48,10 @@ def test_against_plain_version(spark, unit):
     sep = sub.UNITS[unit]
     a, b = "one two three four five", "six seven eight nine ten  eleven"
     docs = [(1, sep.join([a, b, "x"])), (2, sep.join(["new words in this line", a.upper(), "x", "x"])), (3, None), (4, ""), (5, sep.join([b, b.replace("  ", "\t"), a])), (7, a), (6, sep.join(["", a, ""]))]
+    passage = "Here is a first sentence of nine words, so. And here is a second one that has eleven."
+    docs += [(20 + i, f"héad {i} goes on {passage} and then {i} more. Ends!{sep}{a}") for i in range(3)] + [(30, passage), (31, f"  {passage}  ")]
     df = spark.createDataFrame([(i, t, 3) for i, t in docs], "doc_id long, text string, positions int").repartition(3)
-    got = {r.doc_id: (r.text, [(x.unit, x.start, x.end) for x in r.removed]) for r in sub.remove_repeats(df, unit).collect()}
+    got = {r.doc_id: (r.text, [(x.kind, x.start, x.end) for x in r.removed]) for r in sub.remove_repeats(df, unit).collect()}
     assert got == plain(docs, sep)
     out = sub.dedup_documents(df, unit)
     assert out.columns == df.columns
@@ -39,7 +62,7 @@ def test_tables_nulls_and_repeated_rows(spark, sf):
     docs = spark.read.parquet(f"{sf}/documents.parquet")
     want = plain([(r.doc_id, r.text) for r in docs.collect()])
     for r in sub.query(spark, sf).collect():
-        assert r.text == want[r.doc_id][0] and [(x["unit"], x["start"], x["end"]) for x in json.loads(r.removed)] == want[r.doc_id][1]
+        assert r.text == want[r.doc_id][0] and [(x["kind"], x["start"], x["end"]) for x in json.loads(r.removed)] == want[r.doc_id][1]
     line = "the same five words again"
     df = spark.createDataFrame([(1, line), (1, line), (None, line), (2, line)], "doc_id long, text string")
     assert sorted((r.doc_id or 0, r.text) for r in sub.remove_repeats(df).collect()) == [(0, line), (1, line), (1, line), (2, "")]
