@@ -17,12 +17,11 @@ Classes.
 2.  Signatures are cut into bands; equal bands make a bucket.  (At a likeness of
     0.8, 32 bands of 4 miss a pair once in 20 million.)
 3.  Every bucket is a star around its smallest member: links to it are verified on
-    the exact multisets, and verified links make components.  (More rounds may take
-    other centres in the buckets that still hold unlike components.)  So a group of
-    thousands of copies costs a few links a member, never all pairs.
-4.  What then still shares a bucket without being of one component is compared by
-    signature, in blocks; members that might reach the threshold with another
-    component are compared exactly, again in blocks, as products of incidence
+    the exact multisets.  So a group of thousands of copies costs a few links a
+    member, never all pairs.
+4.  What then still shares a bucket without having a hub in common is compared by
+    signature, in blocks; members that might reach the threshold with one of another
+    hub are compared exactly, again in blocks, as products of incidence
     matrices.  Only links that join components leave the task.
 
 A class is a component of documents linked at ``SIMILARITY`` or above, named by its
@@ -49,7 +48,6 @@ from .wordhash import runs, tokens
 SHINGLE, SIMILARITY = 5, 0.8
 BANDS, ROWS = 32, 4
 PLACES = BANDS * ROWS
-STAR_ROUNDS = 1
 #: Estimated likeness from which a pair is verified in the last step: five standard
 #: errors below the threshold.
 _MIGHT = SIMILARITY - 5 * (SIMILARITY * (1 - SIMILARITY) / PLACES) ** 0.5
@@ -337,18 +335,7 @@ def near_duplicate_classes(docs: DataFrame, similarity: float = SIMILARITY, k: i
 
     pairs = members.filter("rep <> center").filter(_near_sizes("n", "center_n", similarity)).select(F.col("center").alias("a"), F.col("rep").alias("b")).distinct()
     links = _verified(pairs, sets, similarity).checkpoint()
-    labels = components(links)
-    for i in range(1, STAR_ROUNDS):
-        open_rows = _open(members, labels)
-        center = open_rows.groupBy("key").agg(F.min_by(F.struct("rep", "n"), F.xxhash64("rep", "key", F.lit(i))).alias("c")).select("key", F.col("c.rep").alias("c"), F.col("c.n").alias("c_n"))
-        c_label = labels.select(F.col("id").alias("c"), F.col("label").alias("found"))
-        center = center.join(c_label, "c", "left").select(F.col("key").bitwiseXOR(F.lit(i)).alias("k2"), "c", "c_n", F.coalesce("found", "c").alias("c_label"))
-        pairs = open_rows.withColumn("k2", F.col("key").bitwiseXOR(F.lit(i))).join(center, "k2").filter("label <> c_label").filter(_near_sizes("n", "c_n", similarity))
-        pairs = pairs.select(F.least("rep", "c").alias("a"), F.greatest("rep", "c").alias("b")).distinct()
-        more = _verified(pairs, sets, similarity).checkpoint()
-        links = links.union(more)
-        labels = components(links)
-    open_rows = _open(members, labels).checkpoint()
+    open_rows = _open(members, _hubs(links)).checkpoint()
     groups = max(1, open_rows.count() // _GROUP_ROWS * 4)
     group = F.pmod("key", F.lit(groups)).alias("group")
     signed = open_rows.join(reps.select("rep", "signature"), "rep").select("key", "rep", "label", "n", "signature")
@@ -369,6 +356,15 @@ def near_duplicate_classes(docs: DataFrame, similarity: float = SIMILARITY, k: i
     return known.unionByName(alone).unionByName(nameless)
 
 
+def _hubs(links: DataFrame) -> DataFrame:
+    """``id, label``: the smallest neighbour, or its own smallest one.  Equal labels
+    mean one component; unlike ones may, which costs the last step a comparison."""
+    ends = links.select(F.col("a").alias("id"), F.col("b").alias("near")).union(links.select(F.col("b").alias("id"), F.col("a").alias("near")))
+    one = ends.groupBy("id").agg(F.least(F.col("id"), F.min("near")).alias("label"))
+    jump = one.select(F.col("id").alias("label"), F.col("label").alias("next"))
+    return one.join(jump, "label", "left").select("id", F.coalesce("next", "label").alias("label"))
+
+
 def _near_sizes(a: str, b: str, similarity: float) -> Column:
     """Multisets of other sizes cannot be that alike."""
     return (F.col(a) >= F.lit(similarity) * F.col(b)) & (F.col(b) >= F.lit(similarity) * F.col(a))
