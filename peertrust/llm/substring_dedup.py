@@ -14,9 +14,14 @@ two sides both have an exchange of their own (the keys are re-encoded after the
 count), which lets adaptive execution split the partition of a hot line.  Texts
 move once, to meet the ranges that they lose.
 
+White space is that of Unicode.  A sentence ends at a stop, with the quotes and
+brackets that close behind it, before white space; after the full-width stops of
+scripts that set no spaces it ends without any.
+
 Defined results: null texts are empty and lose nothing; lines of fewer than
-``MIN_WORDS`` words and sentences of fewer than ``MIN_SENTENCE`` never count as
-repeats; rows that repeat a ``doc_id`` are the same document; rows without
+``MIN_WORDS`` words and sentences of fewer than ``MIN_SENTENCE`` count as repeats
+only if they are long: every two characters of a script without spaces count as a
+further word, and ``MIN_BYTES`` bytes besides white space are enough; rows that repeat a ``doc_id`` are the same document; rows without
 ``doc_id`` pass unchanged.  Offsets are those of the UTF-8 bytes of the original.
 """
 
@@ -39,12 +44,47 @@ from .wordhash import CLASSES, lowered
 UNITS = {"line": "\n", "paragraph": "\n\n"}
 MIN_WORDS, MIN_SENTENCE = 5, 8
 LINE, SENTENCE = 0, 1
+#: Bytes from which a unit counts, however few its words.
+MIN_BYTES = {LINE: 64, SENTENCE: 128}
 _REKEY = 0x5DEECE66D
-_STOPS = np.zeros(256, bool)
-_STOPS[[ord(c) for c in ".!?"]] = True
+_SPACES = "\u0085\u00a0\u1680\u2000\u2001\u2002\u2003\u2004\u2005\u2006\u2007\u2008\u2009\u200a\u2028\u2029\u202f\u205f\u3000"
+#: Stops before white space, stops that need none, and what may close behind a stop.
+_STOPS, _WIDE_STOPS = ".!?\u2026\u061f\u06d4\u0964\u0965\u1362", "\u3002\uff01\uff1f\uff61\uff0e"
+_CLOSERS = "\"')]}\u00bb\u203a\u2019\u201d\u300d\u300f\u3011\u300b\u3009\u3015\uff09\uff3d\uff5d\uff63"
+#: First and last head (two bytes) of the characters of scripts without spaces: Thai
+#: and Lao, Burmese, Khmer, kana, ideographs, half-width kana, further ideographs.
+_UNSPACED = ((0xE0B8, 0xE0BB), (0xE180, 0xE182), (0xE19E, 0xE19F), (0xE381, 0xE9BF), (0xEFA4, 0xEFAB), (0xEFBD, 0xEFBE), (0xF0A0, 0xF0B3))
 _OUT = "doc_id long, text string, n_units int, n_removed int, removed array<struct<kind:int,start:int,end:int>>"
 
 
+def _marked(buf: np.ndarray, chars: str) -> tuple[np.ndarray, np.ndarray]:
+    """Which bytes belong to one of ``chars``, and which of them are its last."""
+    every, last = np.zeros(len(buf), bool), np.zeros(len(buf), bool)
+    heads: dict[int, list[bytes]] = {}
+    for c in chars:
+        heads.setdefault(c.encode()[0], []).append(c.encode())
+    for head, codes in heads.items():
+        at = np.flatnonzero(buf == head)
+        for code in codes if len(at) else ():
+            hit = at[at + len(code) <= len(buf)]
+            for j, byte in enumerate(code[1:], 1):
+                hit = hit[buf[hit + j] == byte]
+            last[hit + len(code) - 1] = True
+            for j in range(len(code)):
+                every[hit + j] = True
+    return every, last
+
+
+def _unspaced(buf: np.ndarray) -> np.ndarray:
+    """Where characters of scripts without spaces begin."""
+    out = np.zeros(len(buf), bool)
+    at = np.flatnonzero(buf[:-1] >= 0xE0)
+    pair = buf[at].astype(np.int32) * 256 + buf[at + 1]
+    for low, high in _UNSPACED:
+        out[at[(pair >= low) & (pair <= high)]] = True
+    return out
+
+
 def _runs(words: np.ndarray, first: np.ndarray, last: np.ndarray, salt: int) -> tuple[np.ndarray, np.ndarray]:
     """Two independent digests of each run ``words[first:last]``, as signed numbers."""
     out = []
@@ -61,7 +101,12 @@ def unit_table(buf: np.ndarray, offsets: np.ndarray, unit: str, min_words: int,
     and ``end`` count from the beginning of their text."""
     n = len(buf)
     low = lowered(buf)
-    solid = CLASSES["fields"][low] > 0
+    solid = (CLASSES["fields"][low] > 0) & ~_marked(buf, _SPACES)[0]
+    wide_bytes, wide_stop = _marked(buf, _WIDE_STOPS)
+    stop = _marked(buf, _STOPS)[1] | wide_stop
+    closer = _marked(buf, _CLOSERS)[0]
+    # the last byte up to each one that closes nothing
+    core = np.maximum.accumulate(np.where(closer, -1, np.arange(n))) if n else np.arange(n)
     breaks = buf == 10
     if unit == "paragraph":
         # of a row of line breaks every second one ends a separator
@@ -70,6 +115,10 @@ def unit_table(buf: np.ndarray, offsets: np.ndarray, unit: str, min_words: int,
         breaks = breaks & (run % 2 == 0)
     edge = np.zeros(n + 1, bool)
     edge[offsets] = True
+    if wide_stop.any():
+        # words part behind stops that need no white space
+        at = np.flatnonzero(solid[1:] & ~(closer | wide_bytes)[1:] & (core[:-1] >= 0) & wide_stop[core[:-1]]) + 1
+        edge[at[np.searchsorted(offsets, at, side="right") == np.searchsorted(offsets, core[at - 1], side="right")]] = True
     begin = np.flatnonzero(solid & (edge[:n] | ~np.concatenate([[False], solid[:-1]])))
     end = np.flatnonzero(solid & (edge[1:] | ~np.concatenate([solid[1:], [False]]))) + 1
     text = np.searchsorted(offsets, begin, side="right") - 1
@@ -83,7 +132,8 @@ def unit_table(buf: np.ndarray, offsets: np.ndarray, unit: str, min_words: int,
     line = np.searchsorted(line_end, begin, side="right")
     line_start = np.concatenate([[0], np.where(is_text_end, line_end, line_end + width)[:-1]]) if len(line_end) else line_end
     new_line = np.concatenate([[True], (line[1:] != line[:-1]) | (text[1:] != text[:-1])]) if len(begin) else np.empty(0, bool)
-    new_sentence = new_line | np.concatenate([[False], _STOPS[low[end[:-1] - 1]]]) if len(begin) else new_line
+    new_sentence = new_line | np.concatenate([[False], (core[end[:-1] - 1] >= begin[:-1]) & stop[core[end[:-1] - 1]]]) if len(begin) else new_line
+    n_solid, n_unspaced = (np.concatenate([[0], np.cumsum(x)]) for x in (solid, _unspaced(buf)))
     parts = []
     for kind, opens, least in ((LINE, np.flatnonzero(new_line), min_words), (SENTENCE, np.flatnonzero(new_sentence), min_sentence)):
         closes = np.concatenate([opens[1:], [len(begin)]])[: len(opens)]
@@ -93,7 +143,8 @@ def unit_table(buf: np.ndarray, offsets: np.ndarray, unit: str, min_words: int,
             a = np.where(inner, begin[opens], a)
             follows = np.concatenate([inner[1:], [False]])[: len(opens)]
             b = np.where(follows, np.concatenate([begin[opens][1:], [n]])[: len(opens)], b)
-        keep = closes - opens >= least
+        first, last = begin[opens], end[closes - 1]
+        keep = (closes - opens + (n_unspaced[last] - n_unspaced[first]) // 2 >= least) | (n_solid[last] - n_solid[first] >= MIN_BYTES[kind])
         h1, h2 = _runs(words, opens[keep], closes[keep], kind)
         t = text[opens[keep]]
         parts.append((t, np.full(len(t), kind), a[keep] - offsets[t], b[keep] - offsets[t], h1, h2))

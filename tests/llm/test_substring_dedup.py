@@ -67,3 +67,23 @@ def test_tables_nulls_and_repeated_rows(spark, sf):
     df = spark.createDataFrame([(1, line), (1, line), (None, line), (2, line)], "doc_id long, text string")
     assert sorted((r.doc_id or 0, r.text) for r in sub.remove_repeats(df).collect()) == [(0, line), (1, line), (1, line), (2, "")]
     assert sub.remove_repeats(df.limit(0)).count() == 0 and sub.dedup_documents(df.limit(0)).count() == 0
+
+
+def test_long_units_of_few_words(spark):
+    zh = "这一行文字没有空格但是很长所以重复的时候应当去掉。"
+    ja = "これは空白のない長い文章です。「次の文もここに続いていきます。」そして最後の文は毎回違います"
+    th = "ข้อความนี้ไม่มีช่องว่างแต่ยาวมากจึงควรถูกลบเมื่อซ้ำ"
+    code = "QUJD" * 40
+    docs = [(1, "\n".join([zh, th, code, "短い"])), (2, "\n".join(["new", zh, "x", th, code, "短い"]))]
+    # full-width stops end sentences without white space, with the quotes behind them
+    docs += [(3, ja + "一"), (4, "始まりは違う文章です。" + ja.split("そして")[0] + "終わりも違う文章です。")]
+    a, b = 'He said "here are nine words in this one sentence."', "(And these are eight more words of it.)"
+    docs += [(5, f"First. {a} {b} End"), (6, f"Other start. {a} {b} Other end")]
+    # Unicode white space parts words
+    docs += [(7, "one two three four five"), (8, "one\u00a0two\u2003three\u3000four five")]
+    # a stop at the end of one text says nothing about the next
+    docs += [(9, "終わり。"), (10, "」a b")]
+    df = spark.createDataFrame(docs, "doc_id long, text string").coalesce(1)
+    got = {r.doc_id: r.text for r in sub.remove_repeats(df).collect()}
+    assert got == dict(docs) | {2: "new\nx\n短い", 4: "始まりは違う文章です。終わりも違う文章です。", 6: "Other start. Other end", 8: ""}
+    assert {r.doc_id: r.text for r in sub.dedup_documents(df).collect()} == got
