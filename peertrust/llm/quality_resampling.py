@@ -2,8 +2,10 @@
 
 Two bags of hashed unigrams and bigrams are counted: the raw model over all
 documents, the target model over labelled good ones.  A document's importance is
-the ratio of its likelihoods; ``k`` documents are drawn without replacement, in
-proportion to it, by taking the ``k`` largest of log-importance plus Gumbel noise.
+the ratio of its likelihoods an n-gram (their geometric mean), so that a small drift
+of the models does not add up to a verdict on long documents; ``k`` documents are
+drawn without replacement, in proportion to it, by taking the ``k`` largest of
+log-importance plus Gumbel noise.
 
 * Counts are summed with one row per bucket and partition, so the driver gets
   ``2 * BUCKETS`` numbers, whatever the corpus.
@@ -103,6 +105,11 @@ def parting_value(scores: np.ndarray, good: np.ndarray, default: float, weight:
     return float((edge[i] + edge[i + 1]) / 2)
 
 
+def importance(score: np.ndarray, n: np.ndarray) -> np.ndarray:
+    """Log-importance from summed log ratios and the number of n-grams."""
+    return score / np.maximum(n, 1)
+
+
 def gumbel(ids: np.ndarray, seed: int) -> np.ndarray:
     bits = mix(ids.astype(np.int64).view(np.uint64) ^ mix(np.array([seed], np.uint64)))
     u = ((bits >> np.uint64(11)).astype(np.float64) + 0.5) / float(1 << 53)
@@ -135,7 +142,7 @@ def fit(docs: DataFrame, labels: DataFrame, buckets: int = BUCKETS, rows: int =
 
 
 def scored(docs: DataFrame, model: Model, temperature: float = TEMPERATURE, seed: int = SEED) -> DataFrame:
-    """``doc_id, n_ngrams, log_weight, sample_key``."""
+    """``doc_id, n_ngrams, log_weight, sample_key``; ``log_weight`` is the sum."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -143,7 +150,7 @@ def scored(docs: DataFrame, model: Model, temperature: float = TEMPERATURE, seed
             for part in slices(batch, "text"):
                 score, n = shared.value.scores(*utf8(part.column(1)))
                 ids = part.column(0).fill_null(-1).to_numpy(zero_copy_only=False)
-                key = score / temperature + gumbel(ids, seed)
+                key = importance(score, n) / temperature + gumbel(ids, seed)
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(n.astype(np.int64)), pa.array(score), pa.array(key)], names=["doc_id", "n_ngrams", "log_weight", "sample_key"])
 
     return id_and_text(docs).mapInArrow(run, "doc_id long, n_ngrams long, log_weight double, sample_key double")
@@ -181,8 +188,9 @@ def resample(docs: DataFrame, labels: DataFrame, k: int | None = None, temperatu
         return scores.withColumn("keep", F.lit(True)), model, None
     if k is None:
         sample = labelled_sample(labels).filter("half = 1")
-        known = scores.join(F.broadcast(sample), scores.doc_id == sample.label_id).select("log_weight", "good").collect()  # the sample
-        k = scores.filter(F.col("log_weight") >= parting_value(np.array([r.log_weight for r in known]), np.array([r.good for r in known], bool), model.threshold)).count()
+        mean = F.col("log_weight") / F.greatest(F.col("n_ngrams"), F.lit(1))
+        known = scores.join(F.broadcast(sample), scores.doc_id == sample.label_id).select(mean.alias("mean"), "good").collect()  # the sample
+        k = scores.filter(mean >= parting_value(np.array([r["mean"] for r in known]), np.array([r.good for r in known], bool), model.threshold)).count()
     last = kth_largest(scores, "sample_key", k)
     return scores.withColumn("keep", _drawn(F.col("sample_key"), last)), model, last
 
@@ -200,7 +208,7 @@ def select_documents(docs: DataFrame, labels: DataFrame, k: int | None = None, t
     @F.pandas_udf("double")
     def sample_key(doc_id: pd.Series, text: pd.Series) -> pd.Series:
         batch = pa.RecordBatch.from_arrays([pa.array(text, pa.string(), from_pandas=True)], names=["text"])
-        score = [shared.value.scores(*utf8(part.column(0)))[0] for part in slices(batch, "text")]
+        score = [importance(*shared.value.scores(*utf8(part.column(0)))) for part in slices(batch, "text")]
         return pd.Series(np.concatenate([*score, np.empty(0)]) / temperature + gumbel(doc_id.fillna(-1).to_numpy().astype(np.int64), seed))
 
     key = sample_key(F.col("doc_id").cast("long"), F.coalesce(F.col("text").cast("string"), F.lit("")))

@@ -35,6 +35,18 @@ def test_parting_value():
     assert q.parting_value(np.array([1.0, 2]), np.array([1, 1]), 7) == 7
 
 
+def test_long_clean_documents_of_a_minority_language_stay(spark):
+    rng = np.random.default_rng(5)
+    text = lambda kind, n: " ".join(f"{kind}{i}" for i in rng.integers(0, 20, n))
+    docs = [(i, text("a", 40)) for i in range(300)] + [(i, text("b", 40)) for i in range(300, 500)] + [(i, text("junk", 40)) for i in range(500, 600)]
+    docs += [(600, text("b", 2000)), (601, text("b", 1)), (602, text("junk", 2000))]
+    labels = [(i, 1, 0) for i in [*range(200), *range(300, 400)]] + [(i, 0, 0) for i in range(500, 580)]
+    df, marks = spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(labels, "doc_id long, quality int, toxic int")
+    kept = {r.doc_id for r in q.resample(df, marks, temperature=1e-3)[0].filter("keep").collect()}
+    assert kept == {*range(500), 600, 601}
+    assert {r.doc_id for r in q.select_documents(df, marks, temperature=1e-3).collect()} == kept
+
+
 def test_quality_edge_cases(spark):
     docs = spark.createDataFrame([(1, None, 0.5), (2, "", 0.5), (3, "good words here", 0.5), (3, "good words here", 0.5), (None, "x" * 100_000, 0.5)], "doc_id long, text string, log_weight double")
     labels = spark.createDataFrame([*((i, 1, 0) for i in range(3, 12)), (99, None, None)], "doc_id long, quality int, toxic int")
