@@ -245,7 +245,7 @@ def personalization(spark, d) -> DataFrame:
 
 
 def error_slope(spark, d) -> DataFrame:
-    """Slope of log error over log walks, from 20 runs: near -1/2."""
+    """Slope of log error over log walks, from five runs: near -1/2."""
     edges = t.cut(t.peer_edges(spark, d))
     exact = t.cut(power.power_iteration(edges, SEED, ALPHA))
     errors = _union([metrics.error_by_walks(walks.simulate_walks(edges, SEED, 1_000, ALPHA, rng_seed=RNG_SEED + i), exact, [30, 100, 300, 1_000]).withColumn("run", F.lit(i)) for i in range(5)])
