@@ -4,15 +4,15 @@ The frequent words of the corpus (counted over all documents) and their token id
 are compiled into a minimal automaton: words share prefixes and suffixes, each
 edge carries how many words come before it, so the numbers met on a path add up
 to the word's place in the table of outputs.  The automaton is a handful of sorted
-arrays in one file, which every executor writes once to its own scratch folder and
-memory-maps; all distinct words of a chunk of text walk it at once, a byte per
-step.  Words outside the lexicon are merged exactly, rank by rank, all words of a
-chunk in step.  The lexicon is a matter of speed only: any lexicon gives the
-same ids.
+arrays in one file, which every worker memory-maps; all new words of a chunk of text
+walk it at once, a byte per step.  Words outside the lexicon are merged exactly, rank
+by rank, all words of a chunk in step.  What a worker has once encoded it keeps in a
+table of bounded size (``wordstream``).  Lexicon and table are a matter of speed only:
+any lexicon gives the same ids.
 
-Sizes: the lexicon has at most ``LEXICON_WORDS`` entries, each partition reports
-at most ``PARTITION_WORDS`` candidates for it; a worker holds the distinct words of
-one chunk of text.
+Sizes: the lexicon has at most ``LEXICON_WORDS`` words of the corpus.  Words are
+counted exactly: a partition reports every word that it has, of at most
+``LEXICON_LETTERS`` letters, and Spark adds the counts up.
 
 Defined results: a null text is empty and has no tokens; very long words are
 merged with a heap, in ``n log n``.
@@ -25,10 +25,7 @@ import heapq
 import io
 import json
 import os
-import re
 import tempfile
-import unicodedata
-from collections import Counter
 from collections.abc import Iterable, Iterator
 from itertools import chain
 
@@ -38,29 +35,14 @@ import regex
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import id_and_text, slices
+from .common import id_and_text, saved, slices
+from .wordstream import WordTable, numbered, ragged
 
 LEXICON_WORDS = 40_000
-PARTITION_WORDS = 4_096
-_COUNTER_LIMIT = 200_000
-#: Text whose distinct words are encoded together.
-CHUNK_BYTES = 8 << 20
+LEXICON_LETTERS = 64
+#: Text whose words are looked up together.
+CHUNK_BYTES = 4 << 20
 _END = "</w>"
-#: Unicode White_Space, as the tokenizer's pattern engine has it (fixed values).
-_SPACE = "\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
-#: The tokenizer file's own pattern, with that white space.
-_WORD = regex.compile(rf"'s|'t|'re|'ve|'m|'ll|'d|\p{{L}}+|\p{{N}}|[^{_SPACE}\p{{L}}\p{{N}}]+")
-
-
-def _latin1_word() -> re.Pattern:
-    """The same pattern for texts of Latin-1 letters only, in the faster engine."""
-    kinds = {c: unicodedata.category(c)[0] for c in map(chr, range(256))}
-    letters, numbers = ("".join(re.escape(c) for c, k in kinds.items() if k == x) for x in "LN")
-    return re.compile(rf"'s|'t|'re|'ve|'m|'ll|'d|[{letters}]+|[{numbers}]|[^\t-\r \x85\xa0{letters}{numbers}]+")
-
-
-_WORD_ASCII = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-z]+|[0-9]|[^\t-\r a-z0-9]+")
-_WORD_LATIN1 = _latin1_word()
 
 
 def default_tokenizer() -> str:
@@ -240,31 +222,6 @@ class MergeTable:
         return [s for s in symbols if s >= 0]
 
 
-def normal(text: str) -> str:
-    """NFC and lower case letter by letter (no rule for a final sigma)."""
-    if text.isascii():
-        return text.lower()
-    if not unicodedata.is_normalized("NFC", text):
-        text = unicodedata.normalize("NFC", text)
-    return text.replace("Σ", "σ").lower()
-
-
-def words_of(text: str, table: MergeTable) -> list[str]:
-    """The words of a text; special tokens stand for themselves."""
-    if table.split_special is not None and "<|" in text:
-        parts = table.split_special.split(text)
-        if len(parts) > 1:
-            return [w for i, part in enumerate(parts) for w in ((part,) if i % 2 else words_of(part, table))]
-    text = normal(text)
-    if text.isascii():
-        return _WORD_ASCII.findall(text)
-    try:
-        text.encode("latin-1")
-    except UnicodeEncodeError:
-        return _WORD.findall(text)
-    return _WORD_LATIN1.findall(text)
-
-
 # --- the automaton -------------------------------------------------------------
 
 
@@ -340,13 +297,10 @@ class Lexicon:
     """The memory-mapped automaton."""
 
     def __init__(self, blob: bytes):
-        path = os.path.join(tempfile.gettempdir(), f"lexicon-{hashlib.sha256(blob).hexdigest()[:24]}")
-        if not os.path.exists(path):
-            part = f"{path}.{os.getpid()}"
-            with open(part, "wb") as f:
-                f.write(blob)
-            os.replace(part, path)
-        mapped = np.memmap(path, np.uint8, "r")
+        with tempfile.TemporaryFile() as f:  # the mapping outlives the nameless file
+            f.write(blob)
+            f.flush()
+            mapped = np.memmap(f, np.uint8, "r")
         size = int.from_bytes(mapped[:8].tobytes(), "little")
         head = json.loads(mapped[8 : 8 + size].tobytes())
         for name, (at, kind, n) in head.items():
@@ -389,7 +343,39 @@ class Encoder:
     def __init__(self, path: str, blob: bytes | None):
         self.table = MergeTable(path)
         self.lexicon = Lexicon(blob) if blob else None
-        self.id_text = {i: str(i) for i in self.table.tokens}
+        self._tables: dict[str, WordTable] = {}
+        self._texts: list | None = None
+
+    def ids_table(self) -> WordTable:
+        """Words with their ids."""
+        if "ids" not in self._tables:
+            self._tables["ids"] = WordTable(lambda words: [self._rows(words)], [np.uint32])
+        return self._tables["ids"]
+
+    def text_table(self) -> WordTable:
+        """Words with the number of their ids, the ids as decimals and the tokens,
+        each with a space behind it."""
+        if self._texts is None:
+            size = max(self.table.tokens) + 1
+            self._texts = []
+            for texts in ([f"{i} ".encode() for i in range(size)], [f"{self.table.tokens.get(i, '')} ".encode() for i in range(size)]):
+                bounds = np.concatenate([[0], np.cumsum([len(x) for x in texts])])
+                self._texts.append((np.frombuffer(b"".join(texts), np.uint8), bounds))
+            self._tables["text"] = WordTable(self._text_rows, [np.uint16, np.uint8, np.uint8])
+        return self._tables["text"]
+
+    def _rows(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        flat, edge = self.flat_ids(words)
+        return flat, np.diff(edge)
+
+    def _text_rows(self, words: list[str]) -> list[tuple[np.ndarray, np.ndarray]]:
+        flat, edge = self.flat_ids(words)
+        out = [(np.diff(edge), np.ones(len(words), np.int64))]
+        for data, bounds in self._texts:
+            size = bounds[flat + 1] - bounds[flat]
+            total = np.concatenate([[0], np.cumsum(size)])
+            out.append((data[ragged(bounds[flat], size)], np.diff(total[edge])))
+        return out
 
     def flat_ids(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
         """The ids of the words, one after another, and the bounds of each word."""
@@ -417,15 +403,15 @@ class Encoder:
             out[np.repeat(start[rows] - (np.cumsum(c) - c), c) + np.arange(int(c.sum()))] = ids
         return out, np.concatenate([[0], np.cumsum(count)])
 
-    def ids_of(self, words: Iterable[str]) -> dict[str, list[int]]:
-        words = list(words)
-        flat, edge = (x.tolist() for x in self.flat_ids(words))
-        return {w: flat[a:b] for w, a, b in zip(words, edge, edge[1:], strict=False)}
+    def encode_all(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """The ids of the texts, one after another, and the bounds of each text."""
+        table = self.ids_table()
+        number, edge = numbered(table, texts, self.table.split_special)
+        flat, count = table.rows[0].take(number)
+        return flat, np.concatenate([[0], np.cumsum(count)])[edge]
 
     def encode(self, text: str) -> list[int]:
-        words = words_of(text or "", self.table)
-        ids = self.ids_of(dict.fromkeys(words))
-        return [i for w in words for i in ids[w]]
+        return self.encode_all([text or ""])[0].tolist()
 
     def decode(self, ids: Iterable[int]) -> str:
         return " ".join(self.table.tokens[i] for i in ids)
@@ -446,23 +432,47 @@ def encoder(path: str, blob: bytes | None) -> Encoder:
 # --- Spark ----------------------------------------------------------------------
 
 
-def frequent_words(docs: DataFrame, path: str, limit: int = LEXICON_WORDS) -> DataFrame:
-    """``word, n``: the most frequent words over all documents.  A partition
-    reports its ``PARTITION_WORDS`` most frequent ones."""
+def word_counts(docs: DataFrame, path: str) -> DataFrame:
+    """``word, n``: how often each word of at most ``LEXICON_LETTERS`` letters stands in
+    all documents, exactly."""
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table, seen = MergeTable(path), Counter()
+        special = MergeTable(path).split_special
+        table, seen = WordTable(lambda words: [], []), np.zeros(1 << 16, np.int64)
+
+        def report() -> pa.RecordBatch:
+            bounds = table.letters.bounds[: len(table) + 1].tolist()
+            text = table.letters.data[: table.letters.used].astype("<u4").tobytes().decode("utf-32-le", "surrogatepass")
+            some = [i for i, n in enumerate(seen[: len(table)].tolist()) if n and bounds[i + 1] - bounds[i] <= LEXICON_LETTERS]
+            return pa.RecordBatch.from_arrays([pa.array([text[bounds[i] : bounds[i + 1]] for i in some], pa.string()), pa.array(seen[some], pa.int64())], names=["word", "n"])
+
         for batch in batches:
             for part in slices(batch, "text", CHUNK_BYTES):
-                for text in part.column(0).to_pylist():
-                    seen.update(words_of(text, table))
-                if len(seen) > _COUNTER_LIMIT:
-                    seen = Counter(dict(seen.most_common(_COUNTER_LIMIT // 4)))
-        top = [(w, n) for w, n in sorted(seen.items(), key=lambda x: (-x[1], x[0]))[: 2 * PARTITION_WORDS] if len(w) <= 64][:PARTITION_WORDS]
-        yield pa.RecordBatch.from_arrays([pa.array([w for w, _ in top], pa.string()), pa.array([n for _, n in top], pa.int64())], names=["word", "n"])
+                if table.full():
+                    yield report()
+                    seen[:] = 0
+                number, _ = numbered(table, part.column(0).to_pylist(), special)
+                if len(table) > len(seen):
+                    seen = np.concatenate([seen, np.zeros(2 * len(table) - len(seen), np.int64)])
+                seen += np.bincount(number, minlength=len(seen))
+        yield report()
 
-    counted = id_and_text(docs).select("text").mapInArrow(count, "word string, n long")
-    return counted.groupBy("word").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "word").limit(limit)
+    return id_and_text(docs).select("text").mapInArrow(count, "word string, n long").groupBy("word").agg(F.sum("n").alias("n"))
+
+
+def frequent_words(docs: DataFrame, path: str, limit: int = LEXICON_WORDS) -> DataFrame:
+    """``word, n``: the most frequent words over all documents, at most ``limit``: those
+    whose count reaches a sixteenth of an octave that not more than ``limit`` reach."""
+    counted = saved(word_counts(docs, path))
+    level = F.floor(F.log2("n") * 16).cast("int")
+    levels = sorted(counted.groupBy(level.alias("level")).agg(F.count(F.lit(1)).alias("words")).collect(), key=lambda r: -r.level)  # 16 an octave at most
+    least, total = None, 0
+    for r in levels:
+        total += r.words
+        if total > limit:
+            break
+        least = r.level
+    return counted.where(level >= least) if least is not None else counted.limit(0)
 
 
 def build_lexicon(docs: DataFrame | None, path: str, limit: int = LEXICON_WORDS) -> bytes:
@@ -472,7 +482,7 @@ def build_lexicon(docs: DataFrame | None, path: str, limit: int = LEXICON_WORDS)
     whole = {t[: -len(_END)] for t in table.vocab if t.endswith(_END)}
     words = {w for w in whole if w.isascii() and w}
     if docs is not None:
-        words |= {r.word for r in frequent_words(docs, path, limit).toLocalIterator()}
+        words |= {r.word for r in frequent_words(docs, path, limit).select("word").collect()}
     return packed(compile_lexicon({w.encode(): table.word(w) for w in words if w and w not in table.special}))
 
 
@@ -485,10 +495,9 @@ def encode_documents(docs: DataFrame, path: str | None = None, lexicon: bytes |
         enc = encoder(path, shared.value)
         for batch in batches:
             for part in slices(batch, "text", CHUNK_BYTES):
-                words = [words_of(t, enc.table) for t in part.column(1).to_pylist()]
-                known = enc.ids_of(dict.fromkeys(chain.from_iterable(words)))
-                ids = [[i for w in ws for i in known[w]] for ws in words]
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(ids, pa.list_(pa.int32()))], names=["doc_id", "ids"])
+                flat, edge = enc.encode_all(part.column(1).to_pylist())
+                ids = pa.ListArray.from_arrays(pa.array(edge, pa.int32()), pa.array(flat.astype(np.int32)))
+                yield pa.RecordBatch.from_arrays([part.column(0), ids], names=["doc_id", "ids"])
 
     return id_and_text(docs).mapInArrow(run, "doc_id long, ids array<int>")
 
@@ -508,27 +517,24 @@ def decode_documents(ids: DataFrame, path: str | None = None) -> DataFrame:
 
 
 def encoding_digests(docs: DataFrame, path: str | None = None, lexicon: bytes | None = None) -> DataFrame:
-    """``doc_id, n_tokens, ids_sha256, decoded_sha256`` without materialising ids:
-    the words' ids and tokens are joined as text and hashed."""
+    """``doc_id, n_tokens, ids_sha256, decoded_sha256``: the ids and the tokens of the
+    words are joined as text, as ``decode_documents`` does, and hashed."""
     path = path or default_tokenizer()
     shared = docs.sparkSession.sparkContext.broadcast(lexicon)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc = encoder(path, shared.value)
-        tokens = enc.table.tokens
+        table = enc.text_table()
         for batch in batches:
             for part in slices(batch, "text", CHUNK_BYTES):
-                words = [words_of(t, enc.table) for t in part.column(1).to_pylist()]
-                known = enc.ids_of(dict.fromkeys(chain.from_iterable(words)))
-                as_ids = {w: " ".join([enc.id_text[i] for i in ids]) for w, ids in known.items()}
-                as_text = {w: " ".join([tokens[i] for i in ids]) for w, ids in known.items()}
-                n, a, b = [], [], []
-                for ws in words:
-                    joined = " ".join(map(as_ids.__getitem__, ws))
-                    n.append(joined.count(" ") + 1 if ws else 0)
-                    a.append(hashlib.sha256(joined.encode()).hexdigest())
-                    b.append(hashlib.sha256(" ".join(map(as_text.__getitem__, ws)).encode()).hexdigest())
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(n, pa.int64()), pa.array(a, pa.string()), pa.array(b, pa.string())], names=["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
+                number, edge = numbered(table, part.column(1).to_pylist(), enc.table.split_special)
+                each, _ = table.rows[0].take(number)
+                columns = [part.column(0), pa.array(np.diff(np.concatenate([[0], np.cumsum(each, dtype=np.int64)])[edge]), pa.int64())]
+                for rows in table.rows[1:]:
+                    data, size = rows.take(number)
+                    data, bounds = memoryview(data), np.concatenate([[0], np.cumsum(size)])[edge].tolist()
+                    columns.append(pa.array([hashlib.sha256(data[a : max(a, b - 1)]).hexdigest() for a, b in zip(bounds, bounds[1:], strict=False)], pa.string()))
+                yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
 
     return id_and_text(docs).mapInArrow(run, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")
 

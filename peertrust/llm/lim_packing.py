@@ -24,7 +24,6 @@ import bisect
 import zlib
 from collections import defaultdict
 from collections.abc import Iterator
-from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -33,7 +32,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_schema
 from pyspark.sql.types import LongType, StructField, StructType
 
-from .bpe_transducer import CHUNK_BYTES, build_lexicon, default_tokenizer, encoder, words_of
+from .bpe_transducer import CHUNK_BYTES, build_lexicon, default_tokenizer, encoder
 from .common import id_and_text, saved, slices
 
 CAPACITY = 2048
@@ -125,14 +124,11 @@ def token_pieces(docs: DataFrame, path: str | None = None, lexicon: bytes | None
         enc = encoder(path, shared.value)
         for batch in batches:
             for part in slices(batch, "text", CHUNK_BYTES):
-                words = [words_of(t, enc.table) for t in part.column(1).to_pylist()]
-                distinct = list(dict.fromkeys(chain.from_iterable(words)))
-                flat, edge = enc.flat_ids(distinct)
-                data = flat.astype("<u4").tobytes()
-                raw = {w: data[a:b] for w, a, b in zip(distinct, (4 * edge).tolist(), (4 * edge[1:]).tolist(), strict=False)}
+                flat, edge = enc.encode_all(part.column(1).to_pylist())
+                data_of, edge = memoryview(flat.astype("<u4", copy=False)).cast("B"), (4 * edge).tolist()
                 ids, piece, start, length, crc = [], [], [], [], []
-                for doc_id, ws in zip(part.column(0).to_pylist(), words, strict=True):
-                    data = b"".join(map(raw.__getitem__, ws)) + closing
+                for doc_id, a, b in zip(part.column(0).to_pylist(), edge, edge[1:], strict=False):
+                    data = bytes(data_of[a:b]) + closing
                     for k, at in enumerate(range(0, len(data), 4 * capacity)):
                         chunk = data[at : at + 4 * capacity]
                         ids.append(doc_id)
