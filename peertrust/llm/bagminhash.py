@@ -20,16 +20,19 @@ Classes.
     the exact multisets.  So a group of thousands of copies costs a few links a
     member, never all pairs.
 4.  What then still shares a bucket without having a hub in common is compared by
-    signature, in blocks; members that might reach the threshold with one of another
-    hub are compared exactly, again in blocks, as products of incidence
-    matrices.  Only links that join components leave the task.
+    signature; members that might reach the threshold with one of another hub are
+    compared exactly, as products of incidence matrices.  A large bucket is dealt out
+    to blocks of bounded size, and every pair of blocks is a piece of work of its own,
+    so a bucket of thousands of unlike documents takes many tasks, none of them large.
+    Only links that join components leave a task.
 
 A class is a component of documents linked at ``SIMILARITY`` or above, named by its
 smallest id.
 
 Defined results: null texts are empty; a text of fewer than five words is one
 shingle; texts without words, and rows without id, are classes of their own; rows
-that repeat an id repeat its class.
+that repeat an id are one document, with the greatest of their texts, and repeat its
+class.
 """
 
 from __future__ import annotations
@@ -38,11 +41,12 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import MapType
 
 from .bytehash import mix
-from .common import fresh, id_and_text, shared_dir, slices, utf8
+from .common import fresh, id_and_text, saved, shared_dir, slices, text_or_empty, utf8
 from .wordhash import runs, tokens
 
 SHINGLE, SIMILARITY = 5, 0.8
@@ -52,8 +56,11 @@ PLACES = BANDS * ROWS
 #: errors below the threshold.
 _MIGHT = SIMILARITY - 5 * (SIMILARITY * (1 - SIMILARITY) / PLACES) ** 0.5
 _BLOCK = 1024
-#: Members of buckets that one task compares by signature.
-_GROUP_ROWS = 20_000
+#: Rows and bytes of a block of a bucket, and of the work of one task, in the last step.
+_BLOCK_ROWS, _BLOCK_BYTES = 4_096, 4 << 20
+_GROUP_ROWS, _GROUP_BYTES = 10_000, 8 << 20
+#: Shingles whose occurrences are told apart together.
+_OVERLAP_SHINGLES = 1 << 18
 
 
 def shingle_multisets(buf: np.ndarray, offsets: np.ndarray, k: int = SHINGLE) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -220,17 +227,44 @@ def components(links: DataFrame) -> DataFrame:
             return labels
 
 
-def _buckets(table: pa.Table) -> Iterator[tuple[int, np.ndarray]]:
-    """Rows of each bucket of a group, by id."""
-    key, ids = table.column("key").to_numpy(), table.column("rep").to_numpy()
-    order = np.lexsort((ids, key))
-    edge = np.flatnonzero(np.concatenate([[True], key[order][1:] != key[order][:-1], [True]]))
+def _dealt(rows: DataFrame, weight: Column, most_rows: int, most_weight: int) -> DataFrame:
+    """``rows`` of buckets (``key``, ``rep``, ...) once for each pair of blocks that
+    their block is in: ``x <= y`` name the pair, ``mine`` the row's own block.  A
+    bucket has as many blocks as its rows or their weight ask for."""
+    sizes = rows.groupBy("key").agg(F.count(F.lit(1)).alias("_n"), F.sum(weight).alias("_w"))
+    blocks = F.greatest(F.ceil(F.col("_n") / most_rows), F.ceil(F.col("_w") / most_weight), F.lit(1))
+    many = sizes.select(F.col("key").alias("_key"), blocks.cast("int").alias("_blocks")).filter("_blocks > 1")
+    both = rows.join(many, rows.key == F.col("_key"), "left").drop("_key").withColumn("_blocks", F.coalesce("_blocks", F.lit(1)))
+    own = both.withColumn("mine", F.pmod(F.xxhash64("rep", F.lit(7)), F.col("_blocks")).cast("int"))
+    each = own.withColumn("_other", F.explode(F.sequence(F.lit(0), F.col("_blocks") - 1)))
+    return each.withColumn("x", F.least("mine", "_other")).withColumn("y", F.greatest("mine", "_other")).drop("_other", "_blocks")
+
+
+def _task(dealt: DataFrame, weight: Column, most_rows: int, most_weight: int) -> Column:
+    """Which of as many tasks as rows or weight ask for has a pair of blocks."""
+    total = dealt.agg(F.count(F.lit(1)).alias("n"), F.coalesce(F.sum(weight), F.lit(0)).alias("w")).first()
+    groups = max(1, -(-total.n // most_rows), -(-int(total.w) // most_weight))
+    return F.pmod(F.xxhash64("key", "x", "y"), F.lit(groups)).alias("group")
+
+
+def _pairs(table: pa.Table) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+    """``bucket, rows of one block, rows of the other`` for each pair of blocks of a
+    group, by id; the same rows twice where a block meets itself."""
+    key, x, y, mine, ids = (table.column(c).to_numpy() for c in ("key", "x", "y", "mine", "rep"))
+    order = np.lexsort((ids, mine, y, x, key))
+    same = (key[order][1:] == key[order][:-1]) & (x[order][1:] == x[order][:-1]) & (y[order][1:] == y[order][:-1])
+    edge = np.flatnonzero(np.concatenate([[True], ~same, [True]]))
     for a, b in zip(edge[:-1].tolist(), edge[1:].tolist(), strict=True):
-        yield int(key[order[a]]), order[a:b]
+        rows = order[a:b]
+        if x[rows[0]] == y[rows[0]]:
+            yield int(key[rows[0]]), rows, rows
+        else:
+            first = mine[rows] == x[rows[0]]
+            yield int(key[rows[0]]), rows[first], rows[~first]
 
 
-def _apart(labels: np.ndarray, n: np.ndarray, x: slice, y: slice, similarity: float) -> np.ndarray:
-    """Which pairs of two blocks are of unlike components and like sizes."""
+def _apart(labels: np.ndarray, n: np.ndarray, x: np.ndarray, y: np.ndarray, similarity: float) -> np.ndarray:
+    """Which pairs of two sets of rows are of unlike components and like sizes."""
     ok = labels[x][:, None] != labels[y][None, :]
     return ok & (n[x][:, None] >= similarity * n[y][None, :]) & (n[y][None, :] >= similarity * n[x][:, None])
 
@@ -244,19 +278,21 @@ def _suspects(similarity: float):
         sig = np.frombuffer(b"".join(table.column("signature").to_pylist()), np.uint32).reshape(len(ids), -1)
         least = (_MIGHT + similarity - SIMILARITY) * sig.shape[1]
         keys, found = [], []
-        for key, rows in _buckets(table):
-            l, m, g, hit = labels[rows], n[rows], sig[rows], np.zeros(len(rows), bool)
-            for i in range(0, len(rows), _BLOCK):
-                for j in range(i, len(rows), _BLOCK):
-                    x, y = slice(i, i + _BLOCK), slice(j, j + _BLOCK)
-                    u, v = np.nonzero(_apart(l, m, x, y, similarity))
+        hit = np.zeros(len(ids), bool)
+        for key, left, right in _pairs(table):
+            for i in range(0, len(left), _BLOCK):
+                for j in range(i if left is right else 0, len(right), _BLOCK):
+                    x, y = left[i : i + _BLOCK], right[j : j + _BLOCK]
+                    u, v = np.nonzero(_apart(labels, n, x, y, similarity))
                     for p in range(0, len(u), 1 << 14):
                         q = slice(p, p + (1 << 14))
-                        like = (g[x][u[q]] == g[y][v[q]]).sum(axis=1) >= least
-                        hit[u[q][like] + i] = True
-                        hit[v[q][like] + j] = True
-            keys.append(np.full(int(hit.sum()), key, np.int64))
-            found.append(rows[hit])
+                        like = (sig[x[u[q]]] == sig[y[v[q]]]).sum(axis=1) >= least
+                        hit[x[u[q][like]]] = True
+                        hit[y[v[q][like]]] = True
+            rows = left if left is right else np.concatenate([left, right])
+            rows = rows[hit[rows]]
+            keys.append(np.full(len(rows), key, np.int64))
+            found.append(rows)
         pick = np.concatenate([*found, np.empty(0, np.int64)]).astype(np.int64)
         return pa.table({"key": np.concatenate([*keys, np.empty(0, np.int64)]), "rep": ids[pick], "label": labels[pick], "n": n[pick]})
 
@@ -288,31 +324,39 @@ def overlaps(sets: list[np.ndarray], x: slice, y: slice) -> np.ndarray:
     return np.rint(out)
 
 
-def _exact_links(similarity: float, block: int = 512):
+def _parts(rows: np.ndarray, n: np.ndarray) -> list[np.ndarray]:
+    """The rows in runs whose multisets have ``_OVERLAP_SHINGLES`` elements together."""
+    cut = np.flatnonzero(np.diff(np.cumsum(n[rows]) // _OVERLAP_SHINGLES)) + 1
+    return np.split(rows, cut)
+
+
+def _exact_links(similarity: float):
     """Links between unlike components of each bucket, verified on the multisets;
     of links that join the same components, one."""
 
     def run(table: pa.Table) -> pa.Table:
-        ids, labels, n = (table.column(c).to_numpy() for c in ("rep", "label", "n"))
+        ids, n = (table.column(c).to_numpy() for c in ("rep", "n"))
         blobs = table.column("multiset")
         a, b = [], []
-        for _, rows in _buckets(table):
-            sets = [np.frombuffer(blobs[int(r)].as_py(), np.uint64) for r in rows]
-            l, m = labels[rows].copy(), n[rows]
-            for i in range(0, len(rows), block):
-                for j in range(i, len(rows), block):
-                    x, y = slice(i, i + block), slice(j, j + block)
-                    ok = _apart(l, m, x, y, similarity)
-                    if not ok.any():
+        for _, left, right in _pairs(table):
+            labels = table.column("label").to_numpy().copy()
+            ends = _parts(left, n), _parts(right, n)
+            for i, x in enumerate(ends[0]):
+                for y in ends[1][i:] if left is right else ends[1]:
+                    ok = _apart(labels, n, x, y, similarity)
+                    x_some, y_some = x[ok.any(axis=1)], y[ok.any(axis=0)]
+                    if not len(x_some):
                         continue
-                    both = overlaps(sets, x, y)
-                    ok &= both >= similarity * (m[x][:, None] + m[y][None, :] - both)
+                    sets = [np.frombuffer(blobs[int(r)].as_py(), np.uint64) for r in (*x_some, *y_some)]
+                    both = overlaps(sets, slice(0, len(x_some)), slice(len(x_some), None))
+                    ok = _apart(labels, n, x_some, y_some, similarity)
+                    ok &= both >= similarity * (n[x_some][:, None] + n[y_some][None, :] - both)
                     for u, v in zip(*np.nonzero(ok), strict=True):
-                        lu, lv = l[u + i], l[v + j]
+                        lu, lv = labels[x_some[u]], labels[y_some[v]]
                         if lu != lv:
-                            a.append(int(ids[rows[u + i]]))
-                            b.append(int(ids[rows[v + j]]))
-                            l[l == max(lu, lv)] = min(lu, lv)
+                            a.append(int(ids[x_some[u]]))
+                            b.append(int(ids[y_some[v]]))
+                            labels[labels == max(lu, lv)] = min(lu, lv)
         return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
 
     return run
@@ -323,6 +367,14 @@ def near_duplicate_classes(docs: DataFrame, similarity: float = SIMILARITY, k: i
     shared_dir(docs.sparkSession)
     rows = id_and_text(docs)
     table = signature_table(docs, k).checkpoint()
+    digest = F.struct("d1", "d2")
+    unlike = table.groupBy("doc_id").agg(F.min(digest).alias("lo"), F.max(digest).alias("hi")).filter("lo <> hi").select("doc_id").checkpoint()
+    if not unlike.isEmpty():
+        clash = rows.join(unlike, "doc_id", "left_semi")
+        once = rows.join(unlike, "doc_id", "left_anti").unionByName(clash.groupBy("doc_id").agg(F.max("text").alias("text")))
+        classes = near_duplicate_classes(saved(once), similarity, k)
+        again = clash.select("doc_id").join(classes.join(unlike, "doc_id", "left_semi"), "doc_id").select(*classes.columns)
+        return classes.join(unlike, "doc_id", "left_anti").unionByName(again)
     some = table.filter("n_shingles > 0")
     # equal multisets: one representative each
     reps = some.groupBy("d1", "d2").agg(F.min("doc_id").alias("rep"), F.first(F.struct("signature", "n_shingles")).alias("s")).select("rep", "s.signature", F.col("s.n_shingles").alias("n")).checkpoint()
@@ -336,12 +388,13 @@ def near_duplicate_classes(docs: DataFrame, similarity: float = SIMILARITY, k: i
     pairs = members.filter("rep <> center").filter(_near_sizes("n", "center_n", similarity)).select(F.col("center").alias("a"), F.col("rep").alias("b")).distinct()
     links = _verified(pairs, sets, similarity).checkpoint()
     open_rows = _open(members, _hubs(links)).checkpoint()
-    groups = max(1, open_rows.count() // _GROUP_ROWS * 4)
-    group = F.pmod("key", F.lit(groups)).alias("group")
-    signed = open_rows.join(reps.select("rep", "signature"), "rep").select("key", "rep", "label", "n", "signature")
-    suspects = signed.groupBy(group).applyInArrow(_suspects(similarity), "key long, rep long, label long, n long")
-    rest = suspects.join(sets.withColumnRenamed("id", "rep"), "rep").select("key", "rep", "label", "n", "multiset")
-    links = links.union(rest.groupBy(group).applyInArrow(_exact_links(similarity), "a long, b long")).distinct().checkpoint()
+    dealt = _dealt(open_rows, F.lit(0), _BLOCK_ROWS, 1)
+    signed = dealt.join(reps.select("rep", "signature"), "rep")
+    suspects = signed.groupBy(_task(dealt, F.lit(0), _GROUP_ROWS, 1)).applyInArrow(_suspects(similarity), "key long, rep long, label long, n long").distinct().checkpoint()
+    weight = 8 * F.col("n")
+    dealt = _dealt(suspects, weight, _BLOCK_ROWS, _BLOCK_BYTES)
+    rest = dealt.join(sets.withColumnRenamed("id", "rep"), "rep").select("key", "x", "y", "mine", "rep", "label", "n", "multiset")
+    links = links.union(rest.groupBy(_task(dealt, weight, _GROUP_ROWS, _GROUP_BYTES)).applyInArrow(_exact_links(similarity), "a long, b long")).distinct().checkpoint()
     labels = components(links)
 
     # back to all rows: digests of representatives, in an exchange of their own
@@ -378,10 +431,14 @@ def _open(members: DataFrame, labels: DataFrame) -> DataFrame:
 
 
 def keep_representatives(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
-    """The rows of ``docs`` that name their class; of rows with one id, one."""
-    key = fresh(docs, "_kept")
+    """The rows of ``docs`` that name their class; of rows with one id, the one with
+    the greatest text (then, the greatest other columns)."""
+    key, place = fresh(docs, "_kept"), fresh(docs, "_place")
     classes = near_duplicate_classes(docs, similarity).filter("class_id = doc_id").select(F.col("doc_id").alias(key)).distinct()
-    named = docs.join(classes, F.col("doc_id") == F.col(key), "left_semi").dropDuplicates(["doc_id"])
+    named = docs.join(classes, F.col("doc_id") == F.col(key), "left_semi")
+    order = [F.col(f"`{f.name}`").desc() for f in docs.schema.fields if f.name not in ("doc_id", "text") and not isinstance(f.dataType, MapType)]
+    one = Window.partitionBy("doc_id").orderBy(text_or_empty().desc(), *order)
+    named = named.withColumn(place, F.row_number().over(one)).filter(F.col(place) == 1).drop(place)
     return named.unionByName(docs.filter(F.col("doc_id").isNull()))
 
 

@@ -1,6 +1,7 @@
 from collections import Counter
 
 import numpy as np
+from pyspark.sql import functions as F
 
 from peertrust.llm import bagminhash as bag
 
@@ -97,3 +98,31 @@ def test_large_group_of_near_copies(spark):
         docs.append((i, " ".join(words)))
     df = spark.createDataFrame(docs, "doc_id long, text string")
     assert {r.doc_id: r.class_id for r in bag.near_duplicate_classes(df).collect()} == classes(docs)
+
+
+def test_rows_of_one_id_with_unlike_texts(spark):
+    a, b = " ".join(f"a{i}" for i in range(40)), " ".join(f"b{i}" for i in range(40))
+    rows = [(1, a, "x"), (2, b, "x"), (3, a, "x"), (3, b, "y"), (3, b, "z"), (4, a + " more", "x"), (None, a, "x")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    want = {1: 1, 2: 2, 3: 2, 4: 1}  # the greatest text of 3 is b
+    for some in (df, df.repartition(5), df.orderBy(F.desc("lang"))):
+        got = bag.near_duplicate_classes(some).collect()
+        assert len(got) == len(rows) and {r.doc_id: r.class_id for r in got if r.doc_id} == want
+    kept = bag.keep_representatives(df.union(df.filter("doc_id = 2"))).collect()
+    assert sorted((r.doc_id or 0, r.text) for r in kept) == [(0, a), (1, a), (2, b)]
+
+
+def test_a_bucket_of_unlike_documents_in_many_blocks(spark, monkeypatch):
+    """Documents that share half of their words: equal bands, but no links."""
+    for name, value in {"_BLOCK_ROWS": 40, "_BLOCK_BYTES": 20_000, "_GROUP_ROWS": 50, "_GROUP_BYTES": 40_000, "_OVERLAP_SHINGLES": 1_000, "_BLOCK": 16}.items():
+        monkeypatch.setattr(bag, name, value)
+    base = [f"w{i}" for i in range(150)]
+    rng = np.random.default_rng(4)
+    docs = []
+    for i in range(400):
+        own = [f"x{i}_{j}" for j in range(60)]
+        docs.append((i, " ".join([*base, *own])))
+        if rng.random() < 0.15:
+            docs.append((1000 + i, " ".join([*base, *own[:-3], "z", "y", "x"])))
+    df = spark.createDataFrame(docs, "doc_id long, text string")
+    assert {r.doc_id: r.class_id for r in bag.near_duplicate_classes(df).collect()} == classes(docs)
