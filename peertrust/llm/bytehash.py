@@ -37,14 +37,15 @@ def mix(x: np.ndarray) -> np.ndarray:
 
 
 class HashedBytes:
-    """A buffer with its prefix hashes."""
+    """A buffer with its prefix hashes; another ``seed``, other hashes."""
 
-    def __init__(self, buf: np.ndarray):
+    def __init__(self, buf: np.ndarray, seed: int = 0):
         n = len(buf)
+        base = (BASE + 2 * seed) % (1 << 64)
         self.buf = buf
         self.prefix = np.zeros(n + 1, np.uint64)
-        np.cumsum(LETTERS[buf] * powers_of(BASE, n + 1)[:n], out=self.prefix[1:])
-        self.inverse = powers_of(INVERSE, n + 1)
+        np.cumsum(LETTERS[buf] * powers_of(base, n + 1)[:n], out=self.prefix[1:])
+        self.inverse = powers_of(pow(base, -1, 1 << 64) if seed else INVERSE, n + 1)
 
     def ranges(self, start: np.ndarray, end: np.ndarray) -> np.ndarray:
         """The hash of each ``buf[start:end]`` (not mixed)."""

@@ -12,22 +12,35 @@ anchor form a segment.
 1.  Each chunk of text sends, for each anchor, the gram's hash, the segment's hash
     and its place, packed into one binary row for each bucket of gram hashes.
     Within the chunk, equal segments go out once, and their later documents are
-    marked as covered right there; so a passage that a third of the corpus repeats
-    costs one entry a chunk.
-2.  A bucket groups its entries by gram.  Equal segments (96 bits of two hashes):
-    all but those of the smallest document are covered.  A gram with unlike segments may still share
-    windows among them; one set of occurrences for each unlike segment goes on.
+    marked as covered right there, after a comparison of the bytes; so a passage that
+    a third of the corpus repeats costs one entry a chunk.
+2.  A bucket groups its entries by gram.  Equal segments (48 bits of the gram's hash
+    and 48 of the segment's): all but those of the smallest document are covered.  A
+    gram with unlike segments may still share windows among them; one set of
+    occurrences for each unlike segment goes on.
 3.  Those segments fetch their bytes and meet again, by gram, in a suffix sort:
     prefix polynomial hashes and binary search give common extensions, a mergesort
     compares suffixes with them, and runs of suffixes with ``LENGTH`` common bytes
     are verified byte by byte.  Windows outside the smallest document of a run are
-    covered.
-4.  Covered ranges return to their documents, are united and cut out.
-
-Buckets are numbered by size of the input, so their memory doesn't grow with it.
-
-Defined results: null texts are empty; texts shorter than ``LENGTH`` lose nothing;
-rows that repeat a ``doc_id`` are one document and get equal results; rows without
+    covered.  A gram with more than ``HOT_SEGMENTS`` unlike segments is parted first:
+    windows that reach far to its left meet by the bytes left of it, the others by
+    those to its right.
+4.  What step 2 has covered by hash alone is verified.  Equal segments are the nodes
+    of a binary tree below the smallest one, so no document is asked for more than two
+    others a segment.  Neighbouring segments of two documents make one range; the
+    parent's side sends a 128-bit cryptographic digest of its bytes, which must be that
+    of the child's bytes.  If not, two strings with equal hashes were met, and the
+    job ends with an error instead of a wrong result; with another ``seed`` the hashes
+    are others.
+5.  Covered ranges return to their documents, are united and cut out.
+
+Buckets are numbered by size of the input, so their memory doesn't grow with it, but
+for the entries (some 30 bytes each) of one gram, which meet in one task.
+
+Defined results: null texts are empty; texts shorter than ``LENGTH`` lose nothing; a
+text is cut into pieces that overlap, so only itself has to fit in memory; rows that
+repeat a ``doc_id`` neither cover one another nor are told apart otherwise: equal ones
+get equal results, unlike texts of one id lose each their own bytes; rows without
 ``doc_id`` neither lose nor cover anything.
 """
 
@@ -35,6 +48,7 @@ from __future__ import annotations
 
 import hashlib
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -42,18 +56,39 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .bytehash import HashedBytes, merge_sorted_suffixes, mix
-from .common import id_and_text, saved, slices, utf8
+from .common import id_and_text, saved, slices, text_or_empty, utf8
+from .wordstream import ragged
 
 LENGTH = 50
 GRAM = 16
+#: Unlike segments of a gram from which its windows meet by their further bytes.
+HOT_SEGMENTS = 4_096
 #: Text bytes behind one bucket of grams, and of one group of documents.
 BUCKET_BYTES, GROUP_BYTES = 8 << 20, 4 << 20
 _PLACE_BITS = 28
+#: Kinds of rows: segments and their bytes; covered ranges; segments to be sorted; ranges
+#: to be verified; segments of a hot gram to be sorted.
+_SEGMENTS, _COVERED, _WANTED, _CLAIMED, _HOT = range(5)
 #: ``to``: the group that a row goes to next; ``then``: the one after that.
 _BLOB = "to int, kind int, then int, blob binary"
 _CHUNK = 2 << 20
 
 
+@dataclass(frozen=True)
+class Plan:
+    """What the tasks have to know."""
+
+    length: int = LENGTH
+    gram: int = GRAM
+    buckets: int = 16
+    groups: int = 17
+    hot: int = HOT_SEGMENTS
+    chunk: int = _CHUNK
+    seed: int = 0
+    #: Bits of a segment's hash that are compared (up to 48) before its bytes are.
+    bits: int = 48
+
+
 # --- packing of number columns into binary rows ------------------------------------
 
 
@@ -73,15 +108,15 @@ def _from_planes(data: memoryview, kind: str, n: int) -> np.ndarray:
     return np.ascontiguousarray(planes.T).view(dtype).reshape(n)
 
 
-def pack_columns(doc: np.ndarray, columns: list[np.ndarray], tail: bytes = b"") -> bytes:
+def pack_columns(doc: np.ndarray, variant: np.ndarray, columns: list[np.ndarray], tail: bytes = b"") -> bytes:
     """Entries ordered by document: a table of documents, and the other columns."""
-    edge = np.flatnonzero(np.concatenate([[True], doc[1:] != doc[:-1]])) if len(doc) else np.empty(0, np.int64)
+    edge = np.flatnonzero(np.concatenate([[True], (doc[1:] != doc[:-1]) | (variant[1:] != variant[:-1])])) if len(doc) else np.empty(0, np.int64)
     each = np.diff(np.concatenate([edge, [len(doc)]])).astype(np.uint32)
     head = np.array([len(doc), len(edge)], np.int64).tobytes()
-    return b"".join([head, _planes(doc[edge].astype(np.int64)), _planes(each), *map(_planes, columns), tail])
+    return b"".join([head, _planes(doc[edge].astype(np.int64)), _planes(variant[edge].astype(np.int64)), _planes(each), *map(_planes, columns), tail])
 
 
-def unpack_columns(blob: bytes, kinds: list[str]) -> tuple[np.ndarray, list[np.ndarray], memoryview]:
+def unpack_columns(blob: bytes, kinds: list[str]) -> tuple[np.ndarray, np.ndarray, list[np.ndarray], memoryview]:
     n, m = np.frombuffer(blob, np.int64, 2).tolist()
     data, at = memoryview(blob), 16
 
@@ -91,9 +126,9 @@ def unpack_columns(blob: bytes, kinds: list[str]) -> tuple[np.ndarray, list[np.n
         at += np.dtype(kind).itemsize * count
         return out
 
-    ids, each = read("<i8", m), read("<u4", m)
+    ids, variants, each = read("<i8", m), read("<i8", m), read("<u4", m)
     columns = [read(k, n) for k in kinds]
-    return np.repeat(ids, each), columns, data[at:]
+    return np.repeat(ids, each), np.repeat(variants, each), columns, data[at:]
 
 
 def _split(to: np.ndarray) -> list[tuple[int, np.ndarray]]:
@@ -120,7 +155,7 @@ def _group_numpy(doc: np.ndarray, groups: int) -> np.ndarray:
 
 
 def _group_column(groups: int):
-    x = F.coalesce(F.col("doc_id"), F.lit(0))
+    x = F.coalesce(F.col("doc_id"), F.col("variant"))  # rows without id meet nothing, wherever they are
     x = x.bitwiseXOR(F.shiftrightunsigned(x, 7)).bitwiseXOR(F.shiftrightunsigned(x, 19))
     return F.pmod(x.bitwiseAND(F.lit((1 << 63) - 1)), F.lit(groups)).cast("int")
 
@@ -161,47 +196,88 @@ def segments(text: HashedBytes, offsets: np.ndarray, length: int, gram: int) ->
     return grams[a[opens]], first, last, np.searchsorted(offsets, first, side="right") - 1
 
 
-def _anchors(buckets: int, groups: int, length: int, gram: int):
+def _collision() -> RuntimeError:
+    return RuntimeError("two unlike strings have one hash: run again with another seed")
+
+
+def _pieces(part: pa.RecordBatch, plan: Plan) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, int]]:
+    """``doc_id, variant, bytes, offsets, place in the text`` of the texts of a part, in
+    order of documents; a text longer than a chunk comes in pieces, such that every
+    window lies in one of them."""
+    ids, variant = (part.column(i).to_numpy(zero_copy_only=False) for i in (0, 2))
+    order = np.lexsort((variant, ids))
+    part = part.take(pa.array(order))
+    buf, offsets = utf8(part.column(1))
+    if len(ids) > 1 or len(buf) <= 2 * plan.chunk:
+        yield ids[order], variant[order], buf, offsets, 0
+        return
+    for at in range(0, len(buf) - plan.length + 1, plan.chunk):
+        piece = buf[at : at + plan.chunk + plan.length - 1]
+        yield ids, variant, piece, np.array([0, len(piece)], np.int64), at
+
+
+def _same_in_chunk(buf: np.ndarray, doc: np.ndarray, first: np.ndarray, last: np.ndarray, head: np.ndarray, again: np.ndarray, length: int) -> None:
+    """Compares segments with those that they are held equal to, in ranges."""
+    at = np.flatnonzero(again)
+    if not len(at):
+        return
+    shift = first[at] - first[head[at]]
+    if (last[at] - last[head[at]] != shift).any():
+        raise _collision()
+    opens = np.concatenate([[True], (np.diff(at) != 1) | (np.diff(shift) != 0) | (first[at[1:]] != last[at[:-1]] + 1) | (np.diff(head[at]) != 1)])
+    begin = np.flatnonzero(opens)
+    end = np.append(begin[1:], len(at)) - 1
+    where = ragged(first[at[begin]], last[at[end]] + length - first[at[begin]])
+    if not np.array_equal(buf[where], buf[where - np.repeat(shift[begin], last[at[end]] + length - first[at[begin]])]):
+        raise _collision()
+
+
+def _anchors(plan: Plan):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in slices(batch, "text", _CHUNK):
-                ids = part.column(0).to_numpy(zero_copy_only=False)
-                part = part.take(pa.array(np.argsort(ids, kind="stable")))
-                ids = np.sort(ids)
-                buf, offsets = utf8(part.column(1))
-                text = HashedBytes(buf)
-                key, first, last, number = segments(text, offsets, length, gram)
-                if not len(key):
-                    continue
-                whole = mix(text.ranges(first, last + length) + (last - first).astype(np.uint64))
-                doc, start = ids[number], first - offsets[number]
-                windows = (last - first).astype(np.uint8)
-                same = mix(key) ^ whole
-                order = np.argsort(same, kind="stable")  # documents stay in order
-                s = same[order]
-                opens = np.concatenate([[True], s[1:] != s[:-1]])
-                head = order[np.flatnonzero(opens)][np.cumsum(opens) - 1]
-                again = np.zeros(len(key), bool)
-                again[order] = (doc[order] != doc[head]) & (key[order] == key[head]) & (whole[order] == whole[head])
-                rows = []
-                covered = np.flatnonzero(again)
-                for to, pick in _split(_group_numpy(doc[covered], groups)):
-                    at = covered[pick]
-                    rows.append((to % buckets, 1, to, pack_columns(doc[at], [start[at].astype(np.uint32), windows[at].astype(np.uint16)])))
-                fresh = np.flatnonzero(~again)
-                for to, pick in _split((key[fresh] % np.uint64(buckets)).astype(np.int64)):
-                    at = fresh[pick]
-                    rows.append((to, 0, to, pack_columns(doc[at], _entry(key[at], whole[at], start[at], windows[at]))))
-                yield _blobs(rows)
+            for part in slices(batch, "text", plan.chunk):
+                for piece in _pieces(part, plan):
+                    rows = _chunk_rows(*piece, plan)
+                    if rows:
+                        yield _blobs(rows)
 
     return run
 
 
+def _chunk_rows(ids: np.ndarray, variants: np.ndarray, buf: np.ndarray, offsets: np.ndarray, base: int, plan: Plan) -> list[tuple[int, int, int, bytes]]:
+    text, length = HashedBytes(buf, plan.seed), plan.length
+    key, first, last, number = segments(text, offsets, length, plan.gram)
+    if not len(key):
+        return []
+    whole = mix(text.ranges(first, last + length) + (last - first).astype(np.uint64))
+    doc, variant, start = ids[number], variants[number], first - offsets[number] + base
+    windows = (last - first).astype(np.uint8)
+    same = mix(key) ^ whole
+    order = np.argsort(same, kind="stable")  # documents stay in order
+    s = same[order]
+    opens = np.concatenate([[True], s[1:] != s[:-1]])
+    head = np.empty(len(key), np.int64)
+    head[order] = order[np.flatnonzero(opens)][np.cumsum(opens) - 1]
+    again = (doc != doc[head]) & (key == key[head]) & (whole == whole[head])
+    _same_in_chunk(buf, doc, first, last, head, again, length)
+    rows = []
+    covered = np.flatnonzero(again)
+    for to, pick in _split(_group_numpy(doc[covered], plan.groups)):
+        at = covered[pick]
+        rows.append((to % plan.buckets, _COVERED, to, pack_columns(doc[at], variant[at], [start[at].astype(np.uint32), windows[at].astype(np.uint16)])))
+    fresh = np.flatnonzero(~again)
+    for to, pick in _split((key[fresh] % np.uint64(plan.buckets)).astype(np.int64)):
+        at = fresh[pick]
+        rows.append((to, _SEGMENTS, to, pack_columns(doc[at], variant[at], _entry(key[at], whole[at], start[at], windows[at], plan.bits))))
+    return rows
+
+
 _ENTRY = ["<u2", "<u4", "<u2", "<u4", "<u4", "u1"]
 
 
-def _entry(key: np.ndarray, whole: np.ndarray, start: np.ndarray, windows: np.ndarray) -> list[np.ndarray]:
+def _entry(key: np.ndarray, whole: np.ndarray, start: np.ndarray, windows: np.ndarray, bits: int) -> list[np.ndarray]:
     """The upper 48 bits of the gram's and of the segment's hash, its place and width."""
+    whole = whole & np.uint64((1 << 64) - (1 << (64 - bits)))
     halves = [x for h in (key, whole) for x in ((h >> np.uint64(48)).astype(np.uint16), (h >> np.uint64(16)).astype(np.uint32))]
     return [*halves, start.astype(np.uint32), windows.astype(np.uint8)]
 
@@ -210,14 +286,14 @@ def _joined(high: np.ndarray, low: np.ndarray) -> np.ndarray:
     return high.astype(np.uint64) << np.uint64(32) | low
 
 
-def _meet(groups: int):
+def _meet(plan: Plan):
     def run(table: pa.Table) -> pa.Table:
         kind, then = table.column("kind").to_pylist(), table.column("then").to_pylist()
-        entries = [b for b, k in zip(table.column("blob"), kind, strict=True) if k == 0]
-        rows = [(t, 1, t, b.as_py()) for b, k, t in zip(table.column("blob"), kind, then, strict=True) if k == 1]
+        entries = [b for b, k in zip(table.column("blob"), kind, strict=True) if k == _SEGMENTS]
+        rows = [(t, k, t, b.as_py()) for b, k, t in zip(table.column("blob"), kind, then, strict=True) if k != _SEGMENTS]
         if not entries:
             return pa.Table.from_batches([_blobs(rows)])
-        key = np.concatenate([_joined(*unpack_columns(b.as_py(), _ENTRY)[1][:2]) for b in entries])
+        key = np.concatenate([_joined(*unpack_columns(b.as_py(), _ENTRY)[2][:2]) for b in entries])
         order = np.argsort(key, kind="stable")
         k = key[order]
         twin = np.zeros(len(k) + 1, bool)
@@ -227,85 +303,185 @@ def _meet(groups: int):
         del order, k, twin
         parts, at = [], 0
         for b in entries:
-            doc, columns, _ = unpack_columns(b.as_py(), _ENTRY)
+            doc, variant, columns, _ = unpack_columns(b.as_py(), _ENTRY)
             pick = np.flatnonzero(keep[at : at + len(doc)])
-            parts.append((doc[pick], *(c[pick] for c in columns)))
+            parts.append((doc[pick], variant[pick], *(c[pick] for c in columns)))
             at += len(doc)
         key = key[keep]
-        doc, _, _, high, low, start, windows = (np.concatenate([p[i] for p in parts]) for i in range(7))
+        doc, variant, _, _, high, low, start, windows = (np.concatenate([p[i] for p in parts]) for i in range(8))
         whole = _joined(high, low)
         del parts, high, low
         order = np.lexsort((doc, whole, key))
-        key, whole, doc, start, windows = key[order], whole[order], doc[order], start[order], windows[order]
+        key, whole, doc, variant, start, windows = key[order], whole[order], doc[order], variant[order], start[order], windows[order]
         if len(key):
             new_key = np.concatenate([[True], key[1:] != key[:-1]])
             new = new_key | np.concatenate([[True], whole[1:] != whole[:-1]])
-            least = doc[np.flatnonzero(new)][np.cumsum(new) - 1]
+            root = np.flatnonzero(new)[np.cumsum(new) - 1]
+            least = doc[root]
             covered = np.flatnonzero(doc != least)
-            for sort, at in ((1, covered), (2, np.flatnonzero((doc == least) & _unlike(new_key, new)))):
-                for to, pick in _split(_group_numpy(doc[at], groups)):
+            parent = _parents(covered, root)
+            many = _unlike(new_key, new)
+            for row_kind, at in ((_COVERED, covered), (_WANTED, np.flatnonzero((doc == least) & (many > 1) & (many <= plan.hot))), (_HOT, np.flatnonzero((doc == least) & (many > plan.hot)))):
+                for to, pick in _split(_group_numpy(doc[at], plan.groups)):
                     i = at[pick]
-                    i = i[np.argsort(doc[i], kind="stable")]
+                    i = i[np.lexsort((variant[i], doc[i]))]
                     columns = [start[i], windows[i].astype(np.uint16)]
-                    rows.append((to, sort, to, pack_columns(doc[i], columns if sort == 1 else [*columns, key[i]])))
+                    rows.append((to, row_kind, to, pack_columns(doc[i], variant[i], columns if row_kind == _COVERED else [*columns, key[i]])))
+            for to, pick in _split(_group_numpy(doc[parent], plan.groups)):
+                pick = pick[np.lexsort((start[parent[pick]], variant[parent[pick]], doc[parent[pick]]))]
+                i, j = parent[pick], covered[pick]
+                rows.append((to, _CLAIMED, to, pack_columns(doc[i], variant[i], [start[i], windows[j].astype(np.uint16), doc[j], variant[j], start[j]])))
         return pa.Table.from_batches([_blobs(rows)])
 
     return run
 
 
+def _parents(covered: np.ndarray, root: np.ndarray) -> np.ndarray:
+    """The entry that each covered one is compared with: those of one ``root`` make a
+    binary tree below it, in their order."""
+    of = root[covered]
+    first = np.flatnonzero(np.concatenate([[True], of[1:] != of[:-1]])) if len(of) else np.empty(0, np.int64)
+    begin = np.repeat(first, np.diff(np.append(first, len(of))))
+    above = (np.arange(len(of)) - begin) // 2 - 1
+    return np.where(above < 0, of, covered[np.maximum(begin + above, 0)]) if len(of) else of
+
+
 def _unlike(new_key: np.ndarray, new: np.ndarray) -> np.ndarray:
-    """Entries whose gram has more than one segment."""
+    """For each entry, how many unlike segments its gram has."""
     number = np.cumsum(new_key) - 1
-    return np.bincount(number, weights=new)[number] > 1
+    return np.bincount(number, weights=new)[number]
 
 
-def _fetch(buckets: int, length: int):
-    """The bytes of segments that have to be sorted."""
+def _fetch(plan: Plan):
+    """The bytes of segments that have to be sorted, and digests of ranges that others
+    are held equal to."""
 
     def run(docs: pa.Table, wanted: pa.Table) -> pa.Table:
         if not wanted.num_rows or not docs.num_rows:
             return pa.Table.from_batches([_blobs([])])
-        doc, (start, windows, key) = _gather(wanted, ["<u4", "<u2", "<u8"])
-        ids, buf, offsets = _texts(docs)
-        row = np.minimum(np.searchsorted(ids, doc), len(ids) - 1)
-        size = windows.astype(np.int64) + length
-        at = offsets[row] + start
-        ok = np.flatnonzero((ids[row] == doc) & (at + size <= offsets[row + 1]))
+        ids, variants, buf, offsets = _texts(docs)
+        kind = wanted.column("kind").to_numpy()
         rows = []
-        for to, pick in _split((key[ok] % np.uint64(buckets)).astype(np.int64)):
-            i = ok[pick]
-            i = i[np.argsort(doc[i], kind="stable")]
-            n = size[i]
-            where = np.repeat(at[i] - (np.cumsum(n) - n), n) + np.arange(int(n.sum()))
-            rows.append((to, 0, to, pack_columns(doc[i], [start[i], windows[i], key[i]], buf[where].tobytes())))
+        for hot in (False, True):
+            some = wanted.filter(pa.array(kind == (_HOT if hot else _WANTED)))
+            if some.num_rows:
+                doc, variant, (start, windows, key) = _gather(some, ["<u4", "<u2", "<u8"])
+                at = offsets[_row_of(ids, variants, doc, variant)] + start
+                windows = windows.astype(np.int64)
+                if hot:
+                    which, skip, windows, key = _sides(buf, at, windows, key, plan)
+                    doc, variant, start, at = doc[which], variant[which], (start[which] + skip).astype(np.uint32), at[which] + skip
+                rows += _segment_rows(buf, at, doc, variant, start, windows, key, plan)
+        claims = wanted.filter(pa.array(kind == _CLAIMED))
+        if claims.num_rows:
+            rows += _digest_rows(buf, offsets, ids, variants, claims, plan)
         return pa.Table.from_batches([_blobs(rows)])
 
     return run
 
 
-def _gather(table: pa.Table, kinds: list[str]) -> tuple[np.ndarray, list[np.ndarray]]:
-    parts = [unpack_columns(b.as_py(), kinds)[:2] for b in table.column("blob")]
-    return np.concatenate([d for d, _ in parts]), [np.concatenate([c[i] for _, c in parts]) for i in range(len(kinds))]
+def _segment_rows(buf: np.ndarray, at: np.ndarray, doc: np.ndarray, variant: np.ndarray, start: np.ndarray, windows: np.ndarray, key: np.ndarray, plan: Plan) -> list[tuple[int, int, int, bytes]]:
+    rows, size = [], windows + plan.length
+    for to, i in _split((key % np.uint64(plan.buckets)).astype(np.int64)):
+        i = i[np.lexsort((variant[i], doc[i]))]
+        rows.append((to, _SEGMENTS, to, pack_columns(doc[i], variant[i], [start[i], windows[i].astype(np.uint16)], buf[ragged(at[i], size[i])].tobytes())))
+    return rows
 
 
-def _texts(docs: pa.Table) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Ids in order, with the bytes of their texts (first row of an id)."""
+def _sides(buf: np.ndarray, at: np.ndarray, windows: np.ndarray, key: np.ndarray, plan: Plan) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Segments of a hot gram in two: ``segment, windows skipped, windows more, key``.
+
+    A window that begins ``left`` bytes or more before the gram holds those bytes; any
+    other one holds ``right`` bytes behind the gram.  The two are keyed by them."""
+    length, gram = plan.length, plan.gram
+    span = length - gram
+    left, right = span // 2, span - span // 2 + 1
+    size = windows + length
+    own = HashedBytes(buf[ragged(at, size)], plan.seed)
+    begin = np.cumsum(size) - size
+    column = np.arange(span + 1)
+    grams = own.grams(gram) >> np.uint64(16)
+    # the anchor is the gram's first place that all windows hold
+    place = ((grams[begin[:, None] + column] == key[:, None]) & (column >= windows[:, None])).argmax(axis=1)
+    which, skip, more, new = [], [], [], []
+    far = np.flatnonzero(place >= left)
+    if len(far):
+        which.append(far)
+        skip.append(np.zeros(len(far), np.int64))
+        more.append(np.minimum(windows[far], place[far] - left))
+        new.append(mix(own.ranges(begin[far] + place[far] - left, begin[far] + place[far] + gram)))
+    first = np.maximum(place - left + 1, 0)
+    near = np.flatnonzero(first <= windows)
+    if len(near):
+        which.append(near)
+        skip.append(first[near])
+        more.append(windows[near] - first[near])
+        new.append(mix(~own.ranges(begin[near] + place[near], begin[near] + place[near] + gram + right)))
+    return tuple(np.concatenate(x) for x in (which, skip, more, new))
+
+
+def _digest_rows(buf: np.ndarray, offsets: np.ndarray, ids: np.ndarray, variants: np.ndarray, claims: pa.Table, plan: Plan) -> list[tuple[int, int, int, bytes]]:
+    doc, variant, (start, windows, child, child_variant, child_start) = _gather(claims, ["<u4", "<u2", "<i8", "<i8", "<u4"])
+    row = _row_of(ids, variants, doc, variant)
+    start, child_start = start.astype(np.int64), child_start.astype(np.int64)
+    order = np.lexsort((start, child_start - start, child_variant, child, row))
+    row, child, child_variant, start, child_start, end = (x[order] for x in (row, child, child_variant, start, child_start, start + windows + plan.length))
+    same = (row[1:] == row[:-1]) & (child[1:] == child[:-1]) & (child_variant[1:] == child_variant[:-1])
+    same &= (child_start - start)[1:] == (child_start - start)[:-1]
+    same &= start[1:] <= end[:-1]
+    opens = np.flatnonzero(np.concatenate([[True], ~same]))
+    closes = np.append(opens[1:], len(row)) - 1
+    size = end[closes] - start[opens]
+    at, data = offsets[row[opens]] + start[opens], memoryview(buf)
+    digest = np.frombuffer(b"".join([_digest(data[a:b]) for a, b in zip(at.tolist(), np.minimum(at + size, offsets[row[opens] + 1]).tolist(), strict=True)]), np.uint64).reshape(-1, 2)
+    child, child_variant, child_start = child[opens], child_variant[opens], child_start[opens]
+    rows = []
+    for to, i in _split(_group_numpy(child, plan.groups)):
+        pick = np.lexsort((child_variant[i], child[i]))
+        i = i[pick]
+        rows.append((to % plan.buckets, _CLAIMED, to, pack_columns(child[i], child_variant[i], [child_start[i].astype(np.uint32), size[i].astype(np.uint32), digest[i, 0], digest[i, 1]])))
+    return rows
+
+
+def _digest(data) -> bytes:
+    return hashlib.blake2b(data, digest_size=16).digest()
+
+
+def _gather(table: pa.Table, kinds: list[str]) -> tuple[np.ndarray, np.ndarray, list[np.ndarray]]:
+    parts = [unpack_columns(b.as_py(), kinds)[:3] for b in table.column("blob")]
+    return np.concatenate([p[0] for p in parts]), np.concatenate([p[1] for p in parts]), [np.concatenate([p[2][i] for p in parts]) for i in range(len(kinds))]
+
+
+def _texts(docs: pa.Table) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Ids and variants in order, with the bytes of their texts."""
     docs = docs.filter(docs.column("doc_id").is_valid())
-    ids = docs.column("doc_id").to_numpy()
-    docs = docs.take(pa.array(np.argsort(ids, kind="stable")))
-    buf, offsets = utf8(docs.column("text"))
-    return np.sort(ids), buf, offsets
+    ids, variants = docs.column("doc_id").to_numpy(), docs.column("variant").to_numpy()
+    order = np.lexsort((variants, ids))
+    buf, offsets = utf8(docs.column("text").take(pa.array(order)))
+    return ids[order], variants[order], buf, offsets
+
 
+def _row_of(ids: np.ndarray, variants: np.ndarray, doc: np.ndarray, variant: np.ndarray) -> np.ndarray:
+    """The first row of ``ids, variants`` (in order) for each wanted pair, all there."""
+    low, high = np.searchsorted(ids, doc, side="left"), np.searchsorted(ids, doc, side="right")
+    live = np.flatnonzero(high - low > 1)
+    while len(live):  # several rows of the same id
+        middle = (low[live] + high[live]) >> 1
+        less = variants[middle] < variant[live]
+        low[live[less]] = middle[less] + 1
+        high[live[~less]] = middle[~less]
+        live = live[low[live] < high[live]]
+    return low
 
-def covered_windows(buf: np.ndarray, size: np.ndarray, doc: np.ndarray, key: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray]:
-    """For segments lying one after another in ``buf`` (with a gram's ``key``
-    each): the segment and the place in it of every window that a smaller document
-    of the same gram has too.
+
+def covered_windows(buf: np.ndarray, size: np.ndarray, doc: np.ndarray, length: int, seed: int = 0) -> tuple[np.ndarray, np.ndarray]:
+    """For segments lying one after another in ``buf``: the segment and the place in
+    it of every window that a segment of a smaller document has too.
 
     Windows with a hash of their own are left out; the others are sorted as
     suffixes, and runs with ``length`` common bytes are verified on the bytes.
     """
-    text = HashedBytes(buf)
+    text = HashedBytes(buf, seed)
     begin = np.cumsum(size) - size
     count = size - length + 1
     segment = np.repeat(np.arange(len(size)), count)
@@ -336,30 +512,32 @@ def covered_windows(buf: np.ndarray, size: np.ndarray, doc: np.ndarray, key: np.
     return segment[hit], place[hit]
 
 
-def _sort(groups: int, length: int):
+def _sort(plan: Plan):
     def run(table: pa.Table) -> pa.Table:
-        docs, starts, keys, sizes, texts = [], [], [], [], []
-        for b in table.column("blob"):
-            doc, (start, windows, key), tail = unpack_columns(b.as_py(), ["<u4", "<u2", "<u8"])
+        docs, variants, starts, sizes, texts, rows = [], [], [], [], [], []
+        for kind, then, b in zip(table.column("kind").to_pylist(), table.column("then").to_pylist(), table.column("blob"), strict=True):
+            if kind != _SEGMENTS:
+                rows.append((then, kind, then, b.as_py()))
+                continue
+            doc, variant, (start, windows), tail = unpack_columns(b.as_py(), ["<u4", "<u2"])
             docs.append(doc)
+            variants.append(variant)
             starts.append(start)
-            keys.append(key)
-            sizes.append(windows.astype(np.int64) + length)
+            sizes.append(windows.astype(np.int64) + plan.length)
             texts.append(np.frombuffer(tail, np.uint8))
-        rows = []
         if docs:
-            doc, start, key, size, buf = map(np.concatenate, (docs, starts, keys, sizes, texts))
-            segment, place = covered_windows(buf, size, doc, key, length)
+            doc, variant, start, size, buf = map(np.concatenate, (docs, variants, starts, sizes, texts))
+            segment, place = covered_windows(buf, size, doc, plan.length, plan.seed)
             order = np.lexsort((place, segment))
             segment, place = segment[order], place[order]
             # neighbouring windows become one range
             opens = np.flatnonzero(np.concatenate([[True], (segment[1:] != segment[:-1]) | (place[1:] != place[:-1] + 1)])) if len(segment) else np.empty(0, np.int64)
             closes = np.concatenate([opens[1:] - 1, [len(segment) - 1]]) if len(opens) else opens
-            owner, first = doc[segment[opens]], start[segment[opens]] + place[opens]
+            owner, owner_variant, first = doc[segment[opens]], variant[segment[opens]], start[segment[opens]] + place[opens]
             more = (place[closes] - place[opens]).astype(np.uint16)
-            for to, pick in _split(_group_numpy(owner, groups)):
-                pick = pick[np.argsort(owner[pick], kind="stable")]
-                rows.append((to, 1, to, pack_columns(owner[pick], [first[pick].astype(np.uint32), more[pick]])))
+            for to, pick in _split(_group_numpy(owner, plan.groups)):
+                pick = pick[np.lexsort((owner_variant[pick], owner[pick]))]
+                rows.append((to, _COVERED, to, pack_columns(owner[pick], owner_variant[pick], [first[pick].astype(np.uint32), more[pick]])))
         return pa.Table.from_batches([_blobs(rows)])
 
     return run
@@ -375,23 +553,28 @@ def _cut(length: int, with_texts: bool):
     def run(docs: pa.Table, ranges: pa.Table) -> pa.Table:
         if not docs.num_rows:
             return pa.Table.from_arrays([pa.array([], k) for k in kinds], names=names)
-        ids = docs.column("doc_id").to_pylist()
+        ids, variants = docs.column("doc_id").to_pylist(), docs.column("variant").to_pylist()
         buf, offsets = utf8(docs.column("text"))
-        by_doc: dict[int, tuple[int, int]] = {}
+        by_doc: dict[tuple[int, int], tuple[int, int]] = {}
         lo = hi = np.empty(0, np.int64)
+        kind = ranges.column("kind").to_numpy()
+        claims = ranges.filter(pa.array(kind == _CLAIMED))
+        if claims.num_rows:
+            _verify(docs, claims)
+        ranges = ranges.filter(pa.array(kind == _COVERED))
         if ranges.num_rows:
-            doc, (start, windows) = _gather(ranges, ["<u4", "<u2"])
-            order = np.lexsort((start, doc))
-            doc, lo = doc[order], start[order].astype(np.int64)
+            doc, variant, (start, windows) = _gather(ranges, ["<u4", "<u2"])
+            order = np.lexsort((start, variant, doc))
+            doc, variant, lo = doc[order], variant[order], start[order].astype(np.int64)
             hi = lo + windows[order] + length
-            edge = np.flatnonzero(np.concatenate([[True], doc[1:] != doc[:-1]]))
-            by_doc = dict(zip(doc[edge].tolist(), zip(edge.tolist(), [*edge[1:].tolist(), len(doc)], strict=True), strict=True))
+            edge = np.flatnonzero(np.concatenate([[True], (doc[1:] != doc[:-1]) | (variant[1:] != variant[:-1])]))
+            by_doc = dict(zip(zip(doc[edge].tolist(), variant[edge].tolist(), strict=True), zip(edge.tolist(), [*edge[1:].tolist(), len(doc)], strict=True), strict=True))
         rows = []
         for i, doc_id in enumerate(ids):
             data = buf[offsets[i] : offsets[i + 1]]
             spans = []
-            if doc_id in by_doc:
-                a, b = by_doc[doc_id]
+            if (doc_id, variants[i]) in by_doc:
+                a, b = by_doc[doc_id, variants[i]]
                 starts, ends = lo[a:b], np.minimum(np.maximum.accumulate(hi[a:b]), len(data))
                 opens = np.flatnonzero(np.concatenate([[True], starts[1:] > ends[:-1]]))
                 spans = list(zip(starts[opens].tolist(), ends[np.concatenate([opens[1:] - 1, [len(starts) - 1]])].tolist(), strict=True))
@@ -406,24 +589,34 @@ def _cut(length: int, with_texts: bool):
     return run
 
 
-def remove_shared_substrings(docs: DataFrame, length: int = LENGTH, with_texts: bool = True) -> DataFrame:
+def _verify(docs: pa.Table, claims: pa.Table) -> None:
+    """Whether the bytes of claimed ranges have the digests of those they are held equal to."""
+    ids, variants, buf, offsets = _texts(docs)
+    doc, variant, (start, size, d1, d2) = _gather(claims, ["<u4", "<u4", "<u8", "<u8"])
+    at, data = offsets[_row_of(ids, variants, doc, variant)] + start, memoryview(buf)
+    mine = b"".join([_digest(data[a : a + n]) for a, n in zip(at.tolist(), size.tolist(), strict=True)])
+    if mine != np.column_stack([d1, d2]).tobytes():
+        raise _collision()
+
+
+def remove_shared_substrings(docs: DataFrame, length: int = LENGTH, with_texts: bool = True, **plan) -> DataFrame:
     """``doc_id, text_bytes`` (what is left), ``n_bytes, n_removed, n_spans,
     kept_sha256, spans`` for every row of ``docs``; spans are byte ranges of the
-    original text, maximal and in order."""
+    original text, maximal and in order.  ``plan``: see ``Plan``."""
     gram = max(1, min(GRAM, length * 2 // 5))
-    rows = id_and_text(docs)
-    total = rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    buckets, groups = max(16, total // BUCKET_BYTES), max(16, total // GROUP_BYTES) | 1
     if length - gram + 1 > 256:
         raise ValueError("the length is at most 256 bytes more than its gram")
-    anchors = rows.filter(F.col("doc_id").isNotNull() & (F.octet_length("text") >= length)).mapInArrow(_anchors(buckets, groups, length, gram), _BLOB)
-    met = saved(anchors.groupBy("to").applyInArrow(_meet(groups), _BLOB))
+    rows = id_and_text(docs, F.xxhash64(text_or_empty()).alias("variant"))
+    total = rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    plan = Plan(length, gram, max(16, total // BUCKET_BYTES), max(16, total // GROUP_BYTES) | 1, **plan)
+    anchors = rows.filter(F.col("doc_id").isNotNull() & (F.octet_length("text") >= length)).mapInArrow(_anchors(plan), _BLOB)
+    met = saved(anchors.groupBy("to").applyInArrow(_meet(plan), _BLOB))
     # after this each document's group is met twice, by one and the same exchange
-    grouped = rows.withColumn("to", _group_column(groups))
-    wanted = met.filter("kind = 2")
-    fetched = grouped.groupBy("to").cogroup(wanted.groupBy("to")).applyInArrow(_fetch(buckets, length), _BLOB)
-    sorted_ranges = fetched.groupBy("to").applyInArrow(_sort(groups, length), _BLOB)
-    ranges = met.filter("kind = 1").unionByName(sorted_ranges)
+    grouped = rows.withColumn("to", _group_column(plan.groups))
+    wanted = met.filter(F.col("kind").isin(_WANTED, _CLAIMED, _HOT))
+    fetched = grouped.groupBy("to").cogroup(wanted.groupBy("to")).applyInArrow(_fetch(plan), _BLOB)
+    sorted_ranges = fetched.groupBy("to").applyInArrow(_sort(plan), _BLOB)
+    ranges = met.filter(F.col("kind") == _COVERED).unionByName(sorted_ranges)
     return grouped.groupBy("to").cogroup(ranges.groupBy("to")).applyInArrow(_cut(length, with_texts), _RESULT)
 
 
