@@ -21,8 +21,10 @@ scripts that set no spaces it ends without any.
 Defined results: null texts are empty and lose nothing; lines of fewer than
 ``MIN_WORDS`` words and sentences of fewer than ``MIN_SENTENCE`` count as repeats
 only if they are long: every two characters of a script without spaces count as a
-further word, and ``MIN_BYTES`` bytes besides white space are enough; rows that repeat a ``doc_id`` are the same document; rows without
-``doc_id`` pass unchanged.  Offsets are those of the UTF-8 bytes of the original.
+further word, and ``MIN_BYTES`` bytes besides white space are enough; equal rows (of
+``doc_id`` and text) are the same document; unlike texts of one ``doc_id`` are
+documents of their own, in the order of a hash of the text (their ``variant``); rows
+without ``doc_id`` pass unchanged.  Offsets are those of the UTF-8 bytes of the original.
 """
 
 from __future__ import annotations
@@ -37,7 +39,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .bytehash import BASE, INVERSE, HashedBytes, mix, powers_of
-from .common import fresh, id_and_text, slices, utf8
+from .common import fresh, id_and_text, slices, text_or_empty, utf8
 from .wordhash import CLASSES, lowered
 
 #: What parts the units, and what joins the kept ones again.
@@ -151,31 +153,36 @@ def unit_table(buf: np.ndarray, offsets: np.ndarray, unit: str, min_words: int,
     return dict(zip(("text", "kind", "start", "end", "h1", "h2"), (np.concatenate(c) for c in zip(*parts, strict=True)), strict=True))
 
 
+def _variant():
+    """What tells rows of one id and unlike texts apart."""
+    return F.xxhash64(text_or_empty()).alias("variant")
+
+
 def _digests(docs: DataFrame, unit: str, min_words: int, min_sentence: int) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in slices(batch, "text"):
                 t = unit_table(*utf8(part.column(1)), unit, min_words, min_sentence)
-                ids = part.column(0).to_numpy(zero_copy_only=False)[t["text"]]
-                yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), *(pa.array(t[c].astype(np.int32)) for c in ("kind", "start", "end")), pa.array(t["h1"]), pa.array(t["h2"])], names=["doc_id", "kind", "start", "end", "h1", "h2"])
+                ids, variants = (part.column(i).to_numpy(zero_copy_only=False)[t["text"]] for i in (0, 2))
+                yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(variants, pa.int64()), *(pa.array(t[c].astype(np.int32)) for c in ("kind", "start", "end")), pa.array(t["h1"]), pa.array(t["h2"])], names=["doc_id", "variant", "kind", "start", "end", "h1", "h2"])
 
-    return docs.mapInArrow(run, "doc_id long, kind int, start int, end int, h1 long, h2 long")
+    return docs.mapInArrow(run, "doc_id long, variant long, kind int, start int, end int, h1 long, h2 long")
 
 
 def repeated_units(docs: DataFrame, unit: str = "line", min_words: int = MIN_WORDS, min_sentence: int = MIN_SENTENCE) -> DataFrame:
-    """``doc_id`` and ``gone``: the units that an earlier occurrence repeats."""
-    units = _digests(id_and_text(docs).filter(F.col("doc_id").isNotNull()), unit, min_words, min_sentence)
+    """``doc_id, variant`` and ``gone``: the units that an earlier occurrence repeats."""
+    units = _digests(id_and_text(docs, _variant()).filter(F.col("doc_id").isNotNull()), unit, min_words, min_sentence)
     first = (
         units.groupBy("h1", "h2")
-        .agg(F.min(F.struct("doc_id", "start")).alias("first"), F.count(F.lit(1)).alias("n"))
+        .agg(F.min(F.struct("doc_id", "variant", "start")).alias("first"), F.count(F.lit(1)).alias("n"))
         .filter("n > 1")
         .select((F.col("h1").bitwiseXOR(F.lit(_REKEY))).alias("k1"), (F.col("h2").bitwiseXOR(F.lit(_REKEY))).alias("k2"), "first")
     )
-    again = units.select("doc_id", "kind", "start", "end", (F.col("h1").bitwiseXOR(F.lit(_REKEY))).alias("k1"), (F.col("h2").bitwiseXOR(F.lit(_REKEY))).alias("k2"))
+    again = units.select("doc_id", "variant", "kind", "start", "end", (F.col("h1").bitwiseXOR(F.lit(_REKEY))).alias("k1"), (F.col("h2").bitwiseXOR(F.lit(_REKEY))).alias("k2"))
     return (
         again.join(first.hint("merge"), ["k1", "k2"])
-        .filter(F.struct("doc_id", "start") != F.col("first"))
-        .groupBy("doc_id")
+        .filter(F.struct("doc_id", "variant", "start") != F.col("first"))
+        .groupBy("doc_id", "variant")
         .agg(F.sort_array(F.collect_set(F.struct("start", "kind", "end"))).alias("gone"))
     )
 
@@ -227,19 +234,19 @@ def remove_repeats(docs: DataFrame, unit: str = "line", min_words: int = MIN_WOR
     """One row per row of ``docs``: the text without its repeated units, and the
     removed units (``kind`` 0 line, 1 sentence) with their byte offsets in the
     original text."""
-    gone = repeated_units(docs, unit, min_words, min_sentence).withColumnRenamed("doc_id", "gone_id")
-    rows = id_and_text(docs)
-    joined = rows.join(gone, rows.doc_id == gone.gone_id, "left").select("doc_id", "text", "gone")
+    gone = repeated_units(docs, unit, min_words, min_sentence).withColumnsRenamed({"doc_id": "gone_id", "variant": "gone_variant"})
+    rows = id_and_text(docs, _variant())
+    joined = rows.join(gone, (rows.doc_id == gone.gone_id) & (rows.variant == gone.gone_variant), "left").select("doc_id", "text", "gone")
     return joined.mapInArrow(_rebuild(unit), _OUT)
 
 
 def dedup_documents(docs: DataFrame, unit: str = "line", min_words: int = MIN_WORDS, min_sentence: int = MIN_SENTENCE) -> DataFrame:
     """``docs`` with its own columns, ``text`` (and ``n_chars``) without repeats.
     Documents that only held repeats stay, with an empty text."""
-    key, gone_name = fresh(docs, "_gone_id"), fresh(docs, "_gone")
-    gone = repeated_units(docs, unit, min_words, min_sentence).select(F.col("doc_id").alias(key), F.to_json("gone").alias(gone_name))
+    key, variant, gone_name = (fresh(docs, x) for x in ("_gone_id", "_gone_variant", "_gone"))
+    gone = repeated_units(docs, unit, min_words, min_sentence).select(F.col("doc_id").alias(key), F.col("variant").alias(variant), F.to_json("gone").alias(gone_name))
     none = F.col(gone_name).isNull()
-    out = docs.join(gone, F.col("doc_id") == F.col(key), "left").withColumn("text", F.when(none, F.col("text")).otherwise(_without(unit)(F.col("text"), F.col(gone_name))))
+    out = docs.join(gone, (F.col("doc_id").cast("long") == F.col(key)) & (_variant() == F.col(variant)), "left").withColumn("text", F.when(none, F.col("text")).otherwise(_without(unit)(F.col("text"), F.col(gone_name))))
     if "n_chars" in docs.columns:
         out = out.withColumn("n_chars", F.when(none, F.col("n_chars")).otherwise(F.length("text").cast("long")))
     return out.select(*docs.columns)

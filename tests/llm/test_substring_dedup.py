@@ -87,3 +87,13 @@ def test_long_units_of_few_words(spark):
     got = {r.doc_id: r.text for r in sub.remove_repeats(df).collect()}
     assert got == dict(docs) | {2: "new\nx\n短い", 4: "始まりは違う文章です。終わりも違う文章です。", 6: "Other start. Other end", 8: ""}
     assert {r.doc_id: r.text for r in sub.dedup_documents(df).collect()} == got
+
+
+def test_rows_of_one_id_with_unlike_texts(spark):
+    a, b, c = (f"the {w} line has five words" for w in ("first", "sécond", "third"))
+    rows = [(1, f"{a}\n{b}"), (2, f"{b}\nx"), (2, f"é\n{c}\n{b} "), (2, f"{b}\nx"), (3, f"y\n{c}")]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    want = sorted([(1, f"{a}\n{b}"), (2, "x"), (2, f"é\n{c}"), (2, "x"), (3, "y")])
+    for some in (df, df.repartition(4), df.coalesce(1)):
+        assert sorted((r.doc_id, r.text) for r in sub.remove_repeats(some).collect()) == want
+        assert sorted((r.doc_id, r.text) for r in sub.dedup_documents(some).collect()) == want
