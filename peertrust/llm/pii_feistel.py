@@ -3,15 +3,21 @@
 Found values are validated first, then permuted inside their own format: card
 numbers (Luhn) become other numbers with a right check digit, phone numbers keep
 their country prefix and punctuation, addresses of hosts stay valid octets, dates
-become other dates in the same notation, and e-mail names and hexadecimal secrets
-keep their length and alphabet.  The permutation depends on the key, the kind and
-the format alone: equal values get equal pseudonyms in every document, different
-values get different ones, and the holder of the key can undo it.
+become other dates in the same notation, and e-mail names, the labels of their hosts
+(but the last) and hexadecimal secrets keep their length and alphabet.  The permutation
+depends on the key, the kind and the format alone: equal values get equal pseudonyms in
+every document, different values get different ones, and the holder of the key can
+undo it.
+
+Values of up to ``SHORT_WORD`` letters are permuted as one number; in longer ones the
+halves are strings, to which each round adds a keyed stream letter by letter, so the
+time follows the length.
 
 Each text is handled by itself: no shuffle, and no state between rows.
 
 Defined results: a null text stays null (no spans); texts without personal data
-come back unchanged; candidates that fail their validation stay as they are.
+come back unchanged; candidates that fail their validation stay as they are; e-mail
+addresses come back in lower case.
 """
 
 from __future__ import annotations
@@ -23,6 +29,7 @@ import hmac
 import re
 from collections.abc import Iterator
 
+import numpy as np
 import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -30,6 +37,8 @@ from pyspark.sql import functions as F
 
 DEMO_KEY = b"peertrust demonstration key"
 ROUNDS = 8
+#: Letters of a value that is permuted as a number.
+SHORT_WORD = 64
 _DIGITS = "0123456789"
 _HEX = "0123456789abcdef"
 _NAME = "abcdefghijklmnopqrstuvwxyz0123456789"
@@ -71,8 +80,9 @@ class Feistel:
         self.key = hmac.new(key, f"{tweak}|{size}".encode(), hashlib.sha256).digest()
 
     def _round(self, i: int, half: int, bits: int) -> int:
-        data = i.to_bytes(1, "big") + half.to_bytes(64, "big")
-        out = hashlib.blake2b(data, key=self.key, digest_size=64).digest()
+        data = i.to_bytes(1, "big") + half.to_bytes(max(self.a, self.b) // 8 + 1, "big")
+        seed = hashlib.blake2b(data, key=self.key, digest_size=64).digest()
+        out = seed if bits <= 512 else hashlib.shake_256(seed).digest(bits // 8 + 1)
         return int.from_bytes(out, "big") & ((1 << bits) - 1)
 
     def _once(self, x: int, back: bool) -> int:
@@ -93,6 +103,19 @@ class Feistel:
         return y
 
 
+def permute_digits(key: bytes, digits: np.ndarray, base: int, back: bool = False) -> np.ndarray:
+    """A keyed permutation of the strings of as many digits below ``base``: an
+    alternating Feistel network whose rounds add a stream, digit by digit."""
+    half = len(digits) // 2
+    parts = [digits[:half].astype(np.int64), digits[half:].astype(np.int64)]
+    for i in range(ROUNDS - 1, -1, -1) if back else range(ROUNDS):
+        to, by = parts[i % 2], parts[1 - i % 2]
+        seed = hashlib.blake2b(i.to_bytes(1, "big") + by.astype(np.uint8).tobytes(), key=key, digest_size=64).digest()
+        stream = np.frombuffer(hashlib.shake_256(seed).digest(4 * len(to)), "<u4").astype(np.int64)
+        parts[i % 2] = (to - stream if back else to + stream) % base
+    return np.concatenate(parts)
+
+
 class Pseudonymizer:
     """Finds and replaces personal data; ``back`` undoes it."""
 
@@ -107,7 +130,13 @@ class Pseudonymizer:
         return f.permute(x, self.back)
 
     def _word(self, tweak: str, word: str, alphabet: str) -> str:
-        """A word over ``alphabet`` (case kept as it stands) to one as long."""
+        """A word over ``alphabet`` to one as long, in lower case."""
+        if len(word) > SHORT_WORD:
+            place = np.zeros(256, np.uint8)
+            place[np.frombuffer(alphabet.encode(), np.uint8)] = np.arange(len(alphabet))
+            key = hmac.new(self.key, f"{tweak}|{len(word)}|long".encode(), hashlib.sha256).digest()
+            new = permute_digits(key, place[np.frombuffer(word.lower().encode(), np.uint8)], len(alphabet), self.back)
+            return np.frombuffer(alphabet.encode(), np.uint8)[new].tobytes().decode()
         base, x = len(alphabet), 0
         for c in word.lower():
             x = x * base + alphabet.index(c)
@@ -126,13 +155,16 @@ class Pseudonymizer:
             out[i] = next(new)
         return "".join(out)
 
+    def _letters(self, tweak: str, v: str) -> str:
+        """The letters and digits of ``v`` permuted, in lower case; the rest stays."""
+        shape = "".join("x" if c.lower() in _NAME else c for c in v)
+        new = iter(self._word(f"{tweak}|{shape}", "".join(c.lower() for c in v if c.lower() in _NAME), _NAME))
+        return "".join(next(new) if c == "x" else c for c in shape)
+
     def email(self, v: str) -> str | None:
         name, _, host = v.rpartition("@")
-        at = [i for i, c in enumerate(name) if c.lower() in _NAME]
-        shape = "".join("x" if c.lower() in _NAME else c for c in name)
-        # names come back in lower case: mail does not tell cases apart
-        new = iter(self._word(f"email|{shape}", "".join(name[i].lower() for i in at), _NAME))
-        return "".join(next(new) if c.lower() in _NAME else c for c in name) + "@" + host
+        *labels, last = host.split(".")
+        return "@".join([self._letters("email", name), ".".join([*(self._letters("host", x) for x in labels), last.lower()])])
 
     def secret(self, v: str) -> str | None:
         new = self._word("secret", v, _HEX)

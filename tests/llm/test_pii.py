@@ -17,7 +17,7 @@ def test_feistel_is_a_permutation(size):
 
 
 VALUES = ["4785380592391139", "+1 (743) 555-3824", "114.203.152.12", "hein.19@mail5.example.com", "2024-02-29", "1/12/2020", "11/12/2020", "31.12.1999", "3.4.2001",
-          "1eb9c654e721b4f812088970e66a6345ce33dd61", "123-45-6789", "4111 1111 1111 1111"]
+          "1eb9c654e721b4f812088970e66a6345ce33dd61", "123-45-6789", "4111 1111 1111 1111", "a" * 65 + "@x.org", "z9." * 100 + "b@long-host.sub.example.org", "a" * 205 + "@b.io", "q" * 5000 + "@" + "h" * 300 + ".net"]
 
 
 @pytest.mark.parametrize("value", VALUES)
@@ -60,3 +60,51 @@ def test_every_planted_value_goes(spark, sf):
             assert m not in r.text
         if not re.search(r"\d|@", old[r.doc_id]):
             assert r.text == old[r.doc_id]
+
+
+@pytest.mark.parametrize("n", [1, 2, 3, 63, 64, 65, 190, 198, 199, 300, 1023, 5000])
+def test_names_of_any_length(n):
+    forth, back = pii.Pseudonymizer(KEY), pii.Pseudonymizer(KEY, back=True)
+    seen = set()
+    for name in ("a" * n, "b" + "a" * (n - 1), "a" * (n - 1) + "b", "z" * n):
+        text = f"to {name}@host.example.org now"
+        new, spans = forth.replace(text)
+        assert len(spans) == 1 and len(new) == len(text) and back.replace(new)[0] == text
+        assert n < 20 or not re.search(r"(.)\1{9}", new)  # nothing of the name is left readable
+        seen.add(new)
+    assert len(seen) == len({"a" * n, "b" + "a" * (n - 1), "a" * (n - 1) + "b", "z" * n})
+
+
+def test_short_strings_of_digits_are_permuted():
+    import itertools
+
+    import numpy as np
+
+    for n in (1, 2, 3):
+        all_ = [pii.permute_digits(KEY, np.array(x), 5).tolist() for x in itertools.product(range(5), repeat=n)]
+        assert sorted(all_) == sorted(map(list, itertools.product(range(5), repeat=n)))
+
+
+def test_tables_against_a_plain_reading(spark, sf):
+    """Outside of the spans nothing changes; inside, equal values have equal
+    pseudonyms, unlike ones unlike ones, and the key brings all of them back."""
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    old = {r.doc_id: r.text for r in docs.collect()}
+    new = pii.pseudonymize(docs).collect()
+    forth, back = {}, {}
+    for r in new:
+        text, at, gone = old[r.doc_id], 0, 0
+        for s in r.spans:
+            # the plain text between the spans is that of the original
+            plain = r.text[gone : s.start]
+            assert text[at : at + len(plain)] == plain
+            at += len(plain)
+            found = pii.PATTERN.match(text, at)
+            kind, was, now = found.lastgroup, found[0].lower(), r.text[s.start : s.end].lower()
+            assert kind == s.kind and was != now or kind in ("date", "ip")
+            assert forth.setdefault((kind, was), now) == now and back.setdefault((kind, now), was) == was
+            at, gone = found.end(), s.end
+        assert text[at:] == r.text[gone:]
+        assert len(r.spans) == sum(r[f"n_{k}"] for k in pii.KINDS)
+    again = pii.pseudonymize(spark.createDataFrame([(r.doc_id, r.text) for r in new], "doc_id long, text string"), back=True)
+    assert all(r.text.lower() == old[r.doc_id].lower() for r in again.collect())
