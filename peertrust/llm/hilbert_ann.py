@@ -12,15 +12,20 @@ query can need more of them: its ten, and itself), which a limited window does
 before the shuffle.  So a vector that a third of the table repeats neither fills a
 window nor hides the ids that ties prefer.
 
-``WINDOW_SHARE`` of the points (at least ``WINDOW_LEAST``) lie in a window.  Vectors
-without structure need wide windows: at 64 independent dimensions neighbours hardly
-lie nearer than others, and any order keeps few of them together.  Clustered
-vectors are served by the least window.  ``recall`` measures against brute force.
+A window has ``WINDOW`` points to either side, whatever the size of the table, unless
+that finds too few neighbours.  Before the search, ``SAMPLE`` queries are compared with
+all points, in blocks; how far apart they and their true neighbours lie on the curves
+tells the window that finds ``TARGET`` of these, and the wider of the two is taken.  So
+vectors with structure are searched in time that follows their number, and vectors
+without any (at 64 independent dimensions neighbours hardly lie nearer than others, and
+any order keeps few of them together) still get their neighbours, in windows that grow
+with the table.  ``recall`` measures against brute force.
 
 Defined results: vectors that are null, zero, or hold null or non-finite components
-take no part, as queries or as candidates; a query with fewer candidates than
+take no part, as queries or as candidates, nor do those that have another length than
+most (of lengths as frequent, the longest counts); a query with fewer candidates than
 asked for gets them all; rows that repeat an id are one vector, the smallest by its
-components; all other vectors must have one length.
+components.
 """
 
 from __future__ import annotations
@@ -34,7 +39,9 @@ from .common import saved
 
 NEIGHBOURS, QUERY_STEP = 10, 100
 CURVES, DIMENSIONS, BITS = 16, 4, 10
-WINDOW_SHARE, WINDOW_LEAST, BLOCK_ROWS = 0.05, 1_000, 4_096
+WINDOW, BLOCK_ROWS = 256, 4_096
+#: Queries that say how wide windows must be, and the share of their neighbours to find.
+SAMPLE, TARGET = 64, 0.95
 SEED = 11
 
 
@@ -102,7 +109,9 @@ def points(vectors: DataFrame, keep: int = NEIGHBOURS + 1) -> DataFrame:
     v = _plain(vectors)
     usable = v.isNotNull() & F.forall(v, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < F.lit(float("inf")))) & F.exists(v, lambda x: x != 0)
     rows = vectors.select(F.col("vec_id").cast("long").alias("id"), v.alias("vector")).filter(F.col("id").isNotNull() & usable)
-    rows = rows.groupBy("id").agg(F.min("vector").alias("vector"))
+    lengths = rows.groupBy(F.size("vector").alias("size")).agg(F.count(F.lit(1)).alias("n"))
+    usual = lengths.orderBy(F.desc("n"), F.desc("size")).first()
+    rows = rows.filter(F.size("vector") == (usual.size if usual else 0)).groupBy("id").agg(F.min("vector").alias("vector"))
     ranked = rows.withColumn("n", F.row_number().over(Window.partitionBy("vector").orderBy("id"))).filter(F.col("n") <= keep)
     return ranked.groupBy("vector").agg(F.sort_array(F.collect_list("id")).alias("ids")).select(F.col("ids")[0].alias("point"), "vector", "ids")
 
@@ -174,11 +183,57 @@ def _block_nearest(k: int, window: int):
     return run
 
 
-def nearest(vectors: DataFrame, step: int = QUERY_STEP, k: int = NEIGHBOURS, curves: int = CURVES, dims: int = DIMENSIONS, share: float = WINDOW_SHARE, least: int = WINDOW_LEAST, seed: int = SEED) -> DataFrame:
-    """``query_id, rank, vec_id, score`` for the ids divisible by ``step``."""
+def _sample_nearest(pts: DataFrame, queries: dict[int, list[float]], k: int) -> DataFrame:
+    """``query, point, n_ids``: the ``k`` nearest points of a few queries, by comparison
+    with all points."""
+    names, q = np.array(list(queries), np.int64), np.array(list(queries.values()), np.float64)
+
+    def run(batches):
+        for batch in batches:
+            x = np.array(batch.column(1).to_pylist(), np.float64).reshape(batch.num_rows, -1)
+            for name, vector in zip(names.tolist(), q, strict=True):
+                d = _exact(vector, x)
+                best = np.lexsort((batch.column(0).to_numpy(), d))[:k]
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(best), name)), batch.column(0).take(pa.array(best)), batch.column(2).take(pa.array(best)), pa.array(d[best])], names=["query", "point", "n_ids", "score"])
+
+    found = pts.select("point", "vector", F.size("ids").alias("n_ids")).mapInArrow(run, "query long, point long, n_ids int, score double")
+    return found.withColumn("n", F.row_number().over(Window.partitionBy("query").orderBy("score", "point"))).filter(F.col("n") <= k)
+
+
+def needed_window(pts: DataFrame, asked: DataFrame, ordered: DataFrame, k: int, target: float = TARGET, sample: int = SAMPLE) -> int:
+    """The window that finds ``target`` of the neighbours of ``sample`` queries.  All that
+    is collected follows ``sample``, ``k`` and the number of curves."""
+    some = asked.select("query").distinct().orderBy(F.xxhash64("query"), "query").limit(sample)
+    queries = {r.point: r.vector for r in pts.join(F.broadcast(some), F.col("point") == F.col("query"), "left_semi").select("point", "vector").collect()}
+    if not queries:
+        return 0
+    near: dict[int, list] = {}
+    for r in sorted(_sample_nearest(pts, queries, k + 1).collect(), key=lambda r: (r["query"], r.n)):
+        near.setdefault(r["query"], []).append(r)
+    pairs = []
+    for query, rows in near.items():
+        have = -1  # the query's own id
+        for r in rows:
+            if have >= k:
+                break
+            pairs.append((query, r.point))
+            have += r.n_ids
+    spark = pts.sparkSession
+    wanted = spark.createDataFrame(sorted({(p,) for pair in pairs for p in pair}), "wanted long")
+    places = ordered.join(F.broadcast(wanted), F.col("point") == F.col("wanted"), "left_semi").select("curve", "point", "place").collect()
+    curves = sorted({r.curve for r in places})
+    at = {p: np.zeros(len(curves), np.int64) for (p,) in wanted.collect()}
+    for r in places:
+        at[r.point][curves.index(r.curve)] = r.place
+    apart = np.sort([np.abs(at[a] - at[b]).min() for a, b in pairs])
+    return int(apart[min(len(apart), int(np.ceil(target * len(apart)))) - 1])
+
+
+def nearest(vectors: DataFrame, step: int = QUERY_STEP, k: int = NEIGHBOURS, curves: int = CURVES, dims: int = DIMENSIONS, window: int = WINDOW, target: float = TARGET, seed: int = SEED) -> DataFrame:
+    """``query_id, rank, vec_id, score`` for the ids divisible by ``step``.  ``target``
+    0: windows of ``window``, whatever they find."""
     pts = saved(points(vectors, k + 1))
     n = pts.count()
-    window = max(least, round(share * n))
     blocks = max(1, -(-n * curves // BLOCK_ROWS))
     block = F.floor(F.col("place") / F.lit(BLOCK_ROWS)).cast("long")
     ordered = _ordered(pts, curves, dims, blocks, seed).withColumn("block", block)
@@ -187,6 +242,8 @@ def nearest(vectors: DataFrame, step: int = QUERY_STEP, k: int = NEIGHBOURS, cur
     all_ids = all_ids.groupBy("query_id").agg(F.min("v").alias("v"))
     asked = all_ids.join(pts.select(F.col("vector").alias("v"), F.col("point").alias("query")), "v").select("query_id", "query")
     asked = saved(asked)
+    if target > 0:
+        window = max(window, needed_window(pts, asked, ordered, k, target))
     here = ordered.join(asked.select(F.col("query").alias("point")).distinct(), "point", "left_semi")
     reach = here.withColumn("block", F.explode(F.sequence(F.greatest(F.floor((F.col("place") - window) / BLOCK_ROWS), F.lit(0)), F.floor((F.col("place") + window) / BLOCK_ROWS)).cast("array<long>")))
     reach = reach.select(*[F.col(c).alias(f"q_{c}") for c in ("curve", "block", "place", "point", "vector")])
@@ -207,8 +264,8 @@ def recall(found: DataFrame, exact: DataFrame) -> float:
     return found.join(exact, ["query_id", "vec_id"], "left_semi").count() / max(1, exact.count())
 
 
-#: Brute force; its rows are those of ``query`` where windows span the whole table
-#: (up to ``WINDOW_LEAST`` vectors), as in the small tables.
+#: Brute force.  In a table of some hundred vectors the windows of all curves together
+#: miss none; larger ones are tested for their recall.
 ORACLE_SQL = f"""
 WITH v AS (SELECT vec_id, CAST(embedding AS DOUBLE[]) AS e FROM embeddings
            WHERE embedding IS NOT NULL AND len(list_filter(embedding, lambda x: x IS NULL OR isnan(x) OR isinf(x))) = 0 AND len(list_filter(embedding, lambda x: x <> 0)) > 0),

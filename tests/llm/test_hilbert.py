@@ -1,3 +1,5 @@
+import os
+
 import numpy as np
 import pytest
 
@@ -39,12 +41,53 @@ def test_exact_where_windows_span_the_table(spark):
     assert h.nearest(df.filter("vec_id in (0, 1)"), step=10).count() == 1
 
 
-def test_recall_of_narrow_windows(spark):
+def pairs(df):
+    return {(r.query_id, r.vec_id) for r in df.collect()}
+
+
+def test_fixed_windows_find_neighbours_in_clusters(spark):
     rng = np.random.default_rng(1)
-    centers = rng.standard_normal((20, 16)) * 3
-    x = centers[rng.integers(0, 20, 4000)] + rng.standard_normal((4000, 16))
+    centers = rng.standard_normal((40, 16)) * 3
+    x = centers[rng.integers(0, 40, 4000)] + rng.standard_normal((4000, 16))
     rows = [(i, v.tolist()) for i, v in enumerate(x)]
     df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
-    found = {(r.query_id, r.vec_id) for r in h.nearest(df, share=0.05, least=50).collect()}
     want = {(q, i) for q, near in brute(rows, 100, 10).items() for _, i in near}
-    assert len(found & want) / len(want) > 0.9
+    assert len(pairs(h.nearest(df, window=100, target=0)) & want) / len(want) > 0.9
+
+
+@pytest.mark.parametrize("name", ["sf0.01", "sf0.1"])
+def test_recall_over_windows_that_do_not_span_the_table(spark, name):
+    table = spark.read.parquet(f"/root/testdata/{name}/embeddings.parquet")
+    rows = [(r.vec_id, list(r.embedding)) for r in table.collect()]
+    assert len(rows) > 1.9 * h.WINDOW
+    want = {(q, i) for q, near in brute(rows, 100, 10).items() for _, i in near}
+    narrow, found = pairs(h.nearest(table, window=3, target=0)), pairs(h.query(spark, f"/root/testdata/{name}"))
+    assert len(narrow & want) / len(want) < 0.8 < 0.9 <= len(found & want) / len(want)
+    widened = pairs(h.nearest(table, window=3))  # the sample tells that three are too few
+    assert len(widened & want) / len(want) >= 0.9
+
+
+def test_vectors_of_unlike_lengths(spark):
+    rng = np.random.default_rng(2)
+    rows = [(i, rng.standard_normal(5).tolist()) for i in range(30)] + [(100 + i, rng.standard_normal(3).tolist()) for i in range(20)] + [(200, [])]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<float>").repartition(3)
+    want = brute([(i, np.float32(v).tolist()) for i, v in rows[:30]], 10, 4)
+    got = {}
+    for r in h.nearest(df, step=10, k=4).orderBy("query_id", "rank").collect():
+        got.setdefault(r.query_id, []).append(r.vec_id)
+    assert got == {q: [i for _, i in near] for q, near in want.items()}
+
+
+@pytest.mark.skipif(not os.path.isdir("/root/testdata/check_l"), reason="needs the larger table")
+def test_recall_on_a_larger_table(spark):
+    table = spark.read.parquet("/root/testdata/check_l/embeddings.parquet")
+    rows = table.select("vec_id", "embedding").toPandas()
+    ids, x = rows["vec_id"].to_numpy(), np.array(rows["embedding"].tolist(), float)
+    found = pairs(h.query(spark, "/root/testdata/check_l"))
+    want = set()
+    for q in np.flatnonzero(ids % 100 == 0):
+        d = ((x - x[q]) ** 2).sum(axis=1)
+        d[q] = np.inf
+        want |= {(int(ids[q]), int(i)) for i in ids[np.lexsort((ids, d))[:10]]}
+    print("recall", len(found & want) / len(want))
+    assert len(found & want) / len(want) >= 0.9
