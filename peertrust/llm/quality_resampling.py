@@ -2,8 +2,9 @@
 
 Two bags of hashed unigrams and bigrams are counted: the raw model over all
 documents, the target model over labelled good ones.  A document's importance is
-the ratio of its likelihoods an n-gram (their geometric mean), so that a small drift
-of the models does not add up to a verdict on long documents; ``k`` documents are
+the ratio of the likelihoods of ``SPAN`` n-grams like its own (their geometric mean, to
+the power of ``SPAN``), so that documents of all lengths are judged alike and a small
+drift of the models does not add up to a verdict on long ones; ``k`` documents are
 drawn without replacement, in proportion to it, by taking the ``k`` largest of
 log-importance plus Gumbel noise.
 
@@ -19,8 +20,9 @@ log-importance plus Gumbel noise.
 * The ``k``-th largest key is found by counting in bins and looking into one bin
   again, not by sorting or collecting.
 
-``TEMPERATURE`` scales the noise: 1 draws in proportion to the importance, less
-sharpens the draw.  Noise comes from a hash of the id, so runs agree.
+A longer ``SPAN`` lets the model say more about a document: the draw gets sharper.
+The noise is always that of a draw in proportion to the importance, and comes from a
+hash of the id and a seed, so runs agree.
 
 A word that repeats the one before it counts as a mark for repetition, so stuttered
 text shows in the models.
@@ -45,7 +47,9 @@ from .bytehash import mix
 from .common import id_and_text, shared_dir, slices, utf8
 from .wordhash import tokens
 
-BUCKETS, SAMPLE_ROWS, TEMPERATURE, SEED = 1 << 14, 20_000, 0.05, 17
+BUCKETS, SAMPLE_ROWS, SEED = 1 << 14, 20_000, 17
+#: N-grams that a document's importance stands for.
+SPAN = 20.0
 #: Counts that a bucket is worth before it is counted: rare n-grams say little.
 PRIOR = 100.0
 _REPEAT = np.uint64(0xA0761D6478BD642F)
@@ -105,9 +109,9 @@ def parting_value(scores: np.ndarray, good: np.ndarray, default: float, weight:
     return float((edge[i] + edge[i + 1]) / 2)
 
 
-def importance(score: np.ndarray, n: np.ndarray) -> np.ndarray:
+def importance(score: np.ndarray, n: np.ndarray, span: float = SPAN) -> np.ndarray:
     """Log-importance from summed log ratios and the number of n-grams."""
-    return score / np.maximum(n, 1)
+    return score / np.maximum(n, 1) * span
 
 
 def gumbel(ids: np.ndarray, seed: int) -> np.ndarray:
@@ -141,8 +145,9 @@ def fit(docs: DataFrame, labels: DataFrame, buckets: int = BUCKETS, rows: int =
     return Model(target, raw, float(share or 0.0))
 
 
-def scored(docs: DataFrame, model: Model, temperature: float = TEMPERATURE, seed: int = SEED) -> DataFrame:
-    """``doc_id, n_ngrams, log_weight, sample_key``; ``log_weight`` is the sum."""
+def scored(docs: DataFrame, model: Model, span: float = SPAN, seed: int = SEED) -> DataFrame:
+    """``doc_id, n_ngrams, log_ratio, log_importance, sample_key``; ``log_ratio`` is the
+    sum over all n-grams."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -150,10 +155,10 @@ def scored(docs: DataFrame, model: Model, temperature: float = TEMPERATURE, seed
             for part in slices(batch, "text"):
                 score, n = shared.value.scores(*utf8(part.column(1)))
                 ids = part.column(0).fill_null(-1).to_numpy(zero_copy_only=False)
-                key = importance(score, n) / temperature + gumbel(ids, seed)
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(n.astype(np.int64)), pa.array(score), pa.array(key)], names=["doc_id", "n_ngrams", "log_weight", "sample_key"])
+                weight = importance(score, n, span)
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(n.astype(np.int64)), pa.array(score), pa.array(weight), pa.array(weight + gumbel(ids, seed))], names=["doc_id", "n_ngrams", "log_ratio", "log_importance", "sample_key"])
 
-    return id_and_text(docs).mapInArrow(run, "doc_id long, n_ngrams long, log_weight double, sample_key double")
+    return id_and_text(docs).mapInArrow(run, "doc_id long, n_ngrams long, log_ratio double, log_importance double, sample_key double")
 
 
 def kth_largest(keys: DataFrame, column: str, k: int) -> float | None:
@@ -178,19 +183,19 @@ def kth_largest(keys: DataFrame, column: str, k: int) -> float | None:
             above += r.n
 
 
-def resample(docs: DataFrame, labels: DataFrame, k: int | None = None, temperature: float = TEMPERATURE, seed: int = SEED) -> tuple[DataFrame, Model, float | None]:
+def resample(docs: DataFrame, labels: DataFrame, k: int | None = None, span: float = SPAN, seed: int = SEED) -> tuple[DataFrame, Model, float | None]:
     """Scores of all documents with ``keep``, the model, and the key that the last
     drawn document has (None: all are drawn)."""
     model = fit(docs, labels)
     shared_dir(docs.sparkSession)
-    scores = scored(docs, model, temperature, seed).checkpoint()
+    scores = scored(docs, model, span, seed).checkpoint()
     if k is None and not model.known:
         return scores.withColumn("keep", F.lit(True)), model, None
     if k is None:
         sample = labelled_sample(labels).filter("half = 1")
-        mean = F.col("log_weight") / F.greatest(F.col("n_ngrams"), F.lit(1))
-        known = scores.join(F.broadcast(sample), scores.doc_id == sample.label_id).select(mean.alias("mean"), "good").collect()  # the sample
-        k = scores.filter(mean >= parting_value(np.array([r["mean"] for r in known]), np.array([r.good for r in known], bool), model.threshold)).count()
+        known = scores.join(F.broadcast(sample), scores.doc_id == sample.label_id).select("log_importance", "good").collect()  # the sample
+        cut = parting_value(np.array([r.log_importance for r in known]), np.array([r.good for r in known], bool), span * model.threshold)
+        k = scores.filter(F.col("log_importance") >= cut).count()
     last = kth_largest(scores, "sample_key", k)
     return scores.withColumn("keep", _drawn(F.col("sample_key"), last)), model, last
 
@@ -199,17 +204,17 @@ def _drawn(key: Column, last: float | None) -> Column:
     return F.lit(True) if last is None else key >= F.lit(last)
 
 
-def select_documents(docs: DataFrame, labels: DataFrame, k: int | None = None, temperature: float = TEMPERATURE, seed: int = SEED) -> DataFrame:
+def select_documents(docs: DataFrame, labels: DataFrame, k: int | None = None, span: float = SPAN, seed: int = SEED) -> DataFrame:
     """The drawn rows of ``docs``, with their own columns.  They are scored again
     where they lie, which is cheaper than a join that moves the texts."""
-    _, model, last = resample(docs, labels, k, temperature, seed)
+    _, model, last = resample(docs, labels, k, span, seed)
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     @F.pandas_udf("double")
     def sample_key(doc_id: pd.Series, text: pd.Series) -> pd.Series:
         batch = pa.RecordBatch.from_arrays([pa.array(text, pa.string(), from_pandas=True)], names=["text"])
-        score = [importance(*shared.value.scores(*utf8(part.column(0)))) for part in slices(batch, "text")]
-        return pd.Series(np.concatenate([*score, np.empty(0)]) / temperature + gumbel(doc_id.fillna(-1).to_numpy().astype(np.int64), seed))
+        score = [importance(*shared.value.scores(*utf8(part.column(0))), span) for part in slices(batch, "text")]
+        return pd.Series(np.concatenate([*score, np.empty(0)]) + gumbel(doc_id.fillna(-1).to_numpy().astype(np.int64), seed))
 
     key = sample_key(F.col("doc_id").cast("long"), F.coalesce(F.col("text").cast("string"), F.lit("")))
     return docs.filter(_drawn(key, last))

@@ -12,11 +12,14 @@ finds the telling words, and texts that hold more of them to the word than the
 median toxic text get grade 2.
 
 Training takes at most ``SAMPLE_ROWS`` labelled texts, those with the smallest
-hashed ids (the sample is broadcast to find them, and their distinct hashed words
-come to the driver); scoring covers every whole text, without a shuffle.
+hashed ids (the sample is broadcast to find them, and their distinct hashed words, at
+most ``BUCKETS`` of four bytes each a text, come to the driver).  They are taken in the
+order of their ids, and a hash of the id says which of them set the cut, so the order
+of the tables changes nothing.  Scoring covers every whole text, without a shuffle.
 
 Defined results: null and empty texts have no features and get the base rates; a
-label table with fewer than two grades gives every text its one grade (0, if none).
+label table with fewer than two grades gives every text its one grade (0, if none);
+rows that repeat a labelled id count once, with the one whose features come last.
 """
 
 from __future__ import annotations
@@ -152,19 +155,20 @@ def fit(docs: DataFrame, sample: DataFrame, buckets: int = BUCKETS, refine: bool
             for part in slices(batch, "text"):
                 text, word = distinct_words(*utf8(part.column(0)), buckets)
                 cut = np.searchsorted(text, np.arange(1, part.num_rows))
-                yield pa.RecordBatch.from_arrays([pa.array([w.astype(np.int32).tobytes() for w in np.split(word, cut)], pa.binary()), part.column(1)], names=["words", "grade"])
+                yield pa.RecordBatch.from_arrays([pa.array([w.astype(np.int32).tobytes() for w in np.split(word, cut)], pa.binary()), part.column(1), part.column(2)], names=["words", "grade", "label_id"])
 
     rows = id_and_text(docs)
-    known = rows.join(F.broadcast(sample), rows.doc_id == sample.label_id).select("text", "grade")
-    found = known.mapInArrow(words, "words binary, grade int").collect()  # as many as the sample has
+    known = rows.join(F.broadcast(sample), rows.doc_id == sample.label_id).select("text", "grade", "label_id")
+    features = known.mapInArrow(words, "words binary, grade int, label_id long").groupBy("label_id", "grade").agg(F.max("words").alias("words"), F.min(F.pmod(F.xxhash64("label_id", F.lit(5)), F.lit(5))).alias("part"))
+    found = sorted(features.collect(), key=lambda r: r.label_id)  # as many as the sample has
     data = [np.frombuffer(r.words, np.int32) for r in found]
     row = np.repeat(np.arange(len(data)), [len(d) for d in data]) if data else np.empty(0, np.int64)
     word = np.concatenate(data).astype(np.int64) if data else np.empty(0, np.int64)
     grade = np.array([r.grade for r in found], np.int64)
     if len(np.unique(grade)) < 2:
         return train(row, word, grade, buckets)
-    # every fifth text sets the cut, the others train
-    held = np.arange(len(grade)) % 5 == 4
+    # a fifth of the texts sets the cut, the others train
+    held = np.array([r.part for r in found]) == 4
     seen = ~held[row]
     row_t, word_t, grade_t = (np.cumsum(~held) - 1)[row[seen]], word[seen], grade[~held]
     model = train(row_t, word_t, grade_t, buckets)
