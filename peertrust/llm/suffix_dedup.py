@@ -29,7 +29,7 @@ anchor form a segment.
     of a binary tree below the smallest one, so no document is asked for more than two
     others a segment.  Neighbouring segments of two documents make one range; the
     parent's side sends a 128-bit cryptographic digest of its bytes, which must be that
-    of the child's bytes.  If not, two strings with equal hashes were met, and the
+    of the child's bytes for the range to be covered.  If it isn't, two strings with equal hashes were met, and the
     job ends with an error instead of a wrong result; with another ``seed`` the hashes
     are others.
 5.  Covered ranges return to their documents, are united and cut out.
@@ -81,6 +81,7 @@ class Plan:
     length: int = LENGTH
     gram: int = GRAM
     buckets: int = 16
+    sorts: int = 64
     groups: int = 17
     hot: int = HOT_SEGMENTS
     chunk: int = _CHUNK
@@ -155,7 +156,7 @@ def _group_numpy(doc: np.ndarray, groups: int) -> np.ndarray:
 
 
 def _group_column(groups: int):
-    x = F.coalesce(F.col("doc_id"), F.col("variant"))  # rows without id meet nothing, wherever they are
+    x = F.coalesce(F.col("doc_id"), F.xxhash64("text"))  # rows without id meet nothing, wherever they are
     x = x.bitwiseXOR(F.shiftrightunsigned(x, 7)).bitwiseXOR(F.shiftrightunsigned(x, 19))
     return F.pmod(x.bitwiseAND(F.lit((1 << 63) - 1)), F.lit(groups)).cast("int")
 
@@ -321,12 +322,11 @@ def _meet(plan: Plan):
             covered = np.flatnonzero(doc != least)
             parent = _parents(covered, root)
             many = _unlike(new_key, new)
-            for row_kind, at in ((_COVERED, covered), (_WANTED, np.flatnonzero((doc == least) & (many > 1) & (many <= plan.hot))), (_HOT, np.flatnonzero((doc == least) & (many > plan.hot)))):
+            for row_kind, at in ((_WANTED, np.flatnonzero((doc == least) & (many > 1) & (many <= plan.hot))), (_HOT, np.flatnonzero((doc == least) & (many > plan.hot)))):
                 for to, pick in _split(_group_numpy(doc[at], plan.groups)):
                     i = at[pick]
                     i = i[np.lexsort((variant[i], doc[i]))]
-                    columns = [start[i], windows[i].astype(np.uint16)]
-                    rows.append((to, row_kind, to, pack_columns(doc[i], variant[i], columns if row_kind == _COVERED else [*columns, key[i]])))
+                    rows.append((to, row_kind, to, pack_columns(doc[i], variant[i], [start[i], windows[i].astype(np.uint16), key[i]])))
             for to, pick in _split(_group_numpy(doc[parent], plan.groups)):
                 pick = pick[np.lexsort((start[parent[pick]], variant[parent[pick]], doc[parent[pick]]))]
                 i, j = parent[pick], covered[pick]
@@ -382,7 +382,7 @@ def _fetch(plan: Plan):
 
 def _segment_rows(buf: np.ndarray, at: np.ndarray, doc: np.ndarray, variant: np.ndarray, start: np.ndarray, windows: np.ndarray, key: np.ndarray, plan: Plan) -> list[tuple[int, int, int, bytes]]:
     rows, size = [], windows + plan.length
-    for to, i in _split((key % np.uint64(plan.buckets)).astype(np.int64)):
+    for to, i in _split((key % np.uint64(plan.sorts)).astype(np.int64)):
         i = i[np.lexsort((variant[i], doc[i]))]
         rows.append((to, _SEGMENTS, to, pack_columns(doc[i], variant[i], [start[i], windows[i].astype(np.uint16)], buf[ragged(at[i], size[i])].tobytes())))
     return rows
@@ -439,7 +439,7 @@ def _digest_rows(buf: np.ndarray, offsets: np.ndarray, ids: np.ndarray, variants
     for to, i in _split(_group_numpy(child, plan.groups)):
         pick = np.lexsort((child_variant[i], child[i]))
         i = i[pick]
-        rows.append((to % plan.buckets, _CLAIMED, to, pack_columns(child[i], child_variant[i], [child_start[i].astype(np.uint32), size[i].astype(np.uint32), digest[i, 0], digest[i, 1]])))
+        rows.append((to % plan.sorts, _CLAIMED, to, pack_columns(child[i], child_variant[i], [child_start[i].astype(np.uint32), size[i].astype(np.uint32), digest[i, 0], digest[i, 1]])))
     return rows
 
 
@@ -558,15 +558,17 @@ def _cut(length: int, with_texts: bool):
         by_doc: dict[tuple[int, int], tuple[int, int]] = {}
         lo = hi = np.empty(0, np.int64)
         kind = ranges.column("kind").to_numpy()
-        claims = ranges.filter(pa.array(kind == _CLAIMED))
+        parts = []
+        claims, ranges = (ranges.filter(pa.array(kind == k)) for k in (_CLAIMED, _COVERED))
         if claims.num_rows:
-            _verify(docs, claims)
-        ranges = ranges.filter(pa.array(kind == _COVERED))
+            parts.append(_verified(docs, claims))
         if ranges.num_rows:
             doc, variant, (start, windows) = _gather(ranges, ["<u4", "<u2"])
-            order = np.lexsort((start, variant, doc))
-            doc, variant, lo = doc[order], variant[order], start[order].astype(np.int64)
-            hi = lo + windows[order] + length
+            parts.append((doc, variant, start.astype(np.int64), start.astype(np.int64) + windows + length))
+        if parts:
+            doc, variant, lo, hi = (np.concatenate(c) for c in zip(*parts, strict=True))
+            order = np.lexsort((lo, variant, doc))
+            doc, variant, lo, hi = doc[order], variant[order], lo[order], hi[order]
             edge = np.flatnonzero(np.concatenate([[True], (doc[1:] != doc[:-1]) | (variant[1:] != variant[:-1])]))
             by_doc = dict(zip(zip(doc[edge].tolist(), variant[edge].tolist(), strict=True), zip(edge.tolist(), [*edge[1:].tolist(), len(doc)], strict=True), strict=True))
         rows = []
@@ -589,14 +591,16 @@ def _cut(length: int, with_texts: bool):
     return run
 
 
-def _verify(docs: pa.Table, claims: pa.Table) -> None:
-    """Whether the bytes of claimed ranges have the digests of those they are held equal to."""
+def _verified(docs: pa.Table, claims: pa.Table) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """``doc, variant, start, end`` of claimed ranges, whose bytes must have the digests
+    of those that they are held equal to."""
     ids, variants, buf, offsets = _texts(docs)
     doc, variant, (start, size, d1, d2) = _gather(claims, ["<u4", "<u4", "<u8", "<u8"])
     at, data = offsets[_row_of(ids, variants, doc, variant)] + start, memoryview(buf)
     mine = b"".join([_digest(data[a : a + n]) for a, n in zip(at.tolist(), size.tolist(), strict=True)])
     if mine != np.column_stack([d1, d2]).tobytes():
         raise _collision()
+    return doc, variant, start.astype(np.int64), start.astype(np.int64) + size
 
 
 def remove_shared_substrings(docs: DataFrame, length: int = LENGTH, with_texts: bool = True, **plan) -> DataFrame:
@@ -607,8 +611,13 @@ def remove_shared_substrings(docs: DataFrame, length: int = LENGTH, with_texts:
     if length - gram + 1 > 256:
         raise ValueError("the length is at most 256 bytes more than its gram")
     rows = id_and_text(docs, F.xxhash64(text_or_empty()).alias("variant"))
-    total = rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    plan = Plan(length, gram, max(16, total // BUCKET_BYTES), max(16, total // GROUP_BYTES) | 1, **plan)
+    each = rows.groupBy("doc_id").agg(F.sum(F.octet_length("text")).alias("n"), (F.col("doc_id").isNotNull() & (F.min("variant") != F.max("variant"))).alias("unlike"))
+    total, unlike = each.agg(F.sum("n"), F.max("unlike")).first()
+    total = total or 0
+    if not unlike:  # ids tell all texts apart
+        rows = rows.withColumn("variant", F.lit(0).cast("long"))
+    buckets = max(16, total // BUCKET_BYTES)
+    plan = Plan(length, gram, buckets, 4 * buckets, max(16, total // GROUP_BYTES) | 1, **plan)
     anchors = rows.filter(F.col("doc_id").isNotNull() & (F.octet_length("text") >= length)).mapInArrow(_anchors(plan), _BLOB)
     met = saved(anchors.groupBy("to").applyInArrow(_meet(plan), _BLOB))
     # after this each document's group is met twice, by one and the same exchange
