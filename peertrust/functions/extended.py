@@ -33,12 +33,14 @@ def auroc_udaf(score: pd.Series, honest: pd.Series) -> float:
 
 @F.pandas_udf(T.DoubleType())
 def kendall_udaf(a: pd.Series, b: pd.Series) -> float:
-    """Kendall's tau-b of one group (all pairs of it: for short lists)."""
+    """Kendall's tau-b of one group, its pairs a block of rows at a time."""
     x, y = a.to_numpy(float), b.to_numpy(float)
-    i, j = np.triu_indices(len(x), 1)
-    p, q = np.sign(x[i] - x[j]), np.sign(y[i] - y[j])
-    norm = np.sqrt((p * p).sum() * (q * q).sum())
-    return float((p * q).sum() / norm) if norm else float("nan")
+    both = nx = ny = 0.0
+    for i in range(0, len(x), 512):
+        p, q = (np.sign(v[i : i + 512, None] - v[None, :]) for v in (x, y))
+        both, nx, ny = both + (p * q).sum(), nx + (p * p).sum(), ny + (q * q).sum()
+    norm = np.sqrt(nx * ny)
+    return float(both / norm) if norm else float("nan")
 
 
 @udtf(returnType=T.StructType([T.StructField("cut", T.LongType()), T.StructField("node", T.LongType()), T.StructField("fpr", T.DoubleType()), T.StructField("tpr", T.DoubleType())]))
@@ -63,7 +65,7 @@ class RocPoints:
 def register_walk(spark: SparkSession, edges: DataFrame, name: str = "walk") -> None:
     """A table function ``walk(seed, walk_id, alpha)`` on a graph that is small enough
     to go with it: its rows are ``step, node``."""
-    found = local_edges(edges, 200_000)
+    found, _ = local_edges(edges, 200_000)
     if found is None:
         raise ValueError("the graph is too large for a table function")
     arrays = tuple(found[c].to_numpy() for c in ("src", "dst", "w"))

@@ -185,9 +185,9 @@ def walk_work(walks: DataFrame) -> DataFrame:
     return walks.groupBy("gen").agg(F.count(F.lit(1)).alias("visits"), F.count_distinct("walk_id").alias("walks"))
 
 
-def cpu_share(run: Callable[[], DataFrame]) -> dict[str, float]:
-    """Wall seconds of a run and the driver's CPU seconds in it; executors' CPU time
-    is in the event log of the stages."""
+def clocked(run: Callable[[], object]) -> tuple[float, float]:
+    """Seconds of a run, and the driver's CPU seconds in it; the executors' CPU time is
+    in the event log of the stages."""
     wall, cpu = time.perf_counter(), time.process_time()
-    timed(run)
-    return {"wall_s": time.perf_counter() - wall, "driver_cpu_s": time.process_time() - cpu}
+    run()
+    return time.perf_counter() - wall, time.process_time() - cpu

@@ -4,7 +4,6 @@ from __future__ import annotations
 
 import uuid
 
-from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from peertrust import metrics
@@ -14,7 +13,7 @@ from peertrust.queries import sqltext as s
 from peertrust.sources import files
 from peertrust.sources.tables import load, peer_edges, scratch
 from peertrust.streaming import operators as st
-from peertrust.streaming.trust import stream_events
+from peertrust.streaming.trust import ledger_files, pair_nets_stateful, stream_events, transfers_of
 
 
 def _by_day(spark, d):
@@ -61,11 +60,33 @@ def _lateral(spark, d):
 
 
 def _near_sources(spark, d):
-    """Sources of documents, joined by how many lines of 12 words or more they share."""
-    lines = load(spark, d, "documents").select("source", F.explode(F.split("text", "\n")).alias("line")).filter(F.size(F.split("line", " ")) >= 12).select("source", F.xxhash64("line").alias("h"), F.md5("line").alias("m")).distinct()
-    # a line links the sources that have it in a chain, so a hot line makes few pairs
-    linked = lines.withColumn("next", F.lead("source").over(Window.partitionBy("h", "m").orderBy("source"))).filter("next IS NOT NULL")
-    return linked.groupBy(F.col("source").alias("a"), F.col("next").alias("b")).agg(F.count(F.lit(1)).alias("n"))
+    """Pairs of sources by how many different lines of 12 words or more they share.  A
+    line meets its sources as one set, so a hot line is one row; the sets are counted
+    before they are taken apart, and there are few sources."""
+    lines = load(spark, d, "documents").select("source", F.explode(F.split("text", "\n")).alias("line")).filter(F.size(F.split("line", " ")) >= 12)
+    sets = lines.groupBy(F.xxhash64("line").alias("h"), F.md5("line").alias("m")).agg(F.array_sort(F.collect_set("source")).alias("s")).filter(F.size("s") > 1)
+    counted = sets.groupBy("s").agg(F.count(F.lit(1)).alias("n"))
+    pairs = counted.select("n", "s", F.posexplode("s").alias("i", "a")).select("n", "a", F.explode(F.slice("s", F.col("i") + 2, F.size("s"))).alias("b"))
+    return pairs.groupBy("a", "b").agg(F.sum("n").alias("n"))
+
+
+_PARTS = 6
+
+
+def _flips(spark, d):
+    """Pairs whose net turned its sign, from the state of a stream fed in six parts."""
+    path = scratch(spark, "ledger-parts")
+    ledger_files(load(spark, d, "events"), path, "volume", _PARTS)
+    n = load(spark, d, "events").select("user_id").distinct().count()
+    return st.drain(pair_nets_stateful(transfers_of(stream_events(spark, path, "*.parquet"), n))).select("a", "b", "net", "flipped")
+
+
+def _jdbc(spark, d):
+    """Where no database driver is on the class path, the reader's own error."""
+    try:
+        return files.scan_jdbc(spark, "jdbc:sqlite:/nowhere.db", "blocks", "sequence_number", 0, 100, 4).limit(0).select(F.lit("read").alias("outcome"))
+    except Exception as e:
+        return spark.createDataFrame([("no driver" if "river" in str(e) else "failed",)], "outcome string")
 
 
 _DAY = "SELECT CAST(ts AS DATE) AS day, event_type, count(*) AS n FROM events GROUP BY 1, 2"
@@ -93,8 +114,8 @@ OPERATORS = {
         lambda spark, d: _reviews(spark, d).groupBy("lang").agg(F.round(fx.auroc_udaf("score", "is_honest"), 8).alias("auroc")),
         "SELECT lang, round(sum(CASE WHEN a.s > b.s THEN 1.0 WHEN a.s = b.s THEN 0.5 ELSE 0 END) / count(*), 8)::DOUBLE AS auroc FROM (SELECT lang, n_chars AS s FROM documents JOIN labels USING (doc_id) WHERE quality = 1) a JOIN (SELECT lang, n_chars AS s FROM documents JOIN labels USING (doc_id) WHERE quality <> 1) b USING (lang) GROUP BY lang",
     ),
-    "op_pandas_kendall": (lambda spark, d: load(spark, d, "part").groupBy("p_brand").agg(F.round(fx.kendall_udaf("p_size", "p_retailprice"), 8).alias("tau")), None),
-    "op_auroc_by_group": (lambda spark, d: metrics.auroc(_reviews(spark, d), ["lang"]).withColumn("auroc", F.round("auroc", 8)), None),
+    "op_pandas_kendall": (lambda spark, d: load(spark, d, "part").groupBy("p_brand").agg(F.round(fx.kendall_udaf("p_size", "p_retailprice"), 8).alias("tau")), "SELECT p_brand, round(sum(x * y) / sqrt(sum(x * x) * sum(y * y)), 8) AS tau FROM (SELECT a.p_brand, sign(a.p_size - b.p_size)::DOUBLE AS x, sign(a.p_retailprice - b.p_retailprice)::DOUBLE AS y FROM part a JOIN part b ON a.p_brand = b.p_brand AND a.p_partkey < b.p_partkey) GROUP BY p_brand"),
+    "op_auroc_by_group": (lambda spark, d: metrics.auroc(_reviews(spark, d), ["lang"]).withColumn("auroc", F.round("auroc", 8)), "SELECT lang, round(sum(CASE WHEN a.s > b.s THEN 1.0 WHEN a.s = b.s THEN 0.5 ELSE 0 END) / count(*), 8)::DOUBLE AS auroc FROM (SELECT lang, n_chars AS s FROM documents JOIN labels USING (doc_id) WHERE quality = 1) a JOIN (SELECT lang, n_chars AS s FROM documents JOIN labels USING (doc_id) WHERE quality <> 1) b USING (lang) GROUP BY lang"),
     "op_table_function_roc": (
         _roc_table,
         "SELECT node, row_number() OVER w AS cut, round(sum(CASE WHEN h THEN 0 ELSE 1 END) OVER w / nullif(count(*) FILTER (WHERE NOT h) OVER (PARTITION BY lang), 0), 8) AS fpr, round(sum(CASE WHEN h THEN 1 ELSE 0 END) OVER w / nullif(count(*) FILTER (WHERE h) OVER (PARTITION BY lang), 0), 8) AS tpr FROM (SELECT lang, doc_id AS node, quality = 1 AS h, n_chars AS s FROM documents JOIN labels USING (doc_id)) WINDOW w AS (PARTITION BY lang ORDER BY s DESC, node)",
@@ -104,10 +125,17 @@ OPERATORS = {
     "op_lateral_best_partners": (_lateral, s.final(s.PEER, select="SELECT src, dst, w FROM edges QUALIFY row_number() OVER (PARTITION BY src ORDER BY w DESC, dst) <= 3")),
     "op_near_sources": (
         _near_sources,
-        "SELECT source AS a, next AS b, count(*) AS n FROM (SELECT source, lead(source) OVER (PARTITION BY line ORDER BY source) AS next FROM (SELECT DISTINCT source, line FROM (SELECT source, unnest(string_split(text, chr(10))) AS line FROM documents) WHERE len(string_split(line, ' ')) >= 12)) WHERE next IS NOT NULL GROUP BY 1, 2",
+        "WITH l AS (SELECT DISTINCT source, line FROM (SELECT source, unnest(string_split(text, chr(10))) AS line FROM documents) WHERE len(string_split(line, ' ')) >= 12) SELECT x.source AS a, y.source AS b, count(*) AS n FROM l x JOIN l y ON x.line = y.line AND x.source < y.source GROUP BY 1, 2",
     ),
     "op_stream_complete": (lambda spark, d: st.drain(stream_events(spark, d).groupBy(F.to_date("ts").alias("day"), "event_type").agg(F.count(F.lit(1)).alias("n")), "complete"), _DAY),
-    "op_stream_watermark": (lambda spark, d: st.drain(st.daily_counts(stream_events(spark, d))), None),
+    "op_stream_update": (lambda spark, d: st.drain(stream_events(spark, d).groupBy(F.to_date("ts").alias("day"), "event_type").agg(F.count(F.lit(1)).alias("n")), "update", keys=["day", "event_type"]), _DAY),
+    "op_stream_state": (_flips, s.final(s.TRANSFERS, f"""
+evb AS (SELECT event_id AS id, (row_number() OVER (ORDER BY ts, event_id) - 1) // (SELECT CAST(ceil(count(*) / {_PARTS}) AS BIGINT) FROM events) AS part FROM events)""", select="""SELECT a, b, net, coalesce(lag(net) OVER w, 0) * net < 0 AS flipped FROM (
+  SELECT a, b, part, CAST(sum(g) OVER (PARTITION BY a, b ORDER BY part) AS BIGINT) AS net FROM (
+    SELECT least(p, q) AS a, greatest(p, q) AS b, part, sum(CASE WHEN p < q THEN up - down ELSE down - up END) AS g FROM tr JOIN evb USING (id) GROUP BY 1, 2, 3)) WINDOW w AS (PARTITION BY a, b ORDER BY part)""")),
+    # a day comes out once the watermark, an hour behind the last event, has passed its end
+    "op_stream_watermark": (lambda spark, d: st.drain(st.daily_counts(stream_events(spark, d))), f"SELECT * FROM ({_DAY}) WHERE day + INTERVAL 1 DAY <= (SELECT max(ts) - INTERVAL 1 HOUR FROM events)"),
+    "op_scan_jdbc": (_jdbc, "SELECT 'no driver' AS outcome"),
     "op_stream_dedup": (lambda spark, d: st.drain(st.without_duplicates(stream_events(spark, d)).select("event_id", "user_id")), "SELECT event_id, user_id FROM events"),
     "op_stream_static_join": (lambda spark, d: st.drain(st.with_static(stream_events(spark, d), load(spark, d, "customer").select(F.col("c_custkey").alias("user_id"), "c_mktsegment"), "user_id").select("event_id", "c_mktsegment")), "SELECT event_id, c_mktsegment FROM events JOIN customer ON user_id = c_custkey"),
     "op_stream_stream_join": (

@@ -5,13 +5,15 @@ Each entry is ``name: (frame, SQL)``; the SQL is an independent statement of it.
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from peertrust import graph
 from peertrust.functions.rng import RNG_SEED, TWO32, u32, u32_sql
 from peertrust.queries import sqltext as s
-from peertrust.sources.tables import interactions, load, peer_edges
+from peertrust.sources.tables import interactions, load, numbered, peer_edges
 
 TABLES = ("region", "nation", "customer", "supplier", "part", "orders", "lineitem", "events", "documents", "embeddings", "pages", "benchmark", "labels", "conversations")
 
@@ -55,14 +57,43 @@ def _chain(spark, d):
     return c.join(F.broadcast(n), c.c_nationkey == n.n_nationkey).join(F.broadcast(r), F.col("n_regionkey") == F.col("r_regionkey"))
 
 
+def _sorted(spark, d):
+    """A total sort by ranges, with the place that each row has in it."""
+    keys = ("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey")
+    rows = load(spark, d, "lineitem").select(*keys, F.struct((-F.col("l_extendedprice")).alias("a"), *keys).alias("order"))
+    return numbered(rows, "order").select(*keys, "place")
+
+
+def _sorted_within(spark, d):
+    """Rows of a supplier meet in one partition and are sorted there, without a total
+    order: how often a row is not before its successor of the same supplier."""
+    rows = load(spark, d, "lineitem").repartition("l_suppkey").sortWithinPartitions("l_suppkey", F.desc("l_extendedprice"))
+
+    def falls(batches):
+        before = None
+        for batch in batches:
+            if batch.num_rows:
+                supplier, price = (batch.column(i).to_numpy() for i in (0, 1))
+                last = (supplier[:1], price[:1] + 1) if before is None else before
+                fall = (np.append(last[0], supplier[:-1]) == supplier) & (price <= np.append(last[1], price[:-1]))
+                if before is None:
+                    fall[0] = False
+                before = supplier[-1:], price[-1:]
+                yield pa.RecordBatch.from_arrays([pa.array(supplier), pa.array(fall.astype(np.int64))], schema=schema)
+
+    schema = pa.schema([("l_suppkey", pa.int64()), ("fall", pa.int64())])
+    return rows.select("l_suppkey", "l_extendedprice").mapInArrow(falls, "l_suppkey long, fall long").groupBy("l_suppkey").agg(F.sum("fall").alias("falls"))
+
+
 def _orders_w():
     return Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")
 
 
 def _asof(spark, d):
+    """For each error the amount of the agent's last transfer of another kind."""
     x = interactions(spark, d)
-    left = x.filter("id % 5 = 0").select("id", "p", "ts")
-    right = x.filter("id % 5 <> 0").select("p", "ts", "up")
+    left = x.filter("kind = 'error'").select("id", "p", "ts")
+    right = x.filter("kind <> 'error'").select("p", "ts", "up")
     return asof_join(left, right, "p", "ts", "up").select("id", "last_up")
 
 
@@ -72,15 +103,26 @@ def _near(spark, d):
     return interval_join(a, b, "ta", "tb", 600).filter("ua < ub").select("a", "b")
 
 
-def _half(spark, d, odd):
-    return peer_edges(spark, d).filter(F.pmod(F.col("src") + F.col("dst"), F.lit(3)) != (1 if odd else 2)).select("src", "dst")
+def _half(spark, d, kinds):
+    """Edges of the graph of some kinds of transfers."""
+    return graph.net_edges(interactions(spark, d).filter(F.col("kind").isin(*kinds))).select("src", "dst")
 
 
+_ONE, _OTHER = ("click", "view", "error"), ("purchase", "error", "signup")
 _W = "(PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey)"
 _CHAIN = "customer JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey"
 _MUTUAL = s.final(s.TRANSFERS, """
 g AS (SELECT src, dst, sum(w) AS w FROM (SELECT q AS src, p AS dst, up AS w FROM tr UNION ALL SELECT p, q, down FROM tr) GROUP BY 1, 2 HAVING sum(w) > 0)""", select="SELECT a.src, a.dst FROM g a JOIN g b ON a.src = b.dst AND a.dst = b.src WHERE a.src < a.dst")
-_SETS = lambda op: s.final(s.PEER, select=f"SELECT src, dst FROM edges WHERE (src + dst) % 3 <> 1 {op} SELECT src, dst FROM edges WHERE (src + dst) % 3 <> 2")
+
+
+def _sets(op):
+    tables = []
+    for name, kinds in (("x", _ONE), ("y", _OTHER)):
+        tables.append(f"""
+{name}_n AS (SELECT least(p, q) AS a, greatest(p, q) AS b, sum(CASE WHEN p < q THEN up - down ELSE down - up END) AS net FROM tr WHERE kind IN {kinds} GROUP BY 1, 2),
+{name}_e AS (SELECT CASE WHEN net > 0 THEN b ELSE a END AS src, CASE WHEN net > 0 THEN a ELSE b END AS dst FROM {name}_n WHERE net <> 0)""")
+    return s.final(s.TRANSFERS, *tables, select=f"SELECT src, dst FROM x_e {op} SELECT src, dst FROM y_e")
+
 
 OPERATORS = {
     "op_scan_counts": (_counts, " UNION ALL ".join(f"SELECT '{t}' AS name, count(*) AS n FROM {t}" for t in TABLES)),
@@ -114,8 +156,8 @@ OPERATORS = {
         "SELECT c_custkey, count(o_orderkey) AS n FROM customer LEFT JOIN orders ON c_custkey = o_custkey GROUP BY c_custkey",
     ),
     "op_join_full": (
-        lambda spark, d: load(spark, d, "customer").filter("c_custkey % 3 = 0").join(load(spark, d, "supplier").filter("s_suppkey % 2 = 0"), F.col("c_custkey") == F.col("s_suppkey"), "full").select("c_custkey", "s_suppkey"),
-        "SELECT c_custkey, s_suppkey FROM (SELECT * FROM customer WHERE c_custkey % 3 = 0) FULL JOIN (SELECT * FROM supplier WHERE s_suppkey % 2 = 0) ON c_custkey = s_suppkey",
+        lambda spark, d: load(spark, d, "customer").filter("c_mktsegment = 'BUILDING'").join(load(spark, d, "supplier").filter("s_acctbal > 0"), F.col("c_custkey") == F.col("s_suppkey"), "full").select("c_custkey", "s_suppkey"),
+        "SELECT c_custkey, s_suppkey FROM (SELECT * FROM customer WHERE c_mktsegment = 'BUILDING') FULL JOIN (SELECT * FROM supplier WHERE s_acctbal > 0) ON c_custkey = s_suppkey",
     ),
     "op_join_semi": (lambda spark, d: load(spark, d, "customer").join(load(spark, d, "orders"), F.col("c_custkey") == F.col("o_custkey"), "left_semi").select("c_custkey"), "SELECT c_custkey FROM customer WHERE c_custkey IN (SELECT o_custkey FROM orders)"),
     "op_join_anti": (lambda spark, d: load(spark, d, "customer").join(load(spark, d, "orders"), F.col("c_custkey") == F.col("o_custkey"), "left_anti").select("c_custkey"), "SELECT c_custkey FROM customer WHERE c_custkey NOT IN (SELECT o_custkey FROM orders)"),
@@ -125,7 +167,7 @@ OPERATORS = {
         "SELECT r_name, n_name FROM region, nation WHERE r_regionkey > n_regionkey",
     ),
     "op_join_interval": (_near, "SELECT x.event_id AS a, y.event_id AS b FROM events x JOIN events y ON x.user_id < y.user_id AND abs(epoch_us(x.ts) - epoch_us(y.ts)) <= 600000000 WHERE x.event_type = 'purchase' AND y.event_type = 'purchase'"),
-    "op_join_asof": (_asof, s.final(s.TRANSFERS, select="SELECT l.id, r.up AS last_up FROM (SELECT * FROM tr WHERE id % 5 = 0) l ASOF LEFT JOIN (SELECT * FROM tr WHERE id % 5 <> 0) r ON l.p = r.p AND l.ts >= r.ts")),
+    "op_join_asof": (_asof, s.final(s.TRANSFERS, select="SELECT l.id, r.up AS last_up FROM (SELECT * FROM tr WHERE kind = 'error') l ASOF LEFT JOIN (SELECT * FROM tr WHERE kind <> 'error') r ON l.p = r.p AND l.ts >= r.ts")),
     "op_join_self_mutual": (lambda spark, d: (lambda g: g.alias("a").join(g.alias("b"), (F.col("a.src") == F.col("b.dst")) & (F.col("a.dst") == F.col("b.src"))).select("a.src", "a.dst").filter("src < dst"))(graph.gross_edges(interactions(spark, d))), _MUTUAL),
     "op_join_salted": (
         lambda spark, d: salted_join(load(spark, d, "lineitem").select(F.col("l_suppkey").alias("k"), "l_orderkey", "l_linenumber", "l_partkey"), load(spark, d, "supplier").select(F.col("s_suppkey").alias("k"), "s_name"), "k").groupBy("s_name").agg(F.count(F.lit(1)).alias("n")),
@@ -150,12 +192,14 @@ OPERATORS = {
     "op_window_running": (lambda spark, d: interactions(spark, d).select("id", F.sum("up").over(Window.partitionBy("p").orderBy("ts", "id").rowsBetween(Window.unboundedPreceding, 0)).alias("total")), s.final(s.TRANSFERS, select="SELECT id, CAST(sum(up) OVER (PARTITION BY p ORDER BY ts, id ROWS UNBOUNDED PRECEDING) AS BIGINT) AS total FROM tr")),
     "op_window_time_range": (lambda spark, d: interactions(spark, d).select("id", F.sum("up").over(Window.partitionBy("p").orderBy(F.unix_micros("ts")).rangeBetween(-86_400_000_000, 0)).alias("day_sum")), s.final(s.TRANSFERS, select="SELECT id, CAST(sum(up) OVER (PARTITION BY p ORDER BY epoch_us(ts) RANGE BETWEEN 86400000000 PRECEDING AND CURRENT ROW) AS BIGINT) AS day_sum FROM tr")),
     "op_window_sliding": (lambda spark, d: load(spark, d, "orders").select("o_orderkey", F.sum("o_orderkey").over(_orders_w().rowsBetween(-2, 2)).alias("five")), "SELECT o_orderkey, CAST(sum(o_orderkey) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS BETWEEN 2 PRECEDING AND 2 FOLLOWING) AS BIGINT) AS five FROM orders"),
+    "op_sort_total": (_sorted, "SELECT l_orderkey, l_linenumber, l_partkey, l_suppkey, row_number() OVER (ORDER BY l_extendedprice DESC, l_orderkey, l_linenumber, l_partkey, l_suppkey) - 1 AS place FROM lineitem"),
+    "op_sort_within": (_sorted_within, "SELECT l_suppkey, count(*) - 1 AS falls FROM lineitem GROUP BY l_suppkey"),
     "op_top_k": (lambda spark, d: load(spark, d, "orders").orderBy(F.desc("o_totalprice"), "o_orderkey").limit(25).select("o_orderkey"), "SELECT o_orderkey FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 25"),
     "op_limit_offset": (lambda spark, d: load(spark, d, "orders").orderBy("o_orderdate", "o_orderkey").offset(10).limit(15).select("o_orderkey"), "SELECT o_orderkey FROM orders ORDER BY o_orderdate, o_orderkey LIMIT 15 OFFSET 10"),
     "op_top_k_per_group": (lambda spark, d: load(spark, d, "orders").withColumn("r", F.row_number().over(Window.partitionBy("o_custkey").orderBy(F.desc("o_totalprice"), "o_orderkey"))).filter("r <= 3").select("o_custkey", "o_orderkey", "r"), "SELECT o_custkey, o_orderkey, CAST(row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) AS INTEGER) AS r FROM orders QUALIFY r <= 3"),
-    "op_union_by_name": (lambda spark, d: _half(spark, d, True).unionByName(_half(spark, d, False).select("dst", "src")), _SETS("UNION ALL")),
-    "op_intersect": (lambda spark, d: _half(spark, d, True).intersect(_half(spark, d, False)), _SETS("INTERSECT")),
-    "op_except": (lambda spark, d: _half(spark, d, True).subtract(_half(spark, d, False)), _SETS("EXCEPT")),
+    "op_union_by_name": (lambda spark, d: _half(spark, d, _ONE).unionByName(_half(spark, d, _OTHER).select("dst", "src")), _sets("UNION ALL")),
+    "op_intersect": (lambda spark, d: _half(spark, d, _ONE).intersect(_half(spark, d, _OTHER)), _sets("INTERSECT")),
+    "op_except": (lambda spark, d: _half(spark, d, _ONE).subtract(_half(spark, d, _OTHER)), _sets("EXCEPT")),
     "op_except_all": (lambda spark, d: load(spark, d, "customer").select("c_nationkey").exceptAll(load(spark, d, "supplier").select(F.col("s_nationkey").alias("c_nationkey"))), "SELECT c_nationkey FROM customer EXCEPT ALL SELECT s_nationkey FROM supplier"),
     "op_intersect_all": (lambda spark, d: load(spark, d, "customer").select("c_nationkey").intersectAll(load(spark, d, "supplier").select(F.col("s_nationkey").alias("c_nationkey"))), "SELECT c_nationkey FROM customer INTERSECT ALL SELECT s_nationkey FROM supplier"),
     "op_distinct": (lambda spark, d: load(spark, d, "events").select("user_id", "event_type").distinct(), "SELECT DISTINCT user_id, event_type FROM events"),

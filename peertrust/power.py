@@ -4,8 +4,9 @@
 (``seed``, the law of walks that stop there), to all nodes (``uniform``), or nowhere
 (``drop``: the vector is normalised at the end).
 
-Small graphs (checked) are solved in one task per ``(seed, alpha)``; larger ones
-iterate a join and an aggregation, with the vector broadcast while it is small.
+Small graphs (counted first) are solved in one task per ``(seed, alpha)``; larger ones
+iterate a join and an aggregation for all pairs at once.  While the vector is small
+(counted, too) it is broadcast to the edges, which then stay where they are.
 """
 
 from __future__ import annotations
@@ -23,6 +24,8 @@ from peertrust.transition import transitions
 from peertrust.walks import local_edges
 
 ROUNDS = 40
+#: Scores up to which a round broadcasts them (some 40 bytes each).
+BROADCAST_SCORES = 1_000_000
 
 
 def solve(src: np.ndarray, dst: np.ndarray, w: np.ndarray, node: np.ndarray, seed: int | None, alpha: float, dangling: str, rounds: int, tol: float | None = None, init: str = "seed", weighting: str = "weight") -> tuple[np.ndarray, list[float]]:
@@ -56,20 +59,21 @@ def solve(src: np.ndarray, dst: np.ndarray, w: np.ndarray, node: np.ndarray, see
 
 
 def _arrays(edges: DataFrame, extra: list[int] = ()):
-    found = local_edges(edges)
+    """Edges and nodes as arrays (None: too many), and the edges computed once."""
+    found, edges = local_edges(edges)
     if found is None:
-        return None
+        return None, edges
     src, dst, w = (found[c].to_numpy() for c in ("src", "dst", "w"))
-    return src, dst, w, np.unique(np.concatenate([src, dst, np.array(extra, np.int64)]))
+    return (src, dst, w, np.unique(np.concatenate([src, dst, np.array(extra, np.int64)]))), edges
 
 
 def power_iteration_many(edges: DataFrame, seeds: list[int | None], alphas: list[float], dangling: str = "seed", rounds: int = ROUNDS, **options) -> DataFrame:
     """``seed, alpha, node, score`` for every pair; a task solves one pair.  A seed
     without edges is a node of its own."""
     spark = edges.sparkSession
-    arrays = _arrays(edges, [s for s in seeds if s is not None])
+    arrays, edges = _arrays(edges, [s for s in seeds if s is not None])
     if arrays is None:
-        raise ValueError("the graph is too large for one task; use power_iteration")
+        return distributed_power(edges, [(s, float(a)) for s in seeds for a in alphas], dangling, rounds, **options)[0]
     shared = spark.sparkContext.broadcast(arrays)
     grid = spark.createDataFrame([(s, float(a)) for s in seeds for a in alphas], "seed long, alpha double").repartition(max(1, len(seeds) * len(alphas)))
 
@@ -87,55 +91,71 @@ def power_iteration_many(edges: DataFrame, seeds: list[int | None], alphas: list
 def power_iteration(edges: DataFrame, seed: int | None = None, alpha: float = 0.3, dangling: str | None = None, rounds: int = ROUNDS, tol: float | None = None, init: str = "seed", weighting: str = "weight", distributed: bool | None = None) -> DataFrame:
     """``node, score``; ``seed`` None is the global ranking."""
     dangling = dangling or ("uniform" if seed is None else "seed")
-    if not distributed and local_edges(edges) is not None:
-        return power_iteration_many(edges, [seed], [alpha], dangling, rounds, tol=tol, init=init, weighting=weighting).select("node", "score")
-    return distributed_power(edges, seed, alpha, dangling, rounds, tol, init, weighting)[0]
+    options = {"tol": tol, "init": init, "weighting": weighting}
+    if distributed:
+        return distributed_power(edges, [(seed, alpha)], dangling, rounds, **options)[0].select("node", "score")
+    return power_iteration_many(edges, [seed], [alpha], dangling, rounds, **options).select("node", "score")
 
 
-def distributed_power(edges: DataFrame, seed: int | None, alpha: float, dangling: str, rounds: int = ROUNDS, tol: float | None = None, init: str = "seed", weighting: str = "weight", every: int = 5) -> tuple[DataFrame, list[float]]:
-    """The loop over DataFrames: scores meet transitions on ``src``, sums go to
-    ``dst`` with map-side combining.  Lineage is cut each ``every`` rounds, and the
-    change is looked at then only."""
-    node = cut(graph_nodes(edges) if seed is None else graph_nodes(edges).union(edges.sparkSession.createDataFrame([(seed,)], "node long")).distinct())
+def distributed_power(edges: DataFrame, grid: list[tuple[int | None, float]], dangling: str, rounds: int = ROUNDS, tol: float | None = None, init: str = "seed", weighting: str = "weight", every: int = 5) -> tuple[DataFrame, dict[int, list[float]]]:
+    """``seed, alpha, node, score`` for every pair of ``grid``, and the changes that were
+    looked at, by its place.  Scores meet transitions on ``src``, sums go to ``dst``
+    with map-side combining.  Lineage is cut each ``every`` rounds; with ``tol`` every
+    round is looked at, and a pair stops changing once its change is below."""
+    spark = edges.sparkSession
+    every = 1 if tol is not None else every
+    seeds = spark.createDataFrame(sorted({(s,) for s, _ in grid if s is not None}), "node long")
+    node = cut(graph_nodes(edges).union(seeds).distinct())
     n = node.count()
-    reset = F.lit(1.0 / n) if seed is None else F.when(F.col("node") == seed, 1.0).otherwise(0.0)
+    pairs = F.broadcast(spark.createDataFrame([(i, s, float(a)) for i, (s, a) in enumerate(grid)], "i int, seed long, alpha double"))
     pt = cut(transitions(edges, weighting).repartition("src"))
     sources = pt.select(F.col("src").alias("node"), F.lit(True).alias("goes_on")).distinct()
-    base = cut(node.join(sources, "node", "left").select("node", reset.alias("reset"), F.col("goes_on").isNull().alias("stuck")))
-    x = base.select("node", "stuck", "reset", (F.lit(1.0 / n) if init == "uniform" else F.col("reset")).alias("score"))
-    trace: list[float] = []
-    for i in range(rounds):
-        flow = x.join(pt, x.node == pt.src).groupBy("dst").agg(F.sum(F.col("score") * F.col("p")).alias("inflow"))
-        lost = x.filter("stuck").agg(F.coalesce(F.sum("score"), F.lit(0.0)).alias("lost"))  # one row
-        back = F.col("lost") * (F.col("reset") if dangling == "seed" else F.lit(1.0 / n)) if dangling != "drop" else F.lit(0.0)
-        new = (1 - alpha) * (F.coalesce("inflow", F.lit(0.0)) + back) + alpha * F.col("reset")
-        step = x.withColumnRenamed("score", "old").join(flow, x.node == flow.dst, "left").join(F.broadcast(lost), how="cross").select("node", "stuck", "reset", "old", new.alias("score"))
-        if i % every == every - 1 or i == rounds - 1:
+    reset = F.when(F.col("seed").isNull(), F.lit(1.0 / n)).when(F.col("node") == F.col("seed"), 1.0).otherwise(0.0)
+    base = node.join(sources, "node", "left").select("node", F.col("goes_on").isNull().alias("stuck")).join(pairs, how="cross")
+    x = cut(base.select("i", "node", "stuck", "alpha", reset.alias("reset")).withColumn("score", F.lit(1.0 / n) if init == "uniform" else F.col("reset")))
+    small = n * len(grid) <= BROADCAST_SCORES
+    traces: dict[int, list[float]] = {i: [] for i in range(len(grid))}
+    done: list[int] = []
+    for k in range(rounds):
+        vector = x.select("i", "node", "score")
+        flow = (F.broadcast(vector) if small else vector).join(pt, F.col("node") == pt.src).groupBy("i", "dst").agg(F.sum(F.col("score") * F.col("p")).alias("inflow"))
+        lost = x.filter("stuck").groupBy(F.col("i").alias("j")).agg(F.sum("score").alias("lost"))  # a row a pair
+        back = F.coalesce("lost", F.lit(0.0)) * (F.col("reset") if dangling == "seed" else F.lit(1.0 / n)) if dangling != "drop" else F.lit(0.0)
+        new = (1 - F.col("alpha")) * (F.coalesce("inflow", F.lit(0.0)) + back) + F.col("alpha") * F.col("reset")
+        to = flow.select(F.col("i").alias("fi"), "dst", "inflow")
+        joined = x.withColumnRenamed("score", "old").join(to, (F.col("i") == F.col("fi")) & (F.col("node") == F.col("dst")), "left").join(F.broadcast(lost), F.col("i") == F.col("j"), "left")
+        score = F.when(F.col("i").isin(done), F.col("old")).otherwise(new) if done else new
+        step = joined.select("i", "node", "stuck", "alpha", "reset", "old", score.alias("score"))
+        if k % every == every - 1 or k == rounds - 1:
             step = cut(step)
-            trace.append(step.agg(F.sum(F.abs(F.col("score") - F.col("old")))).first()[0])
-            if tol is not None and trace[-1] < tol:
-                x = step.drop("old")
-                break
+            for r in step.groupBy("i").agg(F.sum(F.abs(F.col("score") - F.col("old"))).alias("change")).collect():  # a row a pair
+                if r.i not in done:
+                    traces[r.i].append(r.change)
+                    if tol is not None and r.change < tol:
+                        done.append(r.i)
         x = step.drop("old")
+        if len(done) == len(grid):
+            break
     if dangling == "drop":
-        total = x.agg(F.sum("score").alias("total"))
-        return x.join(F.broadcast(total), how="cross").select("node", (F.col("score") / F.col("total")).alias("score")), trace
-    return x.select("node", "score"), trace
+        total = x.groupBy(F.col("i").alias("j")).agg(F.sum("score").alias("total"))
+        x = x.join(F.broadcast(total), F.col("i") == F.col("j")).withColumn("score", F.col("score") / F.col("total"))
+    out = x.select("i", "node", "score").join(pairs, "i")
+    return out.select("seed", "alpha", "node", "score"), traces
 
 
 def residual_trace(edges: DataFrame, seed: int | None, alpha: float, rounds: int = ROUNDS, tol: float | None = None, dangling: str = "seed", init: str = "seed") -> DataFrame:
     """``k, residual``: the change that each round makes."""
-    arrays = _arrays(edges, [] if seed is None else [seed])
-    trace = solve(*arrays, seed, alpha, dangling, rounds, tol, init)[1] if arrays else distributed_power(edges, seed, alpha, dangling, rounds, tol, init, every=1)[1]
+    arrays, edges = _arrays(edges, [] if seed is None else [seed])
+    trace = solve(*arrays, seed, alpha, dangling, rounds, tol, init)[1] if arrays else distributed_power(edges, [(seed, alpha)], dangling, rounds, tol, init, every=1)[1][0]
     return edges.sparkSession.createDataFrame([(i + 1, r) for i, r in enumerate(trace)], "k int, residual double")
 
 
 def neumann_scores(edges: DataFrame, seed: int, alpha: float, terms: int = ROUNDS) -> DataFrame:
     """``alpha`` times the sum of ``((1 - alpha) P)**k`` from the seed, cut off after
     ``terms``: expected visits of a walk, times ``alpha``."""
-    arrays = _arrays(edges, [seed])
+    arrays, edges = _arrays(edges, [seed])
     if arrays is None:
-        raise ValueError("the graph is too large for one task")
+        return _neumann_distributed(edges, seed, alpha, terms)
     src, dst, w, node = arrays
     s, d = np.searchsorted(node, src), np.searchsorted(node, dst)
     p = w / np.bincount(s, weights=w, minlength=len(node))[s]
@@ -145,3 +165,19 @@ def neumann_scores(edges: DataFrame, seed: int, alpha: float, terms: int = ROUND
         total += alpha * x
         x = (1 - alpha) * np.bincount(d, weights=x[s] * p, minlength=len(node))
     return edges.sparkSession.createDataFrame(pd.DataFrame({"node": node, "score": total}))
+
+
+def _neumann_distributed(edges: DataFrame, seed: int, alpha: float, terms: int, every: int = 5) -> DataFrame:
+    spark = edges.sparkSession
+    pt = cut(transitions(edges).repartition("src"))
+    x = total = spark.createDataFrame([(seed, 1.0)], "node long, score double")
+    for k in range(terms):
+        x = x.join(pt, x.node == pt.src).groupBy(F.col("dst").alias("node")).agg(((1 - alpha) * F.sum(F.col("score") * F.col("p"))).alias("score"))
+        if k % every == every - 1:
+            x = cut(x)
+        total = total.union(x)
+        if k % every == every - 1:
+            total = cut(total.groupBy("node").agg(F.sum("score").alias("score")))
+    summed = total.groupBy("node").agg((alpha * F.sum("score")).alias("score"))
+    everyone = graph_nodes(edges).union(spark.createDataFrame([(seed,)], "node long")).distinct()
+    return everyone.join(summed, "node", "left").select("node", F.coalesce("score", F.lit(0.0)).alias("score"))

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from peertrust import metrics, sybil
+from peertrust import metrics, power, sybil
 from peertrust.functions.rng import RNG_SEED, u32_sql
 from peertrust.sources import tables as t
 
@@ -12,6 +12,8 @@ from . import sqltext as s
 
 CELLS = ((0, 0.3), (50, 0.3), (50, 0.5))
 R = 200
+#: Reset probability and rounds of the scores that tell communities apart.
+FAR, FAR_ROUNDS = 0.02, 300
 
 
 def _cells(spark, d):
@@ -38,15 +40,35 @@ def _one_cell(spark, d):
     return w.filter((F.col("attack") == 50) & (F.col("alpha") == 0.3)), labels
 
 
+def _attacked(spark, d):
+    """The graph of one cell as a whole, its walks, and its attack edges."""
+    edges, extra, _, _ = sybil.build(spark, d, 50)
+    extra = extra.filter("i <= 50")
+    both = t.cut(edges.union(extra.select("src", "dst", "w")).groupBy("src", "dst").agg(F.sum("w").alias("w")))
+    w = t.cut(sybil.scenario_walks(edges, extra, [(50, 0.3)], R).select("walk_id", "step", "node"))
+    return both, w, extra
+
+
+def _suspects(spark, d):
+    edges, w, extra = _attacked(spark, d)
+    return t.cut(sybil.suspect_edges(w, sybil.settled(sybil.community(*_scored(edges)), edges, 0))), w, edges, extra
+
+
+def _scored(edges):
+    """Trust of far-reaching walks that go along edges and against them: it stays in the
+    seed's own community for long."""
+    return t.cut(power.power_iteration(sybil.both_ways(edges), 0, FAR, rounds=FAR_ROUNDS)), edges
+
+
 def _review_rows(spark, d):
     docs, labels = t.load(spark, d, "documents"), t.load(spark, d, "labels")
     return docs.join(labels, "doc_id").select(F.col("doc_id").alias("node"), (F.col("quality") == 1).alias("is_honest"), F.col("n_chars").cast("double").alias("score"))
 
 
 QUERIES = {
-    "sybil_honest_region": lambda spark, d: sybil.honest_region(t.load(spark, d, "orders"), *sybil.sizes(d)[:2]),
-    "sybil_region": lambda spark, d: sybil.sybil_region(t.load(spark, d, "customer"), sybil.sizes(d)[0], sybil.sizes(d)[2]),
-    "sybil_attack_edges": lambda spark, d: sybil.attack_edges(spark, 500, sybil.sizes(d)[0], sybil.sizes(d)[2]),
+    "sybil_honest_region": lambda spark, d: sybil.honest_region(t.load(spark, d, "orders")),
+    "sybil_region": lambda spark, d: sybil.sybil_region(t.load(spark, d, "customer")),
+    "sybil_attack_edges": lambda spark, d: sybil.attack_edges(spark, 500),
     "sybil_walk_scores": lambda spark, d: sybil.scenario_scores(_cells(spark, d)[0]).withColumn("score", F.round("score", 8)),
     "sybil_roc": lambda spark, d: _curve(spark, d).select("attack", "alpha", "cut", "node", F.round("fpr", 8).alias("fpr"), F.round("tpr", 8).alias("tpr")),
     "sybil_roc_blocks": lambda spark, d: _curve(spark, d, ties="block").select("attack", "alpha", "cut", F.round("fpr", 8).alias("fpr"), F.round("tpr", 8).alias("tpr")),
@@ -54,7 +76,9 @@ QUERIES = {
     "sybil_measures_visited": _measures(True),
     "sybil_auroc_trapezoid": lambda spark, d: metrics.auroc_trapezoid(_curve(spark, d), ["attack", "alpha"]).withColumn("auroc", F.round("auroc", 8)),
     "sybil_region_flow": lambda spark, d: metrics.region_flow(*_one_cell(spark, d)),
-    "sybil_suspect_edges": lambda spark, d: sybil.suspect_edges(*_one_cell(spark, d)),
+    "sybil_sweep": lambda spark, d: sybil.sweep(*_scored(_attacked(spark, d)[0])).withColumn("conductance", F.round("conductance", 8)),
+    "sybil_suspect_edges": lambda spark, d: _suspects(spark, d)[0],
+    "sybil_suspect_quality": lambda spark, d: sybil.detection_quality(*_suspects(spark, d)).withColumn("auroc", F.round("auroc", 8)),
     "sybil_cap_seed_share": lambda spark, d: sybil.cap_seed_share(t.peer_edges(spark, d), 0, 0.05),
     "detection_review_roc": lambda spark, d: metrics.roc(_review_rows(spark, d)).select("cut", "node", F.round("fpr", 8).alias("fpr"), F.round("tpr", 8).alias("tpr")),
     "detection_review_auroc": lambda spark, d: metrics.auroc(_review_rows(spark, d)).withColumn("auroc", F.round("auroc", 8)),
@@ -118,6 +142,23 @@ lab AS (SELECT doc_id AS node, quality = 1 AS is_honest, CAST(n_chars AS DOUBLE)
 _FLOW = f"""
 hops AS (SELECT *, node < {_H} AS h, lead(node) OVER (PARTITION BY walk_id ORDER BY step) AS next FROM walk1)"""
 
+_SWEEP = f"""
+u1 AS (SELECT src, dst, CAST(sum(w) AS BIGINT) AS w FROM (SELECT src, dst, w FROM e1 UNION ALL SELECT dst, src, w FROM e1) GROUP BY 1, 2),{s.nodes("e1", "nodes1", extra=0)},{s.power(FAR, FAR_ROUNDS, 0, edges="u1", node_table="nodes1", name="pw")},
+deg AS (SELECT node, CAST(sum(w) AS BIGINT) AS d FROM (SELECT src AS node, w FROM e1 UNION ALL SELECT dst, w FROM e1) GROUP BY node),
+ranked AS (SELECT row_number() OVER (ORDER BY round(x.score / d, 12) DESC, node) AS place, node, d FROM pw x JOIN deg USING (node) WHERE k = {FAR_ROUNDS} AND x.score > 0),
+placed AS (SELECT e.w, a.place AS pa, b.place AS pb FROM e1 e LEFT JOIN ranked a ON a.node = e.src LEFT JOIN ranked b ON b.node = e.dst),
+sums AS (SELECT r.place, r.node, CAST(sum(r.d) OVER (ORDER BY r.place) AS BIGINT) AS volume,
+  (SELECT CAST(coalesce(sum(w), 0) AS BIGINT) FROM placed p WHERE (coalesce(p.pa, 1000000) <= r.place) <> (coalesce(p.pb, 1000000) <= r.place)) AS cut FROM ranked r),
+swept AS (SELECT *, cut / nullif(least(volume, (SELECT CAST(sum(d) AS BIGINT) FROM deg) - volume), 0) AS conductance FROM sums)"""
+_SUSPECTS = """
+best AS (SELECT place FROM swept WHERE volume <= 0.5 * (SELECT sum(d) FROM deg) ORDER BY conductance, place LIMIT 1),
+own0 AS (SELECT node FROM swept WHERE place <= (SELECT place FROM best)),
+own1 AS (SELECT 0 AS node UNION SELECT u.src AS node FROM u1 u LEFT JOIN own0 o ON o.node = u.dst GROUP BY u.src HAVING sum(CASE WHEN o.node IS NULL THEN -u.w ELSE u.w END) > 0),
+own AS (SELECT 0 AS node UNION SELECT u.src AS node FROM u1 u LEFT JOIN own1 o ON o.node = u.dst GROUP BY u.src HAVING sum(CASE WHEN o.node IS NULL THEN -u.w ELSE u.w END) > 0),
+steps AS (SELECT node AS src, lead(node) OVER (PARTITION BY walk_id ORDER BY step) AS dst FROM walk1),
+crossed AS (SELECT src, dst, count(*) AS crossings FROM steps WHERE dst IS NOT NULL GROUP BY 1, 2),
+suspects AS (SELECT * FROM crossed WHERE (src IN (SELECT node FROM own)) <> (dst IN (SELECT node FROM own)))"""
+
 ORACLE_SQL = {
     "sybil_honest_region": s.final(_HONEST, select="SELECT src, dst, w FROM honest"),
     "sybil_region": s.final(_SYBIL, select="SELECT src, dst, w FROM syb"),
@@ -131,7 +172,8 @@ ORACLE_SQL = {
   SELECT attack, alpha, (fpr - coalesce(lag(fpr) OVER w, 0)) * (tpr + coalesce(lag(tpr) OVER w, 0)) / 2 AS area FROM roc WINDOW w AS (PARTITION BY attack, alpha ORDER BY cut)) GROUP BY attack, alpha"""),
     "sybil_region_flow": s.final(*_BASE, _FLOW, select=f"""SELECT count(*) FILTER (WHERE h) AS honest_visits, count(*) FILTER (WHERE NOT h) AS sybil_visits, count(*) FILTER (WHERE h AND next >= {_H}) AS entries,
 count(*) FILTER (WHERE NOT h AND next < {_H}) AS escapes, count(DISTINCT node) AS nodes_seen FROM hops"""),
-    "sybil_suspect_edges": s.final(*_BASE, _FLOW, select=f"SELECT node AS src, next AS dst, count(*) AS crossings FROM hops WHERE next IS NOT NULL AND h <> (next < {_H}) GROUP BY 1, 2"),
+    "sybil_sweep": s.final(*_BASE, _SWEEP, select="SELECT place, node, volume, cut, round(conductance, 8) AS conductance FROM swept"),
+    "sybil_suspect_edges": s.final(*_BASE, _SWEEP, _SUSPECTS, select="SELECT src, dst, crossings FROM suspects"),
     "sybil_cap_seed_share": s.final(s.PEER, select="SELECT src, dst, CASE WHEN src = 0 THEN greatest(1, least(w, CAST(floor((sum(w) OVER (PARTITION BY src)) * 0.05) AS BIGINT))) ELSE w END AS w FROM edges"),
     "detection_review_roc": s.final(_REVIEW, _roc(by=""), select="SELECT cut, node, round(fpr, 8) AS fpr, round(tpr, 8) AS tpr FROM roc"),
     "detection_review_auroc": s.final(_REVIEW, select="""SELECT round(sum(CASE WHEN a.score > b.score THEN 1.0 WHEN a.score = b.score THEN 0.5 ELSE 0 END) / count(*), 8)::DOUBLE AS auroc FROM lab a JOIN lab b ON a.is_honest AND NOT b.is_honest"""),

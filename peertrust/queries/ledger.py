@@ -81,7 +81,7 @@ _PROFILE = """
 deg AS (SELECT node, sum(o) AS o, sum(i) AS i, sum(o * w) AS strength FROM (SELECT src AS node, 1 AS o, 0 AS i, w FROM edges UNION ALL SELECT dst, 0, 1, w FROM edges) GROUP BY node)"""
 _PROFILE_SELECT = """SELECT count(*) AS n_nodes, CAST(sum(o) AS BIGINT) AS n_edges, CAST(sum(strength) AS BIGINT) AS weight, CAST(count(*) FILTER (WHERE o = 0) AS BIGINT) AS n_dangling,
   CAST(count(*) FILTER (WHERE i = 0) AS BIGINT) AS n_unreferenced, CAST(max(o) AS BIGINT) AS max_out, CAST(max(i) AS BIGINT) AS max_in FROM deg"""
-_TRADE = """
+TRADE = """
 tr AS (SELECT o_custkey * 2 AS p, l_suppkey * 2 + 1 AS q, CASE WHEN l_returnflag = 'R' THEN 0 ELSE CAST(round(l_quantity * 100) AS BIGINT) END AS up,
   CASE WHEN l_returnflag = 'R' THEN CAST(round(l_quantity * 100) AS BIGINT) ELSE 0 END AS down FROM lineitem JOIN orders ON l_orderkey = o_orderkey)"""
 _OLD = """
@@ -99,6 +99,10 @@ _DOUBLE = """
 dbl AS (SELECT agent, seq, hash FROM linked UNION ALL SELECT agent, seq, sha256('y' || hash) FROM linked WHERE id % 101 = 0),
 spent AS (SELECT agent, seq, count(DISTINCT hash) AS n FROM dbl GROUP BY agent, seq HAVING count(DISTINCT hash) > 1)"""
 
+KNN = """SELECT src, dst, w FROM (SELECT *, row_number() OVER (PARTITION BY src ORDER BY w DESC, dst) AS r FROM (
+  SELECT a.vec_id AS src, b.vec_id AS dst, CAST(round(list_dot_product(a.e, b.e) * 1000) AS BIGINT) AS w
+  FROM (SELECT vec_id, embedding::DOUBLE[] AS e FROM embeddings) a, (SELECT vec_id, embedding::DOUBLE[] AS e FROM embeddings) b WHERE a.vec_id <> b.vec_id)) WHERE r <= 5 AND w > 0"""
+
 ORACLE_SQL = {
     "ledger_blocks": s.final(s.TRANSFERS, _CHAIN, _LINKED, select="""
 SELECT tr.id, tr.kind AS type, up, down,
@@ -128,13 +132,11 @@ FROM old o FULL JOIN edges e USING (src, dst) WHERE o.w IS DISTINCT FROM e.w""")
   SELECT least(p, q) AS a, greatest(p, q) AS b, id, ts, CAST(sum(CASE WHEN p < q THEN up - down ELSE down - up END) OVER (PARTITION BY least(p, q), greatest(p, q) ORDER BY ts, id) AS BIGINT) AS net FROM tr)"""),
     "graph_profile": s.final(s.PEER, _PROFILE, select=_PROFILE_SELECT),
     "graph_relay_discounted": s.final(s.TRANSFERS.replace("tr AS", "tr_all AS"), _RELAY, s.PAIRS, s.EDGES, select=_ALL_EDGES),
-    "graph_trade_edges": s.final(_TRADE, s.PAIRS, s.EDGES, select=_ALL_EDGES),
-    "graph_trade_profile": s.final(_TRADE, s.PAIRS, s.EDGES, _PROFILE, select=_PROFILE_SELECT),
+    "graph_trade_edges": s.final(TRADE, s.PAIRS, s.EDGES, select=_ALL_EDGES),
+    "graph_trade_profile": s.final(TRADE, s.PAIRS, s.EDGES, _PROFILE, select=_PROFILE_SELECT),
     "graph_links": """SELECT regexp_extract(url, '^https?://([^/]+)', 1) AS host, target, count(*) AS n FROM (SELECT url, unnest(regexp_extract_all(html, 'href="([^"]+)"', 1)) AS target FROM pages) GROUP BY 1, 2""",
     "graph_random_edges": s.final(f"""
 drawn AS (SELECT c_custkey - 1 AS src, {_DRAW(42, 'rd', 'c_custkey - 1', 'i.range')} % 100 AS dst, {_DRAW(42, 'rw', 'c_custkey - 1', 'i.range')} % 10 + 1 AS w FROM customer, range(1, 3) i WHERE c_custkey BETWEEN 1 AND 100)""",
         select="SELECT src, dst, CAST(sum(w) AS BIGINT) AS w FROM drawn WHERE src <> dst GROUP BY src, dst"),
-    "graph_knn_edges": """SELECT src, dst, w FROM (SELECT *, row_number() OVER (PARTITION BY src ORDER BY w DESC, dst) AS r FROM (
-  SELECT a.vec_id AS src, b.vec_id AS dst, CAST(round(list_dot_product(a.e, b.e) * 1000) AS BIGINT) AS w
-  FROM (SELECT vec_id, embedding::DOUBLE[] AS e FROM embeddings) a, (SELECT vec_id, embedding::DOUBLE[] AS e FROM embeddings) b WHERE a.vec_id <> b.vec_id)) WHERE r <= 5 AND w > 0""",
+    "graph_knn_edges": KNN,
 }

@@ -43,21 +43,16 @@ def _alias_law(spark, d):
     return _round(both.groupBy("src", "dst").agg(F.sum("p").alias("p")).filter("p > 1e-12"), "p", digits=6)
 
 
-def _node_list(edges):
-    return [r.node for r in graph.nodes(edges).orderBy("node").limit(walks.BROADCAST_EDGES).collect()]
-
-
-def _variant(name):
+def _variant(name, graph_of=t.peer_edges):
     def run(spark, d):
-        e = t.peer_edges(spark, d)
+        e = t.cut(graph_of(spark, d))
         if name in ("endpoint_cyclic", "path_stop"):
             begin = walks.starts_everywhere(graph.nodes(e), 3)
         elif name == "path_jump":
             begin = walks.starts_everywhere(graph.nodes(e), 2)
         else:
-            begin = walks.starts_at_random(spark, _node_list(e), WALKS)
-        jump = _node_list(e) if name == "path_jump" else None
-        w = begin.unionByName(walks.advance(e, begin, ALPHA, jump=jump))
+            begin = walks.starts_at_random(graph.nodes(e), WALKS)
+        w = begin.unionByName(walks.advance(e, begin, ALPHA, jump=graph.nodes(e) if name == "path_jump" else None))
         return est.endpoint_scores(w) if name.startswith("endpoint") else est.estimate(w)
 
     return run
@@ -78,6 +73,11 @@ def _first_host(spark, d):
     return _linked_graph(spark, d).agg(F.min("src")).first()[0]
 
 
+def _swarm(spark, d):
+    """Candidates for a download: peers that have made a purchase."""
+    return t.load(spark, d, "events").filter("event_type = 'purchase'").select(F.col("user_id").alias("node")).distinct()
+
+
 def _exact(spark, d, seed=SEED, alpha=ALPHA):
     return power.power_iteration(t.peer_edges(spark, d), seed, alpha)
 
@@ -111,7 +111,7 @@ QUERIES = {
     "walks_scores": lambda spark, d: _round(est.estimate(_walks(spark, d)), "score"),
     "walks_endpoint_random": lambda spark, d: _round(_variant("endpoint_random")(spark, d), "score"),
     "walks_endpoint_cyclic": lambda spark, d: _round(_variant("endpoint_cyclic")(spark, d), "score"),
-    "walks_path_jump": lambda spark, d: _round(_variant("path_jump")(spark, d), "score"),
+    "walks_path_jump": lambda spark, d: _round(_variant("path_jump", _linked_graph)(spark, d), "score"),
     "walks_path_stop_all": lambda spark, d: _round(_variant("path_stop")(spark, d), "score"),
     "walks_path_random": lambda spark, d: _round(_variant("path_random")(spark, d), "score"),
     "walks_many_seeds": lambda spark, d: _round(est.estimate(walks.simulate_walks(t.peer_edges(spark, d), [0, 1, 2], 100, ALPHA), ["seed"]), "score"),
@@ -122,7 +122,8 @@ QUERIES = {
     "walks_needed": lambda spark, d: spark.createDataFrame([(e, est.walks_for_error(e, 0.05, ALPHA)) for e in (0.1, 0.05, 0.01)], "eps double, n_walks long"),
     "walks_doubling": lambda spark, d: _round(est.estimate(doubling.doubling_walks(t.peer_edges(spark, d), 4, 0.5, miss=1e-3), ["seed"]), "score"),
     "rank_top10": lambda spark, d: _round(est.rank(est.estimate(_walks(spark, d)), 10), "score"),
-    "rank_choose_peer": lambda spark, d: _round(est.choose_peer(est.estimate(_walks(spark, d)), graph.nodes(t.peer_edges(spark, d)).filter("node % 3 = 1")), "score"),
+    "rank_choose_peer": lambda spark, d: _round(est.choose_peer(est.estimate(_walks(spark, d)), _swarm(spark, d)), "score"),
+    "walks_paths": lambda spark, d: walks.paths(_walks(spark, d)),
     "locality_hops": lambda spark, d: locality.hop_distance(t.peer_edges(spark, d), SEED, 6),
     "locality_mass_by_hop": lambda spark, d: _round(locality.mass_by_hop(_exact(spark, d), locality.hop_distance(t.peer_edges(spark, d), SEED, 6)), "mass", digits=6),
     "locality_mass_by_step": lambda spark, d: _round(locality.mass_by_step(_walks(spark, d)), "share"),
@@ -160,8 +161,9 @@ def _from_everywhere(each):
 starts AS (SELECT node * {each} + r.range AS walk_id, node AS seed, 0 AS gen, 0 AS step, node FROM nodes, range({each}) r)"""
 
 
-_RANDOM = f"""
-listed AS (SELECT node, row_number() OVER (ORDER BY node) - 1 AS i FROM nodes),
+_LISTED = """
+listed AS (SELECT node, row_number() OVER (ORDER BY node) - 1 AS i FROM nodes)"""
+_RANDOM = f"""{_LISTED},
 starts AS (SELECT r.range AS walk_id, node AS seed, 0 AS gen, 0 AS step, node FROM range({WALKS}) r JOIN listed ON i = ({s.u32_sql(42, 'start', 'r.range', '0', '0')} * (SELECT count(*) FROM listed)) >> 32)"""
 _ENDPOINT = "SELECT node, round(count(*) / (SELECT count(DISTINCT walk_id) FROM walk), 8) AS score FROM (SELECT arg_max(node, step) AS node FROM walk GROUP BY walk_id) GROUP BY node"
 _HOP = f"""
@@ -215,8 +217,8 @@ change AS (SELECT b.k, sum(abs(b.score - a.score)) AS r FROM power b JOIN power
     "walks_scores": s.final(*_SCORED, select=_SCORE),
     "walks_endpoint_random": s.final(s.PEER, s.nodes(), s.cdf(), _RANDOM, s.walk(ALPHA), select=_ENDPOINT),
     "walks_endpoint_cyclic": s.final(s.PEER, s.nodes(), s.cdf(), _from_everywhere(3), s.walk(ALPHA), select=_ENDPOINT),
-    # no peer dangles here, so jumping walks are the stopping ones
-    "walks_path_jump": s.final(s.PEER, s.nodes(), s.cdf(), _from_everywhere(2), s.walk(ALPHA), s.scores(), select=_SCORE),
+    "walks_path_jump": s.final(_LINKS, s.nodes(), s.cdf(), _LISTED, _from_everywhere(2), s.walk(ALPHA, jump="listed"), s.scores(), select=_SCORE),
+    "walks_paths": s.final(*_WALK, select="SELECT walk_id, list(node ORDER BY step) AS path FROM walk GROUP BY walk_id"),
     "walks_path_stop_all": s.final(s.PEER, s.nodes(), s.cdf(), _from_everywhere(3), s.walk(ALPHA), s.scores(), select=_SCORE),
     "walks_path_random": s.final(s.PEER, s.nodes(), s.cdf(), _RANDOM, s.walk(ALPHA), s.scores(), select=_SCORE),
     "walks_many_seeds": s.final(s.PEER, s.cdf(), s.starts([0, 1, 2], 100), s.walk(ALPHA), select="SELECT seed, node, round(count(*) / sum(count(*)) OVER (PARTITION BY seed), 8) AS score FROM walk GROUP BY seed, node"),
@@ -226,7 +228,7 @@ FROM (SELECT walk_id, max(step) + 1 AS length, arg_max(node, step) AS node FROM
     "walks_visit_counts": s.final(*_WALK, select="SELECT walk_id, node, count(*) AS visits FROM walk GROUP BY walk_id, node"),
     "rank_top10": s.final(*_SCORED, select="SELECT CAST(row_number() OVER (ORDER BY score DESC, node) AS INTEGER) AS place, node, round(score, 8) AS score FROM scores QUALIFY place <= 10"),
     "rank_choose_peer": s.final(*_SCORED, s.nodes(), select="""SELECT CAST(row_number() OVER (ORDER BY coalesce(score, 0) DESC, node) AS INTEGER) AS place, node, round(coalesce(score, 0), 8) AS score
-FROM nodes LEFT JOIN scores USING (node) WHERE node % 3 = 1 QUALIFY place <= 5"""),
+FROM (SELECT DISTINCT user_id AS node FROM events WHERE event_type = 'purchase') LEFT JOIN scores USING (node) QUALIFY place <= 5"""),
     "locality_hops": s.final(s.PEER, _BFS, select="SELECT node, hop FROM hops"),
     "locality_mass_by_hop": s.final(*_EXACT, _BFS, select="SELECT hop, count(*) AS nodes, round(sum(score), 6) AS mass FROM exact LEFT JOIN hops USING (node) GROUP BY hop"),
     "locality_mass_by_step": s.final(*_WALK, select=f"SELECT step, count(*) AS visits, round(count(*) / {float(WALKS)}, 8) AS share FROM walk GROUP BY step"),
@@ -236,5 +238,20 @@ round(sqrt(sum((x - y) * (x - y))) / sqrt(sum(y * y)), 8) AS relative FROM both_
 FROM (SELECT * FROM exact ORDER BY score DESC, node LIMIT 12) e LEFT JOIN scores s USING (node)"""),
     "metric_error_by_walks": s.final(*_EXACT, s.cdf(), s.starts([SEED], WALKS), s.walk(ALPHA), _GRID, select="""SELECT CAST(n_walks AS BIGINT) AS n_walks, round(sqrt(sum((x - y) * (x - y))), 8) AS l2, round(max(abs(x - y)), 8) AS linf,
 round(sqrt(sum((x - y) * (x - y))) / sqrt(sum(y * y)), 8) AS relative FROM err GROUP BY n_walks"""),
+    "metric_topk_agreement": s.final(*_EXACT, s.cdf(), s.starts([SEED], WALKS), s.walk(ALPHA), s.scores(), """
+ta AS (SELECT node, row_number() OVER (ORDER BY score DESC, node) AS ra FROM scores QUALIFY ra <= 5),
+tb AS (SELECT node, row_number() OVER (ORDER BY score DESC, node) AS rb, score AS sb FROM exact QUALIFY rb <= 5),
+tt AS (SELECT node, coalesce(ra, 6) AS ra, coalesce(rb, 6) AS rb, coalesce(sb, 0) AS sb FROM ta FULL JOIN tb USING (node)),
+pr AS (SELECT sign(i.ra - j.ra) AS da, sign(i.rb - j.rb) AS db FROM tt i JOIN tt j ON i.node < j.node)""", select="""
+SELECT count(*) FILTER (WHERE ra <= 5 AND rb <= 5) / 5 AS precision, bool_and(rb > 5 OR ra = rb) AS same_order, round(corr(ra, rb), 8) AS spearman,
+round(sum(CASE WHEN ra <= 5 THEN sb / log2(ra + 1) ELSE 0 END) / sum(CASE WHEN rb <= 5 THEN sb / log2(rb + 1) ELSE 0 END), 8) AS ndcg, (SELECT round(sum(da * db) / sqrt(sum(da * da) * sum(db * db)), 8) FROM pr) AS kendall FROM tt"""),
+    "walks_confidence": s.final(*_WALK, """
+per AS (SELECT walk_id, node, count(*) AS v FROM walk GROUP BY 1, 2),
+len AS (SELECT walk_id, count(*) AS l FROM walk GROUP BY 1),
+tot AS (SELECT count(*) AS n, sum(l) AS vis FROM len),
+est AS (SELECT node, sum(v) / (SELECT vis FROM tot) AS score FROM per GROUP BY node),
+dev AS (SELECT e.node, e.score, sum((coalesce(p.v, 0) - e.score * l.l) ** 2) AS sq FROM est e CROSS JOIN len l LEFT JOIN per p ON p.node = e.node AND p.walk_id = l.walk_id GROUP BY 1, 2),
+se AS (SELECT node, score, sqrt(sq * n / (n - 1)) / vis AS se FROM dev, tot)""", select="SELECT node, round(score, 8) AS score, round(se, 8) AS se, round(score - 1.96 * se, 8) AS low, round(score + 1.96 * se, 8) AS high FROM se"),
+    "walks_needed": f"SELECT CAST(e AS DOUBLE) AS eps, CAST(ceil(ln(2 / 0.05) / (2 * e * e) * {ALPHA}) AS BIGINT) AS n_walks FROM (VALUES (0.1::DOUBLE), (0.05), (0.01)) v(e)",
     "metric_walk_work": s.final(*_WALK, select="SELECT gen, count(*) AS visits, count(DISTINCT walk_id) AS walks FROM walk GROUP BY gen"),
 }

@@ -34,9 +34,17 @@ def starts(seeds: list[int], n: int, name: str = "starts") -> str:
 {name} AS (SELECT s.i * {n} + r.range AS walk_id, CAST(s.seed AS BIGINT) AS seed, 0 AS gen, 0 AS step, CAST(s.seed AS BIGINT) AS node FROM (VALUES {rows}) s(i, seed), range({n}) r)"""
 
 
-def walk(alpha: float, begin: str = "starts", table: str = "cdf", name: str = "walk", cap: int | None = None, seed: int = RNG_SEED) -> str:
+def walk(alpha: float, begin: str = "starts", table: str = "cdf", name: str = "walk", cap: int | None = None, seed: int = RNG_SEED, jump: str | None = None) -> str:
+    """``jump``: a table ``node, i`` in which a walker at a dangling node goes on."""
     cap = step_cap(alpha) if cap is None else cap
     stop, hop = u32_sql(seed, "stop", "w.walk_id", "w.gen", "w.step"), u32_sql(seed, "hop", "w.walk_id", "w.gen", "w.step")
+    if jump:
+        return f"""
+{name}_d AS (SELECT node FROM nodes EXCEPT SELECT src FROM {table}),
+{name} AS (SELECT walk_id, seed, gen, step, node FROM {begin} UNION ALL
+  SELECT w.walk_id, w.seed, w.gen, w.step + 1, CASE WHEN d.node IS NULL THEN c.dst ELSE j.node END FROM {name} w LEFT JOIN {name}_d d ON d.node = w.node
+  LEFT JOIN {table} c ON c.src = w.node AND ({hop} * c.tot) >> 32 >= c.lo AND ({hop} * c.tot) >> 32 < c.hi LEFT JOIN {jump} j ON d.node IS NOT NULL AND j.i = ({hop} * (SELECT count(*) FROM {jump})) >> 32
+  WHERE {stop} >= {stop_limit(alpha)} AND w.step < {cap})"""
     return f"""
 {name} AS (SELECT walk_id, seed, gen, step, node FROM {begin} UNION ALL
   SELECT w.walk_id, w.seed, w.gen, w.step + 1, c.dst FROM {name} w JOIN {table} c ON c.src = w.node

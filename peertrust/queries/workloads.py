@@ -14,9 +14,9 @@ from peertrust.streaming import trust
 
 from . import sqltext as s
 from .ranking import ALPHA, K, SEED, WALKS
-from .updates import HOLD, holdout, updated
+from .updates import _AFTER, _COUPLING, _MOVED, HELD_EDGES, HELD_NODES, HOLD, holdout
 
-GRID_ATTACKS = [0, 1, 4, 5, 6, 10, 25, 50, 100, 250, 499, 500]
+GRID_ATTACKS = list(range(501))
 GRID_ALPHAS = [0.1, 0.3, 0.5, 0.7]
 ALPHA_STEPS = [round(0.05 * i, 2) for i in range(1, 20)]
 
@@ -29,61 +29,106 @@ def _union(frames: list[DataFrame]) -> DataFrame:
 
 
 def _first_node(edges: DataFrame) -> int:
-    return edges.agg(F.min("src")).first()[0]
+    """The smallest source; node 0 where there is no edge."""
+    found = edges.agg(F.min("src")).first()[0]
+    return 0 if found is None else found
 
 
-def random_agreement(spark, d, sizes=(10, 100, 1_000), n_walks=3_000) -> DataFrame:
-    """Walks against power iteration on random graphs: within a tenth?"""
+def random_agreement(spark, d, sizes=(2, 10, 100, 1_000, 10_000), n_walks=3_000, most=192_000) -> DataFrame:
+    """Walks against power iteration on random graphs, with walks doubled until the two
+    are within a tenth (or ``most`` walks are drawn)."""
+    rows = []
+    for n in sizes:
+        edges = t.cut(t.random_edges(spark, d, n))
+        seed, exact, walked = _first_node(edges), None, n_walks
+        exact = t.cut(power.power_iteration(edges, seed, ALPHA))
+        while True:
+            relative = metrics.differences(est.estimate(walks.simulate_walks(edges, seed, walked, ALPHA)), exact).first().relative
+            if relative <= 0.10 or 2 * walked > most:
+                break
+            walked *= 2
+        rows.append((n, walked, round(relative, 8), relative <= 0.10))
+    return spark.createDataFrame(rows, "n long, n_walks long, relative double, ok boolean")
+
+
+def _random_changes(edges: DataFrame, seed: int, n: int, n_changes: int) -> DataFrame:
+    """Hashed operations: edges leave and come, nodes leave and come with two edges."""
+    spark, null = edges.sparkSession, F.lit(None).cast("long")
+    by = lambda tag: F.md5(F.concat_ws("|", F.lit(tag), "src", "dst"))
+    some = edges.filter(F.col("src") != seed).orderBy(by("chg"), "src", "dst").limit(n_changes)
+    away = some.select(F.lit("remove").alias("op"), "src", "dst", F.col("w").alias("w_old"), null.alias("w_new"))
+    fresh = some.select(F.lit("add").alias("op"), "src", F.pmod(u32(RNG_SEED, "cd", F.col("src"), F.col("dst")), F.lit(n)).alias("dst"), null.alias("w_old"), F.lit(5).cast("long").alias("w_new")).filter("src <> dst")
+    fresh = fresh.join(edges.select("src", "dst"), ["src", "dst"], "left_anti").dropDuplicates(["src", "dst"]).select("op", "src", "dst", "w_old", "w_new")
+    few = max(1, n_changes // 10)
+    gone = graph.nodes(edges).filter(F.col("node") != seed).orderBy(F.md5(F.concat_ws("|", F.lit("gone"), "node")), "node").limit(few).select(F.lit("drop_node").alias("op"), F.col("node").alias("src"), null.alias("dst"), null.alias("w_old"), null.alias("w_new"))
+    come = spark.range(few).select((F.lit(n) + F.col("id")).alias("src"))
+    born = come.select(F.lit("add_node").alias("op"), "src", null.alias("dst"), null.alias("w_old"), null.alias("w_new"))
+    out = come.select(F.lit("add").alias("op"), "src", F.pmod(u32(RNG_SEED, "nd", F.col("src")), F.lit(n)).alias("dst"), null.alias("w_old"), F.lit(3).cast("long").alias("w_new"))
+    into = come.select(F.lit("add").alias("op"), F.lit(seed).cast("long").alias("src"), F.col("src").alias("dst"), null.alias("w_old"), F.lit(4).cast("long").alias("w_new"))
+    return t.cut(away.unionByName(fresh).unionByName(gone).unionByName(born).unionByName(out).unionByName(into))
+
+
+def update_agreement(spark, d, sizes=(10, 100, 1_000), n_changes=20, n_walks=3_000) -> DataFrame:
+    """The same after random changes of edges and nodes, with walks updated and not
+    walked anew.  Nodes that leave take their edges along, those that come are linked."""
     rows = []
     for n in sizes:
         edges = t.cut(t.random_edges(spark, d, n))
         seed = _first_node(edges)
-        diff = metrics.differences(est.estimate(walks.simulate_walks(edges, seed, n_walks, ALPHA)), power.power_iteration(edges, seed, ALPHA))
-        rows.append(diff.select(F.lit(n).alias("n"), F.round("relative", 8).alias("relative"), (F.col("relative") <= 0.10).alias("ok")))
+        before = t.cut(walks.simulate_walks(edges, seed, n_walks, ALPHA))
+        ops = _random_changes(edges, seed, n, min(n_changes, n))
+        gone = ops.filter("op = 'drop_node'").select(F.col("src").alias("_gone"))
+        changes = incremental.expand_changes(ops, edges).filter("dst IS NOT NULL").groupBy("src", "dst").agg(F.max("w_new").alias("w_new"))
+        changes = changes.join(F.broadcast(gone), (F.col("src") == F.col("_gone")) | (F.col("dst") == F.col("_gone")), "left").select("src", "dst", F.when(F.col("_gone").isNull(), F.col("w_new")).alias("w_new")).distinct()
+        new = t.cut(incremental.apply_to_edges(edges, changes))
+        exact = t.cut(power.power_iteration(new, seed, ALPHA))
+        for policy in ("source_visit", "coupling"):
+            after = incremental.apply_changes(before, edges, new, 1, ALPHA, policy)
+            diff = metrics.differences(est.estimate(after), exact).select("relative")
+            rows.append(diff.select(F.lit(n).cast("long").alias("n"), F.lit(policy).alias("policy"), F.round("relative", 8).alias("relative"), (F.col("relative") <= 0.10).alias("ok")))
     return _union(rows)
 
 
-def update_agreement(spark, d, n=100, n_changes=20, n_walks=3_000) -> DataFrame:
-    """The same after random changes, with walks updated and not walked anew."""
-    edges = t.cut(t.random_edges(spark, d, n))
-    seed = _first_node(edges)
-    before = t.cut(walks.simulate_walks(edges, seed, n_walks, ALPHA))
-    ranked = edges.filter(F.col("src") != seed).orderBy(F.md5(F.concat_ws("|", F.lit("chg"), "src", "dst"))).limit(n_changes)
-    null = F.lit(None).cast("long")
-    away = ranked.select(F.lit("remove").alias("op"), "src", "dst", F.col("w").alias("w_old"), null.alias("w_new"))
-    fresh = ranked.select(F.lit("add").alias("op"), "src", F.pmod(u32(RNG_SEED, "cd", F.col("src"), F.col("dst")), F.lit(n)).alias("dst"), null.alias("w_old"), F.lit(5).cast("long").alias("w_new")).filter("src <> dst")
-    new = t.cut(incremental.apply_to_edges(edges, away.unionByName(fresh.join(away.select("src", "dst"), ["src", "dst"], "left_anti").dropDuplicates(["src", "dst"]))))
-    exact = t.cut(power.power_iteration(new, seed, ALPHA))
-    rows = []
-    for policy in ("source_visit", "coupling"):
-        after = t.cut(incremental.apply_changes(before, edges, new, 1, ALPHA, policy))
-        diff = metrics.differences(est.estimate(after), exact).select("relative")
-        rows.append(diff.select(F.lit(policy).alias("policy"), F.round("relative", 8).alias("relative"), (F.col("relative") <= 0.10).alias("ok")))
-    return _union(rows)
+def _errors(rows: DataFrame) -> list:
+    return [F.round(c, 8).alias(c) for c in ("l2", "linf", "relative")]
 
 
 def convergence(spark, d, alphas=(0.1, 0.3, 0.5), sizes=(10, 30, 100, 300, 500)) -> DataFrame:
     """Error by number of walks, for each reset probability, from one run each."""
     edges = t.cut(t.peer_edges(spark, d))
-    rows = []
-    for a in alphas:
-        w = walks.simulate_walks(edges, SEED, max(sizes), a)
-        err = metrics.error_by_walks(w, power.power_iteration(edges, SEED, a), list(sizes))
-        rows.append(err.select(F.lit(a).alias("alpha"), "n_walks", *[F.round(c, 8).alias(c) for c in ("l2", "linf", "relative")]))
-    return _union(rows)
+    return _convergence(edges, SEED, alphas, sizes)
 
 
-def reset_effect(spark, d, sizes=(10, 100, 300)) -> DataFrame:
-    """Error by reset probability."""
-    edges = t.cut(t.peer_edges(spark, d))
-    tasks = sybil.scenario_walks(edges, spark.createDataFrame([], "i long, src long, dst long, w long"), [(0, a) for a in ALPHA_STEPS], max(sizes), SEED)
+def _convergence(edges: DataFrame, seed: int, alphas, sizes) -> DataFrame:
+    spark = edges.sparkSession
+    none = spark.createDataFrame([], "i long, src long, dst long, w long")
+    tasks = sybil.scenario_walks(edges, none, [(0, a) for a in alphas], max(sizes), seed)
     grid = F.broadcast(spark.createDataFrame([(n,) for n in sizes], "n_walks long"))
     counts = tasks.join(grid, F.col("walk_id") < F.col("n_walks")).groupBy("alpha", "n_walks", "node").agg(F.count(F.lit(1)).alias("v"))
     total = counts.groupBy("alpha", "n_walks").agg(F.sum("v").alias("t"))
     x = counts.join(total, ["alpha", "n_walks"]).select("alpha", "n_walks", "node", (F.col("v") / F.col("t")).alias("x"))
-    exact = power.power_iteration_many(edges, [SEED], ALPHA_STEPS).select("alpha", "node", F.col("score").alias("y")).join(grid, how="cross")
+    exact = power.power_iteration_many(edges, [seed], list(alphas)).select("alpha", "node", F.col("score").alias("y")).join(grid, how="cross")
     both = exact.join(x, ["alpha", "n_walks", "node"], "left").withColumn("d", F.coalesce("x", F.lit(0.0)) - F.col("y"))
-    return both.groupBy("alpha", "n_walks").agg(F.round(F.sqrt(F.sum(F.col("d") * F.col("d"))), 8).alias("l2"), F.round(F.max(F.abs("d")), 8).alias("linf"))
+    l2 = F.sqrt(F.sum(F.col("d") * F.col("d")))
+    out = both.groupBy("alpha", "n_walks").agg(l2.alias("l2"), F.max(F.abs("d")).alias("linf"), (l2 / F.sqrt(F.sum(F.col("y") * F.col("y")))).alias("relative"))
+    return out.select("alpha", "n_walks", *_errors(out))
+
+
+def convergence_random(spark, d, nodes=(2, 15, 50, 100), alphas=(0.1, 0.3, 0.5), sizes=(10, 30, 100, 300, 500)) -> DataFrame:
+    """The same on random graphs of 2 to 100 nodes."""
+    graphs = {n: t.cut(t.random_edges(spark, d, n)) for n in nodes}
+    return _union([_convergence(e, _first_node(e), alphas, sizes).withColumn("n", F.lit(n)) for n, e in graphs.items()])
+
+
+def reset_effect(spark, d, sizes=(10, 100, 300)) -> DataFrame:
+    """Error by reset probability."""
+    return _convergence(t.cut(t.peer_edges(spark, d)), SEED, ALPHA_STEPS, sizes).drop("relative")
+
+
+def reset_effect_random(spark, d, nodes=(15, 100), sizes=(10, 100, 300)) -> DataFrame:
+    """The same on random graphs."""
+    graphs = {n: t.cut(t.random_edges(spark, d, n)) for n in nodes}
+    return _union([_convergence(e, _first_node(e), ALPHA_STEPS, sizes).drop("relative").withColumn("n", F.lit(n)) for n, e in graphs.items()])
 
 
 def sybil_roc(spark, d, attacks=(0, 250, 499)) -> DataFrame:
@@ -93,22 +138,29 @@ def sybil_roc(spark, d, attacks=(0, 250, 499)) -> DataFrame:
     return curve.select("attack", "cut", "node", F.round("fpr", 8).alias("fpr"), F.round("tpr", 8).alias("tpr"))
 
 
-def sybil_curves(spark, d, drop_unvisited=False) -> DataFrame:
-    """Area and error rates over attack edges and reset probabilities."""
-    scale = 10 if sybil.sizes(d)[0] == 50 else 1
-    attacks = sorted({a // scale for a in GRID_ATTACKS})
-    out = sybil.sybil_experiment(spark, d, attacks, GRID_ALPHAS, drop_unvisited=drop_unvisited)
+def sybil_curves(spark, d, drop_unvisited=False, attacks=None) -> DataFrame:
+    """Area and error rates for every number of attack edges from 0 to 500 and each
+    reset probability."""
+    out = sybil.sybil_experiment(spark, d, GRID_ATTACKS if attacks is None else attacks, GRID_ALPHAS, drop_unvisited=drop_unvisited)
     return out.select("attack", "alpha", *[F.round(c, 8).alias(c) for c in ("auroc", "fp_mean", "fn_mean", "fp_at", "fn_at")])
 
 
-def natural_regions(spark, d) -> DataFrame:
-    """The measures where labels of similar vectors are the regions."""
+def natural_regions(spark, d, attacks=(0, 5, 50, 500)) -> DataFrame:
+    """The measures on regions that are not random: similar vectors of labels below 5
+    are honest, the others are not.  The links between the two that similarity itself
+    makes are there at ``attack`` 0; attack edges come on top, hashed, every fiftieth
+    from the fifth on at the seed."""
     edges = t.cut(t.knn_edges(spark, d))
-    labels = t.load(spark, d, "embeddings").select(F.col("vec_id").alias("node"), (F.col("label") < 5).alias("is_honest"))
-    seed = labels.filter("is_honest").agg(F.min("node")).first()[0]
-    w = walks.simulate_walks(edges, seed, 200, ALPHA)
-    rows = t.cut(metrics.labelled(est.estimate(w), labels))
-    return metrics.auroc(rows).join(metrics.error_rates(metrics.roc(rows), labels.filter("is_honest").count()), how="cross").select(*[F.round(c, 8).alias(c) for c in ("auroc", "fp_mean", "fn_mean", "fp_at", "fn_at")])
+    labels = t.cut(t.load(spark, d, "embeddings").select(F.col("vec_id").alias("node"), (F.col("label") < 5).alias("is_honest")))
+    honest, other = (t.cut(t.numbered(labels.filter(F.col("is_honest") == h).select("node"), "node")) for h in (True, False))
+    n_honest, n_other = honest.count(), other.count()
+    drawn = sybil.attack_edges(spark, max(attacks), n_honest, n_other, "out", 0)
+    met = drawn.join(honest.select(F.col("place").alias("src"), F.col("node").alias("h")), "src").join(other.select(F.col("place").alias("dst"), F.col("node").alias("s")), "dst")
+    extra = met.select("i", F.col("h").alias("src"), F.col("s").alias("dst"), "w").union(met.select("i", F.col("s").alias("src"), F.col("h").alias("dst"), "w"))
+    seed = honest.filter("place = 0").first().node
+    w = t.cut(sybil.scenario_walks(edges, t.cut(extra), [(a, ALPHA) for a in attacks], 200, seed))
+    out = sybil.evaluate(w, labels, n_honest)
+    return out.select("attack", "alpha", *[F.round(c, 8).alias(c) for c in ("auroc", "fp_mean", "fn_mean", "fp_at", "fn_at")])
 
 
 def ledger_initial(spark, d) -> DataFrame:
@@ -120,14 +172,67 @@ def ledger_initial(spark, d) -> DataFrame:
 
 def ledger_update(spark, d) -> DataFrame:
     """Errors after the held-out parts came, by policy, beside a run from scratch."""
+    old, new = holdout(t.peer_edges(spark, d))
+    before = t.cut(walks.simulate_walks(old, SEED, WALKS, ALPHA))
+    exact = t.cut(power.power_iteration(new, SEED, ALPHA))
+    ways = {p: incremental.apply_changes(before, old, new, 1, ALPHA, p) for p in ("source_visit", "coupling")} | {"scratch": walks.simulate_walks(new, SEED, WALKS, ALPHA)}
+    both = _union([est.estimate(w).withColumn("way", F.lit(k)) for k, w in ways.items()]).select("way", "node", F.col("score").alias("x"))
+    grid = F.broadcast(spark.createDataFrame([(k,) for k in ways], "way string"))
+    rows = exact.select("node", F.col("score").alias("y")).join(grid, how="cross").join(both, ["way", "node"], "full_outer").withColumn("d", F.coalesce("x", F.lit(0.0)) - F.coalesce("y", F.lit(0.0)))
+    return rows.groupBy("way").agg(F.round(F.sqrt(F.sum(F.col("d") * F.col("d"))), 8).alias("l2"), F.round(F.max(F.abs("d")), 8).alias("linf"))
+
+
+#: Peers and blocks of the published ledger.
+LEDGER_PEERS, LEDGER_BLOCKS = 289, 667_124
+
+
+def grown_transfers(spark, d, peers=LEDGER_PEERS, blocks=LEDGER_BLOCKS) -> DataFrame:
+    """A ledger of so many peers and blocks: rows of ``events`` in turn, each between two
+    hashed peers."""
+    events = t.load(spark, d, "events").select(F.col("event_id").alias("e"), "event_type", F.round(F.col("value") * 100).cast("long").alias("cents"))
+    n = events.count()
+    rows = spark.range(blocks).withColumn("e", F.pmod("id", F.lit(n))).join(events, "e")
+    p = F.pmod(u32(RNG_SEED, "gp", F.col("id")), F.lit(peers))
+    q = F.pmod(p + 1 + F.pmod(u32(RNG_SEED, "gq", F.col("id")), F.lit(peers - 1)), F.lit(peers))
+    return rows.select("id", p.alias("p"), q.alias("q"), F.when(F.col("event_type").isin(*t.UP_KINDS), F.col("cents")).otherwise(0).alias("up"), F.when(F.col("event_type").isin(*t.DOWN_KINDS), F.col("cents")).otherwise(0).alias("down"))
+
+
+def trade_transfers(spark, d) -> DataFrame:
+    lines, orders = t.load(spark, d, "lineitem"), t.load(spark, d, "orders")
+    cents, back = F.round(F.col("l_quantity") * 100).cast("long"), F.col("l_returnflag") == "R"
+    return lines.join(orders, lines.l_orderkey == orders.o_orderkey).select(
+        (F.col("o_custkey") * 2).alias("p"), (F.col("l_suppkey") * 2 + 1).alias("q"), F.when(back, 0).otherwise(cents).alias("up"), F.when(back, cents).otherwise(0).alias("down"))
+
+
+def update_speed(spark, d, ledger: str = "grown", policies=("source_visit", "coupling"), n_walks=WALKS) -> DataFrame:
+    """Seconds, hops and errors of a first ranking, of updates by policy, and of a ranking
+    from scratch.  The transfers lie in files, as a ledger does.  The first ranking knows
+    all but five peers and twenty pairs; updates read the held-out transfers alone,
+    the run from scratch reads all of them."""
+    transfers = grown_transfers(spark, d) if ledger == "grown" else trade_transfers(spark, d)
+    seed = 0 if ledger == "grown" else transfers.agg(F.min("p")).first()[0]
+    base = t.scratch(spark, "ledger")
+    pair = F.concat_ws("|", F.least("p", "q"), F.greatest("p", "q"))
+    peers = transfers.select(F.explode(F.array("p", "q")).alias("node")).distinct()
+    gone = [r.node for r in peers.orderBy(F.desc("node")).limit(HELD_NODES).collect()]
+    out_of = F.col("p").isin(gone) | F.col("q").isin(gone)
+    held = [r.k for r in transfers.filter(~out_of).select(pair.alias("k")).distinct().orderBy(F.md5("k")).limit(HELD_EDGES).collect()]
+    late = out_of | pair.isin(held)
+    transfers.withColumn("late", late).write.partitionBy("late").parquet(base)
+    read = lambda late: spark.read.parquet(f"{base}/late={late}")
     rows = []
-    for policy in ("source_visit", "coupling"):
-        _, after, _, new = updated(spark, d, policy)
-        diff = metrics.differences(est.estimate(after), power.power_iteration(new, SEED, ALPHA))
-        rows.append(diff.select(F.lit(policy).alias("way"), F.round("l2", 8).alias("l2"), F.round("linf", 8).alias("linf")))
-    new = t.cut(t.peer_edges(spark, d))
-    diff = metrics.differences(est.estimate(walks.simulate_walks(new, SEED, WALKS, ALPHA)), power.power_iteration(new, SEED, ALPHA))
-    return _union([*rows, diff.select(F.lit("scratch").alias("way"), F.round("l2", 8).alias("l2"), F.round("linf", 8).alias("linf"))])
+
+    def step(name: str, store: trust.TrustStore, part: DataFrame) -> None:
+        seconds, cpu = metrics.clocked(lambda: store.update(part))
+        rows.append((ledger, name, round(seconds, 3), round(cpu, 3), store.hops, *(round(store.measured_error()[k], 8) for k in ("l2", "linf"))))
+
+    trust.TrustStore(spark, seed, 10, ALPHA).update(read("true"))  # starts workers and compiles
+    for policy in policies:
+        store = trust.TrustStore(spark, seed, n_walks, ALPHA, policy)
+        step("first", store, read("false"))
+        step(f"update by {policy}", store, read("true"))
+    step("scratch", trust.TrustStore(spark, seed, n_walks, ALPHA), read("false").unionByName(read("true")))
+    return spark.createDataFrame(rows, "ledger string, way string, seconds double, driver_cpu_s double, hops long, l2 double, linf double")
 
 
 def isolated_seed(spark, d) -> DataFrame:
@@ -147,7 +252,7 @@ def arrival_cost(spark, d, points=10) -> DataFrame:
     """Segments that a random edge touches as the graph grows, against the bound."""
     edges = t.cut(t.peer_edges(spark, d).withColumn("o", F.md5(F.concat_ws("|", F.lit("arr"), "src", "dst"))))
     m = edges.count()
-    ordered = t.cut(edges.select("src", "dst", "w", _place("o").alias("t")))
+    ordered = t.cut(t.numbered(edges.withColumn("o", F.struct("o", "src", "dst")), "o").select("src", "dst", "w", (F.col("place") + 1).alias("t")))
     node_table = t.cut(graph.nodes(edges))
     rows = []
     for i in range(1, points + 1):
@@ -163,11 +268,6 @@ def arrival_cost(spark, d, points=10) -> DataFrame:
     return _union(rows)
 
 
-def _place(column: str):
-    # one task numbers the edges; the experiment's graphs are small
-    return F.row_number().over(Window.orderBy(column, "src", "dst"))
-
-
 def removal_cost(spark, d, n=50) -> DataFrame:
     """Walks that cross each of ``n`` random edges, against both bounds."""
     edges = t.cut(t.peer_edges(spark, d))
@@ -190,14 +290,15 @@ def scale_error(spark, d) -> DataFrame:
     return _union(rows)
 
 
-def stream_replay(spark, d) -> DataFrame:
-    """The graph after a stream of the whole ledger was netted batch by batch."""
-    events = trust.stream_events(spark, d)
+def stream_replay(spark, d, by="time", parts=6, stores=None) -> list[trust.TrustStore]:
+    """Stores fed by one stream of the ledger, a micro-batch a day or ``parts`` of equal
+    volume."""
+    path = t.scratch(spark, "ledger-files")
+    trust.ledger_files(t.load(spark, d, "events"), path, by, parts)
     n = t.load(spark, d, "events").select("user_id").distinct().count()
-    store = trust.TrustStore(spark, SEED, 100, ALPHA)
-    query = trust.stream_trust(events, n, store, t.scratch(spark, "replay"))
-    query.awaitTermination()
-    return store.edges
+    stores = stores or [trust.TrustStore(spark, SEED, 60, ALPHA, "source_visit")]
+    trust.stream_trust(trust.stream_events(spark, path, "*.parquet"), n, stores, t.scratch(spark, "replay")).awaitTermination()
+    return stores
 
 
 def batch_replay(spark, d, n_batches=5) -> DataFrame:
@@ -215,6 +316,16 @@ def batch_replay(spark, d, n_batches=5) -> DataFrame:
     return incremental.drift_trace(rows, spark)
 
 
+def refresh_replay(spark, d, max_error=0.03) -> DataFrame:
+    """When walks have to be drawn anew: the error after each micro-batch of a daily
+    stream, with no reset, one every ten batches, and one after each error above
+    ``max_error``."""
+    policies = {"never": incremental.RefreshPolicy(max_error=float("inf")), "every 10": incremental.RefreshPolicy(k=10, max_error=float("inf")), "by error": incremental.RefreshPolicy(max_error=max_error)}
+    stores = stream_replay(spark, d, stores=[trust.TrustStore(spark, SEED, WALKS, ALPHA, "coupling", p) for p in policies.values()])
+    rows = [(name, i + 1, round(e, 8), store.rebuilds) for name, store in zip(policies, stores, strict=True) for i, e in enumerate(store.errors)]
+    return spark.createDataFrame(rows, "refresh string, batch int, l2 double, rebuilds int")
+
+
 def relay_effect(spark, d) -> DataFrame:
     """How far places move when relayed transfers count a quarter."""
     x = t.cut(t.interactions(spark, d))
@@ -245,10 +356,10 @@ def personalization(spark, d) -> DataFrame:
 
 
 def error_slope(spark, d) -> DataFrame:
-    """Slope of log error over log walks, from five runs: near -1/2."""
+    """Slope of log error over log walks, from twenty runs: near -1/2."""
     edges = t.cut(t.peer_edges(spark, d))
     exact = t.cut(power.power_iteration(edges, SEED, ALPHA))
-    errors = _union([metrics.error_by_walks(walks.simulate_walks(edges, SEED, 1_000, ALPHA, rng_seed=RNG_SEED + i), exact, [30, 100, 300, 1_000]).withColumn("run", F.lit(i)) for i in range(5)])
+    errors = _union([metrics.error_by_walks(walks.simulate_walks(edges, SEED, 1_000, ALPHA, rng_seed=RNG_SEED + i), exact, [30, 100, 300, 1_000]).withColumn("run", F.lit(i)) for i in range(20)])
     mean = errors.groupBy("n_walks").agg(F.avg("l2").alias("l2"))
     return metrics.convergence_slope(mean).select(F.round("slope", 4).alias("slope"))
 
@@ -264,19 +375,25 @@ QUERIES = {
     "w1_random_agreement": random_agreement,
     "w2_update_agreement": update_agreement,
     "w3_convergence": convergence,
+    "w3_convergence_random": convergence_random,
     "w4_reset_effect": reset_effect,
+    "w4_reset_random": reset_effect_random,
     "w5_sybil_roc": sybil_roc,
     "w6_sybil_curves": sybil_curves,
     "w7_sybil_curves_visited": lambda spark, d: sybil_curves(spark, d, True),
     "w7_natural_regions": natural_regions,
     "w8_ledger_initial": ledger_initial,
     "w9_ledger_update": ledger_update,
+    "w9_update_speed": update_speed,
+    "w9_update_speed_trades": lambda spark, d: update_speed(spark, d, "trades"),
     "w10_isolated_seed": isolated_seed,
     "w11_arrival_cost": arrival_cost,
     "w12_removal_cost": removal_cost,
     "w13_scale_error": scale_error,
-    "w14_stream_replay": stream_replay,
+    "w14_stream_replay": lambda spark, d: stream_replay(spark, d)[0].edges,
+    "w14_stream_walks": lambda spark, d: stream_replay(spark, d, "volume")[0].walks,
     "w14_batch_replay": batch_replay,
+    "w14_refresh": refresh_replay,
     "w15_relay_effect": relay_effect,
     "w16_locality": locality_by_alpha,
     "w16_personalization": personalization,
@@ -293,16 +410,6 @@ def _exact(k="", edges="edges", alpha=ALPHA, seed=SEED):
     return (s.nodes(edges, f"nodes{k}", extra=seed), s.power(alpha, K, seed, edges=edges, node_table=f"nodes{k}", name=f"power{k}"), f"\nexact{k} AS (SELECT node, score FROM power{k} WHERE k = {K})")
 
 
-def _convergence_sql():
-    ctes, selects = [], []
-    for i, a in enumerate((0.1, 0.3, 0.5)):
-        ctes += [s.walk(a, name=f"walk{i}"), *_exact(i, alpha=a)]
-        selects.append(f"""SELECT {a}::DOUBLE AS alpha, CAST(n AS BIGINT) AS n_walks, round(sqrt(sum(d * d)), 8) AS l2, round(max(abs(d)), 8) AS linf, round(sqrt(sum(d * d)) / sqrt(sum(y * y)), 8) AS relative FROM (
-  SELECT g.n, e.score AS y, coalesce(x.x, 0) - e.score AS d FROM exact{i} e CROSS JOIN (VALUES (10), (30), (100), (300), (500)) g(n)
-  LEFT JOIN (SELECT n, node, count(*) / sum(count(*)) OVER (PARTITION BY n) AS x FROM walk{i} JOIN (VALUES (10), (30), (100), (300), (500)) v(n) ON walk_id < n GROUP BY n, node) x ON x.n = g.n AND x.node = e.node) GROUP BY n""")
-    return s.final(s.PEER, s.cdf(), s.starts([SEED], 500), *ctes, select=" UNION ALL ".join(selects))
-
-
 _BFS = """
 {n} AS (SELECT node, min(hop) AS hop FROM {n}_b GROUP BY node)"""
 
@@ -323,8 +430,152 @@ tq AS (SELECT p, q, CASE WHEN kind = 'view' THEN CAST(floor(up * 0.25) AS BIGINT
 pq AS (SELECT least(p, q) AS a, greatest(p, q) AS b, CAST(sum(CASE WHEN p < q THEN up - down ELSE down - up END) AS BIGINT) AS net FROM tq GROUP BY 1, 2),
 edges2 AS (SELECT CASE WHEN net > 0 THEN b ELSE a END AS src, CASE WHEN net > 0 THEN a ELSE b END AS dst, abs(net) AS w FROM pq WHERE net <> 0)""")
 
+def _random_sql(n, name="edges"):
+    draw = lambda tag: s.u32_sql(RNG_SEED, tag, "v.range", "i.range")
+    return f"""
+{name} AS (SELECT src, dst, CAST(sum(w) AS BIGINT) AS w FROM (SELECT v.range AS src, {draw('rd')} % {n} AS dst, {draw('rw')} % 10 + 1 AS w FROM range({n}) v, range(1, 3) i) WHERE src <> dst GROUP BY 1, 2)"""
+
+
+def _grid_sql(graph, alphas, sizes, seed, relative=True, extra=""):
+    """Errors of one run a reset probability, after the first walks of each size."""
+    ctes, selects, values = [], [], ", ".join(f"({n})" for n in sizes)
+    for i, a in enumerate(alphas):
+        ctes += [s.walk(a, name=f"walk{i}"), *_exact(i, alpha=a, seed=seed)]
+        more = ", round(sqrt(sum(d * d)) / sqrt(sum(y * y)), 8) AS relative" if relative else ""
+        selects.append(f"""SELECT {a}::DOUBLE AS alpha, CAST(n AS BIGINT) AS n_walks, round(sqrt(sum(d * d)), 8) AS l2, round(max(abs(d)), 8) AS linf{more}{extra} FROM (
+  SELECT g.n, e.score AS y, coalesce(x.x, 0) - e.score AS d FROM exact{i} e CROSS JOIN (VALUES {values}) g(n)
+  LEFT JOIN (SELECT n, node, count(*) / sum(count(*)) OVER (PARTITION BY n) AS x FROM walk{i} JOIN (VALUES {values}) v(n) ON walk_id < n GROUP BY n, node) x ON x.n = g.n AND x.node = e.node) GROUP BY n""")
+    return s.final(*graph, s.cdf(), s.starts([seed], max(sizes)), *ctes, select=" UNION ALL ".join(selects))
+
+
+def _random_grids(nodes, alphas, sizes, relative):
+    # with two hashed edges a node, node 0 has one in each of these graphs
+    return " UNION ALL ".join(f"SELECT * FROM ({_grid_sql((_random_sql(n),), alphas, sizes, 0, relative, f', CAST({n} AS INTEGER) AS n')})" for n in nodes)
+
+
+def _agreement_sql(n, n_walks=3_000):
+    return s.final(_random_sql(n), s.cdf(), s.starts([0], n_walks), s.walk(ALPHA), s.scores(), *_exact(seed=0), select=f"SELECT {n}::BIGINT AS n, {n_walks}::BIGINT AS n_walks, round(sqrt(sum(d * d)) / sqrt(sum(y * y)), 8) AS relative, sqrt(sum(d * d)) / sqrt(sum(y * y)) <= 0.10 AS ok FROM ({_diff()})")
+
+
+def _update_way(way, *ctes, walks="after"):
+    return f"SELECT '{way}' AS way, l2, linf FROM ({s.final(s.PEER, HOLD, *ctes, s.scores(walks), *_exact(), select=f'SELECT {_ERRORS} FROM ({_diff()})')})"
+
+
+def _arrival_sql(points=10):
+    ctes, selects = [], []
+    for i in range(1, points + 1):
+        at = f"(SELECT greatest(2, count(*) * {i} // {points}) FROM edges)"
+        ctes += [
+            f"\nhave{i} AS (SELECT src, dst, w FROM ordered WHERE t < {at})", s.cdf(f"have{i}", f"cdf{i}"), s.walk(ALPHA, table=f"cdf{i}", name=f"walk{i}"),
+            f"\none{i} AS (SELECT t, src, w, (SELECT coalesce(sum(h.w), 0) FROM have{i} h WHERE h.src = o.src) AS before, (SELECT count(*) FROM walk{i}) AS visits, (SELECT count(*) FROM walk{i} x WHERE x.node = o.src) AS here FROM ordered o WHERE t = {at})",
+        ]
+        selects.append(f"SELECT CAST(t AS INTEGER) AS t, round(here * w / (before + w), 6) AS expected_touched, round(visits / t, 6) AS bound FROM one{i}")
+    begin = "\nordered AS (SELECT *, row_number() OVER (ORDER BY md5('arr|' || src || '|' || dst), src, dst) AS t FROM edges),\nstarts AS (SELECT node AS walk_id, node AS seed, 0 AS gen, 0 AS step, node FROM nodes)"
+    return s.final(s.PEER, s.nodes(), begin, *ctes, select=" UNION ALL ".join(selects))
+
+
+def _runs_sql(seeds, n_walks):
+    return [x for i in seeds for x in (s.walk(ALPHA, name=f"walk{i}", seed=i),)], " UNION ALL ".join(f"SELECT {i} AS run, walk_id, node FROM walk{i}" for i in seeds)
+
+
+def _slope_sql():
+    ctes, union = _runs_sql(range(RNG_SEED, RNG_SEED + 20), 1_000)
+    return s.final(s.PEER, s.cdf(), s.starts([SEED], 1_000), *ctes, *_exact(), f"""
+runs AS ({union}),
+cnt AS (SELECT run, n, node, count(*) AS v FROM runs JOIN (VALUES (30), (100), (300), (1000)) g(n) ON walk_id < n GROUP BY 1, 2, 3),
+x AS (SELECT run, n, node, v / sum(v) OVER (PARTITION BY run, n) AS x FROM cnt),
+grid AS (SELECT DISTINCT run, n FROM cnt),
+err AS (SELECT g.run, g.n, sqrt(sum((coalesce(x.x, 0) - e.score) ** 2)) AS l2 FROM grid g CROSS JOIN exact e LEFT JOIN x ON x.run = g.run AND x.n = g.n AND x.node = e.node GROUP BY 1, 2),
+mean AS (SELECT n, avg(l2) AS l2 FROM err GROUP BY n)""", select="SELECT round(regr_slope(ln(l2), ln(n)), 4) AS slope FROM mean")
+
+
+def _spread_sql(runs=8):
+    ctes, union = _runs_sql(range(100, 100 + runs), WALKS)
+    return s.final(s.PEER, s.cdf(), s.starts([SEED], WALKS), *ctes, *_exact(), f"""
+runs AS ({union}),
+x AS (SELECT run, node, count(*) / sum(count(*)) OVER (PARTITION BY run) AS x FROM runs GROUP BY run, node),
+sums AS (SELECT e.node, any_value(e.score) AS y, coalesce(sum(x), 0) / {runs} AS mean, coalesce(sum(x * x), 0) AS s2 FROM exact e LEFT JOIN x USING (node) GROUP BY e.node)""",
+        select=f"SELECT node, round(mean, 8) AS mean, round(sqrt(greatest((s2 - {runs} * mean * mean) / {runs - 1}, 0)), 8) AS sd, round(mean - y, 8) AS bias FROM sums")
+
+
+def _scale_sql():
+    from .ledger import TRADE
+
+    def one(name, *graph):
+        seed = "(SELECT min(src) FROM edges)"
+        walk = (s.cdf(), f"\nstarts AS (SELECT r.range AS walk_id, {seed} AS seed, 0 AS gen, 0 AS step, {seed} AS node FROM range({WALKS}) r)", s.walk(ALPHA), s.scores())
+        exact = (s.nodes(), s.power(ALPHA, K, -1).replace("CAST(-1 AS BIGINT)", seed), f"\nexact AS (SELECT node, score FROM power WHERE k = {K})")
+        return f"SELECT '{name}' AS graph, l2, linf FROM ({s.final(*graph, *walk, *exact, select=f'SELECT {_ERRORS} FROM ({_diff()})')})"
+
+    return one("peers", s.PEER) + " UNION ALL " + one("trades", TRADE, s.PAIRS, s.EDGES)
+
+
+def _stream_sql(parts=6, n_walks=60):
+    """Walks after each batch on the graph of all batches up to it."""
+    ctes = [s.TRANSFERS, f"""
+evb AS (SELECT event_id AS id, (row_number() OVER (ORDER BY ts, event_id) - 1) // (SELECT CAST(ceil(count(*) / {parts}) AS BIGINT) FROM events) AS batch FROM events),
+trb AS (SELECT tr.*, batch FROM tr JOIN evb USING (id))""", s.starts([SEED], n_walks)]
+    for k in range(parts):
+        ctes += [f"""
+pn{k} AS (SELECT least(p, q) AS a, greatest(p, q) AS b, CAST(sum(CASE WHEN p < q THEN up - down ELSE down - up END) AS BIGINT) AS net FROM trb WHERE batch <= {k} GROUP BY 1, 2),
+edges{k} AS (SELECT CASE WHEN net > 0 THEN b ELSE a END AS src, CASE WHEN net > 0 THEN a ELSE b END AS dst, abs(net) AS w FROM pn{k} WHERE net <> 0)""", s.cdf(f"edges{k}", f"cdf{k}")]
+        if not k:
+            ctes.append(s.walk(ALPHA, table="cdf0", name="after0"))
+            continue
+        ctes += [f"""
+changed{k} AS (SELECT DISTINCT src FROM (SELECT src, dst, o.w AS a, e.w AS b FROM edges{k - 1} o FULL JOIN edges{k} e USING (src, dst)) WHERE a IS DISTINCT FROM b),
+cuts{k} AS (SELECT walk_id, min(step) AS cut FROM after{k - 1} WHERE node IN (SELECT src FROM changed{k}) GROUP BY walk_id),
+again{k} AS (SELECT w.walk_id, w.seed, {k + 1} AS gen, w.step, w.node FROM after{k - 1} w JOIN cuts{k} c ON c.walk_id = w.walk_id AND c.cut = w.step)""",
+            s.walk(ALPHA, begin=f"again{k}", table=f"cdf{k}", name=f"redo{k}"), f"""
+after{k} AS (SELECT w.walk_id, w.seed, w.gen, w.step, w.node FROM after{k - 1} w LEFT JOIN cuts{k} c USING (walk_id) WHERE c.cut IS NULL OR w.step <= c.cut
+  UNION ALL SELECT r.walk_id, r.seed, r.gen, r.step, r.node FROM redo{k} r JOIN cuts{k} c USING (walk_id) WHERE r.step > c.cut)"""]
+    return s.final(*ctes, select=f"SELECT walk_id, seed, gen, step, node FROM after{parts - 1}")
+
+
+def _regions_sql(attacks=(0, 5, 50, 500)):
+    from .detection import _measure_sql, _roc
+    from .ledger import KNN
+
+    draw = lambda tag: s.u32_sql(RNG_SEED, tag, "i.range")
+    ctes = [f"""
+knn AS ({KNN}),
+mark AS (SELECT vec_id AS node, label < 5 AS is_honest, row_number() OVER (PARTITION BY label < 5 ORDER BY vec_id) - 1 AS place FROM embeddings),
+nh AS (SELECT count(*) FILTER (WHERE is_honest) AS h, count(*) FILTER (WHERE NOT is_honest) AS s, min(node) FILTER (WHERE is_honest) AS seed FROM mark),
+met AS (SELECT i.range AS i, a.node AS h, b.node AS s, {draw('aw')} % 10 + 1 AS w FROM range(1, {max(attacks) + 1}) i, nh
+  JOIN mark a ON a.is_honest AND a.place = CASE WHEN i.range % 50 = 5 THEN 0 ELSE {draw('ah')} % nh.h END JOIN mark b ON NOT b.is_honest AND b.place = {draw('as')} % nh.s),
+starts AS (SELECT r.range AS walk_id, seed, 0 AS gen, 0 AS step, seed AS node FROM range(200) r, nh)"""]
+    for k, a in enumerate(attacks):
+        ctes += [f"\ne{k} AS (SELECT src, dst, CAST(sum(w) AS BIGINT) AS w FROM (SELECT src, dst, w FROM knn UNION ALL SELECT h, s, w FROM met WHERE i <= {a} UNION ALL SELECT s, h, w FROM met WHERE i <= {a}) GROUP BY 1, 2)", s.cdf(f"e{k}", f"cdf{k}"), s.walk(ALPHA, table=f"cdf{k}", name=f"walk{k}")]
+    scores = " UNION ALL ".join(f"SELECT {a}::BIGINT AS attack, {ALPHA}::DOUBLE AS alpha, node, count(*) / (SELECT count(*) FROM walk{k}) AS score FROM walk{k} GROUP BY node" for k, a in enumerate(attacks))
+    ctes.append(f"""
+sc AS ({scores}),
+lab AS (SELECT c.attack, c.alpha, m.node, m.is_honest, coalesce(sc.score, 0) AS score FROM (SELECT DISTINCT attack, alpha FROM sc) c CROSS JOIN mark m LEFT JOIN sc ON sc.attack = c.attack AND sc.alpha = c.alpha AND sc.node = m.node)""")
+    return s.final(*ctes, _roc(), _measure_sql("lab"), select="""SELECT r.attack, r.alpha, round(any_value(w.auroc), 8)::DOUBLE AS auroc, round(avg(fpr), 8) AS fp_mean, round(avg(1 - tpr), 8) AS fn_mean,
+round(max(fpr) FILTER (WHERE cut = (SELECT h FROM nh)), 8) AS fp_at, round(max(1 - tpr) FILTER (WHERE cut = (SELECT h FROM nh)), 8) AS fn_at FROM roc r LEFT JOIN wins w ON w.attack = r.attack AND w.alpha = r.alpha GROUP BY r.attack, r.alpha""")
+
+
+def _sybil_roc_sql(attacks=(0, 250, 499)):
+    from . import detection as det
+
+    cells = [x for k, a in enumerate(attacks) for x in det._cell(k, a, ALPHA)]
+    scores = " UNION ALL ".join(f"SELECT {a}::BIGINT AS attack, {ALPHA}::DOUBLE AS alpha, node, count(*) / (SELECT count(*) FROM walk{k}) AS score FROM walk{k} GROUP BY node" for k, a in enumerate(attacks))
+    return s.final(det._HONEST, det._SYBIL, det._ATTACK, s.starts([0], det.R), *cells, f"\nsc AS ({scores})", det._LABELLED, det._roc(), select="SELECT attack, cut, node, round(fpr, 8) AS fpr, round(tpr, 8) AS tpr FROM roc")
+
+
 ORACLE_SQL = {
-    "w3_convergence": _convergence_sql(),
+    "w1_random_agreement": " UNION ALL ".join(f"SELECT * FROM ({_agreement_sql(n)})" for n in (2, 10, 100, 1_000, 10_000)),
+    "w3_convergence": _grid_sql((s.PEER,), (0.1, 0.3, 0.5), (10, 30, 100, 300, 500), SEED),
+    "w3_convergence_random": _random_grids((2, 15, 50, 100), (0.1, 0.3, 0.5), (10, 30, 100, 300, 500), True),
+    "w4_reset_effect": _grid_sql((s.PEER,), ALPHA_STEPS, (10, 100, 300), SEED, False),
+    "w4_reset_random": _random_grids((15, 100), ALPHA_STEPS, (10, 100, 300), False),
+    "w5_sybil_roc": _sybil_roc_sql(),
+    "w7_natural_regions": _regions_sql(),
+    "w9_ledger_update": " UNION ALL ".join([_update_way("source_visit", *_MOVED, _AFTER), _update_way("coupling", *_COUPLING), _update_way("scratch", s.cdf(), s.starts([SEED], WALKS), s.walk(ALPHA), walks="walk")]),
+    "w11_arrival_cost": _arrival_sql(),
+    "w13_scale_error": _scale_sql(),
+    "w14_stream_walks": _stream_sql(),
+    "metric_error_slope": _slope_sql(),
+    "metric_score_spread": _spread_sql(),
     "w8_ledger_initial": s.final(s.PEER, HOLD, s.cdf("old"), s.starts([SEED], WALKS), s.walk(ALPHA), s.scores(), *_exact(edges="old"), select=f"SELECT {_ERRORS} FROM ({_diff()})"),
     "w10_isolated_seed": s.final(s.PEER, *_exact(seed=-1), s.power(ALPHA, K, -1, init="uniform", name="early"), """
 change AS (SELECT b.k, sum(abs(b.score - a.score)) AS r FROM early b JOIN early a ON a.k = b.k - 1 AND a.node = b.node GROUP BY b.k)""", select="""

@@ -2,9 +2,14 @@
 
 from __future__ import annotations
 
+import atexit
+import re
+import shutil
 import tempfile
 import uuid
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -20,7 +25,8 @@ def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """``spark.checkpoint.dir``; where the session has none, a folder of its own."""
+    """``spark.checkpoint.dir``; where the session has none, a folder of its own, on one
+    machine only: executors elsewhere would not see it."""
     path = spark.conf.get("spark.checkpoint.dir", None)
     if path:
         return path.rstrip("/")
@@ -28,20 +34,56 @@ def shared_dir(spark: SparkSession) -> str:
     current = sc._jsc.sc().getCheckpointDir()
     if current.isDefined():
         return current.get().rstrip("/")
+    if not re.match(r"local(\[|$)", sc.master):
+        raise RuntimeError("spark.checkpoint.dir has to name a folder that all executors share")
     path = tempfile.mkdtemp(prefix="peertrust-")
+    atexit.register(shutil.rmtree, path, ignore_errors=True)
     sc.setCheckpointDir(path)
     return path
 
 
 def scratch(spark: SparkSession, name: str) -> str:
-    """A fresh path in the shared folder."""
-    return f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
+    """A fresh path in the shared folder; what lies there goes when the session ends."""
+    folder = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
+    target = spark._jvm.org.apache.hadoop.fs.Path(folder)
+    fs = target.getFileSystem(spark._jsc.hadoopConfiguration())
+    fs.mkdirs(target)
+    fs.deleteOnExit(target)
+    return f"{folder}/data"
 
 
 def cut(df: DataFrame) -> DataFrame:
-    """``df`` computed once, its lineage cut in the shared folder."""
+    """``df`` computed once, its lineage cut in the shared folder (a frame that is cut
+    already comes back as it is)."""
+    if getattr(df, "_peertrust_cut", False):
+        return df
     shared_dir(df.sparkSession)
-    return df.checkpoint()
+    out = df.checkpoint()
+    out._peertrust_cut = True
+    return out
+
+
+def numbered(df: DataFrame, column: str) -> DataFrame:
+    """``df`` with ``place``, its rank by a unique column, from 0 on.  Ranges are
+    counted one by one and offset by those before, so no task sees all rows."""
+    parts = cut(df.repartitionByRange(column).sortWithinPartitions(column).withColumn("_row", F.monotonically_increasing_id()))
+    sizes = parts.groupBy(F.shiftright("_row", 33).alias("_part")).agg(F.count(F.lit(1)).alias("_n"), F.min("_row").alias("_low"))
+    before = sizes.withColumn("_before", F.sum("_n").over(Window.orderBy("_part")) - F.col("_n"))  # a row a partition
+    both = parts.join(F.broadcast(before), F.shiftright("_row", 33) == F.col("_part"))
+    return both.withColumn("place", F.col("_before") + F.col("_row") - F.col("_low")).drop("_row", "_part", "_n", "_low", "_before")
+
+
+def running_sums(df: DataFrame, place: str, columns: list[str], block: int = 100_000) -> DataFrame:
+    """``df`` with its number columns summed up to each row by ``place`` (dense, from 1
+    on): within blocks of places, and offset by the blocks before."""
+    rows = df.withColumn("_block", F.floor((F.col(place) - 1) / F.lit(block)))
+    sums = rows.groupBy("_block").agg(*[F.sum(c).alias(f"_s{i}") for i, c in enumerate(columns)])
+    order = Window.orderBy("_block")  # a row a block
+    before = sums.select(F.col("_block").alias("_b"), *[(F.sum(f"_s{i}").over(order) - F.col(f"_s{i}")).alias(f"_o{i}") for i in range(len(columns))])
+    inside = Window.partitionBy("_block").orderBy(place).rowsBetween(Window.unboundedPreceding, 0)
+    both = rows.join(F.broadcast(before), F.col("_block") == F.col("_b"))
+    summed = {c: F.sum(c).over(inside) + F.col(f"_o{i}") for i, c in enumerate(columns)}
+    return both.select(*[summed.get(c, F.col(c)).alias(c) for c in df.columns])
 
 
 def interactions(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -86,21 +128,48 @@ def link_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
     return links.groupBy("host", "target").agg(F.count(F.lit(1)).alias("n"))
 
 
-def random_edges(spark: SparkSession, sf_dir: str, n: int, per_node: int = 2) -> DataFrame:
-    """``per_node`` hashed edges from each of the first ``n`` customers' numbers."""
-    nodes = load(spark, sf_dir, "customer").select((F.col("c_custkey") - 1).alias("src")).filter((F.col("src") >= 0) & (F.col("src") < n))
+def random_edges(spark: SparkSession, sf_dir: str, n: int, per_node: int = 2, seed: int = RNG_SEED) -> DataFrame:
+    """``per_node`` hashed edges from each of ``n`` nodes, which have the numbers of
+    customers, and go on behind the last of these."""
+    own = load(spark, sf_dir, "customer").select((F.col("c_custkey") - 1).alias("src")).filter((F.col("src") >= 0) & (F.col("src") < n))
+    nodes = own.union(spark.range(n).select(F.col("id").alias("src"))).distinct()
     pairs = nodes.select("src", F.explode(F.sequence(F.lit(1), F.lit(per_node))).alias("i"))
-    drawn = pairs.select("src", F.pmod(u32(RNG_SEED, "rd", F.col("src"), F.col("i")), F.lit(n)).alias("dst"), (F.pmod(u32(RNG_SEED, "rw", F.col("src"), F.col("i")), F.lit(10)) + 1).alias("w"))
+    drawn = pairs.select("src", F.pmod(u32(seed, "rd", F.col("src"), F.col("i")), F.lit(n)).alias("dst"), (F.pmod(u32(seed, "rw", F.col("src"), F.col("i")), F.lit(10)) + 1).alias("w"))
     return drawn.filter("src <> dst").groupBy("src", "dst").agg(F.sum("w").alias("w"))
 
 
+#: Vectors of a block in ``knn_edges``.
+KNN_BLOCK = 2_048
+
+
 def knn_edges(spark: SparkSession, sf_dir: str, k: int = 5) -> DataFrame:
     """Each vector's ``k`` most similar ones, weighted by similarity in thousandths.
-    Vectors meet in blocks of the smaller side; the pairs of a block are ranked as
-    they come, and only ``k`` of each leave it."""
+    Vectors are dealt to blocks, every pair of blocks is a matrix product of its own,
+    and only ``k`` rows a vector leave it."""
     v = load(spark, sf_dir, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("e"))
-    a, b = v.select(F.col("vec_id").alias("src"), F.col("e").alias("x")), v.select(F.col("vec_id").alias("dst"), F.col("e").alias("y"))
-    dot = F.aggregate(F.zip_with("x", "y", lambda p, q: p * q), F.lit(0.0), lambda s, p: s + p)
-    sims = a.join(b, F.col("src") != F.col("dst")).select("src", "dst", F.round(dot * 1000).cast("long").alias("w"))
-    top = sims.withColumn("r", F.row_number().over(Window.partitionBy("src").orderBy(F.desc("w"), "dst"))).filter(F.col("r") <= k)
-    return top.filter("w > 0").select("src", "dst", "w")
+    v = cut(v)
+    blocks = max(1, -(-v.count() // KNN_BLOCK))
+    own = v.withColumn("b", F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).cast("int"))
+    each = F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))
+    left, right = own.withColumn("c", each), own.withColumnRenamed("b", "c").withColumn("b", each)
+
+    def best(a: pa.Table, b: pa.Table) -> pa.Table:
+        src, dst = a.column("vec_id").to_numpy(), b.column("vec_id").to_numpy()
+        x, y = (np.array(t.column("e").to_pylist(), float).reshape(t.num_rows, -1) for t in (a, b))
+        out: list[list] = [[], [], []]
+        for i in range(0, len(src) if len(dst) else 0, 256):
+            # summed component by component, as the expression of one pair would be
+            dot = np.zeros((len(x[i : i + 256]), len(y)))
+            for c in range(x.shape[1]):
+                dot += x[i : i + 256, c, None] * y[None, :, c]
+            weight = np.sign(dot) * np.floor(np.abs(dot) * 1000 + 0.5)
+            for row, w in zip(src[i : i + 256].tolist(), weight, strict=True):
+                pick = np.flatnonzero((dst != row) & (w > 0))
+                pick = pick[np.lexsort((dst[pick], -w[pick]))[:k]]
+                out[0] += [row] * len(pick)
+                out[1] += dst[pick].tolist()
+                out[2] += w[pick].astype(np.int64).tolist()
+        return pa.table({n: pa.array(c, pa.int64()) for n, c in zip(("src", "dst", "w"), out, strict=True)})
+
+    sims = left.groupBy("b", "c").cogroup(right.groupBy("b", "c")).applyInArrow(best, "src long, dst long, w long")
+    return sims.withColumn("r", F.row_number().over(Window.partitionBy("src").orderBy(F.desc("w"), "dst"))).filter(F.col("r") <= k).drop("r")

@@ -3,21 +3,39 @@ drains a stream of files into a table."""
 
 from __future__ import annotations
 
-import uuid
-
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import LongType, StructField, StructType
 
 from peertrust.sources.tables import scratch
 
 
-def drain(stream: DataFrame, mode: str = "append", checkpoint: str | None = None) -> DataFrame:
-    """All that is there now, through a memory table (for results that are small)."""
-    spark, name = stream.sparkSession, f"drained_{uuid.uuid4().hex[:8]}"
-    options = {"checkpointLocation": checkpoint or scratch(spark, name)}
-    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).options(**options).trigger(availableNow=True).start()
-    query.awaitTermination()
-    return spark.table(name)
+def drain(stream: DataFrame, mode: str = "append", checkpoint: str | None = None, keys: list[str] | None = None) -> DataFrame:
+    """All that is there now, through Parquet files in the shared folder.  Rows of mode
+    ``append`` are kept as they come; of ``complete`` the last micro-batch is the result;
+    of ``update`` the last row of each of the ``keys``."""
+    spark = stream.sparkSession
+    path = scratch(spark, "drained")
+    writer = stream.writeStream.option("checkpointLocation", checkpoint or f"{path}-state").outputMode(mode).trigger(availableNow=True)
+    if mode == "append":
+        writer.format("parquet").option("path", path).start().awaitTermination()
+        return spark.read.schema(stream.schema).parquet(path)
+    last = []
+
+    def feed(batch: DataFrame, number: int) -> None:
+        if mode == "complete":
+            batch.write.mode("overwrite").parquet(f"{path}/number={number:09d}")
+            last[:] = [number]
+        else:
+            batch.write.mode("overwrite").parquet(f"{path}/number={number:09d}")
+
+    writer.foreachBatch(feed).start().awaitTermination()
+    rows = spark.read.schema(StructType([*stream.schema.fields, StructField("number", LongType())])).parquet(path)
+    if mode == "complete":
+        return rows.filter(F.col("number") == (last[0] if last else -1)).drop("number")
+    rest = [c for c in stream.columns if c not in keys]
+    newest = rows.groupBy(*keys).agg(F.max(F.struct("number", *rest)).alias("v"))
+    return newest.select(*keys, *[F.col(f"v.{c}").alias(c) for c in rest]).select(*stream.columns)
 
 
 def daily_counts(events: DataFrame, delay: str = "1 hour") -> DataFrame:

@@ -4,26 +4,47 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from peertrust import metrics
 from peertrust.estimate import estimate
+from peertrust.functions.rng import RNG_SEED
 from peertrust.graph import edges_from_net, net_by_pair
-from peertrust.incremental import RefreshPolicy, apply_changes
-from peertrust.schemas import PROPS
+from peertrust.incremental import LOCAL_VISITS, RefreshPolicy, apply_changes, local_update
+from peertrust.power import ROUNDS, power_iteration, solve
+from peertrust.schemas import PROPS, WALK
+from peertrust.sources.files import write_in_order
 from peertrust.sources.tables import DOWN_KINDS, UP_KINDS, cut
-from peertrust.walks import simulate_walks
+from peertrust.walks import BROADCAST_EDGES, Adjacency, run_walks, simulate_walks, step_cap
 
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
 
 def stream_events(spark: SparkSession, sf_dir: str, pattern: str = "events.parquet", per_trigger: int = 1) -> DataFrame:
-    """``events`` as a stream, with an event time that takes watermarks."""
+    """``events`` as a stream, with an event time that takes watermarks; a micro-batch
+    has ``per_trigger`` files."""
     rows = spark.readStream.schema(EVENTS).option("pathGlobFilter", pattern).option("maxFilesPerTrigger", per_trigger).parquet(sf_dir)
     return rows.withColumn("ts", F.col("ts").cast("timestamp"))
 
 
+def ledger_files(events: DataFrame, path: str, by: str = "time", parts: int = 6, n_events: int | None = None) -> DataFrame:
+    """``events`` as a folder that a stream reads a micro-batch at a time: a file a day, or
+    ``parts`` files of equal volume, in the order of time.  Returns them with ``batch``."""
+    rows = events.withColumn("at", F.col("ts").cast("timestamp"))
+    if by == "time":
+        first = rows.agg(F.min(F.to_date("at")).alias("first"))
+        batch = rows.join(F.broadcast(first), how="cross").withColumn("batch", F.date_diff(F.to_date("at"), F.col("first")).cast("long")).drop("first")
+    else:
+        n = rows.count() if n_events is None else n_events
+        batch = batches(rows.withColumn("id", F.col("event_id")).withColumn("ts", F.col("at")), "volume", max(1, -(-n // parts))).drop("id").withColumn("ts", F.col("at").cast("timestamp_ntz"))
+    batch = cut(batch.drop("at"))
+    write_in_order(batch, "batch", path)
+    return batch
+
+
 def transfers_of(events: DataFrame, n_peers: int) -> DataFrame:
     """Transfers of a (streamed) batch; the number of peers is known beforehand."""
     cents = F.round(F.col("value") * 100).cast("long")
@@ -52,22 +73,42 @@ def batches(transfers: DataFrame, by: str = "time", size: int = 1_000) -> DataFr
 class TrustStore:
     """Pair nets, walks and scores, moved on a batch at a time.
 
-    ``max_pairs`` bounds the work of an update: changes of more pairs wait for the
-    next ones, in hashed order, so load is even and walks always belong to one graph
-    (that of the pairs taken in so far)."""
+    While pairs and visits are few (counted first, ``LOCAL_PAIRS`` and ``LOCAL_VISITS``),
+    they are arrays on the driver and a batch costs one aggregation of its own
+    transfers; beyond, they are tables in the shared folder.  Both give the same rows.
+
+    ``refresh`` says when walks are drawn anew instead of updated.  If it has a largest
+    error, the error of the updated scores is measured after each batch, against power
+    iteration on the graph as it is.  ``max_pairs`` bounds the work of an update: changes
+    of more pairs wait for the next ones, in hashed order, so load is even and walks
+    always belong to one graph (that of the pairs taken in so far)."""
 
-    def __init__(self, spark: SparkSession, seed: int, n_walks: int = 300, alpha: float = 0.3, policy: str = "coupling", refresh: RefreshPolicy | None = None, max_pairs: int | None = None):
-        self.max_pairs, self.waiting = max_pairs, None
+    LOCAL_PAIRS = BROADCAST_EDGES
+
+    def __init__(self, spark: SparkSession, seed: int, n_walks: int = 300, alpha: float = 0.3, policy: str = "coupling", refresh: RefreshPolicy | None = None, max_pairs: int | None = None, seed_must_stay: bool = False):
+        self.max_pairs, self.waiting, self.seed_must_stay = max_pairs, None, seed_must_stay
         self.spark, self.seed, self.n_walks, self.alpha, self.policy = spark, seed, n_walks, alpha, policy
         self.refresh = refresh or RefreshPolicy()
-        self.net, self.walks, self.batch, self.rebuilds = spark.createDataFrame([], "a long, b long, net long"), None, 0, 0
+        self.batch, self.rebuilds, self.errors, self.hops = 0, 0, [], 0
+        self._net: pd.DataFrame | DataFrame = pd.DataFrame({c: pd.Series(dtype="int64") for c in ("a", "b", "net")})
+        self._walks: pd.DataFrame | DataFrame | None = None
+
+    @property
+    def local(self) -> bool:
+        return isinstance(self._net, pd.DataFrame)
+
+    def _frame(self, x: pd.DataFrame | DataFrame, schema) -> DataFrame:
+        return self.spark.createDataFrame(x, schema) if isinstance(x, pd.DataFrame) else x
 
     @property
     def edges(self) -> DataFrame:
-        return edges_from_net(self.net)
+        return edges_from_net(self._frame(self._net, "a long, b long, net long"))
+
+    @property
+    def walks(self) -> DataFrame | None:
+        return None if self._walks is None else self._frame(self._walks, WALK)
 
     def update(self, transfers: DataFrame) -> None:
-        old = self.edges
         delta = net_by_pair(transfers)
         if self.waiting is not None:
             delta = self.waiting.union(delta).groupBy("a", "b").agg(F.sum("net").alias("net"))
@@ -76,22 +117,69 @@ class TrustStore:
             taken = cut(delta.orderBy(F.xxhash64("a", "b"), "a", "b").limit(self.max_pairs))
             self.waiting = cut(delta.join(taken.select("a", "b"), ["a", "b"], "left_anti"))
             delta = taken
-        self.net = cut(self.net.union(delta).groupBy("a", "b").agg(F.sum("net").alias("net")))
         self.batch += 1
-        if self.walks is None or self.refresh.due(self.batch):
-            self.walks, self.rebuilds = cut(simulate_walks(self.edges, self.seed, self.n_walks, self.alpha)), self.rebuilds + 1
+        if self.local:
+            delta = cut(delta)
+            if len(self._net) + delta.count() <= self.LOCAL_PAIRS and (self._walks is None or len(self._walks) <= LOCAL_VISITS):
+                return self._update_local(delta.toPandas())
+            self._net, self._walks = cut(self._frame(self._net, "a long, b long, net long")), self.walks
+        old = self.edges
+        self._net = cut(self._net.union(delta).groupBy("a", "b").agg(F.sum("net").alias("net")))
+        if self._walks is None or self.refresh.due(self.batch, self._last_error()):
+            self._walks, self.rebuilds = cut(simulate_walks(self.edges, self.seed, self.n_walks, self.alpha)), self.rebuilds + 1
+        else:
+            self._walks = cut(apply_changes(self._walks, old, self.edges, self.batch, self.alpha, self.policy, seed_must_stay=self.seed_must_stay))
+        if self.refresh.max_error is not None:
+            exact = power_iteration(self.edges, self.seed, self.alpha)
+            self.errors.append(metrics.l2(self.scores(), exact))
+
+    def _last_error(self) -> float | None:
+        return self.errors[-1] if self.errors else None
+
+    @staticmethod
+    def _arrays(net: pd.DataFrame) -> pd.DataFrame:
+        net = net[net["net"] != 0]
+        giver = net["net"].to_numpy() > 0
+        a, b = net["a"].to_numpy(), net["b"].to_numpy()
+        return pd.DataFrame({"src": np.where(giver, b, a), "dst": np.where(giver, a, b), "w": np.abs(net["net"].to_numpy())})
+
+    def _update_local(self, delta: pd.DataFrame) -> None:
+        old = self._arrays(self._net)
+        self._net = pd.concat([self._net, delta]).groupby(["a", "b"], as_index=False)["net"].sum()
+        new = self._arrays(self._net)
+        if self.seed_must_stay and not ((new["src"] == self.seed) | (new["dst"] == self.seed)).any():
+            raise ValueError(f"seed {self.seed} is no longer in the graph")
+        if self._walks is None or self.refresh.due(self.batch, self._last_error()):
+            first = pd.DataFrame({"walk_id": np.arange(self.n_walks), "seed": self.seed, "gen": 0, "step": 0, "node": self.seed})
+            rest = run_walks(Adjacency(*(new[c].to_numpy() for c in ("src", "dst", "w"))), first, np.full(self.n_walks, self.alpha), RNG_SEED, step_cap(self.alpha))
+            self._walks = pd.concat([first, rest], ignore_index=True).astype({"gen": "int32", "step": "int32"})
+            self.rebuilds, self.hops = self.rebuilds + 1, len(rest)
         else:
-            self.walks = cut(apply_changes(self.walks, old, self.edges, self.batch, self.alpha, self.policy))
+            self._walks = local_update(self._walks, old, new, self.batch, self.alpha, self.policy)
+            self.hops = int((self._walks["gen"] == self.batch).sum())
+        if self.refresh.max_error is not None:
+            self.errors.append(self.measured_error()["l2"])
+
+    def measured_error(self) -> dict[str, float]:
+        """Distance of the walks' scores to power iteration (of a local store)."""
+        edges = self._arrays(self._net)
+        node = np.unique(np.concatenate([edges["src"], edges["dst"], [self.seed]]))
+        exact, _ = solve(*(edges[c].to_numpy() for c in ("src", "dst", "w")), node, self.seed, self.alpha, "seed", ROUNDS)
+        mine = self._walks["node"].value_counts(normalize=True).reindex(node).fillna(0).to_numpy()
+        return {"l2": float(np.sqrt(((mine - exact) ** 2).sum())), "linf": float(np.abs(mine - exact).max())}
 
     def scores(self) -> DataFrame:
         return estimate(self.walks)
 
 
-def stream_trust(events: DataFrame, n_peers: int, store: TrustStore, checkpoint: str, query_name: str = "trust"):
-    """A running query that feeds each micro-batch to the store."""
+def stream_trust(events: DataFrame, n_peers: int, store: TrustStore | list[TrustStore], checkpoint: str, query_name: str = "trust"):
+    """A running query that feeds each micro-batch to the store (or to several)."""
+    stores = store if isinstance(store, list) else [store]
 
     def feed(batch: DataFrame, _: int) -> None:
-        store.update(cut(transfers_of(batch, n_peers)))
+        transfers = cut(transfers_of(batch, n_peers))
+        for one in stores:
+            one.update(transfers)
 
     return events.writeStream.queryName(query_name).option("checkpointLocation", checkpoint).trigger(availableNow=True).foreachBatch(feed).start()
 

@@ -11,7 +11,10 @@ intervals, so every strategy below gives the same rows:
   For graphs that fit no executor.
 * ``binned``: ``frontier`` on binned intervals, an equality join that a hub cannot
   blow up.
-* ``recursive``: one recursive SQL query, for small graphs.
+* ``recursive``: one recursive SQL query, for small graphs and short walks.
+
+A walk may also go on from a dangling node, at one drawn from a table of nodes
+(``jump``), with either of the first three.
 """
 
 from __future__ import annotations
@@ -27,7 +30,7 @@ from pyspark.sql import functions as F
 
 from peertrust.functions.rng import RNG_SEED, TWO32, stop_limit, u32
 from peertrust.schemas import WALK
-from peertrust.sources.tables import cut
+from peertrust.sources.tables import cut, numbered
 from peertrust.transition import binned_cdf, cdf
 
 #: Edges up to which the adjacency (24 bytes an edge) is sent to every task.
@@ -64,8 +67,11 @@ class Adjacency:
         return self.dst[np.searchsorted(self.ends, self.base[place] + pick, side="right")]
 
 
-def draws(seed: int, tag: str, walk: np.ndarray, gen: np.ndarray, step: int) -> np.ndarray:
-    return np.array([int(hashlib.md5(f"{seed}|{tag}|{w}|{g}|{step}".encode()).hexdigest()[:8], 16) for w, g in zip(walk.tolist(), gen.tolist(), strict=True)], np.int64)
+def draws(seed: int, tag: str, walk: np.ndarray, gen: np.ndarray, step) -> np.ndarray:
+    """The draws of ``functions.rng.u32`` for arrays of walks (and steps)."""
+    step = np.broadcast_to(step, walk.shape).tolist()
+    md5, head = hashlib.md5, f"{seed}|{tag}|"
+    return np.array([int(md5(f"{head}{w}|{g}|{i}".encode()).hexdigest()[:8], 16) for w, g, i in zip(walk.tolist(), gen.tolist(), step, strict=True)], np.int64)
 
 
 def run_walks(graph: Adjacency, tasks: pd.DataFrame, alpha: np.ndarray, rng_seed: int, cap: int, jump: np.ndarray | None = None) -> pd.DataFrame:
@@ -92,10 +98,18 @@ def run_walks(graph: Adjacency, tasks: pd.DataFrame, alpha: np.ndarray, rng_seed
     return pd.concat(out)[list(columns)].astype(columns) if out else pd.DataFrame({c: pd.Series(dtype=t) for c, t in columns.items()})
 
 
-def local_edges(edges: DataFrame, limit: int = BROADCAST_EDGES) -> pd.DataFrame | None:
-    """The edges on the driver, if they are few enough to be broadcast."""
-    found = edges.select("src", "dst", "w").limit(limit + 1).toPandas()
-    return found if len(found) <= limit else None
+def local_edges(edges: DataFrame, limit: int | None = None) -> tuple[pd.DataFrame | None, DataFrame]:
+    """The edges on the driver, if they are few enough to be broadcast, and the edges
+    computed once.  They are counted before any is sent."""
+    kept = edges if getattr(edges, "_peertrust_cut", False) else cut(edges.select("src", "dst", "w"))
+    limit = BROADCAST_EDGES if limit is None else limit
+    if getattr(kept, "_peertrust_rows", None) is None:
+        kept._peertrust_rows = kept.count()
+    if kept._peertrust_rows > limit:
+        return None, kept
+    if getattr(kept, "_peertrust_local", None) is None:
+        kept._peertrust_local = kept.select("src", "dst", "w").toPandas()
+    return kept._peertrust_local, kept
 
 
 def starts(spark: SparkSession, seeds: list[int] | int, n_walks: int) -> DataFrame:
@@ -113,23 +127,28 @@ def starts_everywhere(node_table: DataFrame, each: int) -> DataFrame:
     return node_table.select("node", i.alias("i")).select((F.col("node") * each + F.col("i")).alias("walk_id"), F.col("node").alias("seed"), F.lit(0).alias("gen"), F.lit(0).alias("step"), "node")
 
 
-def starts_at_random(spark: SparkSession, node_list: list[int], n_walks: int, rng_seed: int = RNG_SEED) -> DataFrame:
-    """Walks from hashed places of an ordered list of nodes."""
-    table = F.array(*[F.lit(n).cast("long") for n in node_list])
-    pick = table[F.shiftright(u32(rng_seed, "start", F.col("id"), F.lit(0), F.lit(0)) * len(node_list), 32).cast("int")]
-    return spark.range(n_walks).select(F.col("id").alias("walk_id"), pick.alias("seed"), F.lit(0).alias("gen"), F.lit(0).alias("step"), pick.alias("node"))
+def starts_at_random(node_table: DataFrame, n_walks: int, rng_seed: int = RNG_SEED) -> DataFrame:
+    """Walks from hashed places in the order of the nodes."""
+    places = cut(numbered(node_table.select("node").distinct(), "node"))
+    n = places.count()
+    pick = F.shiftright(u32(rng_seed, "start", F.col("id"), F.lit(0), F.lit(0)) * F.lit(n), 32)
+    drawn = node_table.sparkSession.range(n_walks).select(F.col("id").alias("walk_id"), pick.alias("place")).join(places, "place")
+    return drawn.select("walk_id", F.col("node").alias("seed"), F.lit(0).alias("gen"), F.lit(0).alias("step"), "node")
 
 
-def advance(edges: DataFrame, tasks: DataFrame, alpha: float, rng_seed: int = RNG_SEED, strategy: str = "auto", cap: int | None = None, jump: list[int] | None = None) -> DataFrame:
-    """Visits behind the start of each task."""
+def advance(edges: DataFrame, tasks: DataFrame, alpha: float, rng_seed: int = RNG_SEED, strategy: str = "auto", cap: int | None = None, jump: DataFrame | None = None) -> DataFrame:
+    """Visits behind the start of each task.  ``jump``: a table of nodes, one of which a
+    walker at a dangling node goes on from."""
     cap = step_cap(alpha) if cap is None else cap
+    jump = None if jump is None else cut(jump.select("node").distinct())
+    n_jump = 0 if jump is None else jump.count()
     if strategy in ("auto", "broadcast"):
-        found = local_edges(edges)
-        if found is None and strategy == "broadcast":
-            raise ValueError(f"more than {BROADCAST_EDGES} edges cannot be broadcast")
-        if found is not None:
+        found, edges = local_edges(edges)
+        if (found is None or n_jump > BROADCAST_EDGES) and strategy == "broadcast":
+            raise ValueError(f"more than {BROADCAST_EDGES} edges or nodes cannot be broadcast")
+        if found is not None and n_jump <= BROADCAST_EDGES:
             shared = tasks.sparkSession.sparkContext.broadcast(tuple(found[c].to_numpy() for c in ("src", "dst", "w")))
-            nodes = None if jump is None else np.array(sorted(jump))
+            nodes = None if jump is None else np.sort(jump.toPandas()["node"].to_numpy())
 
             def run(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
                 graph = Adjacency(*shared.value)
@@ -138,13 +157,13 @@ def advance(edges: DataFrame, tasks: DataFrame, alpha: float, rng_seed: int = RN
 
             return tasks.select("walk_id", "seed", "gen", "step", "node").mapInPandas(run, WALK)
         strategy = "binned"
-    if jump is not None:
-        raise ValueError("jumping walks need a graph that can be broadcast")
+    places = None if jump is None else cut(numbered(jump, "node").withColumnRenamed("node", "next"))
     table = cut(binned_cdf(cdf(edges)) if strategy == "binned" else cdf(edges))
     per_source = table.select("src", "tot", *(["bins"] if strategy == "binned" else [])).distinct()
     frontier, rounds = cut(tasks.select("walk_id", "seed", "gen", "step", "node")), []
     coin = u32(rng_seed, "stop", F.col("walk_id"), F.col("gen"), F.col("step"))
-    pick = F.shiftright(u32(rng_seed, "hop", F.col("walk_id"), F.col("gen"), F.col("step")) * F.col("tot"), 32)
+    draw = u32(rng_seed, "hop", F.col("walk_id"), F.col("gen"), F.col("step"))
+    pick = F.shiftright(draw * F.col("tot"), 32)
     # until every walk has ended: at most ``cap`` rounds, checked each time
     for _ in range(cap):
         alive = frontier.filter(coin >= stop_limit(alpha)).filter(F.col("step") < cap)
@@ -153,7 +172,11 @@ def advance(edges: DataFrame, tasks: DataFrame, alpha: float, rng_seed: int = RN
             picked = picked.withColumn("bin", F.floor(F.col("pick") * F.col("bins") / F.col("tot")).cast("long"))
         t = table.select(F.col("src").alias("node"), F.col("dst").alias("next"), "lo", "hi", *(["bin"] if strategy == "binned" else []))
         joined = picked.join(t, ["node", "bin"] if strategy == "binned" else ["node"]).filter("lo <= pick AND pick < hi")
-        frontier = cut(joined.select("walk_id", "seed", "gen", (F.col("step") + 1).cast("int").alias("step"), F.col("next").alias("node")))
+        hops = joined.select("walk_id", "seed", "gen", "step", "next")
+        if places is not None:
+            lost = alive.join(per_source.select(F.col("src").alias("node")), "node", "left_anti").withColumn("place", F.shiftright(draw * F.lit(n_jump), 32))
+            hops = hops.union(lost.join(places, "place").select("walk_id", "seed", "gen", "step", "next"))
+        frontier = cut(hops.select("walk_id", "seed", "gen", (F.col("step") + 1).cast("int").alias("step"), F.col("next").alias("node")))
         if frontier.isEmpty():
             break
         rounds.append(frontier)
@@ -173,8 +196,11 @@ def simulate_walks(edges: DataFrame, seeds: list[int] | int, n_walks: int = 300,
 
 
 def recursive_walks(edges: DataFrame, seed: int, n_walks: int, alpha: float, rng_seed: int = RNG_SEED, max_steps: int | None = None) -> DataFrame:
-    """The walks as one recursive query (Spark's default bounds: 100 levels)."""
-    spark, cap = edges.sparkSession, min(step_cap(alpha) if max_steps is None else max_steps, 99)
+    """The walks as one recursive query."""
+    spark, cap = edges.sparkSession, step_cap(alpha) if max_steps is None else max_steps
+    levels = int(spark.conf.get("spark.sql.cteRecursionLevelLimit", "100"))
+    if cap >= levels:
+        raise ValueError(f"walks of up to {cap} steps need more than the {levels} levels of spark.sql.cteRecursionLevelLimit; use another strategy or max_steps")
     cdf(edges).createOrReplaceTempView("walk_intervals")
     draw = "CAST(conv(substring(md5(concat_ws('|', '{}', '{}', w.walk_id, 0, w.step)), 1, 8), 16, 10) AS BIGINT)"
     stop, hop = draw.format(rng_seed, "stop"), draw.format(rng_seed, "hop")
@@ -195,4 +221,10 @@ def walk_ends(walks: DataFrame, edges: DataFrame, cap: int) -> DataFrame:
     return last.join(sources, "node", "left").select("walk_id", "length", "node", reason.alias("reason"))
 
 
+def paths(walks: DataFrame) -> DataFrame:
+    """``walk_id, path``: the nodes of each walk in the order of its steps."""
+    visits = F.array_sort(F.collect_list(F.struct("step", "node")))
+    return walks.groupBy("walk_id").agg(F.transform(visits, lambda v: v["node"]).alias("path"))
+
+
 __all__ = ["Adjacency", "TWO32", "advance", "recursive_walks", "simulate_walks", "starts", "starts_at_random", "starts_everywhere", "step_cap", "walk_ends"]

@@ -88,7 +88,9 @@ def test_ranking_areas(spark):
 
 
 def test_roc_identity(spark, sf):
-    edges_, extra, labels, h = sybil.build(spark, sf, 5)
+    edges_, extra, labels, h = sybil.build(spark, sf, 5, sizes=(50, 200, 100))
+    with pytest.raises(ValueError, match="smaller sizes"):
+        sybil.build(spark, sf, 5)
     rows = metrics.labelled(est.estimate(walks.simulate_walks(edges_, 0, 50)), labels)
     n = labels.count()
     total = metrics.roc(rows).agg(F.sum("tpr").alias("t"), F.sum("fpr").alias("f")).first()
@@ -167,6 +169,7 @@ def test_workload_shapes(spark):
 
     sf = "/root/testdata/sf0.01"
     assert all(r.ok for r in w.random_agreement(spark, sf).collect())
+    assert all(abs(r.l2) < 0.2 for r in w.batch_replay(spark, sf, 3).select(F.col("incremental_error").alias("l2")).collect())
     assert all(r.ok for r in w.update_agreement(spark, sf).collect())
     assert -0.8 < w.error_slope(spark, sf).first().slope < -0.3
     r = w.ledger_initial(spark, sf).first()
@@ -183,16 +186,171 @@ def test_sybil_curves_fall_with_attack_edges(spark):
     assert visited[0, 0.1].auroc is None
 
 
-def test_stream_replay_and_state(spark, sf, tmp_path):
+def test_stream_replay_and_state(spark, sf):
+    from peertrust.operators.extended import _flips
     from peertrust.queries.workloads import stream_replay
 
     key = lambda df: sorted(tuple(r) for r in df.select("src", "dst", "w").collect())
-    assert key(stream_replay(spark, sf)) == key(peer_edges(spark, sf))
-    n = spark.read.parquet(f"{sf}/events.parquet").select("user_id").distinct().count()
-    stream = trust.pair_nets_stateful(trust.transfers_of(trust.stream_events(spark, sf), n))
-    q = stream.writeStream.format("memory").queryName("pair_nets").outputMode("append").option("checkpointLocation", str(tmp_path)).trigger(availableNow=True).start()
-    q.awaitTermination()
-    assert key(graph.edges_from_net(spark.table("pair_nets"))) == key(peer_edges(spark, sf))
+    daily, volume = stream_replay(spark, sf)[0], stream_replay(spark, sf, "volume", 4)[0]
+    assert daily.batch > 20 and volume.batch == 4  # as many micro-batches as there are days, or parts
+    assert key(daily.edges) == key(volume.edges) == key(peer_edges(spark, sf))
+    last = _flips(spark, sf).collect()
+    assert any(r.flipped for r in last)
+
+
+def test_store_as_arrays_and_as_tables(spark, sf, monkeypatch):
+    from peertrust.sources.tables import interactions
+
+    x = cut(trust.batches(interactions(spark, sf), "volume", 400))
+    for policy in ("source_visit", "coupling"):
+        stores = []
+        for pairs in (10**6, 0):
+            monkeypatch.setattr(trust.TrustStore, "LOCAL_PAIRS", pairs)
+            store = trust.TrustStore(spark, 0, 40, policy=policy, refresh=incremental.RefreshPolicy(max_error=10.0))
+            for k in range(3):
+                store.update(x.filter(F.col("batch") == k))
+            assert store.local == bool(pairs) and len(store.errors) == 3
+            stores.append(store)
+        a, b = ([tuple(r) for r in s.walks.orderBy("walk_id", "step").collect()] for s in stores)
+        assert a == b and stores[0].errors == pytest.approx(stores[1].errors, abs=1e-9)
+
+
+def test_refresh_by_measured_error(spark, sf):
+    from peertrust.sources.tables import interactions
+
+    x = cut(trust.batches(interactions(spark, sf), "volume", 100))
+    store = trust.TrustStore(spark, 0, 30, refresh=incremental.RefreshPolicy(max_error=0.0))
+    for k in range(3):
+        store.update(x.filter(F.col("batch") == k))
+    assert store.rebuilds == 3 and all(e > 0 for e in store.errors)  # every error is too large
+    with pytest.raises(ValueError, match="no longer"):
+        trust.TrustStore(spark, -5, 3, seed_must_stay=True).update(x)
+
+
+def test_one_machine_and_many_give_the_same(spark, sf, monkeypatch):
+    """Forms for graphs that can be sent to every task, and for those that cannot."""
+    from peertrust.queries.ranking import _linked_graph
+
+    e = cut(spark.createDataFrame(_linked_graph(spark, sf).collect(), EDGE))  # all targets dangle
+    plain = cut(spark.createDataFrame(peer_edges(spark, sf).collect(), EDGE))
+    node_table = graph.nodes(e)
+    begin = walks.starts_everywhere(node_table, 1)
+    host = e.agg(F.min("src")).first()[0]
+
+    def rows():
+        out = [sorted(tuple(r) for r in walks.advance(e, begin, 0.5, jump=node_table).collect())]
+        out.append(sorted(tuple(r) for r in walks.simulate_walks(plain, [0, 3], 10, 0.5).collect()))
+        many = power.power_iteration_many(plain, [0, 3, None], [0.3, 0.5], rounds=10)
+        scores_ = [{(r.seed, r.alpha, r.node): r.score for r in many.collect()}]
+        for df in (power.power_iteration(plain, 0, 0.3, tol=0.03), power.neumann_scores(plain, 0, 0.3, 12), power.power_iteration(e, host, 0.3, "drop", 8), power.power_iteration(e, None, 0.3, rounds=8)):
+            scores_.append({r.node: r.score for r in df.collect()})
+        base, extra, labels, h = sybil.build(spark, sf, 6, sizes=(50, 200, 100))
+        m = sybil.scenario_measures(base, extra, labels, [(0, 0.5), (6, 0.5)], h, 30)
+        scores_.append({(r.attack, c): r[c] for r in m.collect() for c in ("auroc", "fp_mean", "fn_mean", "fp_at", "fn_at") if r[c] is not None})
+        return out, scores_
+
+    near, near_scores = rows()
+    for module in (walks, sybil):
+        monkeypatch.setattr(module, "BROADCAST_EDGES", -1)
+    monkeypatch.setattr(power, "BROADCAST_SCORES", 0)
+    for df in (e, plain):
+        df._peertrust_local = None
+    far, far_scores = rows()
+    assert near == far and any(s > 0 for *_, s, _ in near[0])
+    for a, b in zip(near_scores, far_scores, strict=True):
+        assert a == pytest.approx(b, abs=1e-12)
+
+
+def test_numbers_and_running_sums(spark):
+    from peertrust.sources.tables import numbered, running_sums
+
+    df = spark.range(1000).select((F.col("id") * 7919 % 1009).alias("k")).distinct()
+    got = numbered(df.repartition(6), "k").orderBy("k").collect()
+    assert [r.place for r in got] == list(range(1000))
+    sums = running_sums(numbered(df, "k").withColumn("place", F.col("place") + 1), "place", ["k"], block=37).orderBy("place").collect()
+    assert [r.k for r in sums] == np.cumsum(sorted(r.k for r in df.collect())).tolist()
+    assert numbered(df.limit(0), "k").count() == 0
+
+
+def test_long_walks_need_another_strategy(spark):
+    with pytest.raises(ValueError, match="another strategy"):
+        walks.simulate_walks(edges(spark, (1, 2, 1)), 1, 3, 0.1, strategy="recursive")
+    assert walks.simulate_walks(edges(spark, (1, 2, 1)), 1, 3, 0.1, strategy="recursive", max_steps=20).count() >= 3
+
+
+@pytest.mark.parametrize("strategy", ["local", "broadcast"])
+def test_coins_and_crossings(spark, strategy):
+    old = edges(spark, (0, 1, 2), (1, 2, 3), (2, 0, 1), (4, 0, 2), (0, 4, 1))
+    more = edges(spark, (0, 1, 5), (1, 2, 3), (1, 3, 2), (2, 0, 1), (4, 0, 2), (0, 4, 1), (3, 0, 1), (3, 4, 1), (5, 0, 1))
+    apply = lambda w, a, b, policy: incremental.apply_changes(w, a, b, 1, policy=policy, strategy=strategy)
+    for a, b, policy in ((old, more, "coin"), (more, edges(spark, (0, 4, 1), (1, 2, 3), (4, 0, 2), (3, 0, 1)), None), (more, edges(spark, (0, 1, 5), (1, 3, 2), (2, 0, 1), (4, 0, 2), (3, 4, 1)), "crossing")):
+        before = cut(walks.simulate_walks(a, 0, 20_000))
+        if policy is None:  # weights of no other edge change, so this is a departure, too
+            policy = "crossing"
+        after = cut(apply(before, a, b, policy))
+        assert metrics.linf(est.estimate(after), power.power_iteration(b, 0, 0.3, rounds=300)) < 0.012
+        moved = {r.walk_id for r in after.filter("gen = 1").collect()}
+        full = {r.walk_id for r in incremental.affected(before, incremental.changed_sources(a, b)).collect()}
+        assert moved < full
+        wrong = "crossing" if policy == "coin" else "coin"
+        with pytest.raises(ValueError, match=f"{wrong} is for"):
+            apply(before, a, b, wrong)
+
+
+def test_nodes_that_come(spark):
+    e = edges(spark, (1, 2, 3), (2, 1, 1))
+    ops = spark.createDataFrame([("add_node", 9, None, None, None), ("add_node", 8, None, None, None), ("add", 1, 9, None, 4), ("drop_node", 2, None, None, None)], "op string, src long, dst long, w_old long, w_new long")
+    rows = incremental.expand_changes(ops, e)
+    assert sorted((r.op, r.src) for r in rows.collect()) == [("add", 1), ("add_node", 8), ("add_node", 9), ("remove", 1), ("remove", 2)]
+    assert [tuple(r) for r in incremental.apply_to_edges(e, rows).collect()] == [(1, 9, 4)]
+    assert sorted(r.node for r in incremental.apply_to_nodes(graph.nodes(e), ops).collect()) == [1, 8, 9]
+
+
+def test_suspects_without_labels(spark):
+    """Two communities with few links between them: the sweep finds the seed's own."""
+    rng = np.random.default_rng(3)
+    rows = {}
+    for k in (0, 40):
+        for a in range(40):
+            for b in rng.choice(40, 6, replace=False):
+                if a != b:
+                    rows[k + a, k + int(b)] = 5
+    true = [(3, 50, 4), (50, 3, 4), (20, 70, 4), (70, 20, 4)]
+    e = edges(spark, *((a, b, w) for (a, b), w in rows.items()), *true)
+    own = {r.node for r in sybil.community(power.power_iteration(sybil.both_ways(e), 0, 0.02, rounds=100), e, share=0.6).collect()}
+    assert own == set(range(40))
+    w = cut(walks.simulate_walks(e, 0, 2_000, 0.1))
+    found = cut(sybil.suspect_edges(w, spark.createDataFrame([(n,) for n in own], "node long")))
+    assert {(r.src, r.dst) for r in found.collect()} == {(a, b) for a, b, _ in true}
+    quality = sybil.detection_quality(found, w, e, edges(spark, *true)).first()
+    assert (quality.attack_edges, quality.suspects, quality.hits, quality.auroc) == (4, 4, 4, 1.0)
+
+
+def test_attack_edges_are_found_in_the_experiment(spark):
+    from peertrust.queries.detection import QUERIES
+
+    r = QUERIES["sybil_suspect_quality"](spark, "/root/testdata/sf0.01").first()
+    assert r.hits >= 0.8 * r.attack_edges and r.hits >= 0.8 * r.suspects and r.auroc > 0.9
+
+
+def test_scenario_measures_are_those_of_tables(spark, sf):
+    base, extra, labels, h = sybil.build(spark, sf, 10, sizes=(50, 200, 100))
+    grid = [(0, 0.1), (10, 0.1), (10, 0.7)]
+    for drop in (False, True):
+        a = sybil.scenario_measures(base, extra, labels, grid, h, 60, drop_unvisited=drop).orderBy("attack", "alpha").collect()
+        b = sybil.evaluate(cut(sybil.scenario_walks(base, extra, grid, 60)), labels, h, drop).orderBy("attack", "alpha").collect()
+        for x, y in zip(a, b, strict=True):
+            assert all((x[c] is None and y[c] is None) or x[c] == pytest.approx(y[c], abs=1e-12) for c in y.asDict())
+
+
+def test_updates_are_cheaper_than_new_runs(spark):
+    from peertrust.queries.workloads import update_speed
+
+    rows = {r.way: r for r in update_speed(spark, "/root/testdata/sf0.01", "trades").collect()}
+    first, scratch = rows["first"], rows["scratch"]
+    for policy in ("source_visit", "coupling"):
+        assert rows[f"update by {policy}"].hops < scratch.hops / (2.7 if policy == "coupling" else 1) and rows[f"update by {policy}"].seconds < scratch.seconds
+        assert rows[f"update by {policy}"].l2 <= 2 * max(first.l2, scratch.l2)
 
 
 def test_store_spreads_its_load(spark, sf):
