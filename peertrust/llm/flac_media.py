@@ -98,8 +98,31 @@ def _per_frame(x: np.ndarray, start: np.ndarray) -> np.ndarray:
     return np.add.reduceat(x, start, dtype=np.int64)
 
 
+#: Frames that are encoded together: their arrays stay in the processor's cache.
+_GROUP = 128
+
+
 def encode_frames(payload: np.ndarray, start: np.ndarray, size: np.ndarray, number: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """The encoded frames of ``payload[start : start + size]``, and their bounds."""
+    """The encoded frames of ``payload[start : start + size]``, which lie one after
+    another, and their bounds."""
+    parts, heads, sizes = [], [], []
+    for i in range(0, len(start), _GROUP):
+        g = slice(i, i + _GROUP)
+        a, b = start[g][0], start[g][-1] + size[g][-1]
+        part, bounds, head_n = _frames_without_checksums(payload[a:b], start[g] - a, size[g], number[g])
+        parts.append(part)
+        heads.append(head_n)
+        sizes.append(np.diff(bounds))
+    out, head_n, frame_n = (np.concatenate(x) for x in (parts, heads, sizes))
+    bounds = np.concatenate([[0], np.cumsum(frame_n)])
+    out[bounds[:-1] + head_n] = crcs(out, bounds[:-1], head_n, 8).astype(np.uint8)
+    tail = crcs(out, bounds[:-1], frame_n - 2, 16)
+    out[bounds[1:] - 2], out[bounds[1:] - 1] = (tail >> 8).astype(np.uint8), (tail & 255).astype(np.uint8)
+    return out, bounds
+
+
+def _frames_without_checksums(payload: np.ndarray, start: np.ndarray, size: np.ndarray, number: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Frames whose checksums are zero, their bounds, and the lengths of their headers."""
     n_frames = len(start)
     s = payload.astype(np.int32) - 128
     total = len(s)
@@ -182,10 +205,7 @@ def encode_frames(payload: np.ndarray, start: np.ndarray, size: np.ndarray, numb
     joined = np.frombuffer(b"".join(heads), np.uint8)
     to = np.repeat(bounds[:-1], head_n) + (np.arange(len(joined)) - np.repeat(np.cumsum(head_n) - head_n, head_n))
     out[to] = joined
-    out[bounds[:-1] + head_n] = crcs(out, bounds[:-1], head_n, 8).astype(np.uint8)
-    tail = crcs(out, bounds[:-1], frame_n - 2, 16)
-    out[bounds[1:] - 2], out[bounds[1:] - 1] = (tail >> 8).astype(np.uint8), (tail & 255).astype(np.uint8)
-    return out, bounds
+    return out, bounds, head_n
 
 
 def padded(data: bytes) -> bytes:
