@@ -2,8 +2,11 @@
 
 from __future__ import annotations
 
+import atexit
 import contextlib
 import ctypes
+import re
+import shutil
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -17,28 +20,38 @@ from pyspark.sql import functions as F
 def shared_dir(spark: SparkSession) -> str:
     """Folder that driver and executors share: ``spark.checkpoint.dir``.
 
-    Only where the session names none (tests, a single machine) a temporary
-    folder is made and set as the checkpoint folder.
+    Only where the session names none and all runs on one machine (tests), a temporary
+    folder is made and set as the checkpoint folder; elsewhere that is an error.
     """
     path = spark.conf.get("spark.checkpoint.dir", None)
     if not path:
         sc = spark.sparkContext
         current = sc._jsc.sc().getCheckpointDir()
-        path = current.get() if current.isDefined() else tempfile.mkdtemp(prefix="peertrust-")
-        if not current.isDefined():
+        if current.isDefined():
+            path = current.get()
+        elif re.match(r"local(\[|$)", sc.master):
+            path = tempfile.mkdtemp(prefix="peertrust-")
+            atexit.register(shutil.rmtree, path, ignore_errors=True)
             sc.setCheckpointDir(path)
+        else:
+            raise RuntimeError("spark.checkpoint.dir has to name a folder that all executors share")
     return path.rstrip("/")
 
 
 def saved(df: DataFrame) -> DataFrame:
     """``df`` written once as Parquet in the shared folder and read back.
 
-    Cuts the lineage, so a lost executor costs a re-read and not a recompute.
+    Cuts the lineage, so a lost executor costs a re-read and not a recompute.  The files
+    go when the session ends.
     """
     spark = df.sparkSession
-    path = f"{shared_dir(spark)}/peertrust-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    folder = f"{shared_dir(spark)}/peertrust-{uuid.uuid4().hex}"
+    target = spark._jvm.org.apache.hadoop.fs.Path(folder)
+    fs = target.getFileSystem(spark._jsc.hadoopConfiguration())
+    fs.mkdirs(target)
+    fs.deleteOnExit(target)
+    df.write.parquet(f"{folder}/data")
+    return spark.read.schema(df.schema).parquet(f"{folder}/data")
 
 
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
