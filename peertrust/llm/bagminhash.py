@@ -59,8 +59,8 @@ _BLOCK = 1024
 #: Rows and bytes of a block of a bucket, and of the work of one task, in the last step.
 _BLOCK_ROWS, _BLOCK_BYTES = 4_096, 4 << 20
 _GROUP_ROWS, _GROUP_BYTES = 10_000, 8 << 20
-#: Shingles whose occurrences are told apart together.
-_OVERLAP_SHINGLES = 1 << 18
+#: Shingles whose occurrences are told apart together, of at most so many sets.
+_OVERLAP_SHINGLES, _OVERLAP_SETS = 1 << 18, 512
 
 
 def shingle_multisets(buf: np.ndarray, offsets: np.ndarray, k: int = SHINGLE) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -325,9 +325,10 @@ def overlaps(sets: list[np.ndarray], x: slice, y: slice) -> np.ndarray:
 
 
 def _parts(rows: np.ndarray, n: np.ndarray) -> list[np.ndarray]:
-    """The rows in runs whose multisets have ``_OVERLAP_SHINGLES`` elements together."""
-    cut = np.flatnonzero(np.diff(np.cumsum(n[rows]) // _OVERLAP_SHINGLES)) + 1
-    return np.split(rows, cut)
+    """The rows in runs of at most ``_OVERLAP_SETS``, whose multisets have some
+    ``_OVERLAP_SHINGLES`` elements together."""
+    heavy, many = np.cumsum(n[rows]) // _OVERLAP_SHINGLES, np.arange(len(rows)) // _OVERLAP_SETS
+    return np.split(rows, np.flatnonzero((np.diff(heavy) > 0) | (np.diff(many) > 0)) + 1)
 
 
 def _exact_links(similarity: float):

@@ -126,3 +126,28 @@ def test_a_bucket_of_unlike_documents_in_many_blocks(spark, monkeypatch):
             docs.append((1000 + i, " ".join([*base, *own[:-3], "z", "y", "x"])))
     df = spark.createDataFrame(docs, "doc_id long, text string")
     assert {r.doc_id: r.class_id for r in bag.near_duplicate_classes(df).collect()} == classes(docs)
+
+
+def test_parts_are_bounded_by_sets_and_by_shingles():
+    n = np.concatenate([np.full(3_000, 2), np.full(5, 200_000), [1 << 20], np.full(700, 1)])
+    parts = bag._parts(np.arange(len(n)), n)
+    assert np.concatenate(parts).tolist() == list(range(len(n)))
+    assert max(map(len, parts)) <= bag._OVERLAP_SETS
+    assert all(n[p].sum() - n[p].max() <= 2 * bag._OVERLAP_SHINGLES for p in parts)  # besides a single large one
+
+
+def test_memory_of_many_short_sets():
+    """Thousands of short, unlike members of one bucket: no matrix over all of them."""
+    import tracemalloc
+
+    import pyarrow as pa
+
+    rng = np.random.default_rng(1)
+    n, size = 6_000, 12
+    sets = [np.sort(np.concatenate([np.arange(4), rng.integers(10, 1 << 60, size - 4)]).astype(np.uint64)) for _ in range(n)]
+    zero = np.zeros(n, np.int64)
+    table = pa.table({"key": zero, "x": zero.astype(np.int32), "y": zero.astype(np.int32), "mine": zero.astype(np.int32), "rep": np.arange(n), "label": np.arange(n), "n": np.full(n, size), "multiset": pa.array([s.tobytes() for s in sets], pa.binary())})
+    tracemalloc.start()
+    assert bag._exact_links(0.8)(table).num_rows == 0
+    assert tracemalloc.get_traced_memory()[1] < 150 << 20
+    tracemalloc.stop()
