@@ -14,7 +14,7 @@ from pyspark.sql import types as T
 from pyspark.sql.functions import udtf
 
 from peertrust.functions.rng import RNG_SEED
-from peertrust.walks import Adjacency, local_edges, run_walks, step_cap
+from peertrust.walks import Adjacency, local_edges, run_walks, shared_edges, step_cap
 
 
 @F.pandas_udf(T.LongType())
@@ -64,16 +64,16 @@ class RocPoints:
 
 def register_walk(spark: SparkSession, edges: DataFrame, name: str = "walk") -> None:
     """A table function ``walk(seed, walk_id, alpha)`` on a graph that is small enough
-    to go with it: its rows are ``step, node``."""
-    found, _ = local_edges(edges, 200_000)
+    to be broadcast: its rows are ``step, node``."""
+    found, kept = local_edges(edges)
     if found is None:
         raise ValueError("the graph is too large for a table function")
-    arrays = tuple(found[c].to_numpy() for c in ("src", "dst", "w"))
+    shared = shared_edges(spark, found, kept)
 
     @udtf(returnType="step: int, node: long")
     class Walk:
         def __init__(self):
-            self.graph = Adjacency(*arrays)
+            self.graph = Adjacency(*shared.value)
 
         def eval(self, seed: int, walk_id: int, alpha: float):
             task = pd.DataFrame({"walk_id": [walk_id], "seed": [seed], "gen": [0], "step": [0], "node": [seed]})

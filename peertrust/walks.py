@@ -33,8 +33,10 @@ from peertrust.schemas import WALK
 from peertrust.sources.tables import cut, numbered
 from peertrust.transition import binned_cdf, cdf
 
-#: Edges up to which the adjacency (24 bytes an edge) is sent to every task.
-BROADCAST_EDGES = 4_000_000
+#: Edges up to which the adjacency (12 to 24 bytes an edge) is sent to every task.
+BROADCAST_EDGES = 8_000_000
+#: Edges up to which the driver works on them itself; it only passes on larger graphs.
+LOCAL_EDGES = 1_000_000
 
 
 def step_cap(alpha: float, miss: float = 1e-9) -> int:
@@ -98,6 +100,17 @@ def run_walks(graph: Adjacency, tasks: pd.DataFrame, alpha: np.ndarray, rng_seed
     return pd.concat(out)[list(columns)].astype(columns) if out else pd.DataFrame({c: pd.Series(dtype=t) for c, t in columns.items()})
 
 
+def collected(df: DataFrame) -> pd.DataFrame:
+    """``df`` on the driver, as Arrow columns and not as objects of Python."""
+    return df.toArrow().to_pandas(split_blocks=True, self_destruct=True)
+
+
+def _narrow(column: np.ndarray) -> np.ndarray:
+    """Whole numbers in four bytes where they fit."""
+    fits = not len(column) or (column.min() >= -(1 << 31) and column.max() < 1 << 31)
+    return column.astype(np.int32) if fits else column
+
+
 def local_edges(edges: DataFrame, limit: int | None = None) -> tuple[pd.DataFrame | None, DataFrame]:
     """The edges on the driver, if they are few enough to be broadcast, and the edges
     computed once.  They are counted before any is sent."""
@@ -108,10 +121,18 @@ def local_edges(edges: DataFrame, limit: int | None = None) -> tuple[pd.DataFram
     if kept._peertrust_rows > limit:
         return None, kept
     if getattr(kept, "_peertrust_local", None) is None:
-        kept._peertrust_local = kept.select("src", "dst", "w").toPandas()
+        rows = kept.select("src", "dst", "w").toArrow()
+        kept._peertrust_local = pd.DataFrame({c: _narrow(rows.column(c).to_numpy()) for c in rows.column_names}, copy=False)
     return kept._peertrust_local, kept
 
 
+def shared_edges(spark: SparkSession, found: pd.DataFrame, kept: DataFrame):
+    """Collected edges as a broadcast of arrays, made once a frame."""
+    if getattr(kept, "_peertrust_shared", None) is None:
+        kept._peertrust_shared = spark.sparkContext.broadcast(tuple(found[c].to_numpy() for c in ("src", "dst", "w")))
+    return kept._peertrust_shared
+
+
 def starts(spark: SparkSession, seeds: list[int] | int, n_walks: int) -> DataFrame:
     """``n_walks`` walks from each seed; ``walk_id`` is unique over seeds."""
     seeds = [seeds] if isinstance(seeds, int) else list(seeds)
@@ -147,7 +168,7 @@ def advance(edges: DataFrame, tasks: DataFrame, alpha: float, rng_seed: int = RN
         if (found is None or n_jump > BROADCAST_EDGES) and strategy == "broadcast":
             raise ValueError(f"more than {BROADCAST_EDGES} edges or nodes cannot be broadcast")
         if found is not None and n_jump <= BROADCAST_EDGES:
-            shared = tasks.sparkSession.sparkContext.broadcast(tuple(found[c].to_numpy() for c in ("src", "dst", "w")))
+            shared = shared_edges(tasks.sparkSession, found, edges)
             nodes = None if jump is None else np.sort(jump.toPandas()["node"].to_numpy())
 
             def run(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
