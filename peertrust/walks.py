@@ -49,7 +49,7 @@ class Adjacency:
 
     def __init__(self, src: np.ndarray, dst: np.ndarray, w: np.ndarray):
         order = np.lexsort((dst, src))
-        self.dst, w = dst[order], w[order]
+        self.dst, w = dst[order], w[order].astype(np.int64)
         self.sources, first = np.unique(src[order], return_index=True)
         self.ends = np.cumsum(w)
         self.base = np.concatenate([[0], self.ends])[first] if len(first) else np.empty(0, np.int64)
@@ -66,7 +66,7 @@ class Adjacency:
 
     def hop(self, place: np.ndarray, draw: np.ndarray) -> np.ndarray:
         pick = draw * self.total[place] >> 32
-        return self.dst[np.searchsorted(self.ends, self.base[place] + pick, side="right")]
+        return self.dst[np.searchsorted(self.ends, self.base[place] + pick, side="right")].astype(np.int64)
 
 
 def draws(seed: int, tag: str, walk: np.ndarray, gen: np.ndarray, step) -> np.ndarray:
@@ -169,7 +169,7 @@ def advance(edges: DataFrame, tasks: DataFrame, alpha: float, rng_seed: int = RN
             raise ValueError(f"more than {BROADCAST_EDGES} edges or nodes cannot be broadcast")
         if found is not None and n_jump <= BROADCAST_EDGES:
             shared = shared_edges(tasks.sparkSession, found, edges)
-            nodes = None if jump is None else np.sort(jump.toPandas()["node"].to_numpy())
+            nodes = None if jump is None else np.sort(collected(jump)["node"].to_numpy())
 
             def run(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
                 graph = Adjacency(*shared.value)
