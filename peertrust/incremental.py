@@ -33,7 +33,7 @@ from peertrust.graph import diff_edges
 from peertrust.schemas import WALK
 from peertrust.sources.tables import cut
 from peertrust.transition import cdf, transitions
-from peertrust.walks import Adjacency, advance, draws, local_edges, run_walks, step_cap
+from peertrust.walks import LOCAL_EDGES, Adjacency, advance, collected, draws, local_edges, run_walks, step_cap
 
 POLICIES = ("source_visit", "coupling", "coin", "crossing")
 
@@ -145,7 +145,7 @@ def _cuts(walks: DataFrame, old: DataFrame, new: DataFrame, gen: int, alpha: flo
 def apply_changes(walks: DataFrame, old: DataFrame, new: DataFrame, gen: int, alpha: float = 0.3, policy: str = "source_visit", rng_seed: int = RNG_SEED, strategy: str = "auto", cap: int | None = None, seed_must_stay: bool = False) -> DataFrame:
     """The walks on the graph ``new``.  ``gen`` numbers the update, from 1 on.
     Untouched walks keep their rows.  ``seed_must_stay``: a seed that has lost its last
-    edge is an error."""
+    edge is an error.  ``strategy`` ``joins``: by tables, whatever the sizes."""
     if policy not in POLICIES:
         raise ValueError(f"unknown policy {policy}")
     if seed_must_stay:
@@ -158,15 +158,17 @@ def apply_changes(walks: DataFrame, old: DataFrame, new: DataFrame, gen: int, al
         if small is not None:
             after = local_update(small[0], *small[1:], gen, alpha, policy, rng_seed, cap)
             return walks.sparkSession.createDataFrame(after, WALK)
+    if strategy in ("local", "joins"):
         strategy = "auto"
+    was, now = (_seen(walks, e) for e in (old, new)) if policy in ("source_visit", "coupling") else (old, new)
     seeds = walks.filter("step = 0").select("walk_id", "seed")
     if policy == "source_visit":
-        cuts = cut(affected(walks, changed_sources(old, new)))
+        cuts = cut(affected(walks, changed_sources(was, now)))
         tasks = walks.join(cuts.withColumnRenamed("cut", "step"), ["walk_id", "step"]).select("walk_id", "seed", F.lit(gen).alias("gen"), "step", "node")
         first = None
     else:
         found = {
-            "coupling": lambda: _cuts(walks, old, new, gen, alpha, rng_seed), "coin": lambda: _coin_cuts(walks, old, new, gen, alpha, rng_seed), "crossing": lambda: _crossing_cuts(walks, old, new, gen, rng_seed)
+            "coupling": lambda: _cuts(walks, was, now, gen, alpha, rng_seed), "coin": lambda: _coin_cuts(walks, old, new, gen, alpha, rng_seed), "crossing": lambda: _crossing_cuts(walks, old, new, gen, rng_seed)
         }[policy]()
         cuts = cut(found)
         first = cuts.filter("next IS NOT NULL").join(seeds, "walk_id").select("walk_id", "seed", F.lit(gen).alias("gen"), (F.col("cut") + 1).cast("int").alias("step"), F.col("next").alias("node"))
@@ -177,20 +179,25 @@ def apply_changes(walks: DataFrame, old: DataFrame, new: DataFrame, gen: int, al
     return out.unionByName(first) if first is not None else out
 
 
+def _seen(walks: DataFrame, edges: DataFrame) -> DataFrame:
+    """Edges of the sources that walks visit: no other law can change a walk."""
+    return cut(edges.join(walks.select(F.col("node").alias("src")).distinct(), "src", "left_semi").select("src", "dst", "w"))
+
+
 #: Visits up to which walks are updated in one place (32 bytes each).
 LOCAL_VISITS = 4_000_000
 
 
 def _small(walks: DataFrame, old: DataFrame, new: DataFrame) -> tuple | None:
     """Walks and both graphs on the driver, if they are counted to be small."""
-    a, _ = local_edges(old)
+    a, _ = local_edges(old, LOCAL_EDGES)
     if a is None:
         return None
-    b, _ = local_edges(new)
+    b, _ = local_edges(new, LOCAL_EDGES)
     kept = cut(walks.select("walk_id", "seed", "gen", "step", "node"))
     if b is None or kept.count() > LOCAL_VISITS:
         return None
-    return kept.toPandas(), a, b
+    return collected(kept), a, b
 
 
 def local_update(walks: pd.DataFrame, old: pd.DataFrame, new: pd.DataFrame, gen: int, alpha: float = 0.3, policy: str = "source_visit", rng_seed: int = RNG_SEED, cap: int | None = None) -> pd.DataFrame:

@@ -81,7 +81,7 @@ def _tables_form(spark, d, policy):
     """The same update by joins, as graphs beyond one place need it."""
     old, new = holdout(t.peer_edges(spark, d))
     before = t.cut(walks.simulate_walks(old, SEED, WALKS, ALPHA))
-    return incremental.apply_changes(before, old, new, 1, ALPHA, policy, strategy="broadcast")
+    return incremental.apply_changes(before, old, new, 1, ALPHA, policy, strategy="joins")
 
 
 def _drop_node(spark, d):
