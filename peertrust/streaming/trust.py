@@ -6,6 +6,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -18,7 +19,8 @@ from peertrust.power import ROUNDS, power_iteration, solve
 from peertrust.schemas import PROPS, WALK
 from peertrust.sources.files import write_in_order
 from peertrust.sources.tables import DOWN_KINDS, UP_KINDS, cut
-from peertrust.walks import BROADCAST_EDGES, Adjacency, run_walks, simulate_walks, step_cap
+from peertrust.streaming.operators import drain
+from peertrust.walks import LOCAL_EDGES, Adjacency, collected, run_walks, simulate_walks, step_cap
 
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
@@ -83,7 +85,7 @@ class TrustStore:
     of more pairs wait for the next ones, in hashed order, so load is even and walks
     always belong to one graph (that of the pairs taken in so far)."""
 
-    LOCAL_PAIRS = BROADCAST_EDGES
+    LOCAL_PAIRS = LOCAL_EDGES
 
     def __init__(self, spark: SparkSession, seed: int, n_walks: int = 300, alpha: float = 0.3, policy: str = "coupling", refresh: RefreshPolicy | None = None, max_pairs: int | None = None, seed_must_stay: bool = False):
         self.max_pairs, self.waiting, self.seed_must_stay = max_pairs, None, seed_must_stay
@@ -92,23 +94,27 @@ class TrustStore:
         self.batch, self.rebuilds, self.errors, self.hops = 0, 0, [], 0
         self._net: pd.DataFrame | DataFrame = pd.DataFrame({c: pd.Series(dtype="int64") for c in ("a", "b", "net")})
         self._walks: pd.DataFrame | DataFrame | None = None
+        self._edges: DataFrame | None = None  # of a store of tables
+        self._exact: DataFrame | None = None
 
     @property
     def local(self) -> bool:
-        return isinstance(self._net, pd.DataFrame)
+        return self._edges is None
 
     def _frame(self, x: pd.DataFrame | DataFrame, schema) -> DataFrame:
-        return self.spark.createDataFrame(x, schema) if isinstance(x, pd.DataFrame) else x
+        return self.spark.createDataFrame(pa.Table.from_pandas(x, preserve_index=False), schema) if isinstance(x, pd.DataFrame) else x
 
     @property
     def edges(self) -> DataFrame:
-        return edges_from_net(self._frame(self._net, "a long, b long, net long"))
+        return self._edges if self._edges is not None else edges_from_net(self._frame(self._net, "a long, b long, net long"))
 
     @property
     def walks(self) -> DataFrame | None:
         return None if self._walks is None else self._frame(self._walks, WALK)
 
-    def update(self, transfers: DataFrame) -> None:
+    def update(self, transfers: DataFrame, like: TrustStore | None = None) -> None:
+        """``like``: a store that has taken in the same transfers so far, these included;
+        its tables are this store's, too."""
         delta = net_by_pair(transfers)
         if self.waiting is not None:
             delta = self.waiting.union(delta).groupBy("a", "b").agg(F.sum("net").alias("net"))
@@ -121,17 +127,24 @@ class TrustStore:
         if self.local:
             delta = cut(delta)
             if len(self._net) + delta.count() <= self.LOCAL_PAIRS and (self._walks is None or len(self._walks) <= LOCAL_VISITS):
-                return self._update_local(delta.toPandas())
-            self._net, self._walks = cut(self._frame(self._net, "a long, b long, net long")), self.walks
-        old = self.edges
-        self._net = cut(self._net.union(delta).groupBy("a", "b").agg(F.sum("net").alias("net")))
+                return self._update_local(collected(delta))
+            self._edges, self._walks = cut(edges_from_net(self._frame(self._net, "a long, b long, net long"))), self.walks
+        # a pair that is even has no edge, and adds nothing to what comes
+        self._net = self._edges.select(F.least("src", "dst").alias("a"), F.greatest("src", "dst").alias("b"), F.when(F.col("src") > F.col("dst"), F.col("w")).otherwise(-F.col("w")).alias("net"))
+        old = self._edges
+        shared = like is not None and not like.local and self.max_pairs is None and like.max_pairs is None
+        self._edges = like._edges if shared else cut(edges_from_net(self._net.union(delta).groupBy("a", "b").agg(F.sum("net").alias("net"))))
+        self._exact = None
         if self._walks is None or self.refresh.due(self.batch, self._last_error()):
-            self._walks, self.rebuilds = cut(simulate_walks(self.edges, self.seed, self.n_walks, self.alpha)), self.rebuilds + 1
+            self._walks, self.rebuilds = cut(simulate_walks(self._edges, self.seed, self.n_walks, self.alpha)), self.rebuilds + 1
+            self.hops = self._walks.filter("step > 0").count()
         else:
-            self._walks = cut(apply_changes(self._walks, old, self.edges, self.batch, self.alpha, self.policy, seed_must_stay=self.seed_must_stay))
+            self._walks = cut(apply_changes(self._walks, old, self._edges, self.batch, self.alpha, self.policy, seed_must_stay=self.seed_must_stay))
+            self.hops = self._walks.filter(F.col("gen") == self.batch).count()
         if self.refresh.max_error is not None:
-            exact = power_iteration(self.edges, self.seed, self.alpha)
-            self.errors.append(metrics.l2(self.scores(), exact))
+            if shared and (like.seed, like.alpha) == (self.seed, self.alpha):
+                self._exact = like._exact
+            self.errors.append(self.measured_error()["l2"])
 
     def _last_error(self) -> float | None:
         return self.errors[-1] if self.errors else None
@@ -161,7 +174,12 @@ class TrustStore:
             self.errors.append(self.measured_error()["l2"])
 
     def measured_error(self) -> dict[str, float]:
-        """Distance of the walks' scores to power iteration (of a local store)."""
+        """Distance of the walks' scores to power iteration."""
+        if not self.local:
+            if self._exact is None:
+                self._exact = cut(power_iteration(self._edges, self.seed, self.alpha))
+            row = metrics.differences(self.scores(), self._exact).first()
+            return {"l2": row.l2, "linf": row.linf}
         edges = self._arrays(self._net)
         node = np.unique(np.concatenate([edges["src"], edges["dst"], [self.seed]]))
         exact, _ = solve(*(edges[c].to_numpy() for c in ("src", "dst", "w")), node, self.seed, self.alpha, "seed", ROUNDS)
@@ -178,8 +196,9 @@ def stream_trust(events: DataFrame, n_peers: int, store: TrustStore | list[Trust
 
     def feed(batch: DataFrame, _: int) -> None:
         transfers = cut(transfers_of(batch, n_peers))
-        for one in stores:
-            one.update(transfers)
+        stores[0].update(transfers)
+        for one in stores[1:]:
+            one.update(transfers, stores[0])
 
     return events.writeStream.queryName(query_name).option("checkpointLocation", checkpoint).trigger(availableNow=True).foreachBatch(feed).start()
 
@@ -199,3 +218,14 @@ def pair_nets_stateful(transfers: DataFrame) -> DataFrame:
     given = F.when(F.col("p") < F.col("q"), F.col("up") - F.col("down")).otherwise(F.col("down") - F.col("up"))
     rows = transfers.select(F.least("p", "q").alias("a"), F.greatest("p", "q").alias("b"), given.alias("g"))
     return rows.groupBy("a", "b").applyInPandasWithState(step, "a long, b long, net long, flipped boolean", "net long", "append", "NoTimeout")
+
+
+def pair_nets_by_batch(transfers: DataFrame) -> DataFrame:
+    """``a, b, net, flipped`` after each micro-batch of a pair, for all that the stream has
+    now.  The state is that of a streaming sum, so no pair is a call of Python; where the
+    sign turned is told from a pair's nets in the order of the micro-batches."""
+    given = F.when(F.col("p") < F.col("q"), F.col("up") - F.col("down")).otherwise(F.col("down") - F.col("up"))
+    rows = transfers.select(F.least("p", "q").alias("a"), F.greatest("p", "q").alias("b"), given.alias("g"))
+    nets = drain(rows.groupBy("a", "b").agg(F.sum("g").alias("net")), "update", every=True)
+    before = F.coalesce(F.lag("net").over(Window.partitionBy("a", "b").orderBy("number")), F.lit(0))
+    return nets.select("a", "b", "net", (F.signum(before) * F.signum("net") < 0).alias("flipped"))
