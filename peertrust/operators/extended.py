@@ -13,7 +13,7 @@ from peertrust.queries import sqltext as s
 from peertrust.sources import files
 from peertrust.sources.tables import load, peer_edges, scratch
 from peertrust.streaming import operators as st
-from peertrust.streaming.trust import ledger_files, pair_nets_stateful, stream_events, transfers_of
+from peertrust.streaming.trust import ledger_files, pair_nets_by_batch, stream_events, transfers_of
 
 
 def _by_day(spark, d):
@@ -78,7 +78,7 @@ def _flips(spark, d):
     path = scratch(spark, "ledger-parts")
     ledger_files(load(spark, d, "events"), path, "volume", _PARTS)
     n = load(spark, d, "events").select("user_id").distinct().count()
-    return st.drain(pair_nets_stateful(transfers_of(stream_events(spark, path, "*.parquet"), n))).select("a", "b", "net", "flipped")
+    return pair_nets_by_batch(transfers_of(stream_events(spark, path, "*.parquet"), n)).select("a", "b", "net", "flipped")
 
 
 def _jdbc(spark, d):

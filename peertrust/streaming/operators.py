@@ -10,10 +10,11 @@ from pyspark.sql.types import LongType, StructField, StructType
 from peertrust.sources.tables import scratch
 
 
-def drain(stream: DataFrame, mode: str = "append", checkpoint: str | None = None, keys: list[str] | None = None) -> DataFrame:
+def drain(stream: DataFrame, mode: str = "append", checkpoint: str | None = None, keys: list[str] | None = None, every: bool = False) -> DataFrame:
     """All that is there now, through Parquet files in the shared folder.  Rows of mode
     ``append`` are kept as they come; of ``complete`` the last micro-batch is the result;
-    of ``update`` the last row of each of the ``keys``."""
+    of ``update`` the last row of each of the ``keys`` (with ``every`` all rows, and the
+    ``number`` of their micro-batch)."""
     spark = stream.sparkSession
     path = scratch(spark, "drained")
     writer = stream.writeStream.option("checkpointLocation", checkpoint or f"{path}-state").outputMode(mode).trigger(availableNow=True)
@@ -33,6 +34,8 @@ def drain(stream: DataFrame, mode: str = "append", checkpoint: str | None = None
     rows = spark.read.schema(StructType([*stream.schema.fields, StructField("number", LongType())])).parquet(path)
     if mode == "complete":
         return rows.filter(F.col("number") == (last[0] if last else -1)).drop("number")
+    if every:
+        return rows
     rest = [c for c in stream.columns if c not in keys]
     newest = rows.groupBy(*keys).agg(F.max(F.struct("number", *rest)).alias("v"))
     return newest.select(*keys, *[F.col(f"v.{c}").alias(c) for c in rest]).select(*stream.columns)
