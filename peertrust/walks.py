@@ -6,7 +6,8 @@ Coins and hops are hashes of ``(walk, gen, step)``, and hops pick from whole-num
 intervals, so every strategy below gives the same rows:
 
 * ``broadcast``: the adjacency, checked to be small enough, goes to all tasks and
-  walks run there from end to end, all walks of a task in step.  No shuffle.
+  walks run there from end to end, all walks of a task in step.  No shuffle.  If the
+  driver had better not hold it, one task gathers it and runs all walks, if these are few.
 * ``frontier``: the ends of the walks meet the intervals in a join, a round a step.
   For graphs that fit no executor.
 * ``binned``: ``frontier`` on binned intervals, an equality join that a hub cannot
@@ -19,12 +20,14 @@ A walk may also go on from a dangling node, at one drawn from a table of nodes
 
 from __future__ import annotations
 
+import functools
 import hashlib
 import math
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -37,6 +40,8 @@ from peertrust.transition import binned_cdf, cdf
 BROADCAST_EDGES = 8_000_000
 #: Edges up to which the driver works on them itself; it only passes on larger graphs.
 LOCAL_EDGES = 1_000_000
+#: Walks up to which one task runs all of them, where the driver does not pass on the graph.
+GATHERED_WALKS = 200_000
 
 
 def step_cap(alpha: float, miss: float = 1e-9) -> int:
@@ -126,6 +131,19 @@ def local_edges(edges: DataFrame, limit: int | None = None) -> tuple[pd.DataFram
     return kept._peertrust_local, kept
 
 
+def gathered(edges: DataFrame, work: Callable[[np.ndarray, np.ndarray, np.ndarray], pd.DataFrame], schema: str) -> DataFrame:
+    """The rows of ``work`` on all edges (``src, dst, w``), computed once, in one task of an
+    executor: the edges do not pass the driver."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        parts = [[_narrow(b.column(c).to_numpy()) for c in ("src", "dst", "w")] for b in batches]
+        columns = [np.concatenate(c) for c in zip(*parts, strict=True)] or [np.empty(0, np.int32)] * 3
+        del parts
+        yield from pa.Table.from_pandas(work(*columns), preserve_index=False).to_batches(10_000)
+
+    return cut(edges.select("src", "dst", "w").repartition(1).mapInArrow(run, schema))
+
+
 def shared_edges(spark: SparkSession, found: pd.DataFrame, kept: DataFrame):
     """Collected edges as a broadcast of arrays, made once a frame."""
     if getattr(kept, "_peertrust_shared", None) is None:
@@ -164,12 +182,19 @@ def advance(edges: DataFrame, tasks: DataFrame, alpha: float, rng_seed: int = RN
     jump = None if jump is None else cut(jump.select("node").distinct())
     n_jump = 0 if jump is None else jump.count()
     if strategy in ("auto", "broadcast"):
-        found, edges = local_edges(edges)
-        if (found is None or n_jump > BROADCAST_EDGES) and strategy == "broadcast":
+        found, edges = local_edges(edges, min(LOCAL_EDGES, BROADCAST_EDGES))
+        fits = max(edges._peertrust_rows, n_jump) <= BROADCAST_EDGES
+        if not fits and strategy == "broadcast":
             raise ValueError(f"more than {BROADCAST_EDGES} edges or nodes cannot be broadcast")
-        if found is not None and n_jump <= BROADCAST_EDGES:
-            shared = shared_edges(tasks.sparkSession, found, edges)
+        if fits:
             nodes = None if jump is None else np.sort(collected(jump)["node"].to_numpy())
+            if found is None:
+                tasks = cut(tasks.select("walk_id", "seed", "gen", "step", "node"))
+                if tasks.count() <= GATHERED_WALKS:
+                    few = collected(tasks)
+                    return gathered(edges, lambda *e: run_walks(Adjacency(*e), few, np.full(len(few), alpha), rng_seed, cap, nodes), WALK)
+                found, edges = local_edges(edges)
+            shared = shared_edges(tasks.sparkSession, found, edges)
 
             def run(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
                 graph = Adjacency(*shared.value)
@@ -216,6 +241,27 @@ def simulate_walks(edges: DataFrame, seeds: list[int] | int, n_walks: int = 300,
     return first.unionByName(advance(edges, first, alpha, rng_seed, strategy, max_steps))
 
 
+def simulate_runs(edges: DataFrame, seed: int, rng_seeds: list[int], n_walks: int = 300, alpha: float = 0.3) -> DataFrame:
+    """``run`` (from 0) and the visits of ``simulate_walks`` with each of ``rng_seeds``; the
+    adjacency is made once for all runs."""
+    spark, cap = edges.sparkSession, step_cap(alpha)
+    found, edges = local_edges(edges, min(LOCAL_EDGES, BROADCAST_EDGES))
+    if edges._peertrust_rows > BROADCAST_EDGES or len(rng_seeds) * n_walks > GATHERED_WALKS:
+        out = [simulate_walks(edges, seed, n_walks, alpha, s).withColumn("run", F.lit(i)) for i, s in enumerate(rng_seeds)]
+        return functools.reduce(DataFrame.unionByName, out).select("run", "walk_id", "seed", "gen", "step", "node")
+    first = pd.DataFrame({"walk_id": np.arange(n_walks), "seed": seed, "gen": np.int32(0), "step": np.int32(0), "node": seed})
+
+    def work(*e: np.ndarray) -> pd.DataFrame:
+        graph = Adjacency(*e)
+        runs = [pd.concat([first, run_walks(graph, first, np.full(n_walks, alpha), s, cap)]) for s in rng_seeds]
+        return pd.concat([r.assign(run=np.int32(i)) for i, r in enumerate(runs)], ignore_index=True)[["run", *first.columns]]
+
+    schema = f"run int, {WALK}"
+    if found is None:
+        return gathered(edges, work, schema)
+    return spark.createDataFrame(pa.Table.from_pandas(work(*(found[c].to_numpy() for c in ("src", "dst", "w"))), preserve_index=False), schema)
+
+
 def recursive_walks(edges: DataFrame, seed: int, n_walks: int, alpha: float, rng_seed: int = RNG_SEED, max_steps: int | None = None) -> DataFrame:
     """The walks as one recursive query."""
     spark, cap = edges.sparkSession, step_cap(alpha) if max_steps is None else max_steps
