@@ -179,9 +179,15 @@ def apply_changes(walks: DataFrame, old: DataFrame, new: DataFrame, gen: int, al
     return out.unionByName(first) if first is not None else out
 
 
+#: Visited nodes up to which they are sent to the edges.
+BROADCAST_NODES = 100_000
+
+
 def _seen(walks: DataFrame, edges: DataFrame) -> DataFrame:
     """Edges of the sources that walks visit: no other law can change a walk."""
-    return cut(edges.join(walks.select(F.col("node").alias("src")).distinct(), "src", "left_semi").select("src", "dst", "w"))
+    visited = cut(walks.select(F.col("node").alias("src")).distinct())
+    few = F.broadcast(visited) if visited.count() <= BROADCAST_NODES else visited
+    return cut(edges.join(few, "src", "left_semi").select("src", "dst", "w"))
 
 
 #: Visits up to which walks are updated in one place (32 bytes each).
