@@ -20,7 +20,7 @@ from peertrust.schemas import PROPS, WALK
 from peertrust.sources.files import write_in_order
 from peertrust.sources.tables import DOWN_KINDS, UP_KINDS, cut
 from peertrust.streaming.operators import drain
-from peertrust.walks import LOCAL_EDGES, Adjacency, collected, run_walks, simulate_walks, step_cap
+from peertrust.walks import Adjacency, collected, run_walks, simulate_walks, step_cap
 
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
@@ -85,7 +85,8 @@ class TrustStore:
     of more pairs wait for the next ones, in hashed order, so load is even and walks
     always belong to one graph (that of the pairs taken in so far)."""
 
-    LOCAL_PAIRS = LOCAL_EDGES
+    #: Three arrays of whole numbers, and as much again for what a batch brings.
+    LOCAL_PAIRS = 600_000
 
     def __init__(self, spark: SparkSession, seed: int, n_walks: int = 300, alpha: float = 0.3, policy: str = "coupling", refresh: RefreshPolicy | None = None, max_pairs: int | None = None, seed_must_stay: bool = False):
         self.max_pairs, self.waiting, self.seed_must_stay = max_pairs, None, seed_must_stay
