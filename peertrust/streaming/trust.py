@@ -85,8 +85,8 @@ class TrustStore:
     of more pairs wait for the next ones, in hashed order, so load is even and walks
     always belong to one graph (that of the pairs taken in so far)."""
 
-    #: Three arrays of whole numbers, and as much again for what a batch brings.
-    LOCAL_PAIRS = 600_000
+    #: Less than ``LOCAL_EDGES``: an update groups and sorts them, in each store of a stream.
+    LOCAL_PAIRS = 150_000
 
     def __init__(self, spark: SparkSession, seed: int, n_walks: int = 300, alpha: float = 0.3, policy: str = "coupling", refresh: RefreshPolicy | None = None, max_pairs: int | None = None, seed_must_stay: bool = False):
         self.max_pairs, self.waiting, self.seed_must_stay = max_pairs, None, seed_must_stay
@@ -140,7 +140,7 @@ class TrustStore:
             self._walks, self.rebuilds = cut(simulate_walks(self._edges, self.seed, self.n_walks, self.alpha)), self.rebuilds + 1
             self.hops = self._walks.filter("step > 0").count()
         else:
-            self._walks = cut(apply_changes(self._walks, old, self._edges, self.batch, self.alpha, self.policy, seed_must_stay=self.seed_must_stay))
+            self._walks = cut(apply_changes(self._walks, old, self._edges, self.batch, self.alpha, self.policy, strategy="joins", seed_must_stay=self.seed_must_stay))
             self.hops = self._walks.filter(F.col("gen") == self.batch).count()
         if self.refresh.max_error is not None:
             if shared and (like.seed, like.alpha) == (self.seed, self.alpha):
@@ -200,6 +200,9 @@ def stream_trust(events: DataFrame, n_peers: int, store: TrustStore | list[Trust
         stores[0].update(transfers)
         for one in stores[1:]:
             one.update(transfers, stores[0])
+        # what the batch is done with goes now, with its checkpoints; the driver's heap does
+        # not fill up with it first
+        batch.sparkSession._jvm.System.gc()
 
     return events.writeStream.queryName(query_name).option("checkpointLocation", checkpoint).trigger(availableNow=True).foreachBatch(feed).start()
 
