@@ -206,9 +206,10 @@ def _small(walks: DataFrame, old: DataFrame, new: DataFrame) -> tuple | None:
     return collected(kept), a, b
 
 
-def local_update(walks: pd.DataFrame, old: pd.DataFrame, new: pd.DataFrame, gen: int, alpha: float = 0.3, policy: str = "source_visit", rng_seed: int = RNG_SEED, cap: int | None = None) -> pd.DataFrame:
+def local_update(walks: pd.DataFrame, old: pd.DataFrame, new: pd.DataFrame, gen: int, alpha: float = 0.3, policy: str = "source_visit", rng_seed: int = RNG_SEED, cap: int | None = None, graph: Adjacency | None = None) -> pd.DataFrame:
     """``apply_changes`` on arrays: ``walks`` and both graphs (``src, dst, w``) as pandas
-    frames."""
+    frames; with the adjacency of the new ``graph`` at hand, the edges of sources that
+    walks visit will do."""
     cap = step_cap(alpha) if cap is None else cap
     walks = walks.sort_values(["walk_id", "step"], ignore_index=True)
     both = old.merge(new, on=["src", "dst"], how="outer", suffixes=("_old", "_new")).fillna(0).astype("int64")
@@ -256,7 +257,7 @@ def local_update(walks: pd.DataFrame, old: pd.DataFrame, new: pd.DataFrame, gen:
         task = task.assign(step=task["step"] + 1, node=moved)[moved >= 0]
         begin = task
     cut_at = pd.Series(step[first], index=walk[first]).reindex(walk).fillna(np.iinfo(np.int32).max).to_numpy()
-    graph = Adjacency(*(new[c].to_numpy() for c in ("src", "dst", "w")))
+    graph = Adjacency(*(new[c].to_numpy() for c in ("src", "dst", "w"))) if graph is None else graph
     suffix = run_walks(graph, task, np.full(len(task), alpha), rng_seed, cap)
     parts = [walks[step <= cut_at], suffix, *([begin] if begin is not None else [])]
     return pd.concat([x for x in parts if len(x)] or [walks], ignore_index=True).astype({"gen": "int32", "step": "int32"})

@@ -10,17 +10,17 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from peertrust import metrics
+from peertrust import metrics, packed, walks
 from peertrust.estimate import estimate
 from peertrust.functions.rng import RNG_SEED
 from peertrust.graph import edges_from_net, net_by_pair
-from peertrust.incremental import LOCAL_VISITS, RefreshPolicy, apply_changes, local_update
+from peertrust.incremental import LOCAL_VISITS, RefreshPolicy, apply_changes, drop_seed_check, local_update
 from peertrust.power import ROUNDS, power_iteration, solve
 from peertrust.schemas import PROPS, WALK
 from peertrust.sources.files import write_in_order
 from peertrust.sources.tables import DOWN_KINDS, UP_KINDS, cut
 from peertrust.streaming.operators import drain
-from peertrust.walks import Adjacency, collected, run_walks, simulate_walks, step_cap
+from peertrust.walks import Adjacency, run_walks, simulate_walks, step_cap
 
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
@@ -42,7 +42,7 @@ def ledger_files(events: DataFrame, path: str, by: str = "time", parts: int = 6,
     else:
         n = rows.count() if n_events is None else n_events
         batch = batches(rows.withColumn("id", F.col("event_id")).withColumn("ts", F.col("at")), "volume", max(1, -(-n // parts))).drop("id").withColumn("ts", F.col("at").cast("timestamp_ntz"))
-    batch = cut(batch.drop("at"))
+    batch = batch.drop("at")
     write_in_order(batch, "batch", path)
     return batch
 
@@ -72,12 +72,67 @@ def batches(transfers: DataFrame, by: str = "time", size: int = 1_000) -> DataFr
     return rows.withColumn("_r", local).join(F.broadcast(before), "_day").withColumn("batch", F.floor((F.col("_before") + F.col("_r")) / F.lit(size))).drop("_day", "_r", "_before")
 
 
+_NET = "a long, b long, net long"
+_COLUMNS = ["walk_id", "seed", "gen", "step", "node"]
+_FOLLOWED = f"i int, {WALK}, l2 double, linf double"
+
+
+def known(edges: DataFrame) -> DataFrame:
+    """Edges that can be read again and again, as they are only unpacked."""
+    edges._peertrust_cut = True
+    return edges
+
+
+def _first_walks(graph: Adjacency, seed: int, n_walks: int, alpha: float) -> pd.DataFrame:
+    first = pd.DataFrame({"walk_id": np.arange(n_walks), "seed": seed, "gen": 0, "step": 0, "node": seed})
+    rest = run_walks(graph, first, np.full(n_walks, alpha), RNG_SEED, step_cap(alpha))
+    return pd.concat([first, rest], ignore_index=True).astype({"gen": "int32", "step": "int32"})
+
+
+def _distances(visits: pd.DataFrame, src: np.ndarray, dst: np.ndarray, w: np.ndarray, seed: int, alpha: float, exact: tuple | None = None) -> dict[str, float]:
+    """Distance of the walks' scores to power iteration."""
+    node, score = exact or _exact(src, dst, w, seed, alpha)
+    mine = visits["node"].value_counts(normalize=True).reindex(node).fillna(0).to_numpy()
+    return {"l2": float(np.sqrt(((mine - score) ** 2).sum())), "linf": float(np.abs(mine - score).max())}
+
+
+def _exact(src: np.ndarray, dst: np.ndarray, w: np.ndarray, seed: int, alpha: float) -> tuple[np.ndarray, np.ndarray]:
+    node = np.unique(np.concatenate([np.unique(src), np.unique(dst), [seed]]))
+    return node, solve(src, dst, w, node, seed, alpha, "seed", ROUNDS)[0]
+
+
+def _follow(plans: list[dict], a: np.ndarray, b: np.ndarray, was: np.ndarray, net: np.ndarray) -> pd.DataFrame:
+    """Walks of each plan after the last change of the pairs, and a row with their error
+    if it is asked for; all plans share the adjacency and the exact scores."""
+    new, out, exact = packed.directed(a, b, net), [], {}
+    graph = Adjacency(*new) if any(p["gen"] is not None for p in plans) else None
+    for i, p in enumerate(plans):
+        visits = p["walks"]
+        if visits is None:
+            visits = _first_walks(graph, p["seed"], p["n_walks"], p["alpha"])
+        elif p["gen"] is not None:
+            seen = np.unique(visits["node"])  # no other law can change a walk
+            near = np.isin(a, seen) | np.isin(b, seen)
+            laws = [pd.DataFrame(dict(zip(("src", "dst", "w"), e, strict=True))).astype("int64") for e in (packed.directed(a[near], b[near], x[near]) for x in (was, net))]
+            visits = local_update(visits, *(e[e["src"].isin(seen)].reset_index(drop=True) for e in laws), p["gen"], p["alpha"], p["policy"], graph=graph)
+        if p["gen"] is not None:
+            out.append(visits.assign(i=i, l2=np.nan, linf=np.nan))
+        if p["measured"]:
+            key = p["seed"], p["alpha"]
+            exact[key] = exact.get(key) or _exact(*new, *key)
+            out.append(pd.DataFrame({"i": i, **dict.fromkeys(_COLUMNS, 0), **_distances(visits, *new, *key, exact[key])}, index=[0]))
+    kinds = {"i": "int32", "walk_id": "int64", "seed": "int64", "gen": "int32", "step": "int32", "node": "int64", "l2": "float64", "linf": "float64"}
+    return pd.concat(out, ignore_index=True)[list(kinds)].astype(kinds)
+
+
 class TrustStore:
     """Pair nets, walks and scores, moved on a batch at a time.
 
     While pairs and visits are few (counted first, ``LOCAL_PAIRS`` and ``LOCAL_VISITS``),
     they are arrays on the driver and a batch costs one aggregation of its own
-    transfers; beyond, they are tables in the shared folder.  Both give the same rows.
+    transfers; beyond, pairs are blocks of arrays in the shared folder, which one task of
+    an executor gathers for all stores of a stream while it can hold them
+    (``BROADCAST_EDGES``), and joins follow the walks beyond that.  All give the same rows.
 
     ``refresh`` says when walks are drawn anew instead of updated.  If it has a largest
     error, the error of the updated scores is measured after each batch, against power
@@ -95,19 +150,22 @@ class TrustStore:
         self.batch, self.rebuilds, self.errors, self.hops = 0, 0, [], 0
         self._net: pd.DataFrame | DataFrame = pd.DataFrame({c: pd.Series(dtype="int64") for c in ("a", "b", "net")})
         self._walks: pd.DataFrame | DataFrame | None = None
-        self._edges: DataFrame | None = None  # of a store of tables
-        self._exact: DataFrame | None = None
+        # of a store of tables
+        self._blocks: DataFrame | None = None
+        self._edges: DataFrame | None = None
+        self._pairs, self._error = 0, None
+        self._exact: DataFrame | None = None  # scores of a graph that no one task gathers
 
     @property
     def local(self) -> bool:
-        return self._edges is None
+        return self._blocks is None
 
     def _frame(self, x: pd.DataFrame | DataFrame, schema) -> DataFrame:
         return self.spark.createDataFrame(pa.Table.from_pandas(x, preserve_index=False), schema) if isinstance(x, pd.DataFrame) else x
 
     @property
     def edges(self) -> DataFrame:
-        return self._edges if self._edges is not None else edges_from_net(self._frame(self._net, "a long, b long, net long"))
+        return self._edges if self._edges is not None else edges_from_net(self._frame(self._net, _NET))
 
     @property
     def walks(self) -> DataFrame | None:
@@ -116,7 +174,34 @@ class TrustStore:
     def update(self, transfers: DataFrame, like: TrustStore | None = None) -> None:
         """``like``: a store that has taken in the same transfers so far, these included;
         its tables are this store's, too."""
-        delta = net_by_pair(transfers)
+        if self._take(transfers, like):
+            self._move([self])
+
+    @staticmethod
+    def update_together(stores: list[TrustStore], transfers: DataFrame) -> None:
+        """``update`` of stores that have taken in the same transfers so far.  Those that
+        share their tables have their walks moved by one task."""
+        if all(s.max_pairs is None for s in stores):
+            nets = cut(packed.packed(net_by_pair(transfers)))
+        else:
+            transfers, nets = cut(transfers), None
+        moving = [s for s in stores if s._take(transfers, stores[0] if s is not stores[0] else None, nets)]
+        shared = [s for s in moving if s._blocks is stores[0]._blocks]
+        if shared:
+            TrustStore._move(shared)
+        for s in moving:
+            if s not in shared:
+                TrustStore._move([s])
+
+    def _take(self, transfers: DataFrame, like: TrustStore | None, nets: DataFrame | None = None) -> bool:
+        """Takes in transfers (``nets``: their nets as blocks); whether the walks are still
+        to follow."""
+        shared = like is not None and not like.local and self.max_pairs is None and like.max_pairs is None
+        if shared:
+            self.batch, self._blocks, self._pairs, self._edges = self.batch + 1, like._blocks, like._pairs, like._edges
+            self._net, self._error, self._exact = None, None, None
+            return True
+        delta = net_by_pair(transfers) if nets is None else None
         if self.waiting is not None:
             delta = self.waiting.union(delta).groupBy("a", "b").agg(F.sum("net").alias("net"))
         if self.max_pairs is not None:
@@ -125,26 +210,65 @@ class TrustStore:
             self.waiting = cut(delta.join(taken.select("a", "b"), ["a", "b"], "left_anti"))
             delta = taken
         self.batch += 1
+        fresh = cut(packed.packed(delta)) if nets is None else nets
+        n = packed.pairs(fresh)
         if self.local:
-            delta = cut(delta)
-            if len(self._net) + delta.count() <= self.LOCAL_PAIRS and (self._walks is None or len(self._walks) <= LOCAL_VISITS):
-                return self._update_local(collected(delta))
-            self._edges, self._walks = cut(edges_from_net(self._frame(self._net, "a long, b long, net long"))), self.walks
-        # a pair that is even has no edge, and adds nothing to what comes
-        self._net = self._edges.select(F.least("src", "dst").alias("a"), F.greatest("src", "dst").alias("b"), F.when(F.col("src") > F.col("dst"), F.col("w")).otherwise(-F.col("w")).alias("net"))
-        old = self._edges
-        shared = like is not None and not like.local and self.max_pairs is None and like.max_pairs is None
-        self._edges = like._edges if shared else cut(edges_from_net(self._net.union(delta).groupBy("a", "b").agg(F.sum("net").alias("net"))))
-        self._exact = None
-        if self._walks is None or self.refresh.due(self.batch, self._last_error()):
+            if len(self._net) + n <= self.LOCAL_PAIRS and (self._walks is None or len(self._walks) <= LOCAL_VISITS):
+                found = [x[1:] for x in packed.read(fresh.toArrow().to_batches())]
+                self._update_local(pd.DataFrame({c: np.concatenate([x[i] for x in found]).astype(np.int64) if found else np.empty(0, np.int64) for i, c in ((0, "a"), (1, "b"), (3, "net"))}))
+                return False
+            self._pairs = len(self._net)
+            self._blocks = packed.merged(*(packed.packed(self._frame(x, _NET)) for x in (self._net, self._net.iloc[:0])), self._pairs)
+        self._blocks = packed.merged(self._blocks, fresh, self._pairs + n)
+        self._pairs, self._edges = packed.pairs(self._blocks), known(packed.edges_of(self._blocks))
+        self._net, self._error, self._exact = None, None, None
+        return True
+
+    @staticmethod
+    def _move(stores: list[TrustStore]) -> None:
+        """The walks of stores of the same tables follow the last change."""
+        blocks = stores[0]._blocks
+        for s in stores:
+            if s.seed_must_stay:
+                drop_seed_check(s._edges, s.seed)
+        few = [s for s in stores if stores[0]._pairs <= walks.BROADCAST_EDGES and s.n_walks <= walks.GATHERED_WALKS and (s._walks is None or isinstance(s._walks, pd.DataFrame))]
+        if few:
+            plans = [{**s._plan(), "walks": None if s._anew() else s._walks, "gen": s.batch, "measured": s.refresh.max_error is not None} for s in few]
+            rows = packed.gathered(blocks, lambda *pairs: _follow(plans, *pairs), _FOLLOWED)
+            for i, s in enumerate(few):
+                s._moved(rows[rows["i"] == i])
+        exact: dict[tuple, DataFrame] = {}
+        for s in stores:
+            if s not in few:
+                s._exact = exact.get((s.seed, s.alpha), s._exact)
+                s._move_tables()
+                exact[s.seed, s.alpha] = s._exact
+
+    def _anew(self) -> bool:
+        return self._walks is None or self.refresh.due(self.batch, self._last_error())
+
+    def _plan(self) -> dict:
+        return {"seed": self.seed, "n_walks": self.n_walks, "alpha": self.alpha, "policy": self.policy}
+
+    def _moved(self, rows: pd.DataFrame) -> None:
+        anew = self._anew()
+        mine = rows[rows["l2"].isna()][_COLUMNS].reset_index(drop=True).astype({"gen": "int32", "step": "int32"})
+        self._walks, self.rebuilds = mine, self.rebuilds + anew
+        self.hops = int(((mine["step"] > 0) if anew else (mine["gen"] == self.batch)).sum())
+        if self.refresh.max_error is not None:
+            self._error = rows.loc[rows["l2"].notna(), ["l2", "linf"]].iloc[0].to_dict()
+            self.errors.append(self._error["l2"])
+
+    def _move_tables(self) -> None:
+        self._walks = None if self._walks is None else cut(self.walks)
+        if self._anew():
             self._walks, self.rebuilds = cut(simulate_walks(self._edges, self.seed, self.n_walks, self.alpha)), self.rebuilds + 1
             self.hops = self._walks.filter("step > 0").count()
         else:
-            self._walks = cut(apply_changes(self._walks, old, self._edges, self.batch, self.alpha, self.policy, strategy="joins", seed_must_stay=self.seed_must_stay))
+            old = known(packed.edges_of(self._blocks, before=True))
+            self._walks = cut(apply_changes(self._walks, old, self._edges, self.batch, self.alpha, self.policy, strategy="joins"))
             self.hops = self._walks.filter(F.col("gen") == self.batch).count()
         if self.refresh.max_error is not None:
-            if shared and (like.seed, like.alpha) == (self.seed, self.alpha):
-                self._exact = like._exact
             self.errors.append(self.measured_error()["l2"])
 
     def _last_error(self) -> float | None:
@@ -164,10 +288,8 @@ class TrustStore:
         if self.seed_must_stay and not ((new["src"] == self.seed) | (new["dst"] == self.seed)).any():
             raise ValueError(f"seed {self.seed} is no longer in the graph")
         if self._walks is None or self.refresh.due(self.batch, self._last_error()):
-            first = pd.DataFrame({"walk_id": np.arange(self.n_walks), "seed": self.seed, "gen": 0, "step": 0, "node": self.seed})
-            rest = run_walks(Adjacency(*(new[c].to_numpy() for c in ("src", "dst", "w"))), first, np.full(self.n_walks, self.alpha), RNG_SEED, step_cap(self.alpha))
-            self._walks = pd.concat([first, rest], ignore_index=True).astype({"gen": "int32", "step": "int32"})
-            self.rebuilds, self.hops = self.rebuilds + 1, len(rest)
+            self._walks = _first_walks(Adjacency(*(new[c].to_numpy() for c in ("src", "dst", "w"))), self.seed, self.n_walks, self.alpha)
+            self.rebuilds, self.hops = self.rebuilds + 1, int((self._walks["step"] > 0).sum())
         else:
             self._walks = local_update(self._walks, old, new, self.batch, self.alpha, self.policy)
             self.hops = int((self._walks["gen"] == self.batch).sum())
@@ -177,15 +299,18 @@ class TrustStore:
     def measured_error(self) -> dict[str, float]:
         """Distance of the walks' scores to power iteration."""
         if not self.local:
-            if self._exact is None:
-                self._exact = cut(power_iteration(self._edges, self.seed, self.alpha))
-            row = metrics.differences(self.scores(), self._exact).first()
-            return {"l2": row.l2, "linf": row.linf}
+            if self._error is None and isinstance(self._walks, pd.DataFrame):
+                plans = [{**self._plan(), "walks": self._walks, "gen": None, "measured": True}]
+                rows = packed.gathered(self._blocks, lambda *pairs: _follow(plans, *pairs), _FOLLOWED)
+                self._error = rows.loc[rows["l2"].notna(), ["l2", "linf"]].iloc[0].to_dict()
+            if self._error is None:
+                if self._exact is None:
+                    self._exact = cut(power_iteration(self._edges, self.seed, self.alpha))
+                row = metrics.differences(self.scores(), self._exact).first()
+                self._error = {"l2": row.l2, "linf": row.linf}
+            return self._error
         edges = self._arrays(self._net)
-        node = np.unique(np.concatenate([edges["src"], edges["dst"], [self.seed]]))
-        exact, _ = solve(*(edges[c].to_numpy() for c in ("src", "dst", "w")), node, self.seed, self.alpha, "seed", ROUNDS)
-        mine = self._walks["node"].value_counts(normalize=True).reindex(node).fillna(0).to_numpy()
-        return {"l2": float(np.sqrt(((mine - exact) ** 2).sum())), "linf": float(np.abs(mine - exact).max())}
+        return _distances(self._walks, *(edges[c].to_numpy() for c in ("src", "dst", "w")), self.seed, self.alpha)
 
     def scores(self) -> DataFrame:
         return estimate(self.walks)
@@ -196,10 +321,7 @@ def stream_trust(events: DataFrame, n_peers: int, store: TrustStore | list[Trust
     stores = store if isinstance(store, list) else [store]
 
     def feed(batch: DataFrame, _: int) -> None:
-        transfers = cut(transfers_of(batch, n_peers))
-        stores[0].update(transfers)
-        for one in stores[1:]:
-            one.update(transfers, stores[0])
+        TrustStore.update_together(stores, transfers_of(batch, n_peers))
         # what the batch is done with goes now, with its checkpoints; the driver's heap does
         # not fill up with it first
         batch.sparkSession._jvm.System.gc()

@@ -32,6 +32,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from peertrust.functions.rng import RNG_SEED, TWO32, stop_limit, u32
+from peertrust.packed import by_two
 from peertrust.schemas import WALK
 from peertrust.sources.tables import cut, numbered
 from peertrust.transition import binned_cdf, cdf
@@ -53,7 +54,7 @@ class Adjacency:
     """Out-edges as arrays: hops of many walkers at once."""
 
     def __init__(self, src: np.ndarray, dst: np.ndarray, w: np.ndarray):
-        order = np.lexsort((dst, src))
+        order = by_two(src, dst)
         self.dst, w = dst[order], w[order].astype(np.int64)
         self.sources, first = np.unique(src[order], return_index=True)
         self.ends = np.cumsum(w)
