@@ -28,6 +28,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from peertrust import packed
 from peertrust.functions.rng import RNG_SEED, TWO32, stop_limit, u32
 from peertrust.graph import diff_edges
 from peertrust.schemas import WALK
@@ -186,6 +187,9 @@ BROADCAST_NODES = 100_000
 def _seen(walks: DataFrame, edges: DataFrame) -> DataFrame:
     """Edges of the sources that walks visit: no other law can change a walk."""
     visited = cut(walks.select(F.col("node").alias("src")).distinct())
+    blocks = getattr(edges, "_peertrust_blocks", None)
+    if blocks is not None and visited.count() <= BROADCAST_NODES:
+        return cut(packed.edges_of(blocks, edges._peertrust_before, collected(visited)["src"].to_numpy()))
     few = F.broadcast(visited) if visited.count() <= BROADCAST_NODES else visited
     return cut(edges.join(few, "src", "left_semi").select("src", "dst", "w"))
 

@@ -156,3 +156,116 @@ def gathered(blocks: DataFrame, work: Callable[..., pd.DataFrame], schema: str)
         yield from pa.Table.from_pandas(work(*columns), preserve_index=False).to_batches(10_000)
 
     return blocks.repartition(1).mapInArrow(run, schema).toArrow().to_pandas()
+
+
+ARC_SCHEMA = "part int, n int, src binary, dst binary, w binary"
+#: Edges of a block of arcs, about.
+ARCS = 2_000_000
+
+
+def arcs(edges: DataFrame, by: str = "src") -> DataFrame:
+    """Edges as blocks that hold all edges of their sources (or ``by`` ``dst``), in the
+    order of these, made once a frame of counted edges."""
+    made = edges.__dict__.setdefault("_peertrust_arcs", {})
+    if by in made:
+        return made[by]
+    parts, key = max(1, -(-edges._peertrust_rows // ARCS)), 0 if by == "src" else 1
+    blocks = getattr(edges, "_peertrust_blocks", None)
+    plain, before = blocks is None, getattr(edges, "_peertrust_before", False)
+
+    def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for e in ([b.column(c).to_numpy() for c in ("src", "dst", "w")] for b in batches) if plain else (directed(a, b, was if before else net) for _, a, b, was, net in read(batches)):
+            if len(e[0]):
+                yield table(split(hashed(parts, e[key]), parts, *e), ("src", "dst", "w"))
+
+    def order(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        dealt: dict[int, list] = {}
+        for part, *columns in read(batches):
+            dealt.setdefault(part, []).append(columns)
+        for part in sorted(dealt):
+            e = [np.concatenate(c) for c in zip(*dealt.pop(part), strict=True)]
+            at = by_two(e[key], e[1 - key])
+            yield table([row(part, *(c[at] for c in e))], ("src", "dst", "w"))
+
+    given = edges.select("src", "dst", "w") if plain else blocks
+    made[by] = cut(given.mapInArrow(deal, ARC_SCHEMA).repartitionById(parts, "part").mapInArrow(order, ARC_SCHEMA))
+    return made[by]
+
+
+def hops(edges: DataFrame, node: np.ndarray, draw: np.ndarray) -> np.ndarray:
+    """Where walkers at ``node`` go (-1: no way out).  A source's edges meet the draws
+    where they are."""
+    blocks = arcs(edges)
+    parts = max(1, -(-edges._peertrust_rows // ARCS))
+    wanted = np.unique(hashed(parts, node)).tolist()
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for _, src, dst, w in read(batches):
+            low, high = np.searchsorted(src, node, "left"), np.searchsorted(src, node, "right")
+            i = np.flatnonzero(low < high)
+            low, high = low[i], high[i]
+            ends = np.cumsum(w, dtype=np.int64)
+            base = ends[low] - w[low]
+            total = ends[high - 1] - base
+            if len(i) and int(total.max()) >= 1 << 31:
+                raise ValueError("weights of a source must sum to less than 2**31")
+            to = dst[np.searchsorted(ends, base + (draw[i] * total >> 32), side="right")] if len(i) else dst[:0]
+            yield pa.RecordBatch.from_arrays([pa.array(i.astype(np.int64)), pa.array(to.astype(np.int64))], ["i", "to"])
+
+    found = blocks.filter(F.col("part").isin(wanted)).mapInArrow(run, "i long, to long").toArrow()
+    out = np.full(len(node), -1, np.int64)
+    out[found.column("i").to_numpy()] = found.column("to").to_numpy()
+    return out
+
+
+def out_weights(edges: DataFrame, weighting: str = "weight") -> DataFrame:
+    """``node, out``: the weight (or number) of each source's edges."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for _, src, _, w in read(batches):
+            first = np.flatnonzero(np.append(True, src[1:] != src[:-1]))
+            out = np.add.reduceat(w.astype(float) if weighting == "weight" else np.ones(len(w)), first)
+            yield pa.RecordBatch.from_arrays([pa.array(src[first].astype(np.int64)), pa.array(out)], ["node", "out"])
+
+    return arcs(edges).mapInArrow(run, "node long, out double")
+
+
+def targets(edges: DataFrame) -> DataFrame:
+    """``node`` of each target of edges."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for _, _, dst, _ in read(batches):
+            yield pa.RecordBatch.from_arrays([pa.array(dst[np.append(True, dst[1:] != dst[:-1])].astype(np.int64))], ["node"])
+
+    return arcs(edges, "dst").mapInArrow(run, "node long")
+
+
+def placed(edges: DataFrame, node: np.ndarray) -> DataFrame:
+    """The blocks by target, with places among the sorted nodes for their numbers."""
+    shared = edges.sparkSession.sparkContext.broadcast(node)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for part, src, dst, w in read(batches):
+            yield table([row(part, np.searchsorted(shared.value, src), np.searchsorted(shared.value, dst), w)], ("src", "dst", "w"))
+
+    return cut(arcs(edges, "dst").mapInArrow(run, ARC_SCHEMA))
+
+
+def flows(blocks: DataFrame, x: np.ndarray, weighting: str = "weight") -> np.ndarray:
+    """What flows to each node from sources that give ``x`` (rows: one vector each) for a
+    unit of weight."""
+    shared = blocks.sparkSession.sparkContext.broadcast(x)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for part, src, dst, w in read(batches):
+            first = np.flatnonzero(np.append(True, dst[1:] != dst[:-1]))
+            for i, v in enumerate(shared.value):
+                y = np.add.reduceat(v[src] * w if weighting == "weight" else v[src], first)
+                yield pa.RecordBatch.from_arrays([pa.array([i], pa.int32()), pa.array([dst[first].astype(np.int64).tobytes()]), pa.array([y.tobytes()])], ["i", "node", "y"])
+
+    out = np.zeros(x.shape)
+    for batch in blocks.mapInArrow(run, "i int, node binary, y binary").toArrow().to_batches():
+        for i, node, y in zip(*batch.columns, strict=True):
+            out[i.as_py(), np.frombuffer(node.as_buffer(), np.int64)] = np.frombuffer(y.as_buffer(), float)
+    shared.destroy()
+    return out

@@ -77,9 +77,10 @@ _COLUMNS = ["walk_id", "seed", "gen", "step", "node"]
 _FOLLOWED = f"i int, {WALK}, l2 double, linf double"
 
 
-def known(edges: DataFrame) -> DataFrame:
-    """Edges that can be read again and again, as they are only unpacked."""
-    edges._peertrust_cut = True
+def known(blocks: DataFrame, before: bool = False) -> DataFrame:
+    """The edges of blocks; they can be read again and again, as they are only unpacked."""
+    edges = packed.edges_of(blocks, before)
+    edges._peertrust_cut, edges._peertrust_blocks, edges._peertrust_before = True, blocks, before
     return edges
 
 
@@ -220,7 +221,7 @@ class TrustStore:
             self._pairs = len(self._net)
             self._blocks = packed.merged(*(packed.packed(self._frame(x, _NET)) for x in (self._net, self._net.iloc[:0])), self._pairs)
         self._blocks = packed.merged(self._blocks, fresh, self._pairs + n)
-        self._pairs, self._edges = packed.pairs(self._blocks), known(packed.edges_of(self._blocks))
+        self._pairs, self._edges = packed.pairs(self._blocks), known(self._blocks)
         self._net, self._error, self._exact = None, None, None
         return True
 
@@ -265,7 +266,7 @@ class TrustStore:
             self._walks, self.rebuilds = cut(simulate_walks(self._edges, self.seed, self.n_walks, self.alpha)), self.rebuilds + 1
             self.hops = self._walks.filter("step > 0").count()
         else:
-            old = known(packed.edges_of(self._blocks, before=True))
+            old = known(self._blocks, before=True)
             self._walks = cut(apply_changes(self._walks, old, self._edges, self.batch, self.alpha, self.policy, strategy="joins"))
             self.hops = self._walks.filter(F.col("gen") == self.batch).count()
         if self.refresh.max_error is not None:

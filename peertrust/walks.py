@@ -10,6 +10,7 @@ intervals, so every strategy below gives the same rows:
   driver had better not hold it, one task gathers it and runs all walks, if these are few.
 * ``frontier``: the ends of the walks meet the intervals in a join, a round a step.
   For graphs that fit no executor.
+  Few walks on such a graph hop where the edges of their nodes are, in blocks of arrays.
 * ``binned``: ``frontier`` on binned intervals, an equality join that a hub cannot
   blow up.
 * ``recursive``: one recursive SQL query, for small graphs and short walks.
@@ -31,6 +32,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from peertrust import packed
 from peertrust.functions.rng import RNG_SEED, TWO32, stop_limit, u32
 from peertrust.packed import by_two
 from peertrust.schemas import WALK
@@ -203,6 +205,10 @@ def advance(edges: DataFrame, tasks: DataFrame, alpha: float, rng_seed: int = RN
                     yield run_walks(graph, part, np.full(len(part), alpha), rng_seed, cap, nodes)
 
             return tasks.select("walk_id", "seed", "gen", "step", "node").mapInPandas(run, WALK)
+        if jump is None:
+            tasks = cut(tasks.select("walk_id", "seed", "gen", "step", "node"))
+            if tasks.count() <= GATHERED_WALKS:
+                return _advance_few(edges, collected(tasks), alpha, rng_seed, cap)
         strategy = "binned"
     places = None if jump is None else cut(numbered(jump, "node").withColumnRenamed("node", "next"))
     table = cut(binned_cdf(cdf(edges)) if strategy == "binned" else cdf(edges))
@@ -233,6 +239,21 @@ def advance(edges: DataFrame, tasks: DataFrame, alpha: float, rng_seed: int = RN
     return out
 
 
+def _advance_few(edges: DataFrame, tasks: pd.DataFrame, alpha: float, rng_seed: int, cap: int) -> DataFrame:
+    """Few walks on a large graph: all hop at once, each where its node's edges are."""
+    spark, out = edges.sparkSession, []
+    walk, seed, gen, step, node = (tasks[c].to_numpy().astype(np.int64) for c in ("walk_id", "seed", "gen", "step", "node"))
+    while len(walk):
+        go = (step < cap) & (draws(rng_seed, "stop", walk, gen, step) >= stop_limit(alpha))
+        walk, seed, gen, step, node = (x[go] for x in (walk, seed, gen, step, node))
+        if not len(walk):
+            break
+        to = packed.hops(edges, node, draws(rng_seed, "hop", walk, gen, step))
+        walk, seed, gen, step, node = (x[to >= 0] for x in (walk, seed, gen, step + 1, to))
+        out.append(pd.DataFrame({"walk_id": walk, "seed": seed, "gen": gen.astype(np.int32), "step": step.astype(np.int32), "node": node}))
+    return spark.createDataFrame(pa.Table.from_pandas(pd.concat(out), preserve_index=False), WALK) if out else spark.createDataFrame([], WALK)
+
+
 def simulate_walks(edges: DataFrame, seeds: list[int] | int, n_walks: int = 300, alpha: float = 0.3, rng_seed: int = RNG_SEED, strategy: str = "auto", max_steps: int | None = None) -> DataFrame:
     """All visits of ``n_walks`` walks from each seed."""
     spark = edges.sparkSession
